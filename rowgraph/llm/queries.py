@@ -8,7 +8,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, chat, hosts, media, mixing, neardup, warc
+from . import bpe, chat, hosts, media, mixing, neardup, passages, warc
 
 
 def _table(name: str) -> Callable[[SparkSession, str], DataFrame]:
@@ -48,6 +48,10 @@ def op8_host_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return hosts.quality(_documents(spark, sf_dir)).select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
 
 
+def op9_passage_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return passages.dedup_passages(_documents(spark, sf_dir))
+
+
 def op10_minhash_groups(spark: SparkSession, sf_dir: str) -> DataFrame:
     return neardup.near_duplicates(_documents(spark, sf_dir))
 
@@ -59,5 +63,6 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op6_text_media": op6_text_media,
     "op7_warc_index": op7_warc_index,
     "op8_host_quality": op8_host_quality,
+    "op9_passage_dedup": op9_passage_dedup,
     "op10_minhash_groups": op10_minhash_groups,
 }
