@@ -3,11 +3,13 @@
 1. Each document gives its shingle set's size and digest, its bands and a signature (one byte per coordinate).
    Documents of equal sets are one node from here on.
 2. In every band bucket all nodes are checked against the bucket's smallest node, on their full sets.
-3. Components of those links.  Only in buckets that hold several components are other pairs looked at: in the task,
-   block by block, by signature, and those of different components that may be similar enough are checked on full sets.
+3. Components of those links.  Only where several components remain are other pairs looked at, by signature, and those
+   of different components that may be similar enough are checked on full sets.
+   Large buckets are joined to clusters; a cluster's texts are dealt out in blocks, each pair of blocks to one task,
+   which checks in place and gives links only.  Small buckets give candidate pairs.
 4. Components of all links.
 
-A bucket is never expanded into its pairs.  Large buckets are compared in blocks, each pair of blocks in one task.
+A bucket or cluster is never expanded into its pairs.
 """
 
 from __future__ import annotations
@@ -26,8 +28,10 @@ from .words import slices
 
 #: Links: 100 * intersection >= MIN_PERCENT * union.
 MIN_PERCENT = 85
-#: Members of a bucket compared in one task; larger buckets are cut into blocks.
-BLOCK = 1024
+#: Buckets with more members than this are compared by cluster.
+HOT_BUCKET = 64
+#: Members of a cluster in one block.
+BLOCK = 256
 #: Coordinates of the signature that a pair must share to be checked: the expected number less 5.5 standard deviations.
 _LINKED = sketch.T * (MIN_PERCENT / 100)
 MIN_SHARED = int(_LINKED - 5.5 * (sketch.T * 0.85 * 0.15) ** 0.5)
@@ -87,69 +91,95 @@ def check_pairs(pairs: DataFrame, texts: DataFrame, min_percent: int = MIN_PERCE
     return rows.mapInArrow(run, "a long, b long")
 
 
-def _groups(batches: Iterator[pa.RecordBatch]) -> Iterator[dict]:
-    """Runs of equal (band, i, j), which may go on in the next batch."""
+def _groups(batches: Iterator[pa.RecordBatch], keys: list[int]) -> Iterator[pa.Table]:
+    """Runs of rows with equal values in the key columns, which may go on in the next batch."""
     held: list[pa.RecordBatch] = []
     for batch in batches:
         if not batch.num_rows:
             continue
-        keys = [batch.column(k).to_numpy(zero_copy_only=False) for k in range(3)]
-        if held:
-            last = held[-1]
-            if any(last.column(k)[-1].as_py() != batch.column(k)[0].as_py() for k in range(3)):
-                yield _joined(held)
-                held = []
-        changes = np.flatnonzero(np.logical_or.reduce([np.diff(k) != 0 for k in keys])) + 1
+        columns = [batch.column(k).to_numpy(zero_copy_only=False) for k in keys]
+        if held and any(held[-1].column(k)[-1].as_py() != c[0] for k, c in zip(keys, columns, strict=True)):
+            yield pa.Table.from_batches(held)
+            held = []
+        changes = np.flatnonzero(np.logical_or.reduce([np.diff(c) != 0 for c in columns])) + 1
         cuts = [0, *changes.tolist(), batch.num_rows]
         for lo, hi in zip(cuts[:-1], cuts[1:], strict=True):
             held.append(batch.slice(lo, hi - lo))
             if hi < batch.num_rows:
-                yield _joined(held)
+                yield pa.Table.from_batches(held)
                 held = []
     if held:
-        yield _joined(held)
+        yield pa.Table.from_batches(held)
+
 
+def _marks(table: pa.Table) -> np.ndarray:
+    return np.frombuffer(b"".join(table["signature"].to_pylist()), np.uint8).reshape(table.num_rows, -1)
 
-def _joined(parts: list[pa.RecordBatch]) -> dict:
-    table = pa.Table.from_batches(parts)
-    out = {n: table[n].to_numpy() for n in ("i", "j", "block", "node", "component", "n_shingles")}
-    out["signature"] = np.frombuffer(b"".join(table["signature"].to_pylist()), np.uint8).reshape(table.num_rows, -1)
-    return out
 
+def may_link(x: int, others: np.ndarray, size: np.ndarray, mark: np.ndarray) -> np.ndarray:
+    """Those of ``others`` that sizes and signatures allow to be linked with x."""
+    low, high = np.minimum(size[others], size[x]), np.maximum(size[others], size[x])
+    others = others[100 * low >= MIN_PERCENT * high]
+    return others[(mark[others] == mark[x]).sum(axis=1) >= MIN_SHARED] if len(others) else others
 
-def similar_by_signature(g: dict) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-    """Pairs of nodes in one group, of different components, that signatures and sizes allow to be linked."""
-    node, comp, size, mark = g["node"], g["component"], g["n_shingles"], g["signature"]
-    one_block = g["i"][0] == g["j"][0]
-    first = np.arange(len(node)) if one_block else np.flatnonzero(g["block"] == g["i"][0])
-    second = first if one_block else np.flatnonzero(g["block"] == g["j"][0])
-    for k, x in enumerate(first.tolist()):
-        others = second[k + 1 :] if one_block else second
-        low, high = np.minimum(size[others], size[x]), np.maximum(size[others], size[x])
-        others = others[(comp[others] != comp[x]) & (100 * low >= MIN_PERCENT * high)]
-        if len(others):
-            shared = (mark[others] == mark[x]).sum(axis=1)
-            others = others[shared >= MIN_SHARED]
-            if len(others):
-                yield np.minimum(node[x], node[others]), np.maximum(node[x], node[others])
+
+_PAIR = pa.schema([("a", pa.int64()), ("b", pa.int64())])
 
 
 def pairs_across(members: DataFrame) -> DataFrame:
-    """Distinct candidate pairs (a, b) from rows (band, n_members, node, component, n_shingles, signature)."""
+    """Distinct candidate pairs (a, b) from the small buckets (band, node, component, cluster, n_shingles, signature).
+
+    Pairs within a component or a cluster are left out.
+    """
+    rows = members.select("band", "node", "component", F.coalesce("cluster", F.lit(-1) - F.col("node")).alias("cluster"), "n_shingles", "signature")
+    rows = rows.repartition("band").sortWithinPartitions("band", "node")
+
+    def run(batches: Iterator[pa.RecordBatch]):
+        for g in _groups(batches, [0]):
+            node, comp, cluster, size = (g[n].to_numpy() for n in ("node", "component", "cluster", "n_shingles"))
+            mark, found = _marks(g), []
+            for x in range(len(node) - 1):
+                others = np.arange(x + 1, len(node))
+                others = may_link(x, others[(comp[others] != comp[x]) & (cluster[others] != cluster[x])], size, mark)
+                found += [(int(node[x]), int(node[y])) for y in others]
+            if found:
+                yield pa.RecordBatch.from_arrays([pa.array([min(f) for f in found]), pa.array([max(f) for f in found])], schema=_PAIR)
+
+    return rows.mapInArrow(run, "a long, b long").distinct()
+
+
+def links_in_clusters(members: DataFrame, min_percent: int = MIN_PERCENT) -> DataFrame:
+    """Links (a, b) between components in one cluster, from rows (cluster, n_members, node, component, n_shingles, signature, text).
+
+    Every two members of different components meet in the task of their pair of blocks, unless links that the task has
+    found already join their components.
+    """
     blocks = F.ceil(F.col("n_members") / F.lit(BLOCK)).cast("int")
     rows = members.withColumn("blocks", blocks).withColumn("block", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int"))
     rows = rows.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    rows = rows.select("band", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "block", "node", "component", "n_shingles", "signature")
-    rows = rows.repartition("band", "i", "j").sortWithinPartitions("band", "i", "j", "node")
-    schema = pa.schema([("a", pa.int64()), ("b", pa.int64())])
+    rows = rows.select("cluster", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "block", "node", "component", "n_shingles", "signature", "text")
+    rows = rows.repartition("cluster", "i", "j").sortWithinPartitions("cluster", "i", "j", "node")
 
     def run(batches: Iterator[pa.RecordBatch]):
-        for g in _groups(batches):
-            found = list(similar_by_signature(g))
+        for g in _groups(batches, [0, 1, 2]):
+            node, comp, size, block = (g[n].to_numpy() for n in ("node", "component", "n_shingles", "block"))
+            comp, mark, found = comp.copy(), _marks(g), []
+            i, j = g["i"][0].as_py(), g["j"][0].as_py()
+            sets = sketch.shingle_sets(g["text"])
+            for x in np.flatnonzero(block == i).tolist():
+                others = np.flatnonzero(block == j)
+                if i == j:
+                    others = others[others > x]
+                for y in may_link(x, others[comp[others] != comp[x]], size, mark).tolist():
+                    if comp[x] != comp[y]:
+                        both, union = sketch.overlap(sets[x], sets[y])
+                        if 100 * both >= min_percent * union:
+                            found.append((int(node[x]), int(node[y])))
+                            comp[comp == comp[y]] = comp[x]
             if found:
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate([f[k] for f in found])) for k in (0, 1)], schema=schema)
+                yield pa.RecordBatch.from_arrays([pa.array([min(f) for f in found]), pa.array([max(f) for f in found])], schema=_PAIR)
 
-    return rows.mapInArrow(run, "a long, b long").distinct()
+    return rows.mapInArrow(run, "a long, b long")
 
 
 def near_duplicates(docs: DataFrame, min_percent: int = MIN_PERCENT) -> DataFrame:
@@ -177,13 +207,23 @@ def near_duplicates(docs: DataFrame, min_percent: int = MIN_PERCENT) -> DataFram
     links = stage(check_pairs(stars, texts, min_percent), "near-links")
     first = stage(components(links), "near-first")
 
-    placed = members.join(first, "node", "left").withColumn("component", F.coalesce("component", "node"))
-    placed = stage(placed.select("band", "n_members", "node", "component"), "near-placed")
-    mixed = stage(placed.groupBy("band").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).filter("lo < hi").select("band"), "near-mixed")
+    large = members.filter((F.col("n_members") > HOT_BUCKET) & (F.col("node") > F.col("lead")))
+    clusters = components(large.select(F.col("lead").alias("a"), F.col("node").alias("b")))
+    clusters = stage(clusters.withColumnRenamed("component", "cluster"), "near-clusters")
     marks = nodes.select("node", "n_shingles", "signature")
+
+    grouped = stage(clusters.join(first, "node", "left").withColumn("component", F.coalesce("component", "node")), "near-grouped")
+    open_ = grouped.groupBy("cluster").agg(F.count("*").alias("n_members"), F.min("component").alias("lo"), F.max("component").alias("hi"))
+    open_ = stage(open_.filter("lo < hi").select("cluster", "n_members"), "near-open")
+    inside = grouped.join(open_, "cluster").join(marks, "node").join(texts.withColumnRenamed("doc_id", "node"), "node")
+    inside = links_in_clusters(inside, min_percent)
+
+    placed = members.filter(F.col("n_members") <= HOT_BUCKET).join(grouped.select("node", "cluster"), "node", "left").join(first, "node", "left")
+    placed = stage(placed.select("band", "node", "cluster", F.coalesce("component", "node").alias("component")), "near-placed")
+    mixed = stage(placed.groupBy("band").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).filter("lo < hi").select("band"), "near-mixed")
     across = pairs_across(placed.join(mixed, "band").join(marks, "node"))
-    more = check_pairs(stage(across.join(stars, ["a", "b"], "left_anti"), "near-across"), texts, min_percent)
-    links = stage(links.unionByName(more), "near-links")
+    across = stage(across.join(stars, ["a", "b"], "left_anti"), "near-across")
+    links = stage(links.unionByName(inside).unionByName(check_pairs(across, texts, min_percent)), "near-links")
 
     final = stage(components(links), "near-components")
     named = nodes.select("digest", "node").join(final, "node", "left").select("digest", F.coalesce("component", "node").alias("component"))
@@ -191,3 +231,12 @@ def near_duplicates(docs: DataFrame, min_percent: int = MIN_PERCENT) -> DataFram
     out = sketches.select("doc_id", "n_shingles", "digest").join(named, "digest", "left")
     component = F.coalesce("component", "doc_id")
     return out.select("doc_id", "n_shingles", component.alias("component_id"), F.col("doc_id").eqNullSafe(component).alias("kept"))
+
+
+def drop_duplicates(docs: DataFrame, min_percent: int = MIN_PERCENT) -> DataFrame:
+    """The rows of ``docs``, with all their columns, whose id is the smallest of its group.
+
+    Rows without an id stay, as they can't be told apart; rows that repeat an id stay or go together.
+    """
+    gone = near_duplicates(docs, min_percent).filter(~F.col("kept")).select("doc_id")
+    return docs.join(stage(gone.filter(F.col("doc_id").isNotNull()).distinct(), "near-gone"), "doc_id", "left_anti").select(*docs.columns)
