@@ -124,7 +124,10 @@ def bpe_digests(docs: DataFrame, ranks_path: str, pattern: str) -> DataFrame:
 
 
 def encode_texts(docs: DataFrame, ranks_path: str, pattern: str, text: str = "text", ids: str = "token_ids") -> DataFrame:
-    """``docs`` with the ids of each text in a new last column ``ids`` (null text: none).  All columns are kept."""
+    """``docs`` with the ids of each text in a new last column ``ids`` (null text: none).  All columns are kept.
+
+    The ids are decoded again, and a text that doesn't come back to the byte is an error.
+    """
     if ids in docs.columns:
         raise ValueError(f"there is already a column {ids}")
     ranks = docs.sparkSession.sparkContext.broadcast(read_ranks(ranks_path))
@@ -134,7 +137,10 @@ def encode_texts(docs: DataFrame, ranks_path: str, pattern: str, text: str = "te
         codec = None
         for batch in batches:
             codec = codec or Codec.of(hash((pattern, len(ranks.value), ranks.value[:64])), ranks.value, pattern)
-            made = pa.array([[i for part in codec.encode(v.as_py() or "") for i in part] for v in batch.column(where)], pa.list_(pa.int32()))
+            made = [[i for part in codec.encode(v.as_py() or "") for i in part] for v in batch.column(where)]
+            if any(codec.decode(x) != (v.as_py() or "").encode() for x, v in zip(made, batch.column(where), strict=True)):
+                raise ValueError("ids that don't decode to their text")
+            made = pa.array(made, pa.list_(pa.int32()))
             yield pa.RecordBatch.from_arrays([*batch.columns, made], names=[*batch.schema.names, ids])
 
     from pyspark.sql import types as T

@@ -76,20 +76,23 @@ def systematic(rows: DataFrame, weights: tuple[int, ...], most: int, seed: str)
     n_rows = targets.agg(F.sum("source_rows")).first()[0] or 0
     spread = max(1, -(-n_rows // (BUCKET_ROWS * 8)))
     size_class = F.length(F.bin(F.col("size") + 1))
-    placed = rows.withColumns({"class_": size_class, "part_": F.pmod(_md5_number(F.lit(seed), F.col("doc_id")), F.lit(spread)).cast("int")})
-    totals = placed.groupBy("source", "class_", "part_").agg(F.count("*").alias("n"))
+    # a null source is a key of its own; plain equality lets the join below use the windows' partitioning
+    key = {"source_": F.coalesce("source", F.lit("")), "none_": F.col("source").isNull()}
+    placed = rows.withColumns({**key, "class_": size_class, "part_": F.pmod(_md5_number(F.lit(seed), F.col("doc_id")), F.lit(spread)).cast("int")})
+    totals = placed.groupBy("source_", "none_", "class_", "part_").agg(F.count("*").alias("n"))
     # rows before a bucket: the classes of a source from long to short, then its parts
-    per_class = totals.groupBy("source", "class_").agg(F.sum("n").alias("class_n"))
-    class_start = F.sum("class_n").over(Window.partitionBy("source").orderBy(F.desc("class_"))) - F.col("class_n")
-    part_start = F.sum("n").over(Window.partitionBy("source", "class_").orderBy("part_")) - F.col("n")
-    starts = totals.withColumn("part_start", part_start).join(per_class.withColumn("class_start", class_start).select(F.col("source").alias("s_"), F.col("class_").alias("c_"), "class_start"), F.col("source").eqNullSafe(F.col("s_")) & (F.col("class_") == F.col("c_")))
+    per_class = totals.groupBy("source_", "none_", "class_").agg(F.sum("n").alias("class_n"))
+    class_start = F.sum("class_n").over(Window.partitionBy("source_", "none_").orderBy(F.desc("class_"))) - F.col("class_n")
+    part_start = F.sum("n").over(Window.partitionBy("source_", "none_", "class_").orderBy("part_")) - F.col("n")
+    starts = totals.withColumn("part_start", part_start).join(per_class.withColumn("class_start", class_start).drop("class_n"), ["source_", "none_", "class_"])
     draw = (_md5_number(F.lit(seed), F.col("source")) + 0.5) / float(1 << 52)
     rate = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(F.lit(0.0))
-    known = starts.join(targets.select(F.col("source").alias("t_"), "source_size", "source_rows", "target"), F.col("source").eqNullSafe(F.col("t_")))
-    known = known.select(F.col("source").alias("k_source"), F.col("class_").alias("k_class"), F.col("part_").alias("k_part"), (F.col("part_start") + F.col("class_start")).alias("before"), "source_size", "source_rows", "target", draw.alias("offset"), rate.alias("rate"))
-    here = Window.partitionBy("source", "class_", "part_").orderBy(F.desc("size"), F.col("doc_id").asc_nulls_last(), "tie")
+    known = targets.withColumns({**key, "offset": draw, "rate": rate}).drop("source")
+    known = stage(starts.join(known, ["source_", "none_"]).withColumn("before", F.col("part_start") + F.col("class_start")).drop("n", "part_start", "class_start"), "mix-buckets")
+    bucket = ["source_", "none_", "class_", "part_"]
+    here = Window.partitionBy(*bucket).orderBy(F.desc("size"), F.col("doc_id").asc_nulls_last(), "tie")
     ranked = placed.withColumn("rank_", F.row_number().over(here))
-    joined = ranked.join(known, F.col("source").eqNullSafe(F.col("k_source")) & (F.col("class_") == F.col("k_class")) & (F.col("part_") == F.col("k_part")))
+    joined = ranked.join(known, bucket)
     whole, part = F.floor("rate"), F.col("rate") - F.floor("rate")
     # walk to and fro: each second stretch of 1 / part documents is walked from its short end
     at = F.col("before") + F.col("rank_")
@@ -99,3 +102,14 @@ def systematic(rows: DataFrame, weights: tuple[int, ...], most: int, seed: str)
     copies = (whole + F.floor(step * part + F.col("offset")) - F.floor((step - 1) * part + F.col("offset"))).cast("long")
     extra = [c for c in rows.columns if c not in ("doc_id", "source", "size", "tie")]
     return joined.select("doc_id", "source", "size", "source_size", "target", copies.alias("copies"), (copies * F.col("size")).alias("taken"), *extra)
+
+
+def take_copies(docs: DataFrame, weights: tuple[int, ...] = (5, 2, 1), most: int = 3, seed: str = "mix") -> DataFrame:
+    """The mix itself: the rows of ``docs`` with all their columns, each as often as it is taken."""
+    columns = docs.columns
+    carried = {f"in_{i}_": F.col(f"`{c}`") for i, c in enumerate(columns)}
+    tie = F.coalesce(F.sha2(F.col("text"), 256), F.lit(""))
+    rows = docs.select("doc_id", "source", word_count(F.col("text")).alias("size"), tie.alias("tie"), *(v.alias(k) for k, v in carried.items()))
+    taken = systematic(rows, weights, most, seed).filter("copies > 0")
+    taken = taken.withColumn("copy_", F.explode(F.sequence(F.lit(1), F.col("copies").cast("int"))))
+    return taken.select(*(F.col(f"in_{i}_").alias(c) for i, c in enumerate(columns)))

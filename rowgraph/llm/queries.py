@@ -8,7 +8,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, chat, hosts, media, mixing, neardup, passages, warc
+from . import bpe, chat, hosts, licences, media, mixing, neardup, passages, scoring, warc
 
 
 def _table(name: str) -> Callable[[SparkSession, str], DataFrame]:
@@ -36,6 +36,14 @@ def op3_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
     return chat.chat_digests(given.unionByName(added))
 
 
+def op4_pseudo_likelihood(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return scoring.pseudo_likelihood(_documents(spark, sf_dir))
+
+
+def op5_licence_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return licences.scan_licences(_documents(spark, sf_dir))
+
+
 def op6_text_media(spark: SparkSession, sf_dir: str) -> DataFrame:
     return media.text_media(_documents(spark, sf_dir))
 
@@ -60,6 +68,8 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_mix_sources": op1_mix_sources,
     "op2_byte_bpe": op2_byte_bpe,
     "op3_chat_format": op3_chat_format,
+    "op4_pseudo_likelihood": op4_pseudo_likelihood,
+    "op5_licence_scan": op5_licence_scan,
     "op6_text_media": op6_text_media,
     "op7_warc_index": op7_warc_index,
     "op8_host_quality": op8_host_quality,
