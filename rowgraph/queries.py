@@ -1,6 +1,8 @@
-"""Name -> query and name -> DuckDB SQL."""
+"""Name -> query, and name -> the same in DuckDB SQL."""
 
 from __future__ import annotations
 
-QUERIES: dict = {}
-ORACLE: dict = {}
+from . import queries_features, queries_graph, queries_tasks
+
+QUERIES = {**queries_tasks.QUERIES, **queries_graph.QUERIES, **queries_features.QUERIES}
+ORACLE = {**queries_tasks.ORACLE, **queries_graph.ORACLE, **queries_features.ORACLE}
