@@ -1,11 +1,11 @@
 """Removing passages that occur elsewhere, by suffix automata of reference shards.
 
-A window is ``WINDOW`` consecutive words.  Of two equal windows the smallest hash of their ``ANCHOR``-word pieces, the
-anchor, is equal and stands in the same place, so
+A window is ``WINDOW`` consecutive words.  Of equal windows the smallest hash of their k-word pieces, the anchor, is
+equal and stands in the same place, so
 
-1. anchors of all windows are counted in a bit table of fixed size, which is broadcast;
-2. stretches whose windows have anchors that were seen twice are cut out of the documents, equal ones put together;
-3. each run of windows with one anchor is a passage; passages are sharded by anchor, so equal windows meet in a shard;
+1. anchors of all windows, of a short and of a long kind, are counted in tables of fixed size, which are broadcast;
+2. windows of which both anchors were seen twice are candidates; a run of them with one short anchor is a passage;
+3. passages are sharded by anchor, so equal windows meet in a shard (those of very frequent anchors window by window);
 4. each shard's passages go into a suffix automaton with counts, and the same passages are streamed through it: a window
    is repeated where the matching statistic reaches the whole window in a state that occurs twice or more;
 5. the spans go back to the documents.
@@ -16,6 +16,7 @@ Automata are built where their shard is, since all of them together grow with th
 from __future__ import annotations
 
 import hashlib
+import struct
 from collections.abc import Iterator
 
 import numpy as np
@@ -27,21 +28,23 @@ from .automaton import SuffixAutomaton
 from .shared import clean_columns, stage
 from .words import ngram_hashes, slices, text_buffers, word_hashes, word_spans
 
-WINDOW, ANCHOR = 35, 12
-#: Bits of the anchor table: 32 MB whatever the input.  A fuller table lets more stretches through, never fewer.
-TABLE_BITS = 28
-#: Words in one automaton on average.
-SHARD_WORDS = 120_000
-#: Passages of one anchor beyond which they are sharded window by window.
-HOT_PASSAGES = 1500
+WINDOW = 35
+#: Words of the short anchors, by which passages are cut and sharded, and of the long ones.
+ANCHOR, LONG_ANCHOR = 12, 30
+#: Slots of a table: 32 MB of bits whatever the input.  A fuller table lets more windows through, never fewer.
+TABLE_BITS, PAGE_BITS = 28, 16
+#: Words of passages in one shard on average, and places of an anchor beyond which its windows are sharded one by one.
+SHARD_WORDS, HOT_PLACES = 150_000, 4096
 
 _U = np.uint64
+_PAGES = 1 << (TABLE_BITS - PAGE_BITS)
+_PAGE_BYTES = 1 << (PAGE_BITS - 3)
 
 
-def anchors(words: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+def anchors(words: np.ndarray, size: int = ANCHOR) -> tuple[np.ndarray, np.ndarray]:
     """(hash, place) of the anchor of each window of one text: the smallest piece, of equal ones the last."""
-    pieces = ngram_hashes(words, ANCHOR, salt=3)
-    span = WINDOW - ANCHOR + 1
+    pieces = ngram_hashes(words, size, salt=3)
+    span = WINDOW - size + 1
     n = len(pieces) - span + 1
     if n <= 0:
         return np.zeros(0, _U), np.zeros(0, np.int64)
@@ -52,11 +55,9 @@ def anchors(words: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         at = np.where(right, at[width:], at[:-width])
         best = np.where(right, best[width:], best[:-width])
         width *= 2
-    if width < span:
-        a, b = slice(0, n), slice(span - width, span - width + n)
-        right = best[b] <= best[a]
-        return np.where(right, best[b], best[a]), np.where(right, at[b], at[a])
-    return best[:n], at[:n]
+    a, b = slice(0, n), slice(span - width, span - width + n)
+    right = best[b] <= best[a]
+    return np.where(right, best[b], best[a]), np.where(right, at[b], at[a])
 
 
 def _texts(column: pa.Array) -> Iterator[tuple[int, np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
@@ -71,67 +72,79 @@ def _texts(column: pa.Array) -> Iterator[tuple[int, np.ndarray, np.ndarray, np.n
             yield row, data, starts[lo:hi], ends[lo:hi], hashes[lo:hi]
 
 
-def anchor_table(rows: DataFrame) -> bytes:
-    """Bit table of the slots that two or more anchor places fall into, over all rows (text)."""
-    schema = pa.schema([("slot", pa.int64()), ("n", pa.int64())])
+def _places(best: np.ndarray, at: np.ndarray) -> np.ndarray:
+    """Slots of the distinct anchor places of one text."""
+    new = np.ones(len(at), bool)
+    new[1:] = at[1:] != at[:-1]
+    return best[new] >> _U(64 - TABLE_BITS)
 
-    def run(batches: Iterator[pa.RecordBatch]):
-        for whole in batches:
-            for batch in slices(whole, "text"):
-                found = []
-                for _, _, _, _, hashes in _texts(batch.column(0)):
-                    best, at = anchors(hashes)
-                    new = np.ones(len(at), bool)
-                    new[1:] = at[1:] != at[:-1]
-                    found.append(best[new] >> _U(64 - TABLE_BITS))
-                if found:
-                    slots, n = np.unique(np.concatenate(found), return_counts=True)
-                    yield pa.RecordBatch.from_arrays([pa.array(slots.astype(np.int64)), pa.array(np.minimum(n, 2))], schema=schema)
 
-    twice = rows.mapInArrow(run, "slot long, n long").groupBy("slot").agg(F.sum("n").alias("n")).filter("n > 1")
-    page_bits = 16
-    page_schema = pa.schema([("page", pa.int64()), ("bits", pa.binary())])
+def _set(bits: np.ndarray, slots: np.ndarray) -> np.ndarray:
+    return (bits[(slots >> _U(3)).astype(np.int64)] >> (_U(7) - (slots & _U(7))).astype(np.uint8)) & 1 > 0
 
-    def pack(batches: Iterator[pa.RecordBatch]):
-        pages: dict[int, np.ndarray] = {}
-        for batch in batches:
-            slots = batch.column(0).to_numpy()
-            for page in np.unique(slots >> page_bits).tolist():
-                bits = pages.setdefault(page, np.zeros(1 << page_bits, np.uint8))
-                bits[slots[slots >> page_bits == page] & ((1 << page_bits) - 1)] = 1
-        for page, bits in pages.items():
-            yield pa.RecordBatch.from_arrays([pa.array([page]), pa.array([np.packbits(bits).tobytes()], pa.binary())], schema=page_schema)
 
-    twice = twice.select("slot").repartition(F.shiftright("slot", page_bits)).sortWithinPartitions("slot")
-    table = bytearray(1 << (TABLE_BITS - 3))
-    size = 1 << (page_bits - 3)
-    for page, bits in twice.mapInArrow(_page_by_page(pack, page_bits), "page long, bits binary").toLocalIterator():
-        table[page * size : (page + 1) * size] = bits
-    return bytes(table)
+class AnchorTables:
+    """Bits of the slots with two or more places, for short and long anchors, and of the short ones with very many."""
+
+    def __init__(self):
+        self.bits = [bytearray(1 << (TABLE_BITS - 3)) for _ in range(3)]
+        self.places = 0
 
 
-def _page_by_page(pack, page_bits: int):
-    """Feeds ``pack`` with the sorted rows of one page at a time."""
+def anchor_tables(rows: DataFrame) -> AnchorTables:
+    """Counts the anchor places of all rows (text).  What is shuffled is three bytes per place; what the driver gets are
+    the tables."""
+    schema = pa.schema([("page", pa.int32()), ("offsets", pa.binary()), ("counts", pa.binary())])
 
     def run(batches: Iterator[pa.RecordBatch]):
-        held: list[pa.RecordBatch] = []
+        for whole in batches:
+            found: list[list[np.ndarray]] = [[], []]
+            for batch in slices(whole, "text"):
+                for _, _, _, _, hashes in _texts(batch.column(0)):
+                    found[0].append(_places(*anchors(hashes)))
+                    found[1].append(_places(*anchors(hashes, LONG_ANCHOR)))
+            for kind, slots in enumerate(found):
+                if slots:
+                    slots, n = np.unique(np.concatenate(slots), return_counts=True)
+                    page, low = (slots >> _U(PAGE_BITS)).astype(np.int64), (slots & _U((1 << PAGE_BITS) - 1)).astype(np.uint16)
+                    n = np.minimum(n, 255).astype(np.uint8)
+                    pages, first = np.unique(page, return_index=True)
+                    cuts = [*first.tolist(), len(slots)]
+                    bounds = list(zip(cuts[:-1], cuts[1:], strict=True))
+                    yield pa.RecordBatch.from_arrays(
+                        [pa.array((pages + kind * _PAGES).astype(np.int32)), pa.array([low[a:b].tobytes() for a, b in bounds], pa.binary()), pa.array([n[a:b].tobytes() for a, b in bounds], pa.binary())],
+                        schema=schema,
+                    )
+
+    packed = pa.schema([("page", pa.int32()), ("twice", pa.binary()), ("hot", pa.binary()), ("places", pa.int64())])
+
+    def add(batches: Iterator[pa.RecordBatch]):
+        current, counts = None, np.zeros(1 << PAGE_BITS, np.int64)
+
+        def done():
+            twice = counts > 1
+            return pa.RecordBatch.from_arrays([pa.array([current], pa.int32()), pa.array([np.packbits(twice).tobytes()], pa.binary()), pa.array([np.packbits(counts > HOT_PLACES).tobytes()], pa.binary()), pa.array([int(counts[twice].sum())])], schema=packed)
+
         for batch in batches:
-            if not batch.num_rows:
-                continue
-            pages = batch.column(0).to_numpy() >> page_bits
-            if held and held[-1].column(0)[-1].as_py() >> page_bits != pages[0]:
-                yield from pack(iter(held))
-                held = []
-            cuts = [0, *(np.flatnonzero(np.diff(pages)) + 1).tolist(), batch.num_rows]
-            for lo, hi in zip(cuts[:-1], cuts[1:], strict=True):
-                held.append(batch.slice(lo, hi - lo))
-                if hi < batch.num_rows:
-                    yield from pack(iter(held))
-                    held = []
-        if held:
-            yield from pack(iter(held))
-
-    return run
+            for page, offsets, n in zip(batch.column(0).to_pylist(), batch.column(1), batch.column(2), strict=True):
+                if page != current:
+                    if current is not None:
+                        yield done()
+                    current, counts = page, np.zeros(1 << PAGE_BITS, np.int64)
+                counts[np.frombuffer(offsets.as_buffer(), np.uint16)] += np.frombuffer(n.as_buffer(), np.uint8)
+        if current is not None:
+            yield done()
+
+    pages = rows.mapInArrow(run, "page int, offsets binary, counts binary").repartition("page").sortWithinPartitions("page")
+    tables = AnchorTables()
+    for page, twice, hot, places in pages.mapInArrow(add, "page int, twice binary, hot binary, places long").collect():
+        kind, at = divmod(page, _PAGES)
+        at *= _PAGE_BYTES
+        tables.bits[kind][at : at + _PAGE_BYTES] = twice
+        if kind == 0:
+            tables.bits[2][at : at + _PAGE_BYTES] = hot
+            tables.places += places
+    return tables
 
 
 def _runs(flags: np.ndarray) -> list[tuple[int, int]]:
@@ -140,115 +153,105 @@ def _runs(flags: np.ndarray) -> list[tuple[int, int]]:
     return list(zip(edges[::2].tolist(), edges[1::2].tolist(), strict=True))
 
 
-def _between(data: np.ndarray, starts: np.ndarray, ends: np.ndarray, lo: int, hi: int) -> bytes:
-    """Words lo..hi-1 joined by single spaces."""
-    return b" ".join(data[starts[lo] : ends[hi - 1]].tobytes().split())
-
+_PASSAGE = pa.schema([("key", pa.int64()), ("words", pa.binary()), ("n", pa.int64()), ("places", pa.binary())])
+#: A place: text key and first word.
+_PLACE = "<16sI"
 
-_STRETCH = pa.schema([("text_key", pa.binary()), ("first", pa.int32()), ("stretch", pa.binary()), ("words", pa.binary())])
 
+def passages(rows: DataFrame, tables) -> DataFrame:
+    """Rows (key, words, n, places) from rows (text_key, text): passages, with n places packed as text keys and words.
 
-def stretches(rows: DataFrame, table) -> DataFrame:
-    """Rows (text_key, first, stretch, words): the candidate stretches of rows (text_key, text)."""
+    Equal passages of one batch of rows are put together before they are shuffled.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]):
-        bits = np.frombuffer(table.value, np.uint8)
+        pack = struct.Struct(_PLACE).pack
+        twice, twice_long, hot = (np.frombuffer(b, np.uint8) for b in tables.value)
         for whole in batches:
+            found: dict[bytes, list] = {}
             for batch in slices(whole, "text"):
-                made: list[tuple] = []
                 keys = batch.column(0)
-                for row, data, starts, ends, hashes in _texts(batch.column(1)):
-                    slot = anchors(hashes)[0] >> _U(64 - TABLE_BITS)
-                    flags = (bits[(slot >> _U(3)).astype(np.int64)] >> (_U(7) - (slot & _U(7))).astype(np.uint8)) & 1
-                    for lo, hi in _runs(flags.astype(bool)):
-                        words = _between(data, starts, ends, lo, hi + WINDOW - 1)
-                        made.append((keys[row].as_py(), lo, hashlib.blake2b(words, digest_size=16).digest(), words))
-                if made:
-                    yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*made, strict=True), _STRETCH, strict=True)], schema=_STRETCH)
-
-    return rows.mapInArrow(run, "text_key binary, first int, stretch binary, words binary")
-
-
-_PASSAGE = pa.schema([("anchor", pa.int64()), ("passage", pa.binary()), ("words", pa.binary()), ("n", pa.int64()), ("stretch", pa.binary()), ("first", pa.int32())])
-
-
-def passages(distinct: DataFrame) -> DataFrame:
-    """Rows (anchor, passage, words, n, stretch, first) of rows (stretch, words, n): runs of windows with one anchor."""
-
-    def run(batches: Iterator[pa.RecordBatch]):
-        for whole in batches:
-            for batch in slices(whole, "words", 1 << 20):
-                made: list[tuple] = []
-                keys, counts = batch.column(0), batch.column(2).to_pylist()
                 for row, data, starts, ends, hashes in _texts(batch.column(1)):
                     best, at = anchors(hashes)
-                    cuts = [0, *(np.flatnonzero(np.diff(at)) + 1).tolist(), len(at)]
-                    key, n, marks = keys[row].as_py(), counts[row], best.view(np.int64)
-                    for lo, hi in zip(cuts[:-1], cuts[1:], strict=True):
-                        words = data[starts[lo] : ends[hi + WINDOW - 2]].tobytes()
-                        made.append((int(marks[lo]), hashlib.blake2b(words, digest_size=16).digest(), words, n, key, lo))
-                if made:
-                    yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*made, strict=True), _PASSAGE, strict=True)], schema=_PASSAGE)
-
-    return distinct.mapInArrow(run, "anchor long, passage binary, words binary, n long, stretch binary, first int")
-
-
-def single_windows(hot: DataFrame) -> DataFrame:
-    """Rows (key, passage, skip, words, n): every window of the passages of hot anchors on its own."""
-    schema = pa.schema([("key", pa.int64()), ("passage", pa.binary()), ("skip", pa.int32()), ("words", pa.binary()), ("n", pa.int64())])
-
-    def run(batches: Iterator[pa.RecordBatch]):
-        for batch in batches:
-            made: list[tuple] = []
-            for passage, words, n in zip(*(batch.column(k).to_pylist() for k in range(3)), strict=True):
-                parts = words.split()
-                for k in range(len(parts) - WINDOW + 1):
-                    one = b" ".join(parts[k : k + WINDOW])
-                    made.append((int.from_bytes(hashlib.blake2b(one, digest_size=8).digest(), "little", signed=True), passage, k, one, n))
-            if made:
-                yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*made, strict=True), schema, strict=True)], schema=schema)
-
-    return hot.select("passage", "words", "n").mapInArrow(run, "key long, passage binary, skip int, words binary, n long")
-
-
-_SPAN = pa.schema([("passage", pa.binary()), ("lo", pa.int32()), ("hi", pa.int32())])
+                    slots = best >> _U(64 - TABLE_BITS)
+                    flags = _set(twice, slots) & _set(twice_long, anchors(hashes, LONG_ANCHOR)[0] >> _U(64 - TABLE_BITS))
+                    if not flags.any():
+                        continue
+                    single = _set(hot, slots)
+                    # a passage ends where windows stop being candidates, or the anchor changes, or each is on its own
+                    new = np.ones(len(at), bool)
+                    new[1:] = (at[1:] != at[:-1]) | ~flags[:-1] | single[1:]
+                    lows = np.flatnonzero(new & flags)
+                    stop = np.ones(len(at), bool)
+                    stop[:-1] = new[1:] | ~flags[1:]
+                    highs = np.flatnonzero(stop & flags)
+                    text_key = keys[row].as_py()
+                    own = data[starts[0] : ends[-1]].tobytes()
+                    begins, finish = starts - starts[0], ends - starts[0]
+                    for lo, b, e, mark in zip(lows.tolist(), begins[lows].tolist(), finish[highs + WINDOW - 1].tolist(), np.where(single[lows], 0, best[lows].view(np.int64)).tolist(), strict=True):
+                        words = b" ".join(own[b:e].split())
+                        held = found.get(words)
+                        if held is None:
+                            found[words] = [mark or int.from_bytes(hashlib.blake2b(words, digest_size=8).digest(), "little", signed=True), 1, [pack(text_key, lo)]]
+                        else:
+                            held[1] += 1
+                            held[2].append(pack(text_key, lo))
+            items = list(found.items())
+            for k in range(0, len(items), 5000):
+                part = items[k : k + 5000]
+                yield pa.RecordBatch.from_arrays(
+                    [pa.array([v[0] for _, v in part], pa.int64()), pa.array([w for w, _ in part], pa.binary()), pa.array([v[1] for _, v in part], pa.int64()), pa.array([b"".join(v[2]) for _, v in part], pa.binary())], schema=_PASSAGE
+                )
+
+    return rows.mapInArrow(run, "key long, words binary, n long, places binary")
+
+
+_SPAN = pa.schema([("text_key", pa.binary()), ("start", pa.int32()), ("end", pa.int32())])
 
 
 def repeated_spans(shards: DataFrame) -> DataFrame:
-    """Rows (passage, lo, hi): windows lo..hi-1 of a passage that occur twice or more.
+    """Rows (text_key, start, end): words covered by windows that occur twice or more.
 
-    ``shards`` has (shard, passage, skip, words, n), sorted by shard.  Each shard's automaton is dropped with the shard.
+    ``shards`` has (shard, words, n, places), sorted by shard and words.  An automaton is dropped with its shard.
     """
 
-    def search(held: list[tuple]) -> Iterator[tuple]:
+    def search(held: dict[bytes, list]) -> Iterator[tuple]:
         automaton, ids, coded = SuffixAutomaton(), {}, []
-        for _, _, words, n in held:
+        for words, (n, _) in held.items():
             code = [ids.setdefault(w, len(ids)) for w in words.split()]
             coded.append(code)
             automaton.add(code, n)
         automaton.settle()
-        for (passage, skip, _, _), code in zip(held, coded, strict=True):
-            flags = np.array([size == WINDOW and n > 1 for size, n in automaton.matches(code, WINDOW)][WINDOW - 1 :], bool)
-            for lo, hi in _runs(flags):
-                yield passage, skip + lo, skip + hi
+        for (_, places), code in zip(held.values(), coded, strict=True):
+            seen = np.array([size == WINDOW and n > 1 for size, n in automaton.matches(code, WINDOW)], bool)
+            spans = [(lo, hi + WINDOW - 1) for lo, hi in _runs(seen[WINDOW - 1 :])]
+            for part in places if spans else ():
+                for text_key, first in struct.iter_unpack(_PLACE, part):
+                    for lo, hi in spans:
+                        yield text_key, first + lo, first + hi
 
     def batch_of(made: list[tuple]) -> pa.RecordBatch:
         return pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*made, strict=True), _SPAN, strict=True)], schema=_SPAN)
 
     def run(batches: Iterator[pa.RecordBatch]):
-        current, held = None, []
+        current, held, made = None, {}, []
         for batch in batches:
-            for shard, *row in zip(*(batch.column(k).to_pylist() for k in range(5)), strict=True):
-                if shard != current and held:
-                    if made := list(search(held)):
-                        yield batch_of(made)
-                    held = []
-                current = shard
-                held.append(tuple(row))
-        if held and (made := list(search(held))):
+            for shard, words, n, places in zip(*(batch.column(k).to_pylist() for k in range(4)), strict=True):
+                if shard != current:
+                    for row in search(held):
+                        made.append(row)
+                        if len(made) >= 20_000:
+                            yield batch_of(made)
+                            made = []
+                    current, held = shard, {}
+                own = held.setdefault(words, [0, []])
+                own[0] += n
+                own[1].append(places)
+        made += search(held)
+        if made:
             yield batch_of(made)
 
-    return shards.mapInArrow(run, "passage binary, lo int, hi int")
+    return shards.mapInArrow(run, "text_key binary, start int, end int")
 
 
 def repeated_windows(rows: DataFrame) -> DataFrame:
@@ -256,30 +259,13 @@ def repeated_windows(rows: DataFrame) -> DataFrame:
 
     ``rows`` has (text_key, text); equal texts have equal keys and are different places.
     """
-    spark = rows.sparkSession
-    table = spark.sparkContext.broadcast(anchor_table(rows.select("text")))
-    cut = stage(stretches(rows, table), "passage-stretches")
-    distinct = cut.groupBy("stretch").agg(F.min("words").alias("words"), F.count("*").alias("n"))
-    found = stage(passages(distinct.select("stretch", "words", "n")), "passage-places")
-    known = stage(found.groupBy("anchor", "passage").agg(F.min("words").alias("words"), F.sum("n").alias("n")), "passage-distinct")
-    per_anchor = known.groupBy("anchor").agg(F.count("*").alias("kinds"), F.sum("n").alias("places"))
-    total = known.count()
-    n_shards = max(1, -(-total * (WINDOW + 12) // SHARD_WORDS))
-    weighed = stage(per_anchor.filter("places > 1"), "passage-anchors")
-    sized = known.join(weighed, "anchor")
-    shard = F.pmod(F.xxhash64("anchor"), F.lit(n_shards))
-    usual = sized.filter(F.col("kinds") <= HOT_PASSAGES).select(shard.alias("shard"), "passage", F.lit(0).alias("skip"), "words", "n")
-    hot = single_windows(sized.filter(F.col("kinds") > HOT_PASSAGES))
-    hot = hot.select((F.pmod(F.xxhash64("key"), F.lit(8 * n_shards)) + n_shards).alias("shard"), "passage", "skip", "words", "n")
-    shards = usual.unionByName(hot).repartition("shard").sortWithinPartitions("shard", "passage", "skip")
-    spans = stage(repeated_spans(shards), "passage-spans")
-
-    placed = found.select("passage", "stretch", "first").join(spans, "passage")
-    words = F.struct((F.col("first") + F.col("lo")).alias("start"), (F.col("first") + F.col("hi") + (WINDOW - 1)).alias("end"))
-    inside = stage(placed.groupBy("stretch").agg(_merged(F.collect_list(words)).alias("spans")), "passage-inside")
-    where = cut.select("text_key", "first", "stretch").distinct().join(inside, "stretch")
-    moved = F.transform("spans", lambda s: F.struct((s.start + F.col("first")).alias("start"), (s.end + F.col("first")).alias("end")))
-    return stage(where.groupBy("text_key").agg(_merged(F.flatten(F.collect_list(moved))).alias("spans")), "passage-found")
+    tables = anchor_tables(rows.select("text"))
+    given = rows.sparkSession.sparkContext.broadcast([bytes(b) for b in tables.bits])
+    n_shards = max(1, -(-tables.places * (WINDOW + 12) // SHARD_WORDS))
+    shards = passages(rows.select("text_key", "text"), given).select(F.pmod(F.xxhash64("key"), F.lit(n_shards)).alias("shard"), "words", "n", "places")
+    spans = repeated_spans(shards.repartition("shard").sortWithinPartitions("shard"))
+    found = spans.groupBy("text_key").agg(_merged(F.collect_set(F.struct("start", "end"))).alias("spans"))
+    return stage(found, "passage-spans")
 
 
 def _merged(spans):
