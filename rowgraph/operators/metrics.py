@@ -47,7 +47,7 @@ def root_mean_square(df: DataFrame, y: str = "label", y_hat: str = "y_hat") -> D
 
 def roc_auc(df: DataFrame, y: str = "label", score: str = "score") -> DataFrame:
     """Share of pairs in the right order, ties half: from ranks of score groups."""
-    grouped = df.groupBy(F.col(score).alias("score_")).agg(F.sum(F.col(y).cast("bigint")).alias("p"), F.sum(1 - F.col(y).cast("bigint")).alias("cuts_"))
+    grouped = df.groupBy(F.col(score).alias("score_")).agg(F.sum(F.col(y).cast("bigint")).alias("p"), F.sum(1 - F.col(y).cast("bigint")).alias("q"))
     sums = running_sums(grouped, "score_", ["p", "q"])
     won = F.sum(F.col("q") * (F.col("cum_p") - F.col("p")) + F.col("p") * F.col("q") / F.lit(2.0))
     return sums.agg(F.try_divide(won, F.sum("p").cast("double") * F.sum("q")).alias("auc"))
