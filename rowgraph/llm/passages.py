@@ -16,17 +16,20 @@ Automata are built where their shard is, since all of them together grow with th
 from __future__ import annotations
 
 import hashlib
+import marshal
 import struct
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .automaton import SuffixAutomaton
+from .keyset import in_table, key_table
 from .shared import clean_columns, stage
-from .words import ngram_hashes, slices, text_buffers, word_hashes, word_spans
+from .words import mix, ngram_hashes, release, slices, text_buffers, word_hashes, word_spans
 
 WINDOW = 35
 #: Words of the short anchors, by which passages are cut and sharded, and of the long ones.
@@ -34,7 +37,11 @@ ANCHOR, LONG_ANCHOR = 12, 30
 #: Slots of a table: 32 MB of bits whatever the input.  A fuller table lets more windows through, never fewer.
 TABLE_BITS, PAGE_BITS = 28, 16
 #: Words of passages in one shard on average, and places of an anchor beyond which its windows are sharded one by one.
-SHARD_WORDS, HOT_PLACES = 150_000, 4096
+SHARD_WORDS, HOT_PLACES = 100_000, 4096
+#: Distinct passages that a task holds before it sends them off.
+HELD = 40_000
+#: Slots that share a bit of the table of very frequent anchors, as a power of two.
+HOT_SHIFT = 6
 
 _U = np.uint64
 _PAGES = 1 << (TABLE_BITS - PAGE_BITS)
@@ -84,10 +91,11 @@ def _set(bits: np.ndarray, slots: np.ndarray) -> np.ndarray:
 
 
 class AnchorTables:
-    """Bits of the slots with two or more places, for short and long anchors, and of the short ones with very many."""
+    """Bits of the slots with two or more places, for short and long anchors, and (coarse) of the short ones with very many."""
 
     def __init__(self):
-        self.bits = [bytearray(1 << (TABLE_BITS - 3)) for _ in range(3)]
+        self.bits = [bytearray(1 << (TABLE_BITS - 3)) for _ in range(2)]
+        self.hot = bytearray(1 << (TABLE_BITS - HOT_SHIFT - 3))
         self.places = 0
 
 
@@ -115,6 +123,7 @@ def anchor_tables(rows: DataFrame) -> AnchorTables:
                         [pa.array((pages + kind * _PAGES).astype(np.int32)), pa.array([low[a:b].tobytes() for a, b in bounds], pa.binary()), pa.array([n[a:b].tobytes() for a, b in bounds], pa.binary())],
                         schema=schema,
                     )
+        release()
 
     packed = pa.schema([("page", pa.int32()), ("twice", pa.binary()), ("hot", pa.binary()), ("places", pa.int64())])
 
@@ -123,7 +132,7 @@ def anchor_tables(rows: DataFrame) -> AnchorTables:
 
         def done():
             twice = counts > 1
-            return pa.RecordBatch.from_arrays([pa.array([current], pa.int32()), pa.array([np.packbits(twice).tobytes()], pa.binary()), pa.array([np.packbits(counts > HOT_PLACES).tobytes()], pa.binary()), pa.array([int(counts[twice].sum())])], schema=packed)
+            return pa.RecordBatch.from_arrays([pa.array([current], pa.int32()), pa.array([np.packbits(twice).tobytes()], pa.binary()), pa.array([np.packbits((counts > HOT_PLACES).reshape(-1, 1 << HOT_SHIFT).any(axis=1)).tobytes()], pa.binary()), pa.array([int(counts[twice].sum())])], schema=packed)
 
         for batch in batches:
             for page, offsets, n in zip(batch.column(0).to_pylist(), batch.column(1), batch.column(2), strict=True):
@@ -137,12 +146,12 @@ def anchor_tables(rows: DataFrame) -> AnchorTables:
 
     pages = rows.mapInArrow(run, "page int, offsets binary, counts binary").repartition("page").sortWithinPartitions("page")
     tables = AnchorTables()
-    for page, twice, hot, places in pages.mapInArrow(add, "page int, twice binary, hot binary, places long").collect():
+    hot_bytes = _PAGE_BYTES >> HOT_SHIFT
+    for page, twice, hot, places in pages.mapInArrow(add, "page int, twice binary, hot binary, places long").toLocalIterator():
         kind, at = divmod(page, _PAGES)
-        at *= _PAGE_BYTES
-        tables.bits[kind][at : at + _PAGE_BYTES] = twice
+        tables.bits[kind][at * _PAGE_BYTES : (at + 1) * _PAGE_BYTES] = twice
         if kind == 0:
-            tables.bits[2][at : at + _PAGE_BYTES] = hot
+            tables.hot[at * hot_bytes : (at + 1) * hot_bytes] = hot
             tables.places += places
     return tables
 
@@ -153,17 +162,33 @@ def _runs(flags: np.ndarray) -> list[tuple[int, int]]:
     return list(zip(edges[::2].tolist(), edges[1::2].tolist(), strict=True))
 
 
-_PASSAGE = pa.schema([("key", pa.int64()), ("words", pa.binary()), ("n", pa.int64()), ("places", pa.binary())])
 #: A place: text key and first word.
 _PLACE = "<16sI"
+_PACKED = pa.schema([("shard", pa.int64()), ("passages", pa.binary())])
 
 
-def passages(rows: DataFrame, tables) -> DataFrame:
-    """Rows (key, words, n, places) from rows (text_key, text): passages, with n places packed as text keys and words.
+def passages(rows: DataFrame, tables, n_shards: int) -> DataFrame:
+    """Rows (shard, passages) from rows (text_key, text): per task and shard, packed (words, key, n, places).
 
-    Equal passages of one batch of rows are put together before they are shuffled.
+    Equal passages of a task are put together before they are shuffled.  Places are text keys and word numbers.
     """
 
+    def send(found: dict[bytes, list]) -> Iterator[pa.RecordBatch]:
+        if not found:
+            return
+        squeeze = zstandard.ZstdCompressor(level=3).compress
+        words = list(found)
+        shards = mix(np.array([v[0] for v in found.values()], np.int64).view(_U)) % _U(n_shards)
+        order = np.argsort(shards, kind="stable")
+        cuts = [0, *(np.flatnonzero(np.diff(shards[order])) + 1).tolist(), len(order)]
+        for k in range(0, len(cuts) - 1, 256):
+            ids, blobs = [], []
+            for a, b in zip(cuts[k : k + 256], cuts[k + 1 : k + 257], strict=False):
+                part = [(w := words[i], found[w][0], found[w][1], b"".join(found[w][2])) for i in order[a:b].tolist()]
+                ids.append(int(shards[order[a]]))
+                blobs.append(squeeze(marshal.dumps(part)))
+            yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(blobs, pa.binary())], schema=_PACKED)
+
     def run(batches: Iterator[pa.RecordBatch]):
         pack = struct.Struct(_PLACE).pack
         twice, twice_long, hot = (np.frombuffer(b, np.uint8) for b in tables.value)
@@ -177,7 +202,7 @@ def passages(rows: DataFrame, tables) -> DataFrame:
                     flags = _set(twice, slots) & _set(twice_long, anchors(hashes, LONG_ANCHOR)[0] >> _U(64 - TABLE_BITS))
                     if not flags.any():
                         continue
-                    single = _set(hot, slots)
+                    single = _set(hot, slots >> _U(HOT_SHIFT))
                     # a passage ends where windows stop being candidates, or the anchor changes, or each is on its own
                     new = np.ones(len(at), bool)
                     new[1:] = (at[1:] != at[:-1]) | ~flags[:-1] | single[1:]
@@ -186,70 +211,90 @@ def passages(rows: DataFrame, tables) -> DataFrame:
                     stop[:-1] = new[1:] | ~flags[1:]
                     highs = np.flatnonzero(stop & flags)
                     text_key = keys[row].as_py()
-                    own = data[starts[0] : ends[-1]].tobytes()
-                    begins, finish = starts - starts[0], ends - starts[0]
-                    for lo, b, e, mark in zip(lows.tolist(), begins[lows].tolist(), finish[highs + WINDOW - 1].tolist(), np.where(single[lows], 0, best[lows].view(np.int64)).tolist(), strict=True):
-                        words = b" ".join(own[b:e].split())
+                    # the words joined by single spaces, and where each begins
+                    joined = b" ".join(data[starts[0] : ends[-1]].tobytes().split())
+                    begins = np.concatenate(([0], np.cumsum(ends - starts + 1)))
+                    marks = np.where(single[lows], 0, best[lows].view(np.int64))
+                    for lo, b, e, mark in zip(lows.tolist(), begins[lows].tolist(), begins[highs + WINDOW].tolist(), marks.tolist(), strict=True):
+                        words = joined[b : e - 1]
                         held = found.get(words)
                         if held is None:
                             found[words] = [mark or int.from_bytes(hashlib.blake2b(words, digest_size=8).digest(), "little", signed=True), 1, [pack(text_key, lo)]]
                         else:
                             held[1] += 1
                             held[2].append(pack(text_key, lo))
-            items = list(found.items())
-            for k in range(0, len(items), 5000):
-                part = items[k : k + 5000]
-                yield pa.RecordBatch.from_arrays(
-                    [pa.array([v[0] for _, v in part], pa.int64()), pa.array([w for w, _ in part], pa.binary()), pa.array([v[1] for _, v in part], pa.int64()), pa.array([b"".join(v[2]) for _, v in part], pa.binary())], schema=_PASSAGE
-                )
+                    if len(found) >= HELD:
+                        yield from send(found)
+                        found = {}
+            yield from send(found)
+        release()
 
-    return rows.mapInArrow(run, "key long, words binary, n long, places binary")
+    return rows.mapInArrow(run, "shard long, passages binary")
 
 
 _SPAN = pa.schema([("text_key", pa.binary()), ("start", pa.int32()), ("end", pa.int32())])
 
 
+def matched_spans(held: dict[bytes, list]) -> Iterator[tuple[bytes, list[tuple[int, int]]]]:
+    """(words, spans) of the passages of a shard, ``words -> [key, n, ...]``, that have repeated windows.
+
+    A passage whose anchor has no other words is repeated as a whole or not at all; the others go into the automaton.
+    """
+    kinds: dict[int, int] = {}
+    for key, *_ in held.values():
+        kinds[key] = kinds.get(key, 0) + 1
+    automaton, ids, coded = SuffixAutomaton(), {}, []
+    for words, (key, n, *_) in held.items():
+        if kinds[key] > 1:
+            code = [ids.setdefault(w, len(ids)) for w in words.split(b" ")]
+            coded.append((words, code))
+            automaton.add(code, n)
+        elif n > 1:
+            yield words, [(0, words.count(b" ") + 1)]
+    automaton.settle()
+    for words, code in coded:
+        seen = np.array([size == WINDOW and n > 1 for size, n in automaton.matches(code, WINDOW)], bool)
+        if spans := [(lo, hi + WINDOW - 1) for lo, hi in _runs(seen[WINDOW - 1 :])]:
+            yield words, spans
+
+
 def repeated_spans(shards: DataFrame) -> DataFrame:
     """Rows (text_key, start, end): words covered by windows that occur twice or more.
 
-    ``shards`` has (shard, words, n, places), sorted by shard and words.  An automaton is dropped with its shard.
+    ``shards`` has (shard, passages), sorted by shard.  An automaton is dropped with its shard.
     """
 
-    def search(held: dict[bytes, list]) -> Iterator[tuple]:
-        automaton, ids, coded = SuffixAutomaton(), {}, []
-        for words, (n, _) in held.items():
-            code = [ids.setdefault(w, len(ids)) for w in words.split()]
-            coded.append(code)
-            automaton.add(code, n)
-        automaton.settle()
-        for (_, places), code in zip(held.values(), coded, strict=True):
-            seen = np.array([size == WINDOW and n > 1 for size, n in automaton.matches(code, WINDOW)], bool)
-            spans = [(lo, hi + WINDOW - 1) for lo, hi in _runs(seen[WINDOW - 1 :])]
-            for part in places if spans else ():
+    def batch_of(made: list[tuple]) -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*made, strict=True), _SPAN, strict=True)], schema=_SPAN)
+
+    def rows_of(held: dict[bytes, list]) -> Iterator[tuple]:
+        for words, spans in matched_spans(held):
+            for part in held[words][2]:
                 for text_key, first in struct.iter_unpack(_PLACE, part):
                     for lo, hi in spans:
                         yield text_key, first + lo, first + hi
 
-    def batch_of(made: list[tuple]) -> pa.RecordBatch:
-        return pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*made, strict=True), _SPAN, strict=True)], schema=_SPAN)
-
     def run(batches: Iterator[pa.RecordBatch]):
+        widen = zstandard.ZstdDecompressor().decompress
         current, held, made = None, {}, []
         for batch in batches:
-            for shard, words, n, places in zip(*(batch.column(k).to_pylist() for k in range(4)), strict=True):
+            for shard, blob in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
                 if shard != current:
-                    for row in search(held):
+                    for row in rows_of(held):
                         made.append(row)
                         if len(made) >= 20_000:
                             yield batch_of(made)
                             made = []
                     current, held = shard, {}
-                own = held.setdefault(words, [0, []])
-                own[0] += n
-                own[1].append(places)
-        made += search(held)
+                for words, key, n, places in marshal.loads(widen(blob.as_py())):
+                    own = held.setdefault(words, [key, 0, []])
+                    own[1] += n
+                    own[2].append(places)
+        made += rows_of(held)
         if made:
             yield batch_of(made)
+        held, made = {}, []
+        release()
 
     return shards.mapInArrow(run, "text_key binary, start int, end int")
 
@@ -260,9 +305,10 @@ def repeated_windows(rows: DataFrame) -> DataFrame:
     ``rows`` has (text_key, text); equal texts have equal keys and are different places.
     """
     tables = anchor_tables(rows.select("text"))
-    given = rows.sparkSession.sparkContext.broadcast([bytes(b) for b in tables.bits])
     n_shards = max(1, -(-tables.places * (WINDOW + 12) // SHARD_WORDS))
-    shards = passages(rows.select("text_key", "text"), given).select(F.pmod(F.xxhash64("key"), F.lit(n_shards)).alias("shard"), "words", "n", "places")
+    given = rows.sparkSession.sparkContext.broadcast([*tables.bits, tables.hot])
+    del tables
+    shards = passages(rows.select("text_key", "text"), given, n_shards)
     spans = repeated_spans(shards.repartition("shard").sortWithinPartitions("shard"))
     found = spans.groupBy("text_key").agg(_merged(F.collect_set(F.struct("start", "end"))).alias("spans"))
     return stage(found, "passage-spans")
@@ -297,23 +343,40 @@ def dedup_passages(docs: DataFrame) -> DataFrame:
     rows = clean_columns(docs, "doc_id", "text")
     rows = _keyed(rows.withColumn("doc_id", rows["doc_id"].cast("long")))
     spans = repeated_windows(rows.select("text_key", "text"))
-    joined = rows.join(spans, "text_key", "left").select("doc_id", "text", "spans")
+    marked = in_table(key_table(spans.select("text_key")), rows, F.col("text_key"), "has_")
+    first = pa.schema([*_RESULT, ("text_key", pa.binary()), ("text", pa.string())])
+
+    def whole(batches: Iterator[pa.RecordBatch]):
+        # rows without spans are done here; only the others' texts travel to their spans
+        for batch in batches:
+            made = []
+            for doc_id, text, key, has in zip(batch.column(0).to_pylist(), batch.column(1), batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True):
+                text = text.as_py() or ""
+                words = text.encode().split()
+                made.append((doc_id, len(words), 0, hashlib.sha256(b" ".join(words)).hexdigest(), key, text if has else None))
+            if made:
+                yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*made, strict=True), first, strict=True)], schema=first)
+
+    ddl = "doc_id long, n_words long, n_removed long, kept_sha256 string"
+    done = marked.select("doc_id", "text", "text_key", "has_").mapInArrow(whole, ddl + ", text_key binary, text string")
+    joined = done.join(spans, "text_key", "left").select("doc_id", "n_words", "n_removed", "kept_sha256", "text", "spans")
 
     def run(batches: Iterator[pa.RecordBatch]):
         for batch in batches:
             made = []
-            for doc_id, text, found in zip(batch.column(0).to_pylist(), batch.column(1), batch.column(2).to_pylist(), strict=True):
-                words = (text.as_py() or "").encode().split()
-                kept, at = [], 0
-                for s in found or ():
-                    kept += words[at : s["start"]]
-                    at = s["end"]
-                kept += words[at:]
-                made.append((doc_id, len(words), len(words) - len(kept), hashlib.sha256(b" ".join(kept)).hexdigest()))
+            for doc_id, n, none, digest, text, found in zip(*(batch.column(k).to_pylist() for k in range(6)), strict=True):
+                if found:
+                    words, kept, at = text.encode().split(), [], 0
+                    for s in found:
+                        kept += words[at : s["start"]]
+                        at = s["end"]
+                    kept += words[at:]
+                    none, digest = n - len(kept), hashlib.sha256(b" ".join(kept)).hexdigest()
+                made.append((doc_id, n, none, digest))
             if made:
                 yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*made, strict=True), _RESULT, strict=True)], schema=_RESULT)
 
-    return joined.mapInArrow(run, "doc_id long, n_words long, n_removed long, kept_sha256 string")
+    return joined.mapInArrow(run, ddl)
 
 
 def cut_passages(docs: DataFrame) -> DataFrame:
@@ -326,8 +389,10 @@ def cut_passages(docs: DataFrame) -> DataFrame:
     keyed = docs.select(*(F.col(f"`{c}`").alias(f"in_{i}_") for i, c in enumerate(columns)), F.col("text"))
     where = columns.index("text")
     keyed = _keyed(keyed)
-    joined = keyed.join(repeated_windows(keyed.select("text_key", "text")), "text_key", "left")
-    joined = joined.drop("text_key", "text")
+    spans = repeated_windows(keyed.select("text_key", "text"))
+    marked = in_table(key_table(spans.select("text_key")), keyed, F.col("text_key"), "has_").drop("text")
+    untouched = marked.filter("not has_").drop("text_key", "has_")
+    joined = marked.filter("has_").drop("has_").join(spans, "text_key", "left").drop("text_key")
     names = joined.columns
 
     def run(batches: Iterator[pa.RecordBatch]):
@@ -348,4 +413,4 @@ def cut_passages(docs: DataFrame) -> DataFrame:
 
     cut = joined.mapInArrow(run, joined.drop("spans").schema)
     size = {f"in_{columns.index('n_chars')}_": F.length(F.col(f"in_{where}_")).cast(docs.schema["n_chars"].dataType)} if "n_chars" in columns else {}
-    return cut.withColumns(size).select(*(F.col(f"in_{i}_").alias(c) for i, c in enumerate(columns)))
+    return cut.withColumns(size).unionByName(untouched).select(*(F.col(f"in_{i}_").alias(c) for i, c in enumerate(columns)))

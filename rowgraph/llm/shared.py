@@ -6,6 +6,7 @@ Executors may be lost at any time, so whatever a later step needs is written und
 
 from __future__ import annotations
 
+import gc
 import tempfile
 import uuid
 
@@ -39,7 +40,9 @@ def stage(df: DataFrame, tag: str) -> DataFrame:
     spark = df.sparkSession
     path = fresh_path(spark, tag)
     df.write.option("compression", "zstd").parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._staged_path = path
+    return out
 
 
 def clean_columns(docs: DataFrame, *names: str) -> DataFrame:
@@ -48,3 +51,19 @@ def clean_columns(docs: DataFrame, *names: str) -> DataFrame:
 
     have = set(docs.columns)
     return docs.select(*(docs[n] if n in have else F.lit(None).cast("string").alias(n) for n in names))
+
+
+def discard(*tables: DataFrame, shuffles: bool = False) -> None:
+    """Deletes tables that ``stage`` wrote, once nothing that is still to run reads them.
+
+    With ``shuffles`` the driver also collects its garbage, on which Spark removes shuffle files of plans that are gone.
+    """
+    for df in tables:
+        path = getattr(df, "_staged_path", None)
+        if path:
+            spark = df.sparkSession
+            at = spark._jvm.org.apache.hadoop.fs.Path(path)
+            at.getFileSystem(spark._jsc.hadoopConfiguration()).delete(at, True)
+    if shuffles and tables:
+        gc.collect()
+        tables[0].sparkSession._jvm.System.gc()

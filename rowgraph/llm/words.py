@@ -6,6 +6,7 @@ UTF-8 that is the same as the pattern ``[^\\x20\\x09-\\x0D]+`` over code points.
 
 from __future__ import annotations
 
+import ctypes
 from collections.abc import Iterator
 
 import numpy as np
@@ -20,7 +21,7 @@ SPACE[[0x20, *range(0x09, 0x0E)]] = True
 LOWER = np.arange(256, dtype=np.uint8)
 LOWER[0x41:0x5B] += 32
 
-_BLOCK = 1 << 21
+_BLOCK = 1 << 20
 _BASE = 0x5851F42D4C957F2D
 _INVERSE = pow(_BASE, -1, 1 << 64)
 _U = np.uint64
@@ -105,7 +106,7 @@ def word_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.nd
     return out
 
 
-def slices(batch: pa.RecordBatch, column: str, most: int = 1 << 22) -> Iterator[pa.RecordBatch]:
+def slices(batch: pa.RecordBatch, column: str, most: int = 1 << 21) -> Iterator[pa.RecordBatch]:
     """The batch in runs of rows whose texts have about ``most`` bytes, so that arrays over them stay small."""
     i = batch.schema.get_field_index(column)
     _, offsets = text_buffers(batch.column(i))
@@ -133,3 +134,12 @@ def ngram_hashes(words: np.ndarray, k: int, salt: int = 0) -> np.ndarray:
             part = part[:-width] * step + part[width:]
             width *= 2
     return mix(out, salt + 1)
+
+
+def release() -> None:
+    """Gives memory that a finished task has freed back to the system, since Python workers live on and are reused."""
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):
+        pass
