@@ -11,11 +11,13 @@ import base64
 import hashlib
 from collections.abc import Iterator
 
+import numpy as np
 import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame
 
 from .shared import clean_columns
+from .words import release, slices
 
 #: Characters in a piece before the next safe boundary is looked for.
 PIECE_CHARS = 1 << 16
@@ -137,11 +139,18 @@ def encode_texts(docs: DataFrame, ranks_path: str, pattern: str, text: str = "te
         codec = None
         for batch in batches:
             codec = codec or Codec.of(hash((pattern, len(ranks.value), ranks.value[:64])), ranks.value, pattern)
-            made = [[i for part in codec.encode(v.as_py() or "") for i in part] for v in batch.column(where)]
-            if any(codec.decode(x) != (v.as_py() or "").encode() for x, v in zip(made, batch.column(where), strict=True)):
-                raise ValueError("ids that don't decode to their text")
-            made = pa.array(made, pa.list_(pa.int32()))
-            yield pa.RecordBatch.from_arrays([*batch.columns, made], names=[*batch.schema.names, ids])
+            for part in slices(batch, text):
+                sizes, parts = [0], []
+                for v in part.column(where):
+                    own = (v.as_py() or "").encode()
+                    ids_ = [np.array(x, np.int32) for x in codec.encode(v.as_py() or "")]
+                    if b"".join(codec.decode(x.tolist()) for x in ids_) != own:
+                        raise ValueError("ids that don't decode to their text")
+                    sizes.append(sizes[-1] + sum(map(len, ids_)))
+                    parts += ids_
+                made = pa.ListArray.from_arrays(np.array(sizes, np.int32), np.concatenate(parts))
+                yield pa.RecordBatch.from_arrays([*part.columns, made], names=[*batch.schema.names, ids])
+        release()
 
     from pyspark.sql import types as T
 

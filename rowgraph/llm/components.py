@@ -10,15 +10,16 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import stage
+from .shared import discard, stage
 
 MAX_ROUNDS = 60
 
 
-def _around(pairs: DataFrame) -> DataFrame:
-    """pairs (u, v) and the smallest v of each u; both sides of the join are stored, so a hot u can be split."""
+def _around(pairs: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """pairs (u, v) with the smallest v of each u, and the table of the latter; both sides of the join are stored, so a
+    hot u can be split."""
     least = stage(pairs.groupBy("u").agg(F.min("v").alias("m")), "stars-least")
-    return pairs.join(least, "u")
+    return pairs.join(least, "u"), least
 
 
 def components(links: DataFrame) -> DataFrame:
@@ -27,12 +28,14 @@ def components(links: DataFrame) -> DataFrame:
     before = None
     for _ in range(MAX_ROUNDS):
         both = edges.unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        far = _around(both).withColumn("m", F.least("m", "u"))
-        far = far.filter("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).filter("u > v").distinct()
-        far = stage(far, "stars-far")
-        near = _around(far)
+        far, least = _around(both)
+        far = far.withColumn("m", F.least("m", "u")).filter("v > u")
+        far = stage(far.select(F.col("v").alias("u"), F.col("m").alias("v")).filter("u > v").distinct(), "stars-far")
+        discard(edges, least)
+        near, least = _around(far)
         points = near.select("u", F.col("m").alias("v")).unionByName(near.select(F.col("v").alias("u"), F.col("m").alias("v")))
         edges = stage(points.filter("u > v").distinct(), "stars")
+        discard(far, least)
         seen = tuple(edges.agg(F.count("*"), F.bit_xor(F.xxhash64("u", "v")), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first())
         if seen == before:
             break

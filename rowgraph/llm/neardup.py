@@ -23,8 +23,9 @@ from pyspark.sql import functions as F
 
 from . import sketch
 from .components import components
-from .shared import clean_columns, stage
-from .words import slices
+from .keyset import in_table, key_table, without_keys
+from .shared import clean_columns, discard, stage
+from .words import release, slices
 
 #: Links: 100 * intersection >= MIN_PERCENT * union.
 MIN_PERCENT = 85
@@ -61,6 +62,7 @@ def sketched(docs: DataFrame) -> DataFrame:
                     ],
                     schema=schema,
                 )
+        release()
 
     return rows.mapInArrow(run, "doc_id long, n_shingles long, digest binary, bands array<long>, signature binary")
 
@@ -193,14 +195,19 @@ def near_duplicates(docs: DataFrame, min_percent: int = MIN_PERCENT) -> DataFram
     sketches = stage(sketched(docs), "near-sketches")
     found = sketches.filter(F.col("digest").isNotNull() & F.col("doc_id").isNotNull())
     nodes = stage(found.groupBy("digest").agg(F.min("doc_id").alias("node"), F.min("n_shingles").alias("n_shingles"), F.min("bands").alias("bands"), F.min("signature").alias("signature")), "near-nodes")
+    listed = stage(sketches.select("doc_id", "n_shingles", "digest"), "near-listed")
+    discard(sketches)
 
     banded = nodes.select("node", F.explode("bands").alias("band"))
     buckets = stage(banded.groupBy("band").agg(F.min("node").alias("lead"), F.count("*").alias("n_members")).filter("n_members > 1"), "near-buckets")
     members = stage(banded.join(buckets, "band"), "near-members")
+    discard(buckets, shuffles=True)
 
-    involved = members.select(F.col("node").alias("doc_id")).distinct()
-    texts = clean_columns(docs, "doc_id", "text").join(involved, "doc_id", "left_semi").groupBy("doc_id").agg(F.min("text").alias("text"))
-    texts = stage(texts, "near-texts")
+    # only texts of nodes that share a bucket with another are fetched
+    involved = stage(members.select(F.col("node").alias("doc_id")).distinct(), "near-involved")
+    given = in_table(key_table(involved), clean_columns(docs, "doc_id", "text"), F.col("doc_id"), "has_").filter("has_").drop("has_")
+    texts = stage(given.join(involved, "doc_id", "left_semi").groupBy("doc_id").agg(F.min("text").alias("text")), "near-texts")
+    discard(involved, shuffles=True)
 
     stars = members.filter("node > lead").select(F.col("lead").alias("a"), F.col("node").alias("b")).distinct()
     stars = stage(stars, "near-stars")
@@ -225,10 +232,12 @@ def near_duplicates(docs: DataFrame, min_percent: int = MIN_PERCENT) -> DataFram
     across = stage(across.join(stars, ["a", "b"], "left_anti"), "near-across")
     links = stage(links.unionByName(inside).unionByName(check_pairs(across, texts, min_percent)), "near-links")
 
+    discard(members, texts, clusters, grouped, open_, placed, mixed, across, first, stars, shuffles=True)
     final = stage(components(links), "near-components")
     named = nodes.select("digest", "node").join(final, "node", "left").select("digest", F.coalesce("component", "node").alias("component"))
     named = stage(named, "near-named")
-    out = sketches.select("doc_id", "n_shingles", "digest").join(named, "digest", "left")
+    discard(nodes, final, links, shuffles=True)
+    out = listed.select("doc_id", "n_shingles", "digest").join(named, "digest", "left")
     component = F.coalesce("component", "doc_id")
     return out.select("doc_id", "n_shingles", component.alias("component_id"), F.col("doc_id").eqNullSafe(component).alias("kept"))
 
@@ -239,4 +248,4 @@ def drop_duplicates(docs: DataFrame, min_percent: int = MIN_PERCENT) -> DataFram
     Rows without an id stay, as they can't be told apart; rows that repeat an id stay or go together.
     """
     gone = near_duplicates(docs, min_percent).filter(~F.col("kept")).select("doc_id")
-    return docs.join(stage(gone.filter(F.col("doc_id").isNotNull()).distinct(), "near-gone"), "doc_id", "left_anti").select(*docs.columns)
+    return without_keys(docs, stage(gone.filter(F.col("doc_id").isNotNull()).distinct(), "near-gone"), "doc_id")
