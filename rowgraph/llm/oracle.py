@@ -55,4 +55,63 @@ SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base
 FROM b LEFT JOIN vd ON b.source IS NOT DISTINCT FROM vd.source
 """
 
-ORACLE: dict[str, str] = {"op1_mix_sources": OP1, "op3_chat_format": OP3, "op8_host_quality": OP8}
+OP9 = rf"""
+WITH d AS (SELECT row_number() OVER () AS rid, doc_id, {_WORDS} AS words FROM documents),
+g AS (SELECT rid, i, md5(array_to_string(list_slice(words, i, i + 34), ' ')) AS gram FROM (SELECT rid, words, unnest(range(1, greatest(len(words) - 33, 1))) AS i FROM d)),
+rep AS (SELECT rid, i FROM (SELECT rid, i, count(*) OVER (PARTITION BY gram) AS n FROM g) WHERE n > 1),
+cov AS (SELECT DISTINCT rid, unnest(range(i, i + 35)) AS p FROM rep),
+w AS (SELECT rid, unnest(words) AS word, generate_subscripts(words, 1) AS p FROM d),
+k AS (SELECT rid, count(*) AS n, string_agg(word, ' ' ORDER BY p) AS kept FROM w ANTI JOIN cov USING (rid, p) GROUP BY rid)
+SELECT doc_id, len(words)::BIGINT AS n_words, (len(words) - coalesce(k.n, 0))::BIGINT AS n_removed, sha256(coalesce(kept, '')) AS kept_sha256 FROM d LEFT JOIN k USING (rid)
+"""
+
+OP10 = rf"""
+WITH RECURSIVE d AS (SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS words FROM documents),
+s AS (SELECT DISTINCT doc_id, array_to_string(list_slice(words, i, i + 4), ' ') AS g FROM (SELECT doc_id, words, unnest(range(1, greatest(len(words) - 3, 2))) AS i FROM d WHERE len(words) > 0)),
+n AS (SELECT doc_id, count(*) AS n FROM s GROUP BY doc_id),
+x AS (SELECT a.doc_id AS a, b.doc_id AS b, count(*) AS shared_n FROM s a JOIN s b ON a.g = b.g AND a.doc_id < b.doc_id GROUP BY ALL),
+e AS (SELECT a, b FROM x JOIN n na ON na.doc_id = a JOIN n nb ON nb.doc_id = b WHERE 100 * shared_n >= 85 * (na.n + nb.n - shared_n)),
+l AS (SELECT a, b FROM e UNION SELECT b, a FROM e),
+r AS (SELECT a, b FROM l UNION SELECT r.a, l.b FROM r JOIN l ON r.b = l.a),
+c AS (SELECT a AS doc_id, least(a, min(b)) AS component_id FROM r GROUP BY a)
+SELECT doc_id, coalesce(n.n, 0)::BIGINT AS n_shingles, coalesce(component_id, doc_id) AS component_id, doc_id = coalesce(component_id, doc_id) AS kept
+FROM d LEFT JOIN n USING (doc_id) LEFT JOIN c USING (doc_id)
+"""
+
+
+def _templates() -> str:
+    from .licences import TEMPLATES
+
+    quoted = lambda t: "'" + t.replace("'", "''") + "'"
+    texts = [(name, t) for name, ts in TEMPLATES.items() for t in ts]
+    return ", ".join(f"({i}, {quoted(name)}, {quoted(t)})" for i, (name, t) in enumerate(texts))
+
+
+_NORMAL = "regexp_extract_all(translate({t}, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[a-z0-9]+')"
+OP5 = rf"""
+WITH t AS (SELECT tid, name, {_NORMAL.format(t="body")} AS w FROM (VALUES {_templates()}) v(tid, name, body)),
+tg AS (SELECT tid, name, g, count(*) AS n FROM (SELECT tid, name, unnest(list_transform(range(1, len(w)), lambda i: w[i] || ' ' || w[i + 1])) AS g FROM t) GROUP BY ALL),
+tn AS (SELECT tid, sum(n) AS size FROM tg GROUP BY tid),
+d AS (SELECT row_number() OVER () AS rid, doc_id, coalesce(text, '') AS text FROM documents),
+u0 AS (SELECT rid, unnest(string_split(text, chr(10))) AS body FROM d
+  UNION ALL SELECT rid, body FROM (SELECT rid, unnest(regexp_split_to_array(text, '\n[ \t\r]*\n')) AS body FROM d WHERE contains(text, chr(10))) WHERE contains(body, chr(10))
+  UNION ALL SELECT rid, text FROM d WHERE contains(text, chr(10))),
+u AS (SELECT row_number() OVER () AS uid, rid, {_NORMAL.format(t="body")} AS w FROM u0),
+v AS (SELECT uid, rid, w FROM u WHERE len(w) - 1 BETWEEN (SELECT min(size) * 80 / 120 FROM tn) AND (SELECT max(size) * 120 / 80 FROM tn)),
+ug AS (SELECT uid, rid, len(w) - 1 AS size, unnest(list_transform(range(1, len(w)), lambda i: w[i] || ' ' || w[i + 1])) AS g FROM v),
+uc AS (SELECT uid, rid, size, g, count(*) AS n FROM ug GROUP BY ALL),
+m AS (SELECT uid, rid, uc.size AS us, tid, name, sum(least(uc.n, tg.n)) AS shared_n FROM uc JOIN tg USING (g) GROUP BY ALL),
+f AS (SELECT rid, name, 2.0::DOUBLE * shared_n::DOUBLE / (us + tn.size)::DOUBLE AS dice FROM m JOIN tn USING (tid) WHERE 200 * shared_n >= 80 * (us + tn.size)),
+b AS (SELECT rid, name, dice FROM f QUALIFY row_number() OVER (PARTITION BY rid ORDER BY dice DESC, name) = 1),
+al AS (SELECT rid, string_agg(name, ',' ORDER BY name) AS names FROM (SELECT DISTINCT rid, name FROM f) GROUP BY rid)
+SELECT doc_id, b.name AS licence, coalesce(b.dice, 0) AS dice, coalesce(names, '') AS licences FROM d LEFT JOIN b USING (rid) LEFT JOIN al USING (rid)
+"""
+
+ORACLE: dict[str, str] = {
+    "op1_mix_sources": OP1,
+    "op3_chat_format": OP3,
+    "op5_licence_scan": OP5,
+    "op8_host_quality": OP8,
+    "op9_passage_dedup": OP9,
+    "op10_minhash_groups": OP10,
+}
