@@ -77,9 +77,9 @@ def map_at_k(ranked: DataFrame, truth: DataFrame, keys: list[str], dst: str, k:
     w = Window.partitionBy(*keys).orderBy(F.desc("score"), dst)
     top = ranked.withColumn("r_", F.row_number().over(w)).filter(F.col("r_") <= k)
     hits = top.join(truth.select(*keys, dst), [*keys, dst], "left_semi").withColumn("h_", F.row_number().over(Window.partitionBy(*keys).orderBy("r_")))
-    per = hits.groupBy(*keys).agg(F.sum(F.col("h_") / F.col("r_")).alias("s"))
-    n = truth.groupBy(*keys).agg(F.least(F.count("*"), F.lit(k)).alias("n"))
-    return n.join(per, keys, "left").agg(F.avg(F.coalesce("s", F.lit(0.0)) / F.col("n")).alias("map"))
+    per = hits.groupBy(*keys).agg(F.sum(F.col("h_") / F.col("r_")).alias("sum_"))
+    n = truth.groupBy(*keys).agg(F.least(F.count("*"), F.lit(k)).alias("n_"))
+    return n.join(per, keys, "left").agg(F.avg(F.coalesce("sum_", F.lit(0.0)) / F.col("n_")).alias("map"))
 
 
 def board_row(task: str, model: str, metric: str, value: Column) -> list[Column]:
