@@ -161,3 +161,26 @@ class TableEncoder:
         """Encoded once, stored, and read from there: frozen features."""
         self.transform(df, keep).write.mode("overwrite").parquet(path)
         return df.sparkSession.read.parquet(path)
+
+
+def html_text(column: str) -> Column:
+    """Visible text of a page: scripts and styles out, tags to spaces, white space squeezed."""
+    bare = F.regexp_replace(F.col(column), r"(?is)<(script|style)\b.*?</\1>|<!--.*?-->", " ")
+    return F.trim(F.regexp_replace(F.regexp_replace(bare, r"(?s)<[^>]*>", " "), r"\s+", " "))
+
+
+def tf_idf(df: DataFrame, column: str, size: int = 256, out: str = "tf_idf") -> DataFrame:
+    """``df`` with hashed term weights of the ML library (a vector column)."""
+    from pyspark.ml.feature import IDF, HashingTF
+
+    words = df.withColumn("words_", F.filter(F.split(F.lower(F.coalesce(F.col(column), F.lit(""))), r"\s+"), lambda w: w != ""))
+    counted = HashingTF(inputCol="words_", outputCol="tf_", numFeatures=size).transform(words)
+    return IDF(inputCol="tf_", outputCol=out).fit(counted).transform(counted).drop("words_", "tf_")
+
+
+def word_vectors(df: DataFrame, column: str, size: int = 16, out: str = "vector", min_count: int = 5) -> DataFrame:
+    """``df`` with the mean of its words' vectors, fitted by the ML library."""
+    from pyspark.ml.feature import Word2Vec
+
+    words = df.withColumn("words_", F.filter(F.split(F.lower(F.coalesce(F.col(column), F.lit(""))), r"\s+"), lambda w: w != ""))
+    return Word2Vec(vectorSize=size, minCount=min_count, inputCol="words_", outputCol=out, seed=1, maxIter=1).fit(words).transform(words).drop("words_")

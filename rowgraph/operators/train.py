@@ -294,3 +294,41 @@ def tuple_score(vectors: list[np.ndarray], w: np.ndarray, kind: str = "concat")
 def multilabel_loss(z: np.ndarray, y: np.ndarray) -> tuple[float, np.ndarray]:
     """Sum of logistic losses over labels, and its gradient."""
     return float(np.logaddexp(0, z).sum() - (y * z).sum()), 1 / (1 + np.exp(-z)) - y
+
+
+# ------------------------------------------------------------------ pre-training and transfer
+
+
+def transfer(source: Model, target: Model) -> list[str]:
+    """Copies parameters of equal name and shape into ``target`` (encoders, messages, head) and names what was copied.
+
+    A new database whose types have columns of the same kinds, encoded alike, can start from a trained one.
+    """
+    moved = []
+    for k, v in source.params.items():
+        if k in target.params and target.params[k].shape == v.shape:
+            target.params[k] = v.copy()
+            moved.append(k)
+    return moved
+
+
+def pretrain(model: Model, mined: list[DataFrame], steps: int, rate: float = 0.05) -> list[float]:
+    """Trains encoders and messages on tasks mined from history, each with a head of its own."""
+    models = []
+    for i in range(len(mined)):
+        own = Model(model.seed_type, model.sizes, model.links, model.d, "squared", model.pool, 1).init(i)
+        own.params = {**model.params, "head": own.params["head"]}
+        models.append(own)
+    history: list[float] = []
+    for _ in range(steps):
+        for own, df in zip(models, mined, strict=True):
+            history += fit([own], [df], steps=1, rate=rate)
+            model.params.update({k: v for k, v in own.params.items() if k != "head"})
+            for other in models:
+                other.params.update({k: v for k, v in own.params.items() if k != "head"})
+    return history
+
+
+def finetune(model: Model, packed: DataFrame, steps: int, rate: float = 0.05, frozen: tuple[str, ...] = ()) -> list[float]:
+    model.frozen = frozen
+    return fit([model], [packed], steps=steps, rate=rate)
