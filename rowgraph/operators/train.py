@@ -19,14 +19,19 @@ from .sampling import Slice
 PACKED = "seed_id string, label double, x array<float>, hop array<int>, link array<string>, src_type array<string>, dst array<string>, src array<string>, feats array<array<float>>"
 
 
-def pack_features(cut: Slice, seeds: DataFrame, features: dict[str, DataFrame]) -> DataFrame:
+def pack_features(cut: Slice, seeds: DataFrame, features: dict[str, DataFrame], age: bool = False) -> DataFrame:
     """One row per seed: label, its own features x, and parallel arrays over its edges with the source row's features.
 
+    With ``age`` each source row's features get one more: its age in years at the seed time (0 without a time).
+
     ``seeds`` has seed_id, seed_time, ntype, nid and label; ``features`` has per type (nid, x).
     """
     parts = []
     for name, f in features.items():
         e = cut.edges.filter(F.col("src_type") == name).join(f.select(F.col("nid").alias("src"), "x"), "src")
+        if age:
+            years = F.coalesce(F.datediff("seed_time", "ts") / 365.0, F.lit(0.0)).cast("float")
+            e = e.withColumn("x", F.concat("x", F.array(years)))
         parts.append(e.select("seed_id", "hop", "link", "src_type", F.col("dst").cast("string"), F.col("src").cast("string"), "x"))
     edges = parts[0]
     for p in parts[1:]:
