@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 from datetime import datetime
 
@@ -15,6 +14,7 @@ from .plans import timeline, workloads
 from .queries_tasks import ORACLE as TASK_SQL
 from .registry import BOUGHT, registry
 from .sources.datasets import open_retail, purchases, table
+from .sources.scratch import fresh_path
 from .streaming import stream
 
 QUERIES, ORACLE, query = registry()
@@ -246,8 +246,7 @@ def reservoir_replace(spark: S, d: str) -> DataFrame:
 
 def _as_stream(spark: S, d: str, chunks: int = 4) -> DataFrame:
     """The events, written by time into a few files of a fresh folder and read as they come."""
-    folder = spark.conf.get("spark.checkpoint.dir", None) or tempfile.gettempdir()
-    path = f"{folder.rstrip('/')}/stream-{uuid.uuid4().hex}"
+    path = fresh_path(spark, "stream")
     events = table(spark, d, "events").withColumn("ts", F.col("ts").cast("timestamp"))
     events.repartitionByRange(chunks, "ts").write.parquet(path)
     return stream.read_facts(spark, path, events.schema, files=1000)
