@@ -7,32 +7,13 @@ Executors may be lost at any time, so whatever a later step needs is written und
 from __future__ import annotations
 
 import gc
-import tempfile
-import uuid
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
+from ..sources.scratch import fresh_path, shared_dir
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder shared by driver and executors, without a trailing slash.
-
-    A local session without the setting (tests) gets a temporary folder of its own; a cluster without it is an error.
-    """
-    path = spark.conf.get("spark.checkpoint.dir", None)
-    if path:
-        return path.rstrip("/")
-    if not spark.conf.get("spark.master", "").startswith("local"):
-        raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
-    global _LOCAL
-    _LOCAL = _LOCAL or "file://" + tempfile.mkdtemp(prefix="rowgraph-shared-")
-    return _LOCAL
-
-
-_LOCAL = ""
-
-
-def fresh_path(spark: SparkSession, tag: str) -> str:
-    return f"{shared_dir(spark)}/{tag}-{uuid.uuid4().hex}"
+__all__ = ["clean_columns", "discard", "fresh_path", "shared_dir", "stage"]
 
 
 def stage(df: DataFrame, tag: str) -> DataFrame:
@@ -47,8 +28,6 @@ def stage(df: DataFrame, tag: str) -> DataFrame:
 
 def clean_columns(docs: DataFrame, *names: str) -> DataFrame:
     """Only the named columns; one that is missing becomes a null string, and extra columns are dropped."""
-    from pyspark.sql import functions as F
-
     have = set(docs.columns)
     return docs.select(*(docs[n] if n in have else F.lit(None).cast("string").alias(n) for n in names))
 
