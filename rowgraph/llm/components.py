@@ -7,7 +7,7 @@ the logarithm of the longest chain.  Rounds are written to the shared folder; th
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Observation
 from pyspark.sql import functions as F
 
 from .shared import discard, stage
@@ -16,32 +16,45 @@ MAX_ROUNDS = 60
 
 
 def _around(pairs: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """pairs (u, v) with the smallest v of each u, and the table of the latter; both sides of the join are stored, so a
-    hot u can be split."""
-    least = stage(pairs.groupBy("u").agg(F.min("v").alias("m")), "stars-least")
-    return pairs.join(least, "u"), least
+    """pairs (kind, u, v) with the smallest v of each u, and the table of the latter; both sides of the join are stored,
+    so a hot u can be split."""
+    least = stage(pairs.groupBy("kind", "u").agg(F.min("v").alias("m")), "stars-least")
+    return pairs.join(least, ["kind", "u"]), least
+
+
+def _observed(edges: DataFrame) -> tuple[DataFrame, tuple]:
+    """Writes the links and gives a digest of them, counted on the way."""
+    seen = Observation()
+    h = F.xxhash64("kind", "u", "v")
+    out = stage(edges.observe(seen, F.count(F.lit(1)).alias("n"), F.coalesce(F.bit_xor(h), F.lit(0)).alias("x"), F.sum(h.cast("decimal(38,0)")).alias("s")), "stars")
+    got = seen.get
+    return out, (got["n"], got["x"], got["s"])
 
 
 def components(links: DataFrame) -> DataFrame:
     """node, component for every node of ``links`` (a, b longs); the component is its smallest node."""
-    edges = stage(links.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).filter("u > v").distinct(), "stars")
+    return components_by_kind(links.select(F.lit(0).alias("kind"), "a", "b")).drop("kind")
+
+
+def components_by_kind(links: DataFrame) -> DataFrame:
+    """kind, node, component of several sets of links (kind, a, b) in the same rounds."""
+    edges = stage(links.select("kind", F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).filter("u > v").distinct(), "stars")
     before = None
     for _ in range(MAX_ROUNDS):
-        both = edges.unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
+        both = edges.unionByName(edges.select("kind", F.col("v").alias("u"), F.col("u").alias("v")))
         far, least = _around(both)
         far = far.withColumn("m", F.least("m", "u")).filter("v > u")
-        far = stage(far.select(F.col("v").alias("u"), F.col("m").alias("v")).filter("u > v").distinct(), "stars-far")
+        far = stage(far.select("kind", F.col("v").alias("u"), F.col("m").alias("v")).filter("u > v"), "stars-far")
         discard(edges, least)
         near, least = _around(far)
-        points = near.select("u", F.col("m").alias("v")).unionByName(near.select(F.col("v").alias("u"), F.col("m").alias("v")))
-        edges = stage(points.filter("u > v").distinct(), "stars")
+        points = near.select("kind", "u", F.col("m").alias("v")).unionByName(near.select("kind", F.col("v").alias("u"), F.col("m").alias("v")))
+        edges, seen = _observed(points.filter("u > v").distinct())
         discard(far, least)
-        seen = tuple(edges.agg(F.count("*"), F.bit_xor(F.xxhash64("u", "v")), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first())
         if seen == before:
             break
         before = seen
     else:
         raise RuntimeError("components did not settle")
-    stars = edges.groupBy("u").agg(F.min("v").alias("component"))
-    centres = edges.select(F.col("v").alias("node"), F.col("v").alias("component")).distinct()
+    stars = edges.groupBy("kind", "u").agg(F.min("v").alias("component"))
+    centres = edges.select("kind", F.col("v").alias("node"), F.col("v").alias("component")).distinct()
     return stars.withColumnRenamed("u", "node").unionByName(centres)

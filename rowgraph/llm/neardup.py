@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import sketch
-from .components import components
+from .components import components, components_by_kind
 from .keyset import in_table, key_table, without_keys
 from .shared import clean_columns, discard, stage
 from .words import release, slices
@@ -89,6 +89,7 @@ def check_pairs(pairs: DataFrame, texts: DataFrame, min_percent: int = MIN_PERCE
                     both, union = sketch.overlap(kept, items)
                     good.append(union > 0 and 100 * both >= min_percent * union)
                 yield pa.RecordBatch.from_arrays([c.filter(pa.array(good, pa.bool_())) for c in batch.columns[:2]], schema=schema)
+        release()
 
     return rows.mapInArrow(run, "a long, b long")
 
@@ -212,11 +213,12 @@ def near_duplicates(docs: DataFrame, min_percent: int = MIN_PERCENT) -> DataFram
     stars = members.filter("node > lead").select(F.col("lead").alias("a"), F.col("node").alias("b")).distinct()
     stars = stage(stars, "near-stars")
     links = stage(check_pairs(stars, texts, min_percent), "near-links")
-    first = stage(components(links), "near-first")
-
+    # clusters of the large buckets are found in the same rounds as the components of the links so far
     large = members.filter((F.col("n_members") > HOT_BUCKET) & (F.col("node") > F.col("lead")))
-    clusters = components(large.select(F.col("lead").alias("a"), F.col("node").alias("b")))
-    clusters = stage(clusters.withColumnRenamed("component", "cluster"), "near-clusters")
+    tied = links.select(F.lit(0).alias("kind"), "a", "b").unionByName(large.select(F.lit(1).alias("kind"), F.col("lead").alias("a"), F.col("node").alias("b")))
+    both = stage(components_by_kind(tied), "near-first")
+    first = both.filter("kind = 0").drop("kind")
+    clusters = both.filter("kind = 1").select("node", F.col("component").alias("cluster"))
     marks = nodes.select("node", "n_shingles", "signature")
 
     grouped = stage(clusters.join(first, "node", "left").withColumn("component", F.coalesce("component", "node")), "near-grouped")
@@ -232,7 +234,7 @@ def near_duplicates(docs: DataFrame, min_percent: int = MIN_PERCENT) -> DataFram
     across = stage(across.join(stars, ["a", "b"], "left_anti"), "near-across")
     links = stage(links.unionByName(inside).unionByName(check_pairs(across, texts, min_percent)), "near-links")
 
-    discard(members, texts, clusters, grouped, open_, placed, mixed, across, first, stars, shuffles=True)
+    discard(members, texts, both, grouped, open_, placed, mixed, across, stars, shuffles=True)
     final = stage(components(links), "near-components")
     named = nodes.select("digest", "node").join(final, "node", "left").select("digest", F.coalesce("component", "node").alias("component"))
     named = stage(named, "near-named")
