@@ -10,6 +10,7 @@ from collections.abc import Iterator
 import numpy as np
 import pandas as pd
 import pyarrow as pa
+import zstandard
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -25,7 +26,7 @@ def _slot(key: Column) -> Column:
 
 def _pages(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     def done() -> pa.RecordBatch:
-        return pa.RecordBatch.from_arrays([pa.array([current], pa.int32()), pa.array([np.packbits(bits).tobytes()], pa.binary())], schema=_SCHEMA)
+        return pa.RecordBatch.from_arrays([pa.array([current], pa.int32()), pa.array([zstandard.compress(np.packbits(bits).tobytes(), 1)], pa.binary())], schema=_SCHEMA)
 
     current, bits = None, np.zeros(1 << _PAGE_BITS, bool)
     for batch in batches:
@@ -46,20 +47,21 @@ def key_table(keys: DataFrame) -> bytearray:
     slots = keys.select(_slot(F.col(keys.columns[0])).alias("slot")).distinct()
     slots = slots.repartition(F.shiftright("slot", _PAGE_BITS)).sortWithinPartitions("slot")
     table, size = bytearray(1 << (KEY_BITS - 3)), 1 << (_PAGE_BITS - 3)
-    for page, bits in slots.mapInArrow(_pages, "page int, bits binary").toLocalIterator():
-        table[page * size : (page + 1) * size] = bits
+    for page, bits in slots.mapInArrow(_pages, "page int, bits binary").collect():
+        table[page * size : (page + 1) * size] = zstandard.decompress(bits)
     return table
 
 
 def in_table(table: bytearray, rows: DataFrame, key: Column, out: str) -> DataFrame:
     """``rows`` with a boolean column: whether the key may be in the set.  Only slots go through Python."""
-    given = rows.sparkSession.sparkContext.broadcast(bytes(table))
+    given = rows.sparkSession.sparkContext.broadcast(zstandard.compress(bytes(table), 1))
 
     @F.pandas_udf("boolean")
-    def known(slot: pd.Series) -> pd.Series:
-        s = slot.to_numpy()
-        bits = np.frombuffer(given.value, np.uint8)
-        return pd.Series((bits[s >> 3] >> (7 - (s & 7)).astype(np.uint8)) & 1 > 0)
+    def known(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
+        bits = np.frombuffer(zstandard.decompress(given.value), np.uint8)
+        for slot in batches:
+            s = slot.to_numpy()
+            yield pd.Series((bits[s >> 3] >> (7 - (s & 7)).astype(np.uint8)) & 1 > 0)
 
     return rows.withColumn(out, known(_slot(key)))
 

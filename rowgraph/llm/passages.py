@@ -34,8 +34,9 @@ from .words import mix, ngram_hashes, release, slices, text_buffers, word_hashes
 WINDOW = 35
 #: Words of the short anchors, by which passages are cut and sharded, and of the long ones.
 ANCHOR, LONG_ANCHOR = 12, 30
-#: Slots of a table: 32 MB of bits whatever the input.  A fuller table lets more windows through, never fewer.
-TABLE_BITS, PAGE_BITS = 28, 16
+#: Slots of the tables: 32 and 64 MB of bits whatever the input.  A fuller table lets more windows through, never fewer.
+#: A long anchor has two slots, and counts as seen twice where both are.
+TABLE_BITS, LONG_BITS, PAGE_BITS = 28, 29, 16
 #: Words of passages in one shard on average, and places of an anchor beyond which its windows are sharded one by one.
 SHARD_WORDS, HOT_PLACES = 100_000, 4096
 #: Distinct passages that a task holds before it sends them off.
@@ -80,10 +81,14 @@ def _texts(column: pa.Array) -> Iterator[tuple[int, np.ndarray, np.ndarray, np.n
 
 
 def _places(best: np.ndarray, at: np.ndarray) -> np.ndarray:
-    """Slots of the distinct anchor places of one text."""
+    """Hashes of the distinct anchor places of one text."""
     new = np.ones(len(at), bool)
     new[1:] = at[1:] != at[:-1]
-    return best[new] >> _U(64 - TABLE_BITS)
+    return best[new]
+
+
+def _long_slots(hashes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    return hashes >> _U(64 - LONG_BITS), mix(hashes, 5) >> _U(64 - LONG_BITS)
 
 
 def _set(bits: np.ndarray, slots: np.ndarray) -> np.ndarray:
@@ -94,7 +99,7 @@ class AnchorTables:
     """Bits of the slots with two or more places, for short and long anchors, and (coarse) of the short ones with very many."""
 
     def __init__(self):
-        self.bits = [bytearray(1 << (TABLE_BITS - 3)) for _ in range(2)]
+        self.bits = [bytearray(1 << (TABLE_BITS - 3)), bytearray(1 << (LONG_BITS - 3))]
         self.hot = bytearray(1 << (TABLE_BITS - HOT_SHIFT - 3))
         self.places = 0
 
@@ -106,11 +111,11 @@ def anchor_tables(rows: DataFrame) -> AnchorTables:
 
     def run(batches: Iterator[pa.RecordBatch]):
         for whole in batches:
-            found: list[list[np.ndarray]] = [[], []]
+            found: tuple[list[np.ndarray], list[np.ndarray]] = ([], [])
             for batch in slices(whole, "text"):
                 for _, _, _, _, hashes in _texts(batch.column(0)):
-                    found[0].append(_places(*anchors(hashes)))
-                    found[1].append(_places(*anchors(hashes, LONG_ANCHOR)))
+                    found[0].append(_places(*anchors(hashes)) >> _U(64 - TABLE_BITS))
+                    found[1].extend(_long_slots(_places(*anchors(hashes, LONG_ANCHOR))))
             for kind, slots in enumerate(found):
                 if slots:
                     slots, n = np.unique(np.concatenate(slots), return_counts=True)
@@ -132,7 +137,7 @@ def anchor_tables(rows: DataFrame) -> AnchorTables:
 
         def done():
             twice = counts > 1
-            return pa.RecordBatch.from_arrays([pa.array([current], pa.int32()), pa.array([np.packbits(twice).tobytes()], pa.binary()), pa.array([np.packbits((counts > HOT_PLACES).reshape(-1, 1 << HOT_SHIFT).any(axis=1)).tobytes()], pa.binary()), pa.array([int(counts[twice].sum())])], schema=packed)
+            return pa.RecordBatch.from_arrays([pa.array([current], pa.int32()), pa.array([zstandard.compress(np.packbits(twice).tobytes(), 1)], pa.binary()), pa.array([np.packbits((counts > HOT_PLACES).reshape(-1, 1 << HOT_SHIFT).any(axis=1)).tobytes()], pa.binary()), pa.array([int(counts[twice].sum())])], schema=packed)
 
         for batch in batches:
             for page, offsets, n in zip(batch.column(0).to_pylist(), batch.column(1), batch.column(2), strict=True):
@@ -147,9 +152,10 @@ def anchor_tables(rows: DataFrame) -> AnchorTables:
     pages = rows.mapInArrow(run, "page int, offsets binary, counts binary").repartition("page").sortWithinPartitions("page")
     tables = AnchorTables()
     hot_bytes = _PAGE_BYTES >> HOT_SHIFT
-    for page, twice, hot, places in pages.mapInArrow(add, "page int, twice binary, hot binary, places long").toLocalIterator():
-        kind, at = divmod(page, _PAGES)
-        tables.bits[kind][at * _PAGE_BYTES : (at + 1) * _PAGE_BYTES] = twice
+    # at most the size of the tables, compressed
+    for page, twice, hot, places in pages.mapInArrow(add, "page int, twice binary, hot binary, places long").collect():
+        kind, at = (0, page) if page < _PAGES else (1, page - _PAGES)
+        tables.bits[kind][at * _PAGE_BYTES : (at + 1) * _PAGE_BYTES] = zstandard.decompress(twice)
         if kind == 0:
             tables.hot[at * hot_bytes : (at + 1) * hot_bytes] = hot
             tables.places += places
@@ -191,7 +197,7 @@ def passages(rows: DataFrame, tables, n_shards: int) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]):
         pack = struct.Struct(_PLACE).pack
-        twice, twice_long, hot = (np.frombuffer(b, np.uint8) for b in tables.value)
+        twice, twice_long, hot = (np.frombuffer(zstandard.decompress(b), np.uint8) for b in tables.value)
         for whole in batches:
             found: dict[bytes, list] = {}
             for batch in slices(whole, "text"):
@@ -199,7 +205,8 @@ def passages(rows: DataFrame, tables, n_shards: int) -> DataFrame:
                 for row, data, starts, ends, hashes in _texts(batch.column(1)):
                     best, at = anchors(hashes)
                     slots = best >> _U(64 - TABLE_BITS)
-                    flags = _set(twice, slots) & _set(twice_long, anchors(hashes, LONG_ANCHOR)[0] >> _U(64 - TABLE_BITS))
+                    first, second = _long_slots(anchors(hashes, LONG_ANCHOR)[0])
+                    flags = _set(twice, slots) & _set(twice_long, first) & _set(twice_long, second)
                     if not flags.any():
                         continue
                     single = _set(hot, slots >> _U(HOT_SHIFT))
@@ -306,12 +313,14 @@ def repeated_windows(rows: DataFrame) -> DataFrame:
     """
     tables = anchor_tables(rows.select("text"))
     n_shards = max(1, -(-tables.places * (WINDOW + 12) // SHARD_WORDS))
-    given = rows.sparkSession.sparkContext.broadcast([*tables.bits, tables.hot])
+    given = rows.sparkSession.sparkContext.broadcast([zstandard.compress(bytes(b), 1) for b in (*tables.bits, tables.hot)])
     del tables
     shards = passages(rows.select("text_key", "text"), given, n_shards)
     spans = repeated_spans(shards.repartition("shard").sortWithinPartitions("shard"))
     found = spans.groupBy("text_key").agg(_merged(F.collect_set(F.struct("start", "end"))).alias("spans"))
-    return stage(found, "passage-spans")
+    found = stage(found, "passage-spans")
+    given.destroy()
+    return found
 
 
 def _merged(spans):
@@ -359,7 +368,8 @@ def dedup_passages(docs: DataFrame) -> DataFrame:
 
     ddl = "doc_id long, n_words long, n_removed long, kept_sha256 string"
     done = marked.select("doc_id", "text", "text_key", "has_").mapInArrow(whole, ddl + ", text_key binary, text string")
-    joined = done.join(spans, "text_key", "left").select("doc_id", "n_words", "n_removed", "kept_sha256", "text", "spans")
+    # merged whatever the sizes: files of spans are packed far below what they take when read
+    joined = done.join(spans.hint("merge"), "text_key", "left").select("doc_id", "n_words", "n_removed", "kept_sha256", "text", "spans")
 
     def run(batches: Iterator[pa.RecordBatch]):
         for batch in batches:
@@ -392,7 +402,7 @@ def cut_passages(docs: DataFrame) -> DataFrame:
     spans = repeated_windows(keyed.select("text_key", "text"))
     marked = in_table(key_table(spans.select("text_key")), keyed, F.col("text_key"), "has_").drop("text")
     untouched = marked.filter("not has_").drop("text_key", "has_")
-    joined = marked.filter("has_").drop("has_").join(spans, "text_key", "left").drop("text_key")
+    joined = marked.filter("has_").drop("has_").join(spans.hint("merge"), "text_key", "left").drop("text_key")
     names = joined.columns
 
     def run(batches: Iterator[pa.RecordBatch]):
