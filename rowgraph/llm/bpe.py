@@ -89,7 +89,7 @@ def _per_batch(work, out_schema: pa.Schema, ranks, pattern: str):
     def run(batches):
         codec = None
         for batch in batches:
-            codec = codec or Codec.of(hash((pattern, len(ranks.value), ranks.value[:64])), ranks.value, pattern)
+            codec = codec or Codec.of(hash((pattern, ranks.value)), ranks.value, pattern)
             yield pa.RecordBatch.from_pydict(work(codec, batch), schema=out_schema)
 
     return run
@@ -138,7 +138,7 @@ def encode_texts(docs: DataFrame, ranks_path: str, pattern: str, text: str = "te
     def run(batches):
         codec = None
         for batch in batches:
-            codec = codec or Codec.of(hash((pattern, len(ranks.value), ranks.value[:64])), ranks.value, pattern)
+            codec = codec or Codec.of(hash((pattern, ranks.value)), ranks.value, pattern)
             for part in slices(batch, text):
                 sizes, parts = [0], []
                 for v in part.column(where):
@@ -168,7 +168,7 @@ def decode_ids(rows: DataFrame, ranks_path: str, pattern: str, ids: str = "token
     def run(batches):
         codec = None
         for batch in batches:
-            codec = codec or Codec.of(hash((pattern, len(ranks.value), ranks.value[:64])), ranks.value, pattern)
+            codec = codec or Codec.of(hash((pattern, ranks.value)), ranks.value, pattern)
             made = pa.array([codec.decode(v.as_py() or []) for v in batch.column(where)], pa.binary())
             yield pa.RecordBatch.from_arrays([*batch.columns, made], names=[*batch.schema.names, raw])
 
