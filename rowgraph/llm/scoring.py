@@ -1,8 +1,10 @@
 """Masked pseudo-likelihood of documents under a bidirectional window network.
 
 Every token is predicted from the two tokens on either side: position-specific embeddings are added, squashed, and
-turned into a distribution over token classes; within a class tokens have their share of the corpus.  A document's
-score is the sum of the log-probabilities of all its tokens, each with itself masked.
+turned into a distribution over token classes; within a class tokens have their share of the corpus.  Words
+without a token of their own share one by hash; of a shared token each word has its exact share of the corpus, which a
+join with the table of all counts adds.  A document's score is the sum of the log-probabilities of all its words, each
+with itself masked.
 
 Counts and training cover all documents.  Each task trains a copy of the network on its rows; the copies are averaged
 by their tokens in the executors, and what the driver gets is one network.
@@ -11,19 +13,22 @@ by their tokens in the executors, and what the driver gets is one network.
 from __future__ import annotations
 
 from collections.abc import Iterator
-from dataclasses import dataclass
+from dataclasses import dataclass, field, replace
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import clean_columns
+from .shared import clean_columns, stage
 from .words import slices, text_buffers, word_hashes, word_spans
 
-#: Words with a token of their own, tokens that the other words share by hash, classes, width of the network.
+#: Least number of words with a token of their own, tokens that the other words share by hash, classes, width of the network.
 KNOWN, SHARED, CLASSES, WIDTH = 3840, 256, 64, 16
 TOKENS = KNOWN + SHARED
+#: Words with a token of their own grow as this times the root of the number of distinct words.
+GROWTH = 8
 AROUND = (-2, -1, 1, 2)
 BATCH = 8192
 RATE = 0.2
@@ -35,15 +40,25 @@ _ONES = np.ones(CLASSES, np.float32)
 
 @dataclass
 class Vocabulary:
-    """hashes: of known words, ascending; ids: their tokens; klass and share: class of each token and log of its share of it."""
+    """hashes: of known words, ascending; ids: their tokens; klass and share: class of each token and log of its share of it.
+
+    Shared tokens follow the known ones; ``within`` is the log of one count among theirs, ``unseen`` the log share of a
+    word that the corpus doesn't have.  ``counts`` is the table (word, n) of all words.
+    """
 
     hashes: np.ndarray
     ids: np.ndarray
     klass: np.ndarray
     share: np.ndarray
+    within: np.ndarray = field(default_factory=lambda: np.zeros(SHARED))
+    unseen: np.ndarray = field(default_factory=lambda: np.zeros(SHARED))
+    counts: DataFrame | None = None
+
+    def __post_init__(self):
+        self.known = len(self.klass) - SHARED
 
     def tokens(self, words: np.ndarray) -> np.ndarray:
-        out = (KNOWN + (words >> _U(56)).astype(np.int32) % SHARED).astype(np.int16)
+        out = self.known + (words >> _U(56)).astype(np.int32) % SHARED
         if len(self.hashes):
             at = np.minimum(np.searchsorted(self.hashes, words), len(self.hashes) - 1)
             hit = self.hashes[at] == words
@@ -73,34 +88,40 @@ def count_words(rows: DataFrame) -> DataFrame:
 
 def make_vocabulary(rows: DataFrame) -> Vocabulary:
     """The most frequent words (ties by hash) and exact counts of all tokens, one of every token added."""
-    counts = count_words(rows)
-    top = counts.orderBy(F.desc("n"), "word").limit(KNOWN)
+    counts = stage(count_words(rows), "scoring-counts")
+    n_known = max(KNOWN, int(GROWTH * counts.count() ** 0.5))
+    n_tokens = n_known + SHARED
+    top = counts.orderBy(F.desc("n"), "word").limit(n_known)
     known = [(r["word"], r["n"]) for r in top.collect()]
     hashes = np.array([w for w, _ in known], np.int64).view(_U)
     order = np.argsort(hashes)
-    voc = Vocabulary(hashes[order], order.astype(np.int16), np.zeros(TOKENS, np.int32), np.zeros(TOKENS, np.float32))
     # the words that share tokens, added up in the executors
-    token = KNOWN + F.pmod(F.shiftrightunsigned("word", 56), F.lit(SHARED))
-    totals = np.ones(TOKENS, np.float64)
-    for r in counts.groupBy(token.alias("token")).agg(F.sum("n").alias("n")).collect():
-        totals[r["token"]] += r["n"]
+    token = F.pmod(F.shiftrightunsigned("word", 56), F.lit(SHARED))
+    totals, kinds = np.ones(n_tokens, np.float64), np.zeros(SHARED, np.int64)
+    for r in counts.groupBy(token.alias("token")).agg(F.sum("n").alias("n"), F.count("*").alias("words")).collect():
+        totals[n_known + r["token"]] += r["n"]
+        kinds[r["token"]] += r["words"]
     for i, (w, n) in enumerate(known):
         totals[i] += n
-        totals[KNOWN + ((w >> 56) & 0xFF) % SHARED] -= n
+        totals[n_known + ((w >> 56) & 0xFF) % SHARED] -= n
+        kinds[((w >> 56) & 0xFF) % SHARED] -= 1
     by_count = np.argsort(-totals, kind="stable")
     before = np.cumsum(totals[by_count]) - totals[by_count]
-    voc.klass[by_count] = np.minimum((before / totals.sum() * CLASSES).astype(np.int32), CLASSES - 1)
-    mass = np.bincount(voc.klass, totals, CLASSES)
-    voc.share[:] = np.log(totals / mass[voc.klass])
-    return voc
+    klass, share = np.zeros(n_tokens, np.int32), np.zeros(n_tokens, np.float32)
+    klass[by_count] = np.minimum((before / totals.sum() * CLASSES).astype(np.int32), CLASSES - 1)
+    mass = np.bincount(klass, totals, CLASSES)
+    share[:] = np.log(totals / mass[klass])
+    # the one that was added to a shared token is for words that are not in the corpus, taken to be as many as those that are
+    within = -np.log(totals[n_known:])
+    return Vocabulary(hashes[order], order.astype(np.int32), klass, share, within, within - np.log(kinds + 1), counts)
 
 
 class Network:
     """Embeddings (positions, tokens + 1, width; the last row is the margin of a text), output matrix and bias."""
 
-    def __init__(self, seed: int = 0):
+    def __init__(self, seed: int = 0, tokens: int = TOKENS):
         rng = np.random.default_rng(seed)
-        self.embed = (rng.standard_normal((len(AROUND), TOKENS + 1, WIDTH)) * 0.1).astype(np.float32)
+        self.embed = (rng.standard_normal((len(AROUND), tokens + 1, WIDTH)) * 0.1).astype(np.float32)
         self.out = (rng.standard_normal((WIDTH, CLASSES)) * 0.1).astype(np.float32)
         self.bias = np.zeros(CLASSES, np.float32)
 
@@ -110,12 +131,18 @@ class Network:
     @classmethod
     def of(cls, blob: np.ndarray) -> Network:
         net = cls.__new__(cls)
-        a = len(AROUND) * (TOKENS + 1) * WIDTH
-        net.embed = blob[:a].reshape(len(AROUND), TOKENS + 1, WIDTH).copy()
-        net.out = blob[a : a + WIDTH * CLASSES].reshape(WIDTH, CLASSES).copy()
-        net.bias = blob[a + WIDTH * CLASSES :].copy()
+        tokens = (len(blob) - (len(AROUND) + CLASSES) * WIDTH - CLASSES) // (len(AROUND) * WIDTH)
+        ends = np.cumsum([len(AROUND) * (tokens + 1) * WIDTH, WIDTH * CLASSES])
+        embed, out, bias = np.split(blob, ends)
+        net.embed = embed.reshape(len(AROUND), tokens + 1, WIDTH).copy()
+        net.out = out.reshape(WIDTH, CLASSES).copy()
+        net.bias = bias.copy()
         return net
 
+    def sized(self, voc: Vocabulary) -> Network:
+        """This network, or one that is not trained yet if the vocabulary has another number of tokens."""
+        return self if self.embed.shape[1] == len(voc.klass) + 1 else Network(tokens=len(voc.klass))
+
     def hidden(self, around: np.ndarray) -> np.ndarray:
         total = self.embed[0].take(around[0], axis=0)
         for k in range(1, len(AROUND)):
@@ -153,11 +180,11 @@ class Network:
 
 
 def windows(tokens: np.ndarray, first: np.ndarray) -> np.ndarray:
-    """Tokens around each token of texts that start at ``first``; outside its text there is the margin."""
+    """Tokens around each token of texts that start at ``first``; outside its text there is the margin, -1."""
     n, reach = len(tokens), max(AROUND)
     n_texts = len(first) - 1
     owner = np.repeat(np.arange(n_texts), np.diff(first))
-    padded = np.full(n + 2 * reach * n_texts + 2 * reach, TOKENS, np.int16)
+    padded = np.full(n + 2 * reach * n_texts + 2 * reach, -1, np.int32)
     at = np.arange(n) + reach + 2 * reach * owner
     padded[at] = tokens
     return np.stack([padded[at + k] for k in AROUND])
@@ -165,7 +192,8 @@ def windows(tokens: np.ndarray, first: np.ndarray) -> np.ndarray:
 
 def train(rows: DataFrame, voc: Vocabulary, net: Network, rate: float = RATE) -> Network:
     """One pass over all rows: every task trains on its own, then parameters are averaged by numbers of tokens."""
-    given = rows.sparkSession.sparkContext.broadcast((voc, net.blob()))
+    net = net.sized(voc)
+    given = rows.sparkSession.sparkContext.broadcast((replace(voc, counts=None), net.blob()))
     parts = 32
     schema = pa.schema([("part", pa.int32()), ("weight", pa.float64()), ("values", pa.binary())])
 
@@ -205,13 +233,17 @@ def train(rows: DataFrame, voc: Vocabulary, net: Network, rate: float = RATE) ->
 
 
 def score(rows: DataFrame, voc: Vocabulary, net: Network) -> DataFrame:
-    """doc_id, n_tokens, log_prob (sum) and mean_log_prob (null without tokens) of rows (doc_id, text)."""
-    given = rows.sparkSession.sparkContext.broadcast((voc, net.blob()))
-    schema = pa.schema([("doc_id", pa.int64()), ("n_tokens", pa.int64()), ("log_prob", pa.float64()), ("mean_log_prob", pa.float64())])
+    """doc_id, n_tokens, log_prob (sum) and mean_log_prob (null without tokens) of rows (doc_id, text).
+
+    The network gives the part of each row's tokens where the row lies; words of shared tokens meet their counts by a
+    join, and one number a row comes back.
+    """
+    given = rows.sparkSession.sparkContext.broadcast((replace(voc, counts=None), net.sized(voc).blob()))
+    schema = pa.schema([("row", pa.int64()), ("doc_id", pa.int64()), ("n_tokens", pa.int64()), ("log_prob", pa.float64()), ("words", pa.list_(pa.int64()))])
 
     def run(batches: Iterator[pa.RecordBatch]):
         vocabulary, blob = given.value
-        own = Network.of(blob)
+        own, row = Network.of(blob), TaskContext.get().partitionId() << 40
         for whole in batches:
             for batch in slices(whole, "text"):
                 words, first = _words(batch.column(1))
@@ -219,16 +251,26 @@ def score(rows: DataFrame, voc: Vocabulary, net: Network) -> DataFrame:
                 around, classes = windows(tokens, first), vocabulary.klass[tokens]
                 logs = np.zeros(len(tokens) + 1)
                 for k in range(0, len(tokens), BATCH):
-                    part = own.log_classes(own.hidden(around[:, k : k + BATCH]))
+                    hidden = own.hidden(around[:, k : k + BATCH])
+                    part = own.log_classes(hidden)
                     logs[k + 1 : k + 1 + len(part)] = part[np.arange(len(part)), classes[k : k + BATCH]]
-                logs[1:] += vocabulary.share[tokens]
+                rare = np.flatnonzero(tokens >= vocabulary.known)
                 total = np.cumsum(logs)
-                n = np.diff(first)
                 sums = total[first[1:]] - total[first[:-1]]
-                means = pa.array(sums / np.maximum(n, 1), mask=n == 0)
-                yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n), pa.array(sums), means], schema=schema)
-
-    return rows.mapInArrow(run, "doc_id long, n_tokens long, log_prob double, mean_log_prob double")
+                n = len(first) - 1
+                lists = pa.ListArray.from_arrays(np.searchsorted(rare, first).astype(np.int32), words[rare].view(np.int64))
+                yield pa.RecordBatch.from_arrays([pa.array(np.arange(row, row + n)), batch.column(0), pa.array(np.diff(first)), pa.array(sums), lists], schema=schema)
+                row += n
+
+    scored = stage(rows.mapInArrow(run, "row long, doc_id long, n_tokens long, log_prob double, words array<long>"), "scoring-rows")
+    rare = scored.select("row", F.explode("words").alias("word"))
+    shared = F.pmod(F.shiftrightunsigned("word", 56), F.lit(SHARED)) + 1
+    within, unseen = (F.element_at(F.array(*(F.lit(float(x)) for x in column)), shared.cast("int")) for column in (voc.within, voc.unseen))
+    share = F.when(F.col("n").isNull(), unseen).otherwise(F.log("n") + within)
+    # the table of counts is never the smaller side for long, so it is left to be split and sorted
+    added = rare.join(voc.counts.hint("merge"), "word", "left").groupBy("row").agg(F.sum(share).alias("share"))
+    out = scored.drop("words").join(added, "row", "left").withColumn("log_prob", F.col("log_prob") + F.coalesce("share", F.lit(0.0)))
+    return out.select("doc_id", "n_tokens", "log_prob", F.when(F.col("n_tokens") > 0, F.col("log_prob") / F.col("n_tokens")).alias("mean_log_prob"))
 
 
 def pseudo_likelihood(docs: DataFrame) -> DataFrame:

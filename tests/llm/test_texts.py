@@ -323,3 +323,29 @@ def test_scores_of_odd_texts(docs, rows, empty):
     none = scoring.pseudo_likelihood(docs).filter("n_tokens = 0").collect()
     assert all(r["log_prob"] == 0 and r["mean_log_prob"] is None for r in none)
     assert scoring.pseudo_likelihood(empty).count() == 0
+
+
+def test_each_word_has_its_own_share_and_unseen_words_less(spark):
+    # far more words than tokens of their own: each pair stands together, and one of the two words is much more frequent
+    texts = [f"often{i} rare{i}" for i in range(6000)] + [f"often{i}" for i in range(6000) for _ in range(3)]
+    voc = scoring.make_vocabulary(spark.createDataFrame([(t,) for t in texts], "text string").repartition(4))
+    bucket = lambda w: int(scoring._words(pa.array([w]))[0][0] >> np.uint64(56)) % scoring.SHARED
+    known = set(voc.hashes.tolist())
+    free = [w for i in range(6000) for w in (f"often{i}", f"rare{i}") if int(scoring._words(pa.array([w]))[0][0]) not in known]
+    assert len(free) > 1000
+    by_bucket = {}
+    for w in free + [f"never{i}" for i in range(3000)]:
+        by_bucket.setdefault(bucket(w), {}).setdefault(w.rstrip("0123456789"), w)
+    group = next(g for g in by_bucket.values() if len(g) == 3)
+    asked = spark.createDataFrame([(k, w) for k, w in enumerate(("often", "rare", "never")) for w in [group[w]]], "doc_id long, text string")
+    got = {r["doc_id"]: r["log_prob"] for r in scoring.score(asked, voc, scoring.Network()).collect()}
+    assert abs(got[0] - got[1] - np.log(4)) < 1e-3 and got[1] - got[2] > 1
+    counts = {r["word"]: r["n"] for r in voc.counts.collect()}
+    total = sum(np.exp(np.log(counts[int(np.int64(h.view(np.int64)))]) + voc.within[int(h >> np.uint64(56)) % scoring.SHARED]) for h in np.array(list(counts), np.int64).view(np.uint64) if int(h) not in known and int(h >> np.uint64(56)) % scoring.SHARED == bucket(group["rare"]))
+    assert 0.9 < total < 1
+
+
+def test_own_tokens_grow_with_the_vocabulary(spark):
+    n = 1_000_000
+    words_of = spark.range(n).select(F.concat(F.lit("w"), F.col("id")).alias("text"))
+    assert scoring.make_vocabulary(words_of).known == scoring.GROWTH * 1000 > scoring.KNOWN
