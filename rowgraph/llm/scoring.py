@@ -1,7 +1,7 @@
 """Masked pseudo-likelihood of documents under a bidirectional window network.
 
 Every token is predicted from the two tokens on either side: position-specific embeddings are added, squashed, and
-turned into a distribution over token classes; within a class tokens have their share of the corpus.  Words
+turned into a distribution over token classes and, with a weight vector per token, over the tokens of a class.  Words
 without a token of their own share one by hash; of a shared token each word has its exact share of the corpus, which a
 join with the table of all counts adds.  A document's score is the sum of the log-probabilities of all its words, each
 with itself masked.
@@ -32,6 +32,8 @@ GROWTH = 8
 AROUND = (-2, -1, 1, 2)
 BATCH = 8192
 RATE = 0.2
+#: Factor of the rate for a token's weights within its class.
+OWN_RATE = 0.2
 #: Bound of the output's weights.
 LIMIT = 4.0
 _U = np.uint64
@@ -43,7 +45,8 @@ class Vocabulary:
     """hashes: of known words, ascending; ids: their tokens; klass and share: class of each token and log of its share of it.
 
     Shared tokens follow the known ones; ``within`` is the log of one count among theirs, ``unseen`` the log share of a
-    word that the corpus doesn't have.  ``counts`` is the table (word, n) of all words.
+    word that the corpus doesn't have.  ``counts`` is the table (word, n) of all words.  In order of their counts tokens
+    have a place, and classes are runs of places that begin at ``start``.
     """
 
     hashes: np.ndarray
@@ -56,6 +59,15 @@ class Vocabulary:
 
     def __post_init__(self):
         self.known = len(self.klass) - SHARED
+        self.arrange()
+
+    def arrange(self) -> None:
+        order = np.argsort(self.klass, kind="stable")
+        self.place = np.empty(len(order), np.int32)
+        self.place[order] = np.arange(len(order), dtype=np.int32)
+        self.start = np.searchsorted(self.klass[order], np.arange(CLASSES + 1))
+        self.prior = self.share[order]
+        self.mass = np.exp(self.prior)
 
     def tokens(self, words: np.ndarray) -> np.ndarray:
         out = self.known + (words >> _U(56)).astype(np.int32) % SHARED
@@ -117,31 +129,34 @@ def make_vocabulary(rows: DataFrame) -> Vocabulary:
 
 
 class Network:
-    """Embeddings (positions, tokens + 1, width; the last row is the margin of a text), output matrix and bias."""
+    """Embeddings (positions, tokens + 1, width; the last row is the margin of a text), output matrix and bias of the
+    classes, and the weights of each token within its class, by place."""
 
     def __init__(self, seed: int = 0, tokens: int = TOKENS):
         rng = np.random.default_rng(seed)
         self.embed = (rng.standard_normal((len(AROUND), tokens + 1, WIDTH)) * 0.1).astype(np.float32)
         self.out = (rng.standard_normal((WIDTH, CLASSES)) * 0.1).astype(np.float32)
         self.bias = np.zeros(CLASSES, np.float32)
+        self.own = np.zeros((tokens, WIDTH), np.float32)
 
     def blob(self) -> np.ndarray:
-        return np.concatenate([self.embed.ravel(), self.out.ravel(), self.bias])
+        return np.concatenate([self.embed.ravel(), self.out.ravel(), self.bias, self.own.ravel()])
 
     @classmethod
     def of(cls, blob: np.ndarray) -> Network:
         net = cls.__new__(cls)
-        tokens = (len(blob) - (len(AROUND) + CLASSES) * WIDTH - CLASSES) // (len(AROUND) * WIDTH)
-        ends = np.cumsum([len(AROUND) * (tokens + 1) * WIDTH, WIDTH * CLASSES])
-        embed, out, bias = np.split(blob, ends)
+        tokens = (len(blob) - (len(AROUND) + CLASSES) * WIDTH - CLASSES) // ((len(AROUND) + 1) * WIDTH)
+        ends = np.cumsum([len(AROUND) * (tokens + 1) * WIDTH, WIDTH * CLASSES, CLASSES])
+        embed, out, bias, own = np.split(blob, ends)
         net.embed = embed.reshape(len(AROUND), tokens + 1, WIDTH).copy()
         net.out = out.reshape(WIDTH, CLASSES).copy()
         net.bias = bias.copy()
+        net.own = own.reshape(tokens, WIDTH).copy()
         return net
 
     def sized(self, voc: Vocabulary) -> Network:
         """This network, or one that is not trained yet if the vocabulary has another number of tokens."""
-        return self if self.embed.shape[1] == len(voc.klass) + 1 else Network(tokens=len(voc.klass))
+        return self if len(self.own) == len(voc.klass) else Network(tokens=len(voc.klass))
 
     def hidden(self, around: np.ndarray) -> np.ndarray:
         total = self.embed[0].take(around[0], axis=0)
@@ -155,8 +170,30 @@ class Network:
         z -= np.log(np.exp(z) @ _ONES)[:, None]
         return z
 
-    def step(self, around: np.ndarray, classes: np.ndarray, rate: float) -> float:
-        """One step of gradient descent on a batch; returns the mean loss before it."""
+    def within(self, hidden: np.ndarray, tokens: np.ndarray, voc: Vocabulary) -> Iterator[tuple]:
+        """For each class of a batch: its rows, their hidden values, run of places, ascending targets in it, and for each
+        row the unscaled probabilities of the run and their sum."""
+        order = np.argsort(place := voc.place[tokens], kind="stable")
+        place = place[order]
+        cuts = np.searchsorted(place, voc.start)
+        for k in np.flatnonzero(np.diff(cuts)).tolist():
+            rows, run = order[cuts[k] : cuts[k + 1]], slice(int(voc.start[k]), int(voc.start[k + 1]))
+            h = hidden.take(rows, axis=0)
+            # as with the classes; the shares of a class add up to 1
+            z = h @ self.own[run].T
+            z += voc.prior[run]
+            np.exp(z, out=z)
+            yield rows, h, run, place[cuts[k] : cuts[k + 1]] - run.start, z, z @ np.ones(z.shape[1], np.float32)
+
+    def log_within(self, hidden: np.ndarray, tokens: np.ndarray, voc: Vocabulary) -> np.ndarray:
+        """Log-probability of each token among those of its class."""
+        out = np.zeros(len(tokens), np.float32)
+        for rows, _, _, target, z, total in self.within(hidden, tokens, voc):
+            out[rows] = np.log(z[np.arange(len(rows)), target] / total)
+        return out
+
+    def step(self, around: np.ndarray, classes: np.ndarray, rate: float, tokens: np.ndarray | None = None, voc: Vocabulary | None = None) -> float:
+        """One step of gradient descent on a batch; returns the mean loss before it.  Without tokens only classes are learned."""
         n = len(classes)
         h = self.hidden(around)
         logs = self.log_classes(h)
@@ -165,6 +202,22 @@ class Network:
         d = np.exp(logs)
         d[at, classes] -= 1
         dh = (d @ self.out.T) * (1 - h * h)
+        if tokens is not None:
+            slope = np.zeros_like(h)
+            for rows, mine, run, target, z, total in self.within(h, tokens, voc):
+                loss -= float(np.log(z[np.arange(len(rows)), target] / total).sum()) / n
+                own = self.own[run]
+                slope[rows] = (z @ own) / total[:, None] - own[target]
+                g = z.T @ (mine / total[:, None])
+                first = np.flatnonzero(np.concatenate(([True], target[1:] != target[:-1])))
+                g[target[first]] -= np.add.reduceat(mine, first, axis=0)
+                # per token too, and a batch that repeats one word takes no longer step than others
+                sizes = np.maximum(voc.mass[run] * np.float32(len(rows)), np.float32(1))
+                sizes[target[first]] = np.maximum(sizes[target[first]], np.diff(np.append(first, len(rows))))
+                g *= (rate * OWN_RATE / sizes)[:, None]
+                own -= g
+                np.clip(own, -LIMIT, LIMIT, out=own)
+            dh += slope * (1 - h * h)
         # rates are per token for the rows of an embedding and per batch for the rest
         self.out = np.clip(self.out - rate * 10 * (h.T @ d) / n, -LIMIT, LIMIT)
         self.bias = np.clip(self.bias - rate * 10 * d.sum(axis=0) / n, -LIMIT, LIMIT)
@@ -206,7 +259,7 @@ def train(rows: DataFrame, voc: Vocabulary, net: Network, rate: float = RATE) ->
                 tokens = vocabulary.tokens(words)
                 around, classes = windows(tokens, first), vocabulary.klass[tokens]
                 for k in range(0, len(tokens), BATCH):
-                    own.step(around[:, k : k + BATCH], classes[k : k + BATCH], rate)
+                    own.step(around[:, k : k + BATCH], classes[k : k + BATCH], rate, tokens[k : k + BATCH], vocabulary)
                 seen += len(tokens)
         if seen:
             cut = np.array_split(own.blob(), parts)
@@ -254,6 +307,7 @@ def score(rows: DataFrame, voc: Vocabulary, net: Network) -> DataFrame:
                     hidden = own.hidden(around[:, k : k + BATCH])
                     part = own.log_classes(hidden)
                     logs[k + 1 : k + 1 + len(part)] = part[np.arange(len(part)), classes[k : k + BATCH]]
+                    logs[k + 1 : k + 1 + len(part)] += own.log_within(hidden, tokens[k : k + BATCH], vocabulary)
                 rare = np.flatnonzero(tokens >= vocabulary.known)
                 total = np.cumsum(logs)
                 sums = total[first[1:]] - total[first[:-1]]

@@ -349,3 +349,23 @@ def test_own_tokens_grow_with_the_vocabulary(spark):
     n = 1_000_000
     words_of = spark.range(n).select(F.concat(F.lit("w"), F.col("id")).alias("text"))
     assert scoring.make_vocabulary(words_of).known == scoring.GROWTH * 1000 > scoring.KNOWN
+
+
+def test_the_window_tells_words_of_one_class_apart():
+    rng = np.random.default_rng(1)
+    n = 4000
+    pick = rng.integers(0, 2, n)
+    tokens = np.stack([pick, pick + 2], axis=1).ravel().astype(np.int32)  # 2 after 0, 3 after 1; equal counts
+    klass, share = np.zeros(scoring.TOKENS, np.int32), np.full(scoring.TOKENS, -np.log(scoring.TOKENS), np.float32)
+    voc = scoring.Vocabulary(np.zeros(0, np.uint64), np.zeros(0, np.int32), klass, share)
+    first = np.arange(0, 2 * n + 1, 2)
+    around, net = scoring.windows(tokens, first), scoring.Network()
+    for _ in range(10):
+        for k in range(0, len(tokens), 64):
+            net.step(around[:, k : k + 64], klass[tokens[k : k + 64]], 0.2, tokens[k : k + 64], voc)
+    seen = net.hidden(around)[1::2]
+    right = net.log_within(seen, tokens[1::2], voc)
+    wrong = net.log_within(seen, 5 - tokens[1::2], voc)
+    assert (right - wrong).mean() > 1
+    z = np.concatenate([(x[4] / x[5][:, None]).sum(axis=1) for x in net.within(seen[:100], tokens[1::2][:100], voc)])
+    assert np.allclose(z, 1, atol=5e-3)
