@@ -23,6 +23,9 @@ SHINGLE = 5
 
 _U = np.uint64
 _EMPTY = _U(0xFFFFFFFFFFFFFFFF)
+#: Bits of a value that hold its round, of which there are 2T.
+_ROUND_BITS = _U((2 * T - 1).bit_length())
+_SHIFT = _U(64) - _ROUND_BITS
 
 
 def shingle_sets(texts: pa.Array, lower: bool = True) -> list[np.ndarray]:
@@ -57,7 +60,7 @@ def sketches(sets: list[np.ndarray]) -> np.ndarray:
     for r in range(2 * T):
         value = mix(items, r + 1)
         bins = (value % _U(T)).astype(np.int64) if r < T else np.full(len(items), r - T, np.int64)
-        np.minimum.at(flat, owner * T + bins, (_U(r) << _U(55)) | (value >> _U(9)))
+        np.minimum.at(flat, owner * T + bins, (_U(r) << _SHIFT) | (value >> _ROUND_BITS))
         open_ = (out == _EMPTY).any(axis=1)
         keep = open_[owner]
         if not keep.any():

@@ -144,6 +144,45 @@ def test_sketches_fill_and_estimate():
     assert abs((s[0] == s[1]).mean() - both / union) < 0.08
 
 
+def test_sketches_of_small_sets_are_those_of_the_scheme():
+    """Round by round in whole numbers, and the estimate of pairs that are linked by contract."""
+    import numpy as np
+
+    rng = np.random.default_rng(2)
+    for n in range(1, 13):
+        items = rng.integers(0, 2**63, n, dtype=np.uint64)
+        want = {}
+        for r in range(2 * sketch.T):
+            for v in sketch.mix(items, r + 1).tolist():
+                at = v % sketch.T if r < sketch.T else r - sketch.T
+                want[at] = min(want.get(at, (2 * sketch.T, 0)), (r, v >> 10))
+            if len(want) == sketch.T:
+                break
+        assert sketch.sketches([items])[0].tolist() == [want[k][0] * 2**54 + want[k][1] for k in range(sketch.T)]
+    for n in (6, 7, 8):
+        sets = [rng.integers(0, 2**63, n, dtype=np.uint64) for _ in range(100)]
+        marks = sketch.signatures(sketch.sketches([x for s in sets for x in (s[:-1], s)]))
+        shared = (marks[::2] == marks[1::2]).sum(axis=1)
+        assert abs(shared.mean() / sketch.T - (n - 1) / n) < 0.02
+
+
+def test_small_sets_are_grouped_as_by_brute_force(spark, monkeypatch):
+    """Texts of up to 16 words: links between members of a bucket neither of which is its smallest node."""
+    import random
+
+    rng = random.Random(7)
+    monkeypatch.setattr(neardup, "HOT_BUCKET", 8)
+    rows = []
+    for i in range(60):
+        w = [f"s{i}x{k}" for k in range(rng.randrange(8, 17))]
+        for cut in (w, w[1:], w[:-1], [*w, "more"], [*w, "less"], [*w[:-1], "other"]):
+            rows.append((len(rows), " ".join(cut)))
+    rng.shuffle(rows)
+    want = groups(sorted((i, shingles(t)) for i, t in rows))
+    got = neardup.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string"))
+    assert {r["doc_id"]: r["component_id"] for r in got.collect()} == want
+
+
 def test_components(spark):
     links = [(i, i + 1) for i in range(20)] + [(100, 101), (102, 101), (7, 3)] + [(200, 200 + k) for k in range(1, 30)]
     got = {r["node"]: r["component"] for r in components.components(spark.createDataFrame(links, "a long, b long")).collect()}
