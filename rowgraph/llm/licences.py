@@ -1,8 +1,8 @@
-"""Licence scans: normalised units of a text against licence templates, by Dice coefficient over word bigrams.
+"""Licence scans: windows of a normalised text against licence templates, by Dice coefficient over word bigrams.
 
-Units are the whole text, its paragraphs (cut at blank lines) and its lines; a licence may be any of them.  Of a unit
-with b bigrams only templates with a number of bigrams that can reach the threshold are compared: with threshold t,
-from t / (2 - t) * b to (2 - t) / t * b.
+Windows are all runs of words, so lines, paragraphs and whole texts are among them.  Of a template with s bigrams only
+windows of t / (2 - t) * s to (2 - t) / t * s bigrams can reach the threshold t, and the best begin and end with one of
+its bigrams; so only a text that has enough of a template's bigrams near each other is looked at.
 """
 
 from __future__ import annotations
@@ -65,7 +65,6 @@ TEMPLATES: dict[str, list[str]] = {
 }
 
 _TOKEN = re.compile(rb"[a-z0-9]+")
-_BLANK = re.compile(rb"\n[ \t\r]*\n")
 
 
 def normal_words(text: bytes) -> list[bytes]:
@@ -81,6 +80,13 @@ class Matcher:
         self.sizes = [m[0] for m in self.made]
         self.pairs = {b for _, _, c in self.made for b in c}
         self.percent = min_percent
+        p, self.where, self.need, self.most = min_percent, {}, [], []
+        for k, (size, name, c) in enumerate(self.made):
+            for x in c:
+                self.where.setdefault(x, []).append(k)
+            # shared bigrams that the smallest window must have, and bigrams of the largest window
+            self.need.append(-(-p * (-(-p * size // (200 - p)) + size) // 200))
+            self.most.append((200 - p) * size // p)
 
     def candidates(self, b: int) -> list[tuple]:
         """Templates whose size can reach the threshold against b bigrams."""
@@ -103,14 +109,46 @@ class Matcher:
         return out
 
     def scan(self, text: bytes) -> list[tuple[str, float]]:
-        lines = [normal_words(x) for x in text.split(b"\n")]
-        found = [m for w in lines for m in self.match(w)]
-        if len(lines) > 1:
-            for part in _BLANK.split(text):
-                found += self.match(normal_words(part)) if b"\n" in part else []
-            if sum(map(len, lines)) - 1 <= (200 - self.percent) * self.sizes[-1] // self.percent + 1:
-                found += self.match([w for line in lines for w in line])
-        return found
+        """(licence, coefficient) of the best window of each template that has one at or above the threshold."""
+        words = normal_words(text)
+        hits: dict[int, list[int]] = {}
+        for at, x in enumerate(zip(words, words[1:], strict=False)):
+            if x in self.where:
+                for k in self.where[x]:
+                    hits.setdefault(k, []).append(at)
+        out = []
+        for k, places in hits.items():
+            need, most = self.need[k], self.most[k]
+            if len(places) < need:
+                continue
+            starts = [i for i in range(len(places) - need + 1) if places[i + need - 1] - places[i] < most]
+            if not starts:
+                continue
+            best = self._best(k, words, places, starts)
+            if best:
+                out.append((self.made[k][1], best))
+        return out
+
+    def _best(self, k: int, words: list[bytes], places: list[int], starts: list[int]) -> float:
+        size, _, theirs = self.made[k]
+        best, p = 0.0, self.percent
+        for i in starts:
+            lo, both, seen = places[i], 0, {}
+            for j in range(i, len(places)):
+                b = places[j] - lo + 1
+                if b > self.most[k]:
+                    break
+                x = (words[places[j]], words[places[j] + 1])
+                n = seen.get(x, 0)
+                if n >= theirs[x]:
+                    continue
+                seen[x] = n + 1
+                both += 1
+                if 200 * both >= p * (b + size) and 2.0 * both / (b + size) > best:
+                    best = 2.0 * both / (b + size)
+            if best == 1.0:
+                break
+        return best
 
 
 def scan_licences(docs: DataFrame, min_percent: int = MIN_PERCENT) -> DataFrame:

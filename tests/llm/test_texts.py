@@ -281,6 +281,22 @@ def test_licences_in_documents(spark):
     assert got == {1: ("MIT", "MIT"), 2: (None, ""), 3: (None, ""), 4: (None, ""), 5: ("ISC", "ISC"), 6: ("CC-BY-NC-4.0", "CC-BY-NC-4.0,MIT")}
 
 
+def test_windows_are_found_wherever_they_lie():
+    m, prose = licences.Matcher(), "some other words that stand around it in a long document " * 60
+    mit = licences.TEMPLATES["MIT"][1].replace(" The above copyright", "\n\nThe above copyright").replace(" THE SOFTWARE IS", "\n\nTHE SOFTWARE IS")
+    assert ("MIT", 1.0) in m.scan(f"{prose}\n\n{mit}\n\n{prose}".encode())
+    assert ("CC-BY-4.0", 1.0) in m.scan(f"{prose} This work is licensed under a Creative\nCommons Attribution 4.0 International License. {prose}".encode())
+    assert m.scan(prose.encode()) == []
+    # against every window of the allowed sizes
+    rng = np.random.default_rng(4)
+    w = licences.normal_words(licences.TEMPLATES["Zlib"][0].encode())[:60]
+    small = licences.Matcher({"part": [b" ".join(w[10:30]).decode()]})
+    for _ in range(20):
+        t = [x if rng.random() < 0.93 else b"other" for x in w]
+        dice = max(brute_dice(t[a:b], w[10:30]) for a in range(len(t)) for b in range(a + 2, len(t) + 1))
+        assert small.scan(b" ".join(t)) == ([("part", dice)] if dice >= 0.8 else [])
+
+
 # ---------------------------------------------------------------- LM scoring
 
 
