@@ -3,6 +3,7 @@
 Windows are all runs of words, so lines, paragraphs and whole texts are among them.  Of a template with s bigrams only
 windows of t / (2 - t) * s to (2 - t) / t * s bigrams can reach the threshold t, and the best begin and end with one of
 its bigrams; so only a text that has enough of a template's bigrams near each other is looked at.
+A window that has other version or clause words than a template is of another licence, however alike the rest is.
 """
 
 from __future__ import annotations
@@ -21,7 +22,24 @@ from .shared import clean_columns
 MIN_PERCENT = 80
 
 # Public licence texts and the notices in common use.
+_GNU = (
+    "This program is free software: you can redistribute it and/or modify it under the terms of the GNU {0}General Public License as published by the Free Software Foundation, either version {1} of the License, or (at your option) any later version. "
+    "This program is distributed in the hope that it will be useful, but WITHOUT ANY WARRANTY; without even the implied warranty of MERCHANTABILITY or FITNESS FOR A PARTICULAR PURPOSE. See the GNU {0}General Public License for more details. "
+    "You should have received a copy of the GNU {0}General Public License along with this {2}. If not, see <https://www.gnu.org/licenses/>."
+)
+
+
+def _gnu(kind: str, version: str) -> list[str]:
+    notice = _GNU.format(kind, version, "program")
+    return [f"This work is licensed under the GNU {kind}General Public License, version {version}.", notice] + ([notice.replace("program", "library")] if kind == "Lesser " else [])
+
+
+def _commons(short: str, long: str) -> list[str]:
+    return [f"Licensed under CC {short} 4.0.", f"This work is licensed under a Creative Commons {long} 4.0 International License."]
+
+
 TEMPLATES: dict[str, list[str]] = {
+    "AGPL-3.0": _gnu("Affero ", "3"),
     "Apache-2.0": [
         "Licensed under the Apache License, Version 2.0.",
         'Licensed under the Apache License, Version 2.0 (the "License"); you may not use this file except in compliance with the License. You may obtain a copy of the License at http://www.apache.org/licenses/LICENSE-2.0 '
@@ -38,6 +56,11 @@ TEMPLATES: dict[str, list[str]] = {
     ],
     "CC-BY-4.0": ["Licensed under CC BY 4.0.", "This work is licensed under a Creative Commons Attribution 4.0 International License."],
     "CC-BY-NC-4.0": ["Licensed under CC BY-NC 4.0.", "This work is licensed under a Creative Commons Attribution-NonCommercial 4.0 International License."],
+    "CC-BY-NC-ND-4.0": _commons("BY-NC-ND", "Attribution-NonCommercial-NoDerivatives"),
+    "CC-BY-NC-SA-4.0": _commons("BY-NC-SA", "Attribution-NonCommercial-ShareAlike"),
+    "CC-BY-ND-4.0": _commons("BY-ND", "Attribution-NoDerivatives"),
+    "CC-BY-SA-4.0": _commons("BY-SA", "Attribution-ShareAlike"),
+    "GPL-2.0": _gnu("", "2"),
     "GPL-3.0": [
         "This work is licensed under the GNU General Public License, version 3.",
         "This program is free software: you can redistribute it and/or modify it under the terms of the GNU General Public License as published by the Free Software Foundation, either version 3 of the License, or (at your option) any later version. "
@@ -49,6 +72,8 @@ TEMPLATES: dict[str, list[str]] = {
         'THE SOFTWARE IS PROVIDED "AS IS" AND THE AUTHOR DISCLAIMS ALL WARRANTIES WITH REGARD TO THIS SOFTWARE INCLUDING ALL IMPLIED WARRANTIES OF MERCHANTABILITY AND FITNESS. '
         "IN NO EVENT SHALL THE AUTHOR BE LIABLE FOR ANY SPECIAL, DIRECT, INDIRECT, OR CONSEQUENTIAL DAMAGES OR ANY DAMAGES WHATSOEVER RESULTING FROM LOSS OF USE, DATA OR PROFITS, WHETHER IN AN ACTION OF CONTRACT, NEGLIGENCE OR OTHER TORTIOUS ACTION, ARISING OUT OF OR IN CONNECTION WITH THE USE OR PERFORMANCE OF THIS SOFTWARE.",
     ],
+    "LGPL-2.1": _gnu("Lesser ", "2.1"),
+    "LGPL-3.0": _gnu("Lesser ", "3"),
     "MIT": [
         "Released under the MIT License.",
         'Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files (the "Software"), to deal in the Software without restriction, including without limitation the rights to use, copy, modify, merge, publish, distribute, sublicense, and/or sell copies of the Software, '
@@ -56,6 +81,9 @@ TEMPLATES: dict[str, list[str]] = {
         'THE SOFTWARE IS PROVIDED "AS IS", WITHOUT WARRANTY OF ANY KIND, EXPRESS OR IMPLIED, INCLUDING BUT NOT LIMITED TO THE WARRANTIES OF MERCHANTABILITY, FITNESS FOR A PARTICULAR PURPOSE AND NONINFRINGEMENT. '
         "IN NO EVENT SHALL THE AUTHORS OR COPYRIGHT HOLDERS BE LIABLE FOR ANY CLAIM, DAMAGES OR OTHER LIABILITY, WHETHER IN AN ACTION OF CONTRACT, TORT OR OTHERWISE, ARISING FROM, OUT OF OR IN CONNECTION WITH THE SOFTWARE OR THE USE OR OTHER DEALINGS IN THE SOFTWARE.",
     ],
+    "MPL-2.0": [
+        "This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0. If a copy of the MPL was not distributed with this file, You can obtain one at https://mozilla.org/MPL/2.0/."
+    ],
     "Zlib": [
         "This software is provided 'as-is', without any express or implied warranty. In no event will the authors be held liable for any damages arising from the use of this software. "
         "Permission is granted to anyone to use this software for any purpose, including commercial applications, and to alter it and redistribute it freely, subject to the following restrictions: "
@@ -64,6 +92,15 @@ TEMPLATES: dict[str, list[str]] = {
     ],
 }
 
+_CLAUSE = "Neither the name of the copyright holder nor the names of its contributors may be used to endorse or promote products derived from this software without specific prior written permission. "
+TEMPLATES["BSD-3-Clause"] = [t.replace("THIS SOFTWARE IS", f"3. {_CLAUSE}THIS SOFTWARE IS", 1) for t in TEMPLATES["BSD-2-Clause"]]
+
+#: Words that tell near relatives apart, whatever the template.
+CLAUSES = frozenset(b"lesser library affero sharealike sa noncommercial nc noderivatives noderivs nd endorse advertising".split())
+#: Digits are versions in these; elsewhere they may number the clauses.
+VERSIONED = ("AGPL", "Apache", "CC-", "GPL", "LGPL", "MPL")
+_DIGITS = frozenset(b"%d" % k for k in range(10))
+
 _TOKEN = re.compile(rb"[a-z0-9]+")
 
 
@@ -80,13 +117,15 @@ class Matcher:
         self.sizes = [m[0] for m in self.made]
         self.pairs = {b for _, _, c in self.made for b in c}
         self.percent = min_percent
-        p, self.where, self.need, self.most = min_percent, {}, [], []
+        p, self.where, self.need, self.most, self.guards = min_percent, {}, [], [], []
         for k, (size, name, c) in enumerate(self.made):
             for x in c:
                 self.where.setdefault(x, []).append(k)
             # shared bigrams that the smallest window must have, and bigrams of the largest window
             self.need.append(-(-p * (-(-p * size // (200 - p)) + size) // 200))
             self.most.append((200 - p) * size // p)
+            guard = CLAUSES | _DIGITS if name.startswith(VERSIONED) else CLAUSES
+            self.guards.append((guard, {w for x in c for w in x if w in guard}))
 
     def candidates(self, b: int) -> list[tuple]:
         """Templates whose size can reach the threshold against b bigrams."""
@@ -116,6 +155,7 @@ class Matcher:
             if x in self.where:
                 for k in self.where[x]:
                     hits.setdefault(k, []).append(at)
+        marked = None
         out = []
         for k, places in hits.items():
             need, most = self.need[k], self.most[k]
@@ -124,13 +164,16 @@ class Matcher:
             starts = [i for i in range(len(places) - need + 1) if places[i + need - 1] - places[i] < most]
             if not starts:
                 continue
-            best = self._best(k, words, places, starts)
+            if marked is None:
+                marked = [at for at, w in enumerate(words) if w in CLAUSES or w in _DIGITS]
+            best = self._best(k, words, places, starts, marked)
             if best:
                 out.append((self.made[k][1], best))
         return out
 
-    def _best(self, k: int, words: list[bytes], places: list[int], starts: list[int]) -> float:
+    def _best(self, k: int, words: list[bytes], places: list[int], starts: list[int], marked: list[int]) -> float:
         size, _, theirs = self.made[k]
+        guard, wanted = self.guards[k]
         best, p = 0.0, self.percent
         for i in starts:
             lo, both, seen = places[i], 0, {}
@@ -145,7 +188,9 @@ class Matcher:
                 seen[x] = n + 1
                 both += 1
                 if 200 * both >= p * (b + size) and 2.0 * both / (b + size) > best:
-                    best = 2.0 * both / (b + size)
+                    inside = marked[bisect.bisect_left(marked, lo) : bisect.bisect_right(marked, lo + b)]
+                    if {words[at] for at in inside if words[at] in guard} == wanted:
+                        best = 2.0 * both / (b + size)
             if best == 1.0:
                 break
         return best

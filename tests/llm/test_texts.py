@@ -297,6 +297,17 @@ def test_windows_are_found_wherever_they_lie():
         assert small.scan(b" ".join(t)) == ([("part", dice)] if dice >= 0.8 else [])
 
 
+def test_relatives_are_not_taken_for_each_other():
+    m = licences.Matcher()
+    for name, texts in licences.TEMPLATES.items():
+        for t in texts:
+            assert {n for n, _ in m.scan(f"before it {t} after it".encode())} == {name}
+    assert {n for n, _ in m.scan(b"This work is licensed under the GNU General Public License, version 2.")} == {"GPL-2.0"}
+    assert m.scan(b"This work is licensed under the GNU General Public License, version 1.") == []
+    assert m.scan(b"This work is licensed under a Creative Commons Attribution 3.0 International License.") == []
+    assert {n for n, _ in m.scan(licences.TEMPLATES["BSD-3-Clause"][0].replace("1. ", "* ").replace("2. ", "* ").replace("3. ", "* ").encode())} == {"BSD-3-Clause"}
+
+
 # ---------------------------------------------------------------- LM scoring
 
 
