@@ -5,8 +5,10 @@
 2. In every band bucket all nodes are checked against the bucket's smallest node, on their full sets.
 3. Components of those links.  Only where several components remain are other pairs looked at, by signature, and those
    of different components that may be similar enough are checked on full sets.
-   Large buckets are joined to clusters; a cluster's texts are dealt out in blocks, each pair of blocks to one task,
-   which checks in place and gives links only.  Small buckets give candidate pairs.
+   Large buckets are joined to clusters, whose members are dealt out in blocks, each pair of blocks to one task; blocks
+   of one component don't meet.  Signatures alone travel there, and a task names the fewest pairs that would join all
+   its components.  Where one of those turns out not to be a link, the two blocks meet again with their texts.
+   Small buckets give candidate pairs.
 4. Components of all links.
 
 A bucket or cluster is never expanded into its pairs.
@@ -18,7 +20,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from . import sketch
@@ -33,15 +35,19 @@ MIN_PERCENT = 85
 HOT_BUCKET = 64
 #: Members of a cluster in one block.
 BLOCK = 256
-#: Coordinates of the signature that a pair must share to be checked: the expected number less 5.5 standard deviations.
-_LINKED = sketch.T * (MIN_PERCENT / 100)
-MIN_SHARED = int(_LINKED - 5.5 * (sketch.T * 0.85 * 0.15) ** 0.5)
 
 
-def sketched(docs: DataFrame) -> DataFrame:
+def min_shared(min_percent: int) -> int:
+    """Coordinates of the signature that a pair must share to be checked: the expected number less 5.5 standard deviations."""
+    p = min_percent / 100
+    return int(sketch.T * p - 5.5 * (sketch.T * p * (1 - p)) ** 0.5)
+
+
+def sketched(docs: DataFrame, min_percent: int = MIN_PERCENT) -> DataFrame:
     """doc_id, n_shingles, digest, bands, signature of each document (null text: empty set).  Texts are not carried."""
     rows = clean_columns(docs, "doc_id", "text")
     rows = rows.select(rows["doc_id"].cast("long").alias("doc_id"), "text")
+    n_bands, n_rows = sketch.banding(min_percent)
     schema = pa.schema([("doc_id", pa.int64()), ("n_shingles", pa.int64()), ("digest", pa.binary()), ("bands", pa.list_(pa.int64())), ("signature", pa.binary())])
 
     def run(batches: Iterator[pa.RecordBatch]):
@@ -49,7 +55,7 @@ def sketched(docs: DataFrame) -> DataFrame:
             for batch in slices(whole, "text"):
                 sets = sketch.shingle_sets(batch.column(1))
                 made = sketch.sketches(sets)
-                bands = sketch.band_hashes(made).view(np.int64)
+                bands = sketch.band_hashes(made, n_bands, n_rows).view(np.int64)
                 marks = sketch.signatures(made)
                 full = [len(s) > 0 for s in sets]
                 yield pa.RecordBatch.from_arrays(
@@ -57,7 +63,7 @@ def sketched(docs: DataFrame) -> DataFrame:
                         batch.column(0),
                         pa.array([len(s) for s in sets], pa.int64()),
                         pa.array([sketch.set_digest(s) if f else None for s, f in zip(sets, full, strict=True)], pa.binary()),
-                        pa.ListArray.from_arrays(np.arange(0, len(sets) * sketch.BANDS + 1, sketch.BANDS, dtype=np.int32), bands.ravel()),
+                        pa.ListArray.from_arrays(np.arange(0, len(sets) * n_bands + 1, n_bands, dtype=np.int32), bands.ravel()),
                         pa.array([m.tobytes() for m in marks], pa.binary()),
                     ],
                     schema=schema,
@@ -119,17 +125,17 @@ def _marks(table: pa.Table) -> np.ndarray:
     return np.frombuffer(b"".join(table["signature"].to_pylist()), np.uint8).reshape(table.num_rows, -1)
 
 
-def may_link(x: int, others: np.ndarray, size: np.ndarray, mark: np.ndarray) -> np.ndarray:
+def may_link(x: int, others: np.ndarray, size: np.ndarray, mark: np.ndarray, min_percent: int) -> np.ndarray:
     """Those of ``others`` that sizes and signatures allow to be linked with x."""
     low, high = np.minimum(size[others], size[x]), np.maximum(size[others], size[x])
-    others = others[100 * low >= MIN_PERCENT * high]
-    return others[(mark[others] == mark[x]).sum(axis=1) >= MIN_SHARED] if len(others) else others
+    others = others[100 * low >= min_percent * high]
+    return others[(mark[others] == mark[x]).sum(axis=1) >= min_shared(min_percent)] if len(others) else others
 
 
 _PAIR = pa.schema([("a", pa.int64()), ("b", pa.int64())])
 
 
-def pairs_across(members: DataFrame) -> DataFrame:
+def pairs_across(members: DataFrame, min_percent: int = MIN_PERCENT) -> DataFrame:
     """Distinct candidate pairs (a, b) from the small buckets (band, node, component, cluster, n_shingles, signature).
 
     Pairs within a component or a cluster are left out.
@@ -143,7 +149,7 @@ def pairs_across(members: DataFrame) -> DataFrame:
             mark, found = _marks(g), []
             for x in range(len(node) - 1):
                 others = np.arange(x + 1, len(node))
-                others = may_link(x, others[(comp[others] != comp[x]) & (cluster[others] != cluster[x])], size, mark)
+                others = may_link(x, others[(comp[others] != comp[x]) & (cluster[others] != cluster[x])], size, mark, min_percent)
                 found += [(int(node[x]), int(node[y])) for y in others]
             if found:
                 yield pa.RecordBatch.from_arrays([pa.array([min(f) for f in found]), pa.array([max(f) for f in found])], schema=_PAIR)
@@ -151,40 +157,109 @@ def pairs_across(members: DataFrame) -> DataFrame:
     return rows.mapInArrow(run, "a long, b long").distinct()
 
 
-def links_in_clusters(members: DataFrame, min_percent: int = MIN_PERCENT) -> DataFrame:
-    """Links (a, b) between components in one cluster, from rows (cluster, n_members, node, component, n_shingles, signature, text).
+def blocks_of(grouped: DataFrame, block: int) -> DataFrame:
+    """Rows (cluster, i, j, block, node, component) of the pairs of blocks (i <= j) in which members must meet.
 
-    Every two members of different components meet in the task of their pair of blocks, unless links that the task has
-    found already join their components.
+    ``grouped`` has (cluster, node, component).  A component of a block's size or more has blocks of its own, which don't
+    meet each other; the members of small components are dealt out by component.  What is ordered is one row per large
+    component.
+    """
+    per = grouped.groupBy("cluster", "component").agg(F.count("*").alias("n"))
+    per = per.withColumn("own", F.when(F.col("n") >= block, F.ceil(F.col("n") / F.lit(block))).cast("int"))
+    per = stage(per, "near-per-component")
+    spread = per.groupBy("cluster").agg(F.ceil(F.coalesce(F.sum(F.when(F.col("own").isNull(), F.col("n"))), F.lit(0)) / F.lit(block)).cast("int").alias("small"), F.coalesce(F.sum("own"), F.lit(0)).cast("int").alias("large"))
+    before = F.sum("own").over(Window.partitionBy("cluster").orderBy("component")) - F.col("own")
+    large = per.filter("own is not null").select("cluster", "component", "own", before.cast("int").alias("before"))
+    rows = grouped.join(stage(spread, "near-spread"), "cluster").join(stage(large, "near-large"), ["cluster", "component"], "left")
+    first = F.col("small") + F.col("before")
+    alone = F.pmod(F.xxhash64("component"), F.greatest(F.col("small"), F.lit(1)))
+    rows = rows.withColumn("block", F.when(F.col("own").isNull(), alone).otherwise(first + F.pmod(F.xxhash64("node"), F.col("own"))).cast("int"))
+    every = F.sequence(F.lit(0), F.col("small") + F.col("large") - 1)
+    others = F.when(F.col("own").isNull(), every).otherwise(F.filter(every, lambda x: (x < first) | (x >= first + F.col("own"))))
+    rows = rows.withColumn("other", F.explode(others))
+    return rows.select("cluster", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "block", "node", "component")
+
+
+_BLOCK_KEY = ["cluster", "i", "j"]
+_GUESS = pa.schema([("cluster", pa.int64()), ("i", pa.int32()), ("j", pa.int32()), ("a", pa.int64()), ("b", pa.int64())])
+
+
+def _met(batches: Iterator[pa.RecordBatch], min_percent: int, check) -> Iterator[tuple]:
+    """(cluster, i, j, pairs) of each pair of blocks: pairs between components that its own pairs don't join yet, where
+    sizes, signatures and ``check(table)(x, y)`` allow them."""
+    for g in _groups(batches, [0, 1, 2]):
+        node, comp, size, block = (g[n].to_numpy() for n in ("node", "component", "n_shingles", "block"))
+        comp, mark, found = comp.copy(), _marks(g), []
+        i, j = g["i"][0].as_py(), g["j"][0].as_py()
+        linked = check(g)
+        for x in np.flatnonzero(block == i).tolist():
+            others = np.flatnonzero(block == j)
+            if i == j:
+                others = others[others > x]
+            for y in may_link(x, others[comp[others] != comp[x]], size, mark, min_percent).tolist():
+                if comp[x] != comp[y] and linked(x, y):
+                    found.append((min(int(node[x]), int(node[y])), max(int(node[x]), int(node[y]))))
+                    comp[comp == comp[y]] = comp[x]
+        if found:
+            yield g["cluster"][0].as_py(), i, j, found
+
+
+def likely_links(members: DataFrame, min_percent: int = MIN_PERCENT) -> DataFrame:
+    """(cluster, i, j, a, b): the fewest pairs by signature that would join the components in each pair of blocks.
+
+    ``members`` has the rows of ``blocks_of`` with n_shingles and signature; no text travels.
     """
-    blocks = F.ceil(F.col("n_members") / F.lit(BLOCK)).cast("int")
-    rows = members.withColumn("blocks", blocks).withColumn("block", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int"))
-    rows = rows.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    rows = rows.select("cluster", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "block", "node", "component", "n_shingles", "signature", "text")
-    rows = rows.repartition("cluster", "i", "j").sortWithinPartitions("cluster", "i", "j", "node")
+    rows = members.select(*_BLOCK_KEY, "block", "node", "component", "n_shingles", "signature").repartition(*_BLOCK_KEY).sortWithinPartitions(*_BLOCK_KEY, "node")
 
     def run(batches: Iterator[pa.RecordBatch]):
-        for g in _groups(batches, [0, 1, 2]):
-            node, comp, size, block = (g[n].to_numpy() for n in ("node", "component", "n_shingles", "block"))
-            comp, mark, found = comp.copy(), _marks(g), []
-            i, j = g["i"][0].as_py(), g["j"][0].as_py()
-            sets = sketch.shingle_sets(g["text"])
-            for x in np.flatnonzero(block == i).tolist():
-                others = np.flatnonzero(block == j)
-                if i == j:
-                    others = others[others > x]
-                for y in may_link(x, others[comp[others] != comp[x]], size, mark).tolist():
-                    if comp[x] != comp[y]:
-                        both, union = sketch.overlap(sets[x], sets[y])
-                        if 100 * both >= min_percent * union:
-                            found.append((int(node[x]), int(node[y])))
-                            comp[comp == comp[y]] = comp[x]
-            if found:
-                yield pa.RecordBatch.from_arrays([pa.array([min(f) for f in found]), pa.array([max(f) for f in found])], schema=_PAIR)
+        for cluster, i, j, found in _met(batches, min_percent, lambda g: lambda x, y: True):
+            n = len(found)
+            yield pa.RecordBatch.from_arrays([pa.array([cluster] * n), pa.array([i] * n, pa.int32()), pa.array([j] * n, pa.int32()), pa.array([f[0] for f in found]), pa.array([f[1] for f in found])], schema=_GUESS)
+
+    return rows.mapInArrow(run, "cluster long, i int, j int, a long, b long")
+
+
+def links_in_blocks(members: DataFrame, min_percent: int = MIN_PERCENT) -> DataFrame:
+    """Links (a, b) between components of each pair of blocks, checked on full sets in place.
+
+    ``members`` has the rows of ``blocks_of`` with n_shingles, signature and text.
+    """
+    rows = members.select(*_BLOCK_KEY, "block", "node", "component", "n_shingles", "signature", "text").repartition(*_BLOCK_KEY).sortWithinPartitions(*_BLOCK_KEY, "node")
+
+    def check(g: pa.Table):
+        sets = sketch.shingle_sets(g["text"])
+
+        def linked(x: int, y: int) -> bool:
+            both, union = sketch.overlap(sets[x], sets[y])
+            return 100 * both >= min_percent * union
+
+        return linked
+
+    def run(batches: Iterator[pa.RecordBatch]):
+        for _, _, _, found in _met(batches, min_percent, check):
+            yield pa.RecordBatch.from_arrays([pa.array([f[0] for f in found]), pa.array([f[1] for f in found])], schema=_PAIR)
+        release()
 
     return rows.mapInArrow(run, "a long, b long")
 
 
+def links_in_clusters(grouped: DataFrame, marks: DataFrame, texts: DataFrame, min_percent: int = MIN_PERCENT) -> DataFrame:
+    """Links (a, b) that join the components (cluster, node, component) of each cluster as all its links would.
+
+    ``marks`` has (node, n_shingles, signature), ``texts`` (doc_id, text).  Likely links are checked first; a pair of
+    blocks whose likely links all are links needs no more, the others are gone through with their texts.
+    """
+    met = stage(blocks_of(grouped, BLOCK), "near-blocks")
+    likely = stage(likely_links(met.join(marks, "node"), min_percent), "near-likely")
+    pairs = likely.select("a", "b").distinct()
+    sure = stage(check_pairs(pairs, texts, min_percent), "near-sure")
+    again = stage(likely.join(sure, ["a", "b"], "left_anti").select(*_BLOCK_KEY).distinct(), "near-again")
+    rest = met.join(again, _BLOCK_KEY, "left_semi").join(marks, "node").join(texts.withColumnRenamed("doc_id", "node"), "node")
+    found = stage(links_in_blocks(rest, min_percent), "near-found")
+    discard(met, likely, again)
+    return sure.unionByName(found)
+
+
 def near_duplicates(docs: DataFrame, min_percent: int = MIN_PERCENT) -> DataFrame:
     """doc_id, n_shingles, component_id, kept for each row of ``docs``.
 
@@ -193,7 +268,7 @@ def near_duplicates(docs: DataFrame, min_percent: int = MIN_PERCENT) -> DataFram
     text is the one that is verified.  A row without an id takes the component of an equal set, null if there is none,
     and is kept only in the latter case.  Other columns are ignored; empty tables give empty results.
     """
-    sketches = stage(sketched(docs), "near-sketches")
+    sketches = stage(sketched(docs, min_percent), "near-sketches")
     found = sketches.filter(F.col("digest").isNotNull() & F.col("doc_id").isNotNull())
     nodes = stage(found.groupBy("digest").agg(F.min("doc_id").alias("node"), F.min("n_shingles").alias("n_shingles"), F.min("bands").alias("bands"), F.min("signature").alias("signature")), "near-nodes")
     listed = stage(sketches.select("doc_id", "n_shingles", "digest"), "near-listed")
@@ -222,15 +297,14 @@ def near_duplicates(docs: DataFrame, min_percent: int = MIN_PERCENT) -> DataFram
     marks = nodes.select("node", "n_shingles", "signature")
 
     grouped = stage(clusters.join(first, "node", "left").withColumn("component", F.coalesce("component", "node")), "near-grouped")
-    open_ = grouped.groupBy("cluster").agg(F.count("*").alias("n_members"), F.min("component").alias("lo"), F.max("component").alias("hi"))
-    open_ = stage(open_.filter("lo < hi").select("cluster", "n_members"), "near-open")
-    inside = grouped.join(open_, "cluster").join(marks, "node").join(texts.withColumnRenamed("doc_id", "node"), "node")
-    inside = links_in_clusters(inside, min_percent)
+    open_ = grouped.groupBy("cluster").agg(F.min("component").alias("lo"), F.max("component").alias("hi"))
+    open_ = stage(open_.filter("lo < hi").select("cluster"), "near-open")
+    inside = links_in_clusters(grouped.join(open_, "cluster", "left_semi"), marks, texts, min_percent)
 
     placed = members.filter(F.col("n_members") <= HOT_BUCKET).join(grouped.select("node", "cluster"), "node", "left").join(first, "node", "left")
     placed = stage(placed.select("band", "node", "cluster", F.coalesce("component", "node").alias("component")), "near-placed")
     mixed = stage(placed.groupBy("band").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).filter("lo < hi").select("band"), "near-mixed")
-    across = pairs_across(placed.join(mixed, "band").join(marks, "node"))
+    across = pairs_across(placed.join(mixed, "band").join(marks, "node"), min_percent)
     across = stage(across.join(stars, ["a", "b"], "left_anti"), "near-across")
     links = stage(links.unionByName(inside).unionByName(check_pairs(across, texts, min_percent)), "near-links")
 

@@ -10,15 +10,17 @@ coordinates in which they agree is concentrated like that of independent draws.
 from __future__ import annotations
 
 import hashlib
+import math
 
 import numpy as np
 import pyarrow as pa
 
 from .words import LOWER, mix, ngram_hashes, text_buffers, word_hashes, word_spans
 
-#: Coordinates of a sketch.  The first ones make the bands: a pair of similarity 0.85 shares no band with probability 2e-9.
+#: Coordinates of a sketch; the first ones make the bands.
 T = 512
-BANDS, ROWS = 42, 6
+#: Probability that a pair just similar enough shares no band, and most bands of a document.
+MISS, MOST_BANDS = 2.5e-9, 48
 SHINGLE = 5
 
 _U = np.uint64
@@ -69,11 +71,23 @@ def sketches(sets: list[np.ndarray]) -> np.ndarray:
     return out
 
 
-def band_hashes(sketch: np.ndarray) -> np.ndarray:
+def banding(min_percent: int) -> tuple[int, int]:
+    """(bands, rows) for pairs of at least this similarity: as many rows as ``MOST_BANDS`` bands allow, else one row each."""
+    if not 1 <= min_percent <= 100:
+        raise ValueError("a similarity between 1 and 100 percent is needed")
+    p = min(min_percent / 100, 0.999)
+    needed = {r: math.ceil(math.log(MISS) / math.log1p(-(p**r))) for r in range(1, 17)}
+    rows = max((r for r, n in needed.items() if n <= MOST_BANDS and n * r <= T), default=1)
+    if needed[rows] > T:
+        raise ValueError(f"{T} coordinates don't make bands for {min_percent} percent")
+    return needed[rows], rows
+
+
+def band_hashes(sketch: np.ndarray, bands: int, rows: int) -> np.ndarray:
     """One 64-bit hash per band, in which the band's number is mixed."""
-    parts = sketch[:, : BANDS * ROWS].reshape(len(sketch), BANDS, ROWS)
-    out = np.broadcast_to(np.arange(BANDS, dtype=_U) + _U(1), (len(sketch), BANDS)).copy()
-    for k in range(ROWS):
+    parts = sketch[:, : bands * rows].reshape(len(sketch), bands, rows)
+    out = np.broadcast_to(np.arange(bands, dtype=_U) + _U(1), (len(sketch), bands)).copy()
+    for k in range(rows):
         out = mix(out ^ parts[:, :, k], 7 + k)
     return out
 

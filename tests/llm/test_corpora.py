@@ -85,7 +85,7 @@ def shingles(text):
     return frozenset(tuple(w[k : k + 5]) for k in range(len(w) - 4)) if len(w) >= 5 else frozenset([tuple(w)] if w else [])
 
 
-def groups(pairs):
+def groups(pairs, percent=85):
     """doc_id -> smallest linked id, all pairs compared."""
     parent = {i: i for i, _ in pairs}
 
@@ -96,7 +96,7 @@ def groups(pairs):
 
     for k, (i, a) in enumerate(pairs):
         for j, b in pairs[k + 1 :]:
-            if a and b and 100 * len(a & b) >= 85 * len(a | b):
+            if a and b and 100 * len(a & b) >= percent * len(a | b):
                 x, y = find(i), find(j)
                 parent[max(x, y)] = min(x, y)
     return {i: find(i) for i in parent}
@@ -132,6 +132,42 @@ def test_large_near_copy_groups_go_by_cluster(spark, monkeypatch):
     assert {r["doc_id"]: r["component_id"] for r in got.collect()} == want and len(set(want.values())) < 60
 
 
+@pytest.mark.parametrize("percent", [70])
+def test_other_thresholds(spark, monkeypatch, percent):
+    """Pairs on either side of the threshold, in small and in large buckets."""
+    import random
+
+    rng = random.Random(percent)
+    monkeypatch.setattr(neardup, "HOT_BUCKET", 8)
+    monkeypatch.setattr(neardup, "BLOCK", 16)
+    rows = []
+    for g in range(12):
+        base = [f"g{g}w{i}" for i in range(120)]
+        for _ in range(24 if g < 2 else 4):
+            w = list(base)
+            for _ in range(rng.randrange(0, 6)):
+                w[rng.randrange(120)] = f"e{rng.randrange(10**6)}"
+            rows.append((len(rows), " ".join(w)))
+    want = groups(sorted((i, shingles(t)) for i, t in rows), percent)
+    got = neardup.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string"), percent)
+    assert {r["doc_id"]: r["component_id"] for r in got.collect()} == want
+
+
+def test_blocks_bring_all_members_of_different_components_together(spark):
+    comps = {0: 70, 1000: 40, 2000: 16, **{3000 + 10 * k: 1 + k % 3 for k in range(30)}}
+    rows = [(7, c + i, c) for c, n in comps.items() for i in range(n)]
+    met = neardup.blocks_of(spark.createDataFrame(rows, "cluster long, node long, component long"), 16).collect()
+    tasks = {}
+    for r in met:
+        tasks.setdefault((r["i"], r["j"]), []).append(r)
+    seen = set()
+    for (i, j), here in tasks.items():
+        seen |= {(x["node"], y["node"]) for x in here if x["block"] == i for y in here if y["block"] == j and x["component"] != y["component"]}
+        assert i == j or not {x["component"] for x in here if x["block"] == i} & {y["component"] for y in here if y["block"] == j}
+    seen |= {(b, a) for a, b in seen}
+    assert seen == {(x, y) for _, x, c in rows for _, y, d in rows if c != d}
+
+
 def test_sketches_fill_and_estimate():
     import numpy as np
 
