@@ -3,22 +3,24 @@
 A window is ``WINDOW`` consecutive words.  Of equal windows the smallest hash of their k-word pieces, the anchor, is
 equal and stands in the same place, so
 
-1. anchors of all windows, of a short and of a long kind, are counted in tables of fixed size, which are broadcast;
-2. windows of which both anchors were seen twice are candidates; a run of them with one short anchor is a passage;
+1. anchors of all windows are counted exactly, and each text gets the list of its anchors that stand in two places or more;
+2. windows of these are candidates; a run of them with one anchor is a passage;
 3. passages are sharded by anchor, so equal windows meet in a shard (those of very frequent anchors window by window);
 4. each shard's passages go into a suffix automaton with counts, and the same passages are streamed through it: a window
    is repeated where the matching statistic reaches the whole window in a state that occurs twice or more;
-5. the spans go back to the documents.
+5. the spans of a passage go to all its places by a join, and from there to the documents.
 
-Automata are built where their shard is, since all of them together grow with the data and could not be broadcast.
+Nothing is broadcast: all automata together grow with the data, so each is built where its shard is.  A given set of
+references of bounded size is another case (``cut_references``): there the automata are broadcast, shard by shard under a
+checked bound, and whole documents are streamed through them.
 """
 
 from __future__ import annotations
 
 import hashlib
 import marshal
-import struct
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -28,25 +30,20 @@ from pyspark.sql import functions as F
 
 from .automaton import SuffixAutomaton
 from .keyset import in_table, key_table
-from .shared import clean_columns, stage
+from .shared import clean_columns, discard, stage
 from .words import mix, ngram_hashes, release, slices, text_buffers, word_hashes, word_spans
 
 WINDOW = 35
-#: Words of the short anchors, by which passages are cut and sharded, and of the long ones.
-ANCHOR, LONG_ANCHOR = 12, 30
-#: Slots of the tables: 32 and 64 MB of bits whatever the input.  A fuller table lets more windows through, never fewer.
-#: A long anchor has two slots, and counts as seen twice where both are.
-TABLE_BITS, LONG_BITS, PAGE_BITS = 28, 29, 16
+#: Words of an anchor, by which passages are cut and sharded.
+ANCHOR = 12
 #: Words of passages in one shard on average, and places of an anchor beyond which its windows are sharded one by one.
-SHARD_WORDS, HOT_PLACES = 100_000, 4096
+SHARD_WORDS, HOT_PLACES = 50_000, 4096
 #: Distinct passages that a task holds before it sends them off.
 HELD = 40_000
-#: Slots that share a bit of the table of very frequent anchors, as a power of two.
-HOT_SHIFT = 6
+#: Given references: words in a shard's automaton, shards that are broadcast together, and most words of all of them.
+REFERENCE_SHARD, REFERENCE_ROUND, MAX_REFERENCE_WORDS = 100_000, 8, 8_000_000
 
 _U = np.uint64
-_PAGES = 1 << (TABLE_BITS - PAGE_BITS)
-_PAGE_BYTES = 1 << (PAGE_BITS - 3)
 
 
 def anchors(words: np.ndarray, size: int = ANCHOR) -> tuple[np.ndarray, np.ndarray]:
@@ -80,86 +77,50 @@ def _texts(column: pa.Array) -> Iterator[tuple[int, np.ndarray, np.ndarray, np.n
             yield row, data, starts[lo:hi], ends[lo:hi], hashes[lo:hi]
 
 
-def _places(best: np.ndarray, at: np.ndarray) -> np.ndarray:
-    """Hashes of the distinct anchor places of one text."""
-    new = np.ones(len(at), bool)
-    new[1:] = at[1:] != at[:-1]
-    return best[new]
+def _rows_of(schema: pa.Schema, made: list[tuple]) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*made, strict=True), schema, strict=True)], schema=schema)
 
 
-def _long_slots(hashes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    return hashes >> _U(64 - LONG_BITS), mix(hashes, 5) >> _U(64 - LONG_BITS)
+_MARK = pa.schema([("anchor", pa.int64()), ("text_id", pa.int64()), ("n", pa.int32())])
 
 
-def _set(bits: np.ndarray, slots: np.ndarray) -> np.ndarray:
-    return (bits[(slots >> _U(3)).astype(np.int64)] >> (_U(7) - (slots & _U(7))).astype(np.uint8)) & 1 > 0
-
-
-class AnchorTables:
-    """Bits of the slots with two or more places, for short and long anchors, and (coarse) of the short ones with very many."""
-
-    def __init__(self):
-        self.bits = [bytearray(1 << (TABLE_BITS - 3)), bytearray(1 << (LONG_BITS - 3))]
-        self.hot = bytearray(1 << (TABLE_BITS - HOT_SHIFT - 3))
-        self.places = 0
-
-
-def anchor_tables(rows: DataFrame) -> AnchorTables:
-    """Counts the anchor places of all rows (text).  What is shuffled is three bytes per place; what the driver gets are
-    the tables."""
-    schema = pa.schema([("page", pa.int32()), ("offsets", pa.binary()), ("counts", pa.binary())])
+def anchor_places(rows: DataFrame) -> DataFrame:
+    """(anchor, text_id, n): the distinct anchors of each row (text_id, text) and in how many of its places each stands."""
 
     def run(batches: Iterator[pa.RecordBatch]):
         for whole in batches:
-            found: tuple[list[np.ndarray], list[np.ndarray]] = ([], [])
             for batch in slices(whole, "text"):
-                for _, _, _, _, hashes in _texts(batch.column(0)):
-                    found[0].append(_places(*anchors(hashes)) >> _U(64 - TABLE_BITS))
-                    found[1].extend(_long_slots(_places(*anchors(hashes, LONG_ANCHOR))))
-            for kind, slots in enumerate(found):
-                if slots:
-                    slots, n = np.unique(np.concatenate(slots), return_counts=True)
-                    page, low = (slots >> _U(PAGE_BITS)).astype(np.int64), (slots & _U((1 << PAGE_BITS) - 1)).astype(np.uint16)
-                    n = np.minimum(n, 255).astype(np.uint8)
-                    pages, first = np.unique(page, return_index=True)
-                    cuts = [*first.tolist(), len(slots)]
-                    bounds = list(zip(cuts[:-1], cuts[1:], strict=True))
-                    yield pa.RecordBatch.from_arrays(
-                        [pa.array((pages + kind * _PAGES).astype(np.int32)), pa.array([low[a:b].tobytes() for a, b in bounds], pa.binary()), pa.array([n[a:b].tobytes() for a, b in bounds], pa.binary())],
-                        schema=schema,
-                    )
+                ids, found, sizes, own = batch.column(0).to_numpy(), [], [], []
+                for row, _, _, _, hashes in _texts(batch.column(1)):
+                    best, at = anchors(hashes)
+                    new = np.ones(len(at), bool)
+                    new[1:] = at[1:] != at[:-1]
+                    marks, n = np.unique(best[new], return_counts=True)
+                    found.append(marks)
+                    sizes.append(n)
+                    own.append(np.full(len(marks), ids[row]))
+                if found:
+                    yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(found).view(np.int64)), pa.array(np.concatenate(own)), pa.array(np.concatenate(sizes).astype(np.int32))], schema=_MARK)
         release()
 
-    packed = pa.schema([("page", pa.int32()), ("twice", pa.binary()), ("hot", pa.binary()), ("places", pa.int64())])
-
-    def add(batches: Iterator[pa.RecordBatch]):
-        current, counts = None, np.zeros(1 << PAGE_BITS, np.int64)
+    return rows.mapInArrow(run, "anchor long, text_id long, n int")
 
-        def done():
-            twice = counts > 1
-            return pa.RecordBatch.from_arrays([pa.array([current], pa.int32()), pa.array([zstandard.compress(np.packbits(twice).tobytes(), 1)], pa.binary()), pa.array([np.packbits((counts > HOT_PLACES).reshape(-1, 1 << HOT_SHIFT).any(axis=1)).tobytes()], pa.binary()), pa.array([int(counts[twice].sum())])], schema=packed)
 
-        for batch in batches:
-            for page, offsets, n in zip(batch.column(0).to_pylist(), batch.column(1), batch.column(2), strict=True):
-                if page != current:
-                    if current is not None:
-                        yield done()
-                    current, counts = page, np.zeros(1 << PAGE_BITS, np.int64)
-                counts[np.frombuffer(offsets.as_buffer(), np.uint16)] += np.frombuffer(n.as_buffer(), np.uint8)
-        if current is not None:
-            yield done()
+def repeated_anchors(rows: DataFrame) -> tuple[DataFrame, int]:
+    """(text_id, repeated, frequent) of texts that have anchors with two places or more, and the number of such places.
 
-    pages = rows.mapInArrow(run, "page int, offsets binary, counts binary").repartition("page").sortWithinPartitions("page")
-    tables = AnchorTables()
-    hot_bytes = _PAGE_BYTES >> HOT_SHIFT
-    # at most the size of the tables, compressed
-    for page, twice, hot, places in pages.mapInArrow(add, "page int, twice binary, hot binary, places long").collect():
-        kind, at = (0, page) if page < _PAGES else (1, page - _PAGES)
-        tables.bits[kind][at * _PAGE_BYTES : (at + 1) * _PAGE_BYTES] = zstandard.decompress(twice)
-        if kind == 0:
-            tables.hot[at * hot_bytes : (at + 1) * hot_bytes] = hot
-            tables.places += places
-    return tables
+    ``rows`` has (text_id, text).  Both sides of the join are stored tables, so an anchor that very many texts share can
+    be split; the lists are put together from distinct values, so rows that repeat a text add nothing.
+    """
+    marks = stage(anchor_places(rows), "passage-anchors")
+    counts = marks.groupBy("anchor").agg(F.sum("n").alias("places")).filter("places > 1")
+    counts = stage(counts, "passage-counts")
+    places = counts.agg(F.sum("places")).first()[0] or 0
+    hits = marks.join(counts.hint("merge"), "anchor")
+    frequent = F.when(F.col("places") > HOT_PLACES, F.col("anchor"))
+    found = stage(hits.groupBy("text_id").agg(F.collect_set("anchor").alias("repeated"), F.collect_set(frequent).alias("frequent")), "passage-hits")
+    discard(marks, counts)
+    return found, places
 
 
 def _runs(flags: np.ndarray) -> list[tuple[int, int]]:
@@ -168,48 +129,44 @@ def _runs(flags: np.ndarray) -> list[tuple[int, int]]:
     return list(zip(edges[::2].tolist(), edges[1::2].tolist(), strict=True))
 
 
-#: A place: text key and first word.
-_PLACE = "<16sI"
-_PACKED = pa.schema([("shard", pa.int64()), ("passages", pa.binary())])
+_FOUND = pa.schema([("shard", pa.int64()), ("words", pa.binary()), ("passage", pa.binary()), ("text_key", pa.binary()), ("first", pa.int32())])
 
 
-def passages(rows: DataFrame, tables, n_shards: int) -> DataFrame:
-    """Rows (shard, passages) from rows (text_key, text): per task and shard, packed (words, key, n, places).
+def passages(rows: DataFrame, n_shards: int) -> DataFrame:
+    """Candidate passages of rows (text_key, text, repeated, frequent), as rows of two kinds.
 
-    Equal passages of a task are put together before they are shuffled.  Places are text keys and word numbers.
+    With ``shard`` and ``words``: per task and shard, packed (passage, words, n), equal passages of a task put together.
+    With ``passage``, ``text_key`` and ``first``: a place of a passage, the latter named by a digest of its words.
     """
 
-    def send(found: dict[bytes, list]) -> Iterator[pa.RecordBatch]:
-        if not found:
-            return
+    def send(found: dict[bytes, list], places: list[tuple]) -> Iterator[pa.RecordBatch]:
         squeeze = zstandard.ZstdCompressor(level=3).compress
-        words = list(found)
-        shards = mix(np.array([v[0] for v in found.values()], np.int64).view(_U)) % _U(n_shards)
-        order = np.argsort(shards, kind="stable")
-        cuts = [0, *(np.flatnonzero(np.diff(shards[order])) + 1).tolist(), len(order)]
-        for k in range(0, len(cuts) - 1, 256):
-            ids, blobs = [], []
-            for a, b in zip(cuts[k : k + 256], cuts[k + 1 : k + 257], strict=False):
-                part = [(w := words[i], found[w][0], found[w][1], b"".join(found[w][2])) for i in order[a:b].tolist()]
-                ids.append(int(shards[order[a]]))
-                blobs.append(squeeze(marshal.dumps(part)))
-            yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(blobs, pa.binary())], schema=_PACKED)
+        if found:
+            words = list(found)
+            shards = mix(np.array([v[1] for v in found.values()], np.int64).view(_U)) % _U(n_shards)
+            order = np.argsort(shards, kind="stable")
+            cuts = [0, *(np.flatnonzero(np.diff(shards[order])) + 1).tolist(), len(order)]
+            made = []
+            for a, b in zip(cuts[:-1], cuts[1:], strict=True):
+                part = [(found[words[i]][0], words[i], found[words[i]][2]) for i in order[a:b].tolist()]
+                made.append((int(shards[order[a]]), squeeze(marshal.dumps(part)), None, None, None))
+            yield _rows_of(_FOUND, made)
+        if places:
+            yield _rows_of(_FOUND, [(None, None, *x) for x in places])
 
     def run(batches: Iterator[pa.RecordBatch]):
-        pack = struct.Struct(_PLACE).pack
-        twice, twice_long, hot = (np.frombuffer(zstandard.decompress(b), np.uint8) for b in tables.value)
         for whole in batches:
             found: dict[bytes, list] = {}
+            places: list[tuple] = []
             for batch in slices(whole, "text"):
                 keys = batch.column(0)
+                known, hot = ((lists.values.to_numpy().view(_U), lists.offsets.to_pylist()) for lists in (batch.column(2), batch.column(3)))
                 for row, data, starts, ends, hashes in _texts(batch.column(1)):
                     best, at = anchors(hashes)
-                    slots = best >> _U(64 - TABLE_BITS)
-                    first, second = _long_slots(anchors(hashes, LONG_ANCHOR)[0])
-                    flags = _set(twice, slots) & _set(twice_long, first) & _set(twice_long, second)
+                    flags = np.isin(best, known[0][known[1][row] : known[1][row + 1]])
                     if not flags.any():
                         continue
-                    single = _set(hot, slots >> _U(HOT_SHIFT))
+                    single = np.isin(best, hot[0][hot[1][row] : hot[1][row + 1]])
                     # a passage ends where windows stop being candidates, or the anchor changes, or each is on its own
                     new = np.ones(len(at), bool)
                     new[1:] = (at[1:] != at[:-1]) | ~flags[:-1] | single[1:]
@@ -226,84 +183,62 @@ def passages(rows: DataFrame, tables, n_shards: int) -> DataFrame:
                         words = joined[b : e - 1]
                         held = found.get(words)
                         if held is None:
-                            found[words] = [mark or int.from_bytes(hashlib.blake2b(words, digest_size=8).digest(), "little", signed=True), 1, [pack(text_key, lo)]]
-                        else:
-                            held[1] += 1
-                            held[2].append(pack(text_key, lo))
-                    if len(found) >= HELD:
-                        yield from send(found)
-                        found = {}
-            yield from send(found)
+                            name = hashlib.blake2b(words, digest_size=16).digest()
+                            held = found[words] = [name, mark or int.from_bytes(name[:8], "little", signed=True), 0]
+                        held[2] += 1
+                        places.append((held[0], text_key, lo))
+                    if len(found) >= HELD or len(places) >= 4 * HELD:
+                        yield from send(found, places)
+                        found, places = {}, []
+            yield from send(found, places)
         release()
 
-    return rows.mapInArrow(run, "shard long, passages binary")
-
+    return rows.mapInArrow(run, "shard long, words binary, passage binary, text_key binary, first int")
 
-_SPAN = pa.schema([("text_key", pa.binary()), ("start", pa.int32()), ("end", pa.int32())])
 
-
-def matched_spans(held: dict[bytes, list]) -> Iterator[tuple[bytes, list[tuple[int, int]]]]:
-    """(words, spans) of the passages of a shard, ``words -> [key, n, ...]``, that have repeated windows.
-
-    A passage whose anchor has no other words is repeated as a whole or not at all; the others go into the automaton.
-    """
-    kinds: dict[int, int] = {}
-    for key, *_ in held.values():
-        kinds[key] = kinds.get(key, 0) + 1
+def matched_spans(held: dict[bytes, tuple[bytes, int]]) -> Iterator[tuple[bytes, list[tuple[int, int]]]]:
+    """(passage, spans) of the passages of a shard, ``passage -> (words, n)``, that have repeated windows."""
     automaton, ids, coded = SuffixAutomaton(), {}, []
-    for words, (key, n, *_) in held.items():
-        if kinds[key] > 1:
-            code = [ids.setdefault(w, len(ids)) for w in words.split(b" ")]
-            coded.append((words, code))
-            automaton.add(code, n)
-        elif n > 1:
-            yield words, [(0, words.count(b" ") + 1)]
+    for passage, (words, n) in held.items():
+        code = [ids.setdefault(w, len(ids)) for w in words.split(b" ")]
+        coded.append((passage, code))
+        automaton.add(code, n)
     automaton.settle()
-    for words, code in coded:
+    for passage, code in coded:
         seen = np.array([size == WINDOW and n > 1 for size, n in automaton.matches(code, WINDOW)], bool)
         if spans := [(lo, hi + WINDOW - 1) for lo, hi in _runs(seen[WINDOW - 1 :])]:
-            yield words, spans
+            yield passage, spans
 
 
-def repeated_spans(shards: DataFrame) -> DataFrame:
-    """Rows (text_key, start, end): words covered by windows that occur twice or more.
+_DECIDED = pa.schema([("passage", pa.binary()), ("lo", pa.int32()), ("hi", pa.int32())])
 
-    ``shards`` has (shard, passages), sorted by shard.  An automaton is dropped with its shard.
-    """
 
-    def batch_of(made: list[tuple]) -> pa.RecordBatch:
-        return pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*made, strict=True), _SPAN, strict=True)], schema=_SPAN)
+def decided_spans(shards: DataFrame) -> DataFrame:
+    """Rows (passage, lo, hi): words of a passage covered by windows that occur twice or more.
 
-    def rows_of(held: dict[bytes, list]) -> Iterator[tuple]:
-        for words, spans in matched_spans(held):
-            for part in held[words][2]:
-                for text_key, first in struct.iter_unpack(_PLACE, part):
-                    for lo, hi in spans:
-                        yield text_key, first + lo, first + hi
+    ``shards`` has (shard, words), sorted by shard.  An automaton is dropped with its shard.
+    """
+
+    def rows_of(held: dict) -> Iterator[pa.RecordBatch]:
+        made = [(passage, lo, hi) for passage, spans in matched_spans(held) for lo, hi in spans]
+        if made:
+            yield _rows_of(_DECIDED, made)
 
     def run(batches: Iterator[pa.RecordBatch]):
         widen = zstandard.ZstdDecompressor().decompress
-        current, held, made = None, {}, []
+        current, held = None, {}
         for batch in batches:
             for shard, blob in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
                 if shard != current:
-                    for row in rows_of(held):
-                        made.append(row)
-                        if len(made) >= 20_000:
-                            yield batch_of(made)
-                            made = []
+                    yield from rows_of(held)
                     current, held = shard, {}
-                for words, key, n, places in marshal.loads(widen(blob.as_py())):
-                    own = held.setdefault(words, [key, 0, []])
-                    own[1] += n
-                    own[2].append(places)
-        made += rows_of(held)
-        if made:
-            yield batch_of(made)
-        held, made = {}, []
+                for passage, words, n in marshal.loads(widen(blob.as_py())):
+                    held[passage] = (words, held[passage][1] + n if passage in held else n)
+        yield from rows_of(held)
+        held = {}
         release()
 
-    return shards.mapInArrow(run, "text_key binary, start int, end int")
+    return shards.mapInArrow(run, "passage binary, lo int, hi int")
 
 
 def repeated_windows(rows: DataFrame) -> DataFrame:
@@ -311,16 +246,21 @@ def repeated_windows(rows: DataFrame) -> DataFrame:
 
     ``rows`` has (text_key, text); equal texts have equal keys and are different places.
     """
-    tables = anchor_tables(rows.select("text"))
-    n_shards = max(1, -(-tables.places * (WINDOW + 12) // SHARD_WORDS))
-    given = rows.sparkSession.sparkContext.broadcast([zstandard.compress(bytes(b), 1) for b in (*tables.bits, tables.hot)])
-    del tables
-    shards = passages(rows.select("text_key", "text"), given, n_shards)
-    spans = repeated_spans(shards.repartition("shard").sortWithinPartitions("shard"))
-    found = spans.groupBy("text_key").agg(_merged(F.collect_set(F.struct("start", "end"))).alias("spans"))
-    found = stage(found, "passage-spans")
-    given.destroy()
-    return found
+    named = rows.select(F.xxhash64("text_key").alias("text_id"), "text_key", "text")
+    hits, n_places = repeated_anchors(named.select("text_id", "text"))
+    n_shards = max(1, -(-n_places * (WINDOW + 12) // SHARD_WORDS))
+    # a text id may stand for two texts, which adds candidates only
+    near = in_table(key_table(hits.select("text_id")), named, F.col("text_id"), "has_").filter("has_")
+    near = near.join(hits.hint("merge"), "text_id").select("text_key", "text", "repeated", "frequent")
+    found = stage(passages(near, n_shards), "passage-found")
+    discard(hits, shuffles=True)
+    shards = found.filter("shard is not null").select("shard", "words")
+    decided = stage(decided_spans(shards.repartition("shard").sortWithinPartitions("shard")), "passage-decided")
+    placed = found.filter("passage is not null").select("passage", "text_key", "first").join(decided.hint("merge"), "passage")
+    span = F.struct((F.col("first") + F.col("lo")).alias("start"), (F.col("first") + F.col("hi")).alias("end"))
+    out = stage(placed.groupBy("text_key").agg(_merged(F.collect_set(span)).alias("spans")), "passage-spans")
+    discard(found, decided, shuffles=True)
+    return out
 
 
 def _merged(spans):
@@ -390,16 +330,29 @@ def dedup_passages(docs: DataFrame) -> DataFrame:
 
 
 def cut_passages(docs: DataFrame) -> DataFrame:
-    """``docs`` with the repeated passages cut out of ``text``; all rows and columns are kept.
+    """``docs`` with the repeated passages cut out of ``text``; all rows and columns are kept, whatever those are called.
 
-    A text without repeated windows stays as it is, to the byte; otherwise the kept words are joined by one space, and
-    a column n_chars, where there is one, is set to the new length.
+    A text without repeated windows stays as it is, to the byte, null texts too; otherwise the kept words are joined by
+    one space, and a column n_chars, where there is one, is set to the new length.  Rows that repeat a text lose all
+    words that windows cover in each of them.  An empty table gives an empty result.
     """
+    return _cut(docs, repeated_windows)
+
+
+def cut_references(docs: DataFrame, references: DataFrame, window: int = WINDOW) -> DataFrame:
+    """``docs`` with stretches that also stand in ``references`` (text) cut out of ``text``, else as ``cut_passages``.
+
+    References that are null or shorter than a window match nothing.
+    """
+    return _cut(docs, lambda rows: reference_spans(rows, references, window))
+
+
+def _cut(docs: DataFrame, find) -> DataFrame:
     columns = docs.columns
     keyed = docs.select(*(F.col(f"`{c}`").alias(f"in_{i}_") for i, c in enumerate(columns)), F.col("text"))
     where = columns.index("text")
     keyed = _keyed(keyed)
-    spans = repeated_windows(keyed.select("text_key", "text"))
+    spans = find(keyed.select("text_key", "text"))
     marked = in_table(key_table(spans.select("text_key")), keyed, F.col("text_key"), "has_").drop("text")
     untouched = marked.filter("not has_").drop("text_key", "has_")
     joined = marked.filter("has_").drop("has_").join(spans.hint("merge"), "text_key", "left").drop("text_key")
@@ -424,3 +377,78 @@ def cut_passages(docs: DataFrame) -> DataFrame:
     cut = joined.mapInArrow(run, joined.drop("spans").schema)
     size = {f"in_{columns.index('n_chars')}_": F.length(F.col(f"in_{where}_")).cast(docs.schema["n_chars"].dataType)} if "n_chars" in columns else {}
     return cut.withColumns(size).unionByName(untouched).select(*(F.col(f"in_{i}_").alias(c) for i, c in enumerate(columns)))
+
+
+# ------------------------------------------------------------------------------------------------ given references
+
+
+def _reference_shards(references: DataFrame, window: int) -> DataFrame:
+    """(part, n, blob): automata of the references' texts, each over about ``REFERENCE_SHARD`` words."""
+
+    def run(batches: Iterator[pa.RecordBatch]):
+        schema = pa.schema([("part", pa.int64()), ("n", pa.int64()), ("blob", pa.binary())])
+        automaton, ids, n, part = SuffixAutomaton(), {}, 0, 0
+
+        def done() -> pa.RecordBatch:
+            packed = marshal.dumps((ids, automaton.next, automaton.link, automaton.length))
+            return pa.RecordBatch.from_arrays([pa.array([part]), pa.array([n]), pa.array([zstandard.compress(packed, 3)], pa.binary())], schema=schema)
+
+        for batch in batches:
+            for text in batch.column(0):
+                words = (text.as_py() or "").encode().split()
+                if len(words) < window:
+                    continue
+                # a long text is cut into stretches that share a window less one word
+                for at in range(0, len(words) - window + 1, REFERENCE_SHARD):
+                    piece = words[at : at + REFERENCE_SHARD + window - 1]
+                    automaton.add([ids.setdefault(w, len(ids)) for w in piece])
+                    n += len(piece)
+                    if n >= REFERENCE_SHARD:
+                        yield done()
+                        automaton, ids, n, part = SuffixAutomaton(), {}, 0, part + 1
+        if n:
+            yield done()
+
+    return references.select("text").mapInArrow(run, "part long, n long, blob binary")
+
+
+def reference_spans(rows: DataFrame, references: DataFrame, window: int = WINDOW) -> DataFrame:
+    """(text_key, spans) of the maximal stretches of rows (text_key, text) whose windows occur in ``references`` (text).
+
+    The references are a given set of bounded size: their words are counted first, and more than ``MAX_REFERENCE_WORDS``
+    are an error.  Automata of ``REFERENCE_ROUND`` shards are broadcast at a time, and every document is streamed through
+    each for its matching statistics.
+    """
+    spark = rows.sparkSession
+    sizes = references.select(F.coalesce(F.size(F.split(F.trim("text"), r"[\x20\x09-\x0D]+")), F.lit(0)).alias("n")).agg(F.sum("n")).first()[0] or 0
+    if sizes > MAX_REFERENCE_WORDS:
+        raise ValueError(f"{sizes} words of references can't be broadcast; put them with the documents into dedup_passages")
+    shards = stage(_reference_shards(references, window), "reference-shards").withColumn("file", F.input_file_name())
+    listed = [(r["file"], r["part"]) for r in shards.select("file", "part").orderBy("file", "part").collect()]
+    out_schema = pa.schema([("text_key", pa.binary()), ("start", pa.int32()), ("end", pa.int32())])
+    parts = [spark.createDataFrame([], "text_key binary, start int, end int")]
+    for k in range(0, len(listed), REFERENCE_ROUND):
+        wanted = listed[k : k + REFERENCE_ROUND]
+        here = reduce(lambda x, y: x | y, [(F.col("file") == f) & (F.col("part") == i) for f, i in wanted])
+        given = spark.sparkContext.broadcast([bytes(r["blob"]) for r in shards.filter(here).select("blob").collect()])
+
+        def run(batches: Iterator[pa.RecordBatch], given=given):
+            automata = []
+            for blob in given.value:
+                own = SuffixAutomaton()
+                ids, own.next, own.link, own.length = marshal.loads(zstandard.decompress(blob))
+                own.count = [1] * len(own.next)
+                automata.append((ids, own))
+            for batch in batches:
+                made = []
+                for key, text in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
+                    words = (text.as_py() or "").encode().split()
+                    for ids, own in automata if len(words) >= window else ():
+                        full = np.array([size == window for size, _ in own.matches([ids.get(w, -1) for w in words], window)], bool)
+                        made += [(key, lo, hi + window - 1) for lo, hi in _runs(full[window - 1 :])]
+                if made:
+                    yield _rows_of(out_schema, made)
+
+        parts.append(rows.select("text_key", "text").mapInArrow(run, "text_key binary, start int, end int"))
+    spans = reduce(DataFrame.unionByName, parts)
+    return stage(spans.groupBy("text_key").agg(_merged(F.collect_set(F.struct("start", "end"))).alias("spans")), "reference-spans")

@@ -276,6 +276,27 @@ def test_cut_texts(clashing, rows):
     assert sorted(((r["doc_id"], r["text"]) for r in out.collect()), key=repr) == want
 
 
+def test_given_references_are_cut_out(spark, docs, rows, monkeypatch):
+    """Against brute force, over several automata and several rounds of broadcasts."""
+    monkeypatch.setattr(passages, "REFERENCE_SHARD", 60)
+    monkeypatch.setattr(passages, "REFERENCE_ROUND", 2)
+    given = [(rows[3][1] or "")[:900], rows[46][1], None, "too short", " ".join(rows[50][1].split()[10:130])]
+    windows = {tuple(w[k : k + 20]) for t in given if t for w in [t.encode().split()] for k in range(len(w) - 19)}
+    want = []
+    for r in rows:
+        w, gone = (r[1] or "").encode().split(), set()
+        for k in range(len(w) - 19):
+            if tuple(w[k : k + 20]) in windows:
+                gone.update(range(k, k + 20))
+        want.append((r[0], b" ".join(x for i, x in enumerate(w) if i not in gone).decode() if gone else r[1]))
+    out = passages.cut_references(docs, spark.createDataFrame([(t,) for t in given], "text string"), 20)
+    assert out.columns == docs.columns and sum(w != r[1] for w, r in zip((x[1] for x in want), rows)) > 3
+    assert sorted(((r["doc_id"], r["text"]) for r in out.collect()), key=repr) == sorted(want, key=repr)
+    monkeypatch.setattr(passages, "MAX_REFERENCE_WORDS", 10)
+    with pytest.raises(ValueError):
+        passages.cut_references(docs, spark.createDataFrame([(given[0],)], "text string"), 20)
+
+
 def test_passages_of_nothing(empty):
     assert passages.dedup_passages(empty).count() == 0 and passages.cut_passages(empty).count() == 0
 
