@@ -17,6 +17,7 @@ import zlib
 from collections.abc import Iterable, Iterator
 from urllib.parse import urlsplit
 
+import pandas as pd
 import pyarrow as pa
 import pyarrow.fs as pafs
 from pyspark.sql import DataFrame
@@ -24,8 +25,12 @@ from pyspark.sql import functions as F
 
 from .shared import clean_columns, fresh_path, stage
 
-#: Index lines in a block.
-BLOCK_LINES = 1000
+#: Index lines in a block at least, and blocks at most: beyond that many blocks grow, so that the directory stays bounded.
+BLOCK_LINES, MAX_BLOCKS = 256, 1 << 18
+#: Characters of a key that the directory keeps.
+FIRST_CHARS = 200
+#: Pages that one task looks up on average.
+LOOKUPS = 4000
 # Fixed values of the format.
 RESPONSE, REVISIT = "response", "revisit"
 PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
@@ -107,7 +112,7 @@ _CAPTURE_DDL = "key string, page_id long, file string, start long, length long"
 
 
 def write_archives(pages: DataFrame, least: int = 0) -> tuple[DataFrame, str]:
-    """Writes a record per page; returns the captures (key, page_id, file, start, length) and the folder.
+    """Writes a record per page; returns the captures (key of the index, page_id, file, start, length) and the folder.
 
     Null html is an empty payload, a null url becomes about:blank, a null page_id is a record of its own.  Of equal
     payloads of ``least`` bytes or more that with the smallest page_id is the response (all rows that repeat that id),
@@ -130,7 +135,7 @@ def write_archives(pages: DataFrame, least: int = 0) -> tuple[DataFrame, str]:
                 payload = (html or "").encode()
                 record = gzip.compress(make_record(page_id, url, payload, block_digest(payload), None if first == page_id else first), 6, mtime=0)
                 sink.write(record)
-                made.append((url_key(url), page_id, name, at, len(record)))
+                made.append((sort_key(url_key(url), page_id), page_id, name, at, len(record)))
                 at += len(record)
             if made:
                 yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*made, strict=True), _CAPTURE, strict=True)], schema=_CAPTURE)
@@ -148,12 +153,14 @@ def sort_key(key: str, page_id) -> str:
     return f"{key} {'' if page_id is None else format(page_id + (1 << 63), '020d')}"
 
 
-def build_index(captures: DataFrame, folder: str, block_lines: int = BLOCK_LINES) -> DataFrame:
-    """Writes the sorted lines as gzip blocks and returns the sparse directory: one row per block.
+def build_index(captures: DataFrame, folder: str, block_lines: int | None = None) -> DataFrame:
+    """Writes the sorted lines as gzip blocks and returns the sparse directory: one row per block, in order of its keys.
 
-    Lines are range-partitioned by key and page id, so an address with very many captures spreads over parts.
+    Lines are range-partitioned by key and page id, so an address with very many captures spreads over parts.  Keys of
+    the directory are cut to ``FIRST_CHARS`` characters, which keeps their order; with ``MAX_BLOCKS`` that bounds it.
     """
-    order = [F.col("key"), F.col("page_id").asc_nulls_first(), "file", "start"]
+    block_lines = block_lines or max(BLOCK_LINES, -(-captures.count() // MAX_BLOCKS))
+    order = ["key", "file", "start"]
     lines = captures.repartitionByRange(*order).sortWithinPartitions(*order).select("key", "page_id", "file", "start", "length")
 
     def run(batches: Iterator[pa.RecordBatch]):
@@ -167,13 +174,13 @@ def build_index(captures: DataFrame, folder: str, block_lines: int = BLOCK_LINES
                 sink = fs.open_output_stream(f"{top}/{name}", compression=None)
             block = gzip.compress("".join(x[1] for x in held).encode(), 6, mtime=0)
             sink.write(block)
-            done.append((held[0][0], held[-1][0], name, at, len(block)))
+            done.append((held[0][0][:FIRST_CHARS], held[-1][0][:FIRST_CHARS], name, at, len(block)))
             at += len(block)
             held = []
 
         for batch in batches:
             for key, page_id, file, start, length in zip(*(batch.column(i).to_pylist() for i in range(5)), strict=True):
-                held.append((k := sort_key(key, page_id), json.dumps([k, page_id, file, start, length], ensure_ascii=False) + "\n"))
+                held.append((key, json.dumps([key, page_id, file, start, length], ensure_ascii=False) + "\n"))
                 if len(held) >= block_lines:
                     flush()
         if held:
@@ -211,9 +218,9 @@ class IndexReader:
         return self.block[1]
 
     def find(self, low: str, high: str) -> Iterator[list]:
-        """Index lines with low <= key <= high."""
-        i = max(0, bisect.bisect_left(self.firsts, low) - 1)
-        while i < len(self.directory) and self.firsts[i] <= high:
+        """Index lines with low <= key <= high: the last block that begins before ``low``, and those that go on from it."""
+        i = max(0, bisect.bisect_left(self.firsts, low[:FIRST_CHARS]) - 1)
+        while i < len(self.directory) and self.firsts[i] <= high[:FIRST_CHARS]:
             lines = self.lines(i)
             k = bisect.bisect_left(lines, low, key=lambda x: x[0])
             while k < len(lines) and lines[k][0] <= high:
@@ -229,7 +236,7 @@ def lookup(directory: DataFrame, folder: str, url: str) -> Iterator[dict]:
     """Records of one address.  The directory is searched where it lies; the driver gets the blocks that can match."""
     key = url_key(url)
     low, high = key + " ", key + " ~"
-    blocks = directory.filter((F.col("first_key") <= high) & (F.col("last_key") >= low)).collect()
+    blocks = directory.filter((F.col("first_key") <= high[:FIRST_CHARS]) & (F.col("last_key") >= low[:FIRST_CHARS])).collect()
     reader = IndexReader(folder, [tuple(b) for b in blocks])
     for line in reader.find(low, high):
         yield reader.record(line)
@@ -238,31 +245,62 @@ def lookup(directory: DataFrame, folder: str, url: str) -> Iterator[dict]:
 _FOUND = pa.schema([("page_id", pa.int64()), ("payload_bytes", pa.int64()), ("payload_digest", pa.string()), ("record_type", pa.string()), ("refers_to", pa.int64())])
 
 
-def read_archives(directory: DataFrame, folder: str) -> DataFrame:
-    """Every capture read back through the index, block by block: page_id, payload_bytes, payload_digest, record_type, refers_to.
+def read_archives(pages: DataFrame, directory: DataFrame, folder: str) -> DataFrame:
+    """Every page looked up in the index and read back: page_id, payload_bytes, payload_digest, record_type, refers_to.
 
-    A response's digest and size are taken from its bytes and must agree with its heads; a revisit has no bytes and
-    takes them from its heads.
+    ``pages`` has (page_id, url).  Each distinct address and id is searched for, first in the directory, then in a block,
+    and the records found are read by their byte ranges; lookups go in order of their keys, so a task reads few blocks.
+    A response's digest and size are taken from its bytes and must agree with its heads.  A revisit has no bytes: the
+    record that it refers to is joined to it, and its digest must be the one that was computed there.  A page that the
+    index doesn't give is an error.
     """
+    spark = pages.sparkSession
+    # at most MAX_BLOCKS rows of bounded size and one more for each part
+    given = spark.sparkContext.broadcast([tuple(b) for b in directory.collect()])
+
+    @F.pandas_udf("string")
+    def key_of(url: pd.Series, page_id: pd.Series) -> pd.Series:
+        return pd.Series([sort_key(url_key(u), None if n is None else int(n)) for u, n in zip(url, page_id, strict=True)])
+
+    wanted = pages.groupBy("page_id", "url").agg(F.count("*").alias("n"))
+    wanted = stage(wanted.withColumn("key", key_of("url", F.col("page_id").cast("string"))).groupBy("key").agg(F.sum("n").alias("n")), "warc-wanted")
+    parts = max(1, -(-(wanted.agg(F.sum("n")).first()[0] or 0) // LOOKUPS))
+    wanted = wanted.repartitionByRange(parts, "key").sortWithinPartitions("key").select("key", "n")
 
     def run(batches: Iterable[pa.RecordBatch]):
+        reader = IndexReader(folder, given.value)
         for batch in batches:
-            reader = IndexReader(folder, [tuple(r.values()) for r in batch.to_pylist()])
-            for i, (low, high, *_) in enumerate(reader.directory):
-                made = []
-                for line in reader.lines(i):
+            made = []
+            for key, n in zip(*(batch.column(k).to_pylist() for k in range(2)), strict=True):
+                before = n
+                for line in reader.find(key, key):
                     r = reader.record(line)
                     digest, size = r["warc-payload-digest"].removeprefix("sha1:"), int(r["http"]["content-length"])
                     if r["warc-type"] == RESPONSE and (block_digest(r["payload"]) != digest or len(r["payload"]) != size):
                         raise ValueError(f"record {r['warc-record-id']} is damaged")
                     made.append((_id(r["warc-record-id"]), size, digest, r["warc-type"], _id(r.get("warc-refers-to"))))
+                    n -= 1
+                    if len(made) >= 5000:
+                        yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*made, strict=True), _FOUND, strict=True)], schema=_FOUND)
+                        made = []
+                if n:
+                    raise ValueError(f"{before} captures of {key} were written, {before - n} are found")
+            if made:
                 yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*made, strict=True), _FOUND, strict=True)], schema=_FOUND)
 
-    blocks = directory.repartition(F.xxhash64("part", "start"))
-    return blocks.mapInArrow(run, "page_id long, payload_bytes long, payload_digest string, record_type string, refers_to long")
+    found = stage(wanted.mapInArrow(run, "page_id long, payload_bytes long, payload_digest string, record_type string, refers_to long"), "warc-found")
+    given.unpersist()
+    responses, revisits = found.filter(F.col("record_type") == RESPONSE), found.filter(F.col("record_type") == REVISIT)
+    named = responses.filter("page_id is not null").groupBy(F.col("page_id").alias("refers_to")).agg(F.min("payload_digest").alias("own_digest"), F.min("payload_bytes").alias("own_bytes"))
+    joined = revisits.join(stage(named, "warc-responses"), "refers_to", "left")
+    agrees = F.col("own_digest").eqNullSafe(F.col("payload_digest")) & F.col("own_bytes").eqNullSafe(F.col("payload_bytes"))
+    checked = F.when(agrees, F.col("own_digest")).otherwise(F.raise_error(F.concat(F.lit("a revisit without its response: page "), F.coalesce(F.col("page_id").cast("string"), F.lit("null")))))
+    resolved = joined.select("page_id", F.col("own_bytes").alias("payload_bytes"), checked.alias("payload_digest"), "record_type", "refers_to")
+    return responses.unionByName(resolved)
 
 
 def archive_pages(pages: DataFrame, least: int = 0) -> DataFrame:
-    """Writes all pages as records, indexes them and reads them back through the index."""
+    """Writes all pages as records, indexes them, and looks each page up in the index."""
     captures, folder = write_archives(pages, least)
-    return read_archives(build_index(captures, folder), folder)
+    rows = clean_columns(pages, "page_id", "url")
+    return read_archives(rows.select(rows["page_id"].cast("long").alias("page_id"), "url"), build_index(captures, folder), folder)

@@ -172,6 +172,7 @@ def test_media_of_nothing(empty):
 @pytest.fixture(scope="module")
 def pages(spark):
     rows = [(i, f"http://www.h{i % 3}.org/p{i}", f"<p>{i % 7}</p>" * (i % 7)) for i in range(60)]
+    rows += [(70 + k, f"http://long.org/{'x' * 300}{k}{chr(k + 1)}", "same") for k in range(9)]
     rows += [(60, None, None), (61, "not a url", ""), (62, "http://a.b:99999/x", "é" * 9000), (3, "http://www.h0.org/p3", "<p>3</p>" * 3), (None, "http://n.org", "<p>1</p>")]
     return spark.createDataFrame(rows, "page_id long, url string, html string").repartition(3).withColumn("first_id", F.lit(0)).cache()
 
@@ -194,6 +195,15 @@ def test_archives_and_index(spark, pages):
     captures, folder = warc.write_archives(pages)
     directory = warc.build_index(captures, folder, block_lines=4)
     assert directory.count() > 10
+    named = pages.select("page_id", "url")
+    assert by_text(warc.read_archives(named, directory, folder), "page_id", "payload_bytes", "payload_digest", "record_type", "refers_to") == sorted(map(want, rows), key=repr)
+    with pytest.raises(Exception, match="captures of"):
+        warc.read_archives(named.unionByName(named.limit(1)), directory, folder).collect()
+    # a search is all that leads to a record: with the blocks in a wrong order it finds nothing
+    some = directory.orderBy("first_key").collect()
+    mixed = spark.createDataFrame([(a["first_key"], a["last_key"], b["part"], b["start"], b["length"]) for a, b in zip(some, some[::-1])], directory.schema)
+    with pytest.raises(Exception, match="captures of"):
+        warc.read_archives(named, mixed, folder).collect()
     got = [r for r in warc.lookup(directory, folder, "http://H1.org/p4")]
     assert [r["warc-target-uri"] for r in got] == ["http://www.h1.org/p4"]
     assert list(warc.lookup(directory, folder, "http://absent.org/")) == []
