@@ -137,9 +137,15 @@ def quality(docs: DataFrame, max_rate: float = MAX_HOST_RATE) -> DataFrame:
 
 
 def keep_good(docs: DataFrame, max_rate: float = MAX_HOST_RATE) -> DataFrame:
-    """The rows of ``docs`` that are kept, with all their columns (whatever those are called)."""
+    """The rows of ``docs`` that are kept, with all their columns (whatever those are called).
+
+    Rows with null or empty texts fail and go, a null source is a host of its own, rows that repeat stay or go together,
+    and an empty table gives an empty result.  Texts are measured once: the rows are written with their base verdict,
+    and hosts are judged from that.
+    """
     columns = docs.columns
     plain = docs.select(*(F.col(f"`{c}`").alias(f"in_{i}_") for i, c in enumerate(columns)), F.col("text").alias("text_"), F.col("source").alias("source_"))
-    rows = _measured(plain, "text_").drop("text_").withColumn("base_failed", base_failed())
+    rows = _measured(plain, "text_").withColumn("base_failed", base_failed())
+    rows = stage(rows.select(*(f"in_{i}_" for i in range(len(columns))), "source_", "base_failed"), "quality-rows")
     kept = judge(rows, host="source_", max_rate=max_rate).filter("kept")
     return kept.select(*(F.col(f"in_{i}_").alias(c) for i, c in enumerate(columns)))
