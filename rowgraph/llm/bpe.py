@@ -1,13 +1,15 @@
 """Byte-level BPE over whole texts with the tiktoken library and a local rank file.
 
-The pattern's matches are encoded separately, so a text may be cut wherever one match must end and another begin.  Such
-places are found by the pattern itself: behind a letter or digit before white space.  Long texts are encoded piece by
-piece there, and their digests are updated piece by piece; memory holds one piece, not a long text's ids.
+The pattern's matches are encoded separately, so a text may be cut wherever one match must end and another begin: between
+a character that isn't white space and one that is, if no match of the pattern has both in this order.  Whether that holds
+is tried on the pattern; with one that fails, texts stay whole.  Long texts are encoded piece by piece, and their digests
+are updated piece by piece; memory holds one piece, not a long text's ids.
 """
 
 from __future__ import annotations
 
 import base64
+import functools
 import hashlib
 from collections.abc import Iterator
 
@@ -43,10 +45,28 @@ def make_encoding(ranks: bytes, pattern: str):
     return tiktoken.Encoding("local_ranks", pat_str=pattern, mergeable_ranks=table, special_tokens={})
 
 
-def pieces(text: str, size: int = PIECE_CHARS) -> Iterator[str]:
-    """The text in order, cut at safe boundaries only; a stretch without one stays whole."""
+#: Characters of each kind that patterns tell apart, on which a pattern is tried.
+_PROBES = ("a", "Z", "é", "ß", "中", "ʰ", "7", "²", "٣", "Ⅷ", "'", "'s", "'ll", ".", "-", "_", "/", "\"", "$", "+", "\u0301", "\u200d", "\u00ad", "😀", "\x00", "\x7f", "\ufeff")
+
+
+@functools.lru_cache(maxsize=16)
+def may_cut(pattern: str) -> bool:
+    """Whether matches of the pattern end at the places where texts would be cut, tried on all pairs of probes."""
+    match = regex.compile(pattern)
+    for a in _PROBES:
+        for gap in (" ", "\t", "\n", "\r", "\r\n", "  ", " \n"):
+            for b in ("", *_PROBES):
+                for head in ("", a, " " + a):
+                    text = head + a + gap + b
+                    if len(head + a) not in {m.end() for m in match.finditer(text)}:
+                        return False
+    return True
+
+
+def pieces(text: str, size: int = PIECE_CHARS, cut: bool = True) -> Iterator[str]:
+    """The text in order, cut at safe boundaries only; a stretch without one stays whole, as does all of it without ``cut``."""
     at = 0
-    while len(text) - at > size:
+    while cut and len(text) - at > size:
         found = _SAFE.search(text, at + size)
         if found is None:
             break
@@ -62,6 +82,7 @@ class Codec:
 
     def __init__(self, ranks: bytes, pattern: str):
         self.encoding = make_encoding(ranks, pattern)
+        self.cut = may_cut(pattern)
         top = self.encoding.max_token_value + 1
         self.digits = [b"%d" % i for i in range(top)]
         self.raw = [b""] * top
@@ -75,7 +96,7 @@ class Codec:
         return cls._made[key]
 
     def encode(self, text: str) -> Iterator[list[int]]:
-        for piece in pieces(text):
+        for piece in pieces(text, cut=self.cut):
             yield self.encoding.encode_ordinary(piece)
 
     def decode(self, ids: list[int]) -> bytes:
@@ -126,12 +147,13 @@ def bpe_digests(docs: DataFrame, ranks_path: str, pattern: str) -> DataFrame:
 
 
 def encode_texts(docs: DataFrame, ranks_path: str, pattern: str, text: str = "text", ids: str = "token_ids") -> DataFrame:
-    """``docs`` with the ids of each text in a new last column ``ids`` (null text: none).  All columns are kept.
+    """``docs`` with the ids of each text in a new last column ``ids`` (null or empty text: none).
 
-    The ids are decoded again, and a text that doesn't come back to the byte is an error.
+    All columns are kept, but for one that has the name of the new column, which takes its place.  Repeated rows give
+    equal rows, very long texts are encoded piece by piece, an empty table gives an empty result.  The ids are decoded
+    again, and a text that doesn't come back to the byte is an error.
     """
-    if ids in docs.columns:
-        raise ValueError(f"there is already a column {ids}")
+    docs = docs if ids == text else docs.drop(ids)
     ranks = docs.sparkSession.sparkContext.broadcast(read_ranks(ranks_path))
     where = docs.columns.index(text)
 
@@ -160,8 +182,10 @@ def encode_texts(docs: DataFrame, ranks_path: str, pattern: str, text: str = "te
 def decode_ids(rows: DataFrame, ranks_path: str, pattern: str, ids: str = "token_ids", raw: str = "raw") -> DataFrame:
     """``rows`` with the bytes of each id list in a new last column ``raw`` (binary; null list: empty).
 
-    Decoding is of bytes: a list that ends within a character gives those bytes, not a replacement character.
+    Decoding is of bytes: a list that ends within a character gives those bytes, not a replacement character.  An id that
+    the ranks lack, or that is null, is an error.  A column that has the name of the new one gives way to it.
     """
+    rows = rows if raw == ids else rows.drop(raw)
     ranks = rows.sparkSession.sparkContext.broadcast(read_ranks(ranks_path))
     where = rows.columns.index(ids)
 

@@ -78,7 +78,7 @@ def systematic(rows: DataFrame, weights: tuple[int, ...], most: int, seed: str)
     size_class = F.length(F.bin(F.col("size") + 1))
     # a null source is a key of its own; plain equality lets the join below use the windows' partitioning
     key = {"source_": F.coalesce("source", F.lit("")), "none_": F.col("source").isNull()}
-    placed = rows.withColumns({**key, "class_": size_class, "part_": F.pmod(_md5_number(F.lit(seed), F.col("doc_id")), F.lit(spread)).cast("int")})
+    placed = rows.withColumns({**key, "class_": size_class, "part_": F.pmod(_md5_number(F.lit(seed), F.col("doc_id"), F.col("tie")), F.lit(spread)).cast("int")})
     totals = placed.groupBy("source_", "none_", "class_", "part_").agg(F.count("*").alias("n"))
     # rows before a bucket: the classes of a source from long to short, then its parts
     per_class = totals.groupBy("source_", "none_", "class_").agg(F.sum("n").alias("class_n"))
@@ -105,7 +105,11 @@ def systematic(rows: DataFrame, weights: tuple[int, ...], most: int, seed: str)
 
 
 def take_copies(docs: DataFrame, weights: tuple[int, ...] = (5, 2, 1), most: int = 3, seed: str = "mix") -> DataFrame:
-    """The mix itself: the rows of ``docs`` with all their columns, each as often as it is taken."""
+    """The mix itself: the rows of ``docs`` with all their columns (whatever those are called), each as often as it is taken.
+
+    Rows with null or empty texts are taken at their source's rate, a null source is a source of its own, repeated rows are
+    sampled separately, and an empty table gives an empty result.
+    """
     columns = docs.columns
     carried = {f"in_{i}_": F.col(f"`{c}`") for i, c in enumerate(columns)}
     tie = F.coalesce(F.sha2(F.col("text"), 256), F.lit(""))

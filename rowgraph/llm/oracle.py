@@ -14,7 +14,7 @@ l AS (SELECT *, (sum(source_size) OVER () - 3 * coalesce(sum(source_size) OVER (
 t AS (SELECT *, coalesce(least(3.0::DOUBLE * source_size, max(CASE WHEN level <= full_at THEN level END) OVER () * weight), 3.0::DOUBLE * source_size) AS target,
   (('0x' || substr(md5('mix|' || coalesce(source, 'null')), 1, 13))::BIGINT + 0.5::DOUBLE) / 4503599627370496.0::DOUBLE AS offset_ FROM l),
 n AS (SELECT greatest(1, (count(*) + 2047) // 2048) AS spread FROM d),
-k AS (SELECT d.*, length(bin(size + 1)) AS cls, ('0x' || substr(md5('mix|' || coalesce(doc_id::VARCHAR, 'null')), 1, 13))::BIGINT % spread AS part FROM d, n),
+k AS (SELECT d.*, length(bin(size + 1)) AS cls, ('0x' || substr(md5('mix|' || coalesce(doc_id::VARCHAR, 'null') || '|' || tie), 1, 13))::BIGINT % spread AS part FROM d, n),
 r AS (SELECT k.doc_id, k.size, t.source_size, t.source_rows, t.target, t.offset_, CASE WHEN t.source_size > 0 THEN t.target / t.source_size::DOUBLE ELSE 0 END AS rate,
   row_number() OVER (PARTITION BY k.source ORDER BY cls DESC, part, size DESC, doc_id NULLS LAST, tie) AS pos FROM k JOIN t ON k.source IS NOT DISTINCT FROM t.source),
 p AS (SELECT *, floor(rate) AS whole, rate - floor(rate) AS frac FROM r),

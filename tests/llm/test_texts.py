@@ -85,6 +85,22 @@ def test_encode_keeps_columns_and_decode_undoes_it(clashing):
     assert back.filter(F.col("raw") != F.coalesce("text", F.lit("")).cast("binary")).count() == 0
 
 
+def test_columns_of_the_new_names_give_way(spark):
+    rows = spark.createDataFrame([(1, "a b", "x", 2)], "doc_id long, text string, token_ids string, raw int")
+    ids = bpe.encode_texts(rows, RANKS, public_tokenizers.PATTERN)
+    assert ids.columns == ["doc_id", "text", "raw", "token_ids"] and len(ids.first()["token_ids"]) == 2
+    back = bpe.decode_ids(ids, RANKS, public_tokenizers.PATTERN)
+    assert back.columns == ["doc_id", "text", "token_ids", "raw"] and bytes(back.first()["raw"]) == b"a b"
+
+
+def test_patterns_whose_matches_run_over_the_cut_keep_texts_whole():
+    text = "some words " * 20
+    assert bpe.may_cut(public_tokenizers.PATTERN) and len(list(bpe.pieces(text, 8))) > 5
+    for pattern in (r"\S+\s*", r"[^\s]+[\r\n]*|\s+", r"\p{N}+ |."):
+        assert not bpe.may_cut(pattern)
+    assert list(bpe.pieces(text, 8, cut=False)) == [text]
+
+
 def test_bpe_of_nothing(empty):
     assert bpe.bpe_digests(empty, RANKS, public_tokenizers.PATTERN).count() == 0
 
@@ -130,25 +146,71 @@ def test_conversations(spark):
 # ---------------------------------------------------------------- media
 
 
-def test_media_round_trip(docs, rows):
-    got = media.text_media(docs)
+def picture(data):
+    """An own reading of a greyscale PNG: (width, rows of samples, text chunks)."""
+    assert data[:8] == bytes([137, 80, 78, 71, 13, 10, 26, 10])
+    at, notes, packed = 8, {}, b""
+    while at < len(data):
+        size, kind = int.from_bytes(data[at : at + 4], "big"), data[at + 4 : at + 8]
+        body = data[at + 8 : at + 8 + size]
+        assert int.from_bytes(data[at + 8 + size : at + 12 + size], "big") == zlib.crc32(kind + body)
+        if kind == b"IHDR":
+            width, height, depth, colour = int.from_bytes(body[:4], "big"), int.from_bytes(body[4:8], "big"), body[8], body[9]
+        elif kind == b"tEXt":
+            k, _, v = body.partition(b"\0")
+            notes[k.decode()] = v.decode()
+        elif kind == b"IDAT":
+            packed += body
+        at += 12 + size
+    assert (depth, colour, kind) == (8, 0, b"IEND")
+    raw = zlib.decompress(packed)
+    lines = [raw[k : k + width + 1] for k in range(0, len(raw), width + 1)]
+    assert len(lines) == height and all(x[0] == 0 for x in lines)
+    return width, b"".join(x[1:] for x in lines), notes
+
+
+@pytest.mark.parametrize("tile", [1 << 20, 1024])
+def test_media_round_trip(docs, rows, tile):
+    """Stored pictures by an own decoder, then the figures from what was stored, for one picture a text and for many."""
+    stored, folder = media.store_texts(docs, tile)
+    at = {r["digest"]: r["place"] for r in media.places(stored).collect()}
+    top = folder.removeprefix("file://").removeprefix("file:")
 
     def want(text):
         raw = (text or "").encode()
+        parts = [raw[k : k + tile] for k in range(0, len(raw), tile)] or [b""]
+        forms = []
+        for x in parts:
+            place = at[hashlib.sha256(x).hexdigest()]
+            with open(f"{top}/{place['file']}", "rb") as f:
+                f.seek(place["start"])
+                forms.append(f.read(place["length"]))
         p = raw + b"\0" * (-len(raw) % 64 if raw else 64)
-        png = media.to_png(p)
-        assert media.from_png(png) == p
-        return len(raw), len(p), hashlib.sha256(p).hexdigest(), zlib.crc32(p[-64:]), len(png), hashlib.sha256(png).hexdigest(), media.features(p)
+        read = [picture(x) for x in forms]
+        assert b"".join(x[1] for x in read) == p and {x[0] for x in read} == {64} and sum(int(x[2]["Bytes"]) for x in read) == len(raw)
+        n, steps = len(p), sum(abs(a - b) for a, b in zip(p, p[1:]))
+        spread = max(0.0, sum(x * x for x in p) / n - (sum(p) / n) ** 2) ** 0.5
+        feature = f"rows={n // 64};mean={sum(p) / n:.4f};std={spread:.4f};zeros={p.count(0) / n:.4f};step={steps / (n - 1):.4f}"
+        whole = b"".join(forms)
+        return len(raw), n, hashlib.sha256(p).hexdigest(), zlib.crc32(p[-64:]), len(whole), hashlib.sha256(whole).hexdigest(), feature
 
     cols = ("doc_id", "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature")
-    assert by_text(got, *cols) == sorted(((r[0], *want(r[1])) for r in rows), key=repr)
+    assert by_text(media.text_media(docs, tile), *cols) == sorted(((r[0], *want(r[1])) for r in rows), key=repr)
+    seqs = media.sequences(stored.select("doc_id", "html")).filter("doc_id = 3").first()["sequence"]
+    assert [x["kind"] for x in seqs] == ["text", *["text", "media"] * ((len(seqs) - 2) // 2), "text"]
 
 
-def test_damaged_media_are_found():
-    png = bytearray(media.to_png(b"a" * 64))
+def test_damaged_and_misplaced_media_are_found(spark, docs):
+    png = bytearray(media.to_png(b"a" * 64, 64))
     png[45] ^= 1
     with pytest.raises(ValueError):
         media.from_png(bytes(png))
+    stored, folder = media.store_texts(docs.filter("doc_id in (1, 2)"))
+    place = media.places(stored).first()["place"]
+    kind = "row long, doc_id long, pos int, caption string, place struct<file:string,start:long,length:long>"
+    for caption, where in (("part 2 of 1", place), ("part 1 of 1", None)):
+        with pytest.raises(Exception, match="picture 1 of 1"):
+            media.read_media(spark.createDataFrame([(0, 1, 1, caption, where)], kind), folder).collect()
 
 
 def test_interleaving_keeps_order_and_captions(spark):
@@ -162,6 +224,11 @@ def test_interleaving_keeps_order_and_captions(spark):
     assert got == {1: ("a cap", bytearray(b"z")), 3: ("alt", None)}
 
 
+def test_a_column_of_the_sequences_name_is_replaced(spark):
+    out = media.sequences(spark.createDataFrame([(1, "old", "<p>a</p>", 2)], "page_id long, sequence string, html string, pos int"))
+    assert out.columns == ["page_id", "html", "pos", "sequence"] and out.first()["sequence"][0]["text"] == "a"
+
+
 def test_media_of_nothing(empty):
     assert media.text_media(empty).count() == 0
 
