@@ -6,8 +6,9 @@ without a token of their own share one by hash; of a shared token each word has
 join with the table of all counts adds.  A document's score is the sum of the log-probabilities of all its words, each
 with itself masked.
 
-Counts and training cover all documents.  Each task trains a copy of the network on its rows; the copies are averaged
-by their tokens in the executors, and what the driver gets is one network.
+Counts and training cover all documents.  Rows are dealt to parts by a hash of what they hold, in order of the hash; each
+part trains a copy of the network, and the copies are averaged by their tokens in the executors.  What the driver gets is
+one network, which depends on the rows alone, not on how they were partitioned.
 """
 
 from __future__ import annotations
@@ -36,6 +37,9 @@ RATE = 0.2
 OWN_RATE = 0.2
 #: Bound of the output's weights.
 LIMIT = 4.0
+#: Parts that train a copy each: at least the first number, and the root of all tokens by the second, so that all copies
+#: together grow no faster than the input.
+PARTS, TOKENS_ROOT = 32, 280
 _U = np.uint64
 _ONES = np.ones(CLASSES, np.float32)
 
@@ -56,6 +60,7 @@ class Vocabulary:
     within: np.ndarray = field(default_factory=lambda: np.zeros(SHARED))
     unseen: np.ndarray = field(default_factory=lambda: np.zeros(SHARED))
     counts: DataFrame | None = None
+    n_tokens: int = 0
 
     def __post_init__(self):
         self.known = len(self.klass) - SHARED
@@ -125,7 +130,7 @@ def make_vocabulary(rows: DataFrame) -> Vocabulary:
     share[:] = np.log(totals / mass[klass])
     # the one that was added to a shared token is for words that are not in the corpus, taken to be as many as those that are
     within = -np.log(totals[n_known:])
-    return Vocabulary(hashes[order], order.astype(np.int32), klass, share, within, within - np.log(kinds + 1), counts)
+    return Vocabulary(hashes[order], order.astype(np.int32), klass, share, within, within - np.log(kinds + 1), counts, int(totals.sum()) - n_tokens)
 
 
 class Network:
@@ -243,46 +248,87 @@ def windows(tokens: np.ndarray, first: np.ndarray) -> np.ndarray:
     return np.stack([padded[at + k] for k in AROUND])
 
 
+class Stream:
+    """Trains a network on texts as they come, in batches of ``BATCH`` tokens whatever the pieces they come in."""
+
+    def __init__(self, net: Network, voc: Vocabulary, rate: float):
+        self.net, self.voc, self.rate, self.seen = net, voc, rate, 0
+        self.held = np.zeros((len(AROUND) + 1, 0), np.int32)
+
+    def add(self, tokens: np.ndarray, first: np.ndarray) -> None:
+        self.held = np.concatenate([self.held, np.vstack([windows(tokens, first), tokens[None]])], axis=1)
+        n = self.held.shape[1] // BATCH * BATCH
+        self._steps(n)
+        self.held = self.held[:, n:]
+
+    def _steps(self, n: int) -> None:
+        for k in range(0, n, BATCH):
+            tokens = self.held[-1, k : min(n, k + BATCH)]
+            self.net.step(self.held[:-1, k : min(n, k + BATCH)], self.voc.klass[tokens], self.rate, tokens, self.voc)
+            self.seen += len(tokens)
+
+    def end(self) -> None:
+        self._steps(self.held.shape[1])
+        self.held = self.held[:, :0]
+
+
 def train(rows: DataFrame, voc: Vocabulary, net: Network, rate: float = RATE) -> Network:
-    """One pass over all rows: every task trains on its own, then parameters are averaged by numbers of tokens."""
+    """One pass over all rows (doc_id, text): every part trains a copy, then copies are averaged by numbers of tokens."""
     net = net.sized(voc)
     given = rows.sparkSession.sparkContext.broadcast((replace(voc, counts=None), net.blob()))
-    parts = 32
-    schema = pa.schema([("part", pa.int32()), ("weight", pa.float64()), ("values", pa.binary())])
+    n_parts = max(PARTS, int(voc.n_tokens**0.5) // TOKENS_ROOT)
+    pieces = 32
+    schema = pa.schema([("piece", pa.int32()), ("part", pa.int32()), ("weight", pa.float64()), ("values", pa.binary())])
 
     def run(batches: Iterator[pa.RecordBatch]):
         vocabulary, blob = given.value
-        own, seen = Network.of(blob), 0
+        part, stream = None, None
+
+        def done() -> Iterator[pa.RecordBatch]:
+            if stream is None:
+                return
+            stream.end()
+            if stream.seen:
+                cut = np.array_split(stream.net.blob(), pieces)
+                yield pa.RecordBatch.from_arrays([pa.array(range(pieces), pa.int32()), pa.array([part] * pieces, pa.int32()), pa.array([float(stream.seen)] * pieces), pa.array([c.tobytes() for c in cut], pa.binary())], schema=schema)
+
         for whole in batches:
             for batch in slices(whole, "text"):
-                words, first = _words(batch.column(batch.schema.get_field_index("text")))
-                tokens = vocabulary.tokens(words)
-                around, classes = windows(tokens, first), vocabulary.klass[tokens]
-                for k in range(0, len(tokens), BATCH):
-                    own.step(around[:, k : k + BATCH], classes[k : k + BATCH], rate, tokens[k : k + BATCH], vocabulary)
-                seen += len(tokens)
-        if seen:
-            cut = np.array_split(own.blob(), parts)
-            yield pa.RecordBatch.from_arrays([pa.array(range(parts), pa.int32()), pa.array([float(seen)] * parts), pa.array([c.tobytes() for c in cut], pa.binary())], schema=schema)
+                owners = batch.column(0).to_numpy()
+                cuts = [0, *(np.flatnonzero(np.diff(owners)) + 1).tolist(), len(owners)]
+                for lo, hi in zip(cuts[:-1], cuts[1:], strict=True):
+                    if owners[lo] != part:
+                        yield from done()
+                        part, stream = int(owners[lo]), Stream(Network.of(blob), vocabulary, rate)
+                    words, first = _words(batch.column(1).slice(lo, hi - lo))
+                    stream.add(vocabulary.tokens(words), first)
+        yield from done()
 
     def add(batches: Iterator[pa.RecordBatch]):
-        sums: dict[int, list] = {}
+        current, weight, total = None, 0.0, None
+
+        def done() -> pa.RecordBatch:
+            return pa.RecordBatch.from_arrays([pa.array([current], pa.int32()), pa.array([0], pa.int32()), pa.array([weight]), pa.array([(total / weight).astype(np.float32).tobytes()], pa.binary())], schema=schema)
+
         for batch in batches:
-            for part, weight, values in zip(*(batch.column(k).to_pylist() for k in range(3)), strict=True):
-                x = np.frombuffer(values, np.float32).astype(np.float64) * weight
-                if part in sums:
-                    sums[part][0] += weight
-                    sums[part][1] += x
-                else:
-                    sums[part] = [weight, x]
-        for part, (weight, x) in sums.items():
-            yield pa.RecordBatch.from_arrays([pa.array([part], pa.int32()), pa.array([weight]), pa.array([(x / weight).astype(np.float32).tobytes()], pa.binary())], schema=schema)
-
-    ddl = "part int, weight double, values binary"
-    made = rows.mapInArrow(run, ddl).repartition("part").mapInArrow(add, ddl).collect()
+            for piece, _, w, values in zip(*(batch.column(k).to_pylist() for k in range(4)), strict=True):
+                if piece != current:
+                    if current is not None:
+                        yield done()
+                    current, weight, total = piece, 0.0, 0.0
+                weight, total = weight + w, total + np.frombuffer(values, np.float32).astype(np.float64) * w
+        if current is not None:
+            yield done()
+
+    ddl = "piece int, part int, weight double, values binary"
+    mark = F.xxhash64("text", "doc_id")
+    dealt = rows.filter(F.length("text") > 0).withColumns({"hash": mark, "part": F.pmod(mark, F.lit(n_parts)).cast("int")})
+    dealt = dealt.repartitionById(n_parts, "part").sortWithinPartitions("part", "hash", "doc_id").select("part", "text")
+    copies = dealt.mapInArrow(run, ddl)
+    made = copies.repartition("piece").sortWithinPartitions("piece", "part").mapInArrow(add, ddl).collect()
     if not made:
         return net
-    return Network.of(np.concatenate([np.frombuffer(r["values"], np.float32) for r in sorted(made, key=lambda r: r["part"])]))
+    return Network.of(np.concatenate([np.frombuffer(r["values"], np.float32) for r in sorted(made, key=lambda r: r["piece"])]))
 
 
 def score(rows: DataFrame, voc: Vocabulary, net: Network) -> DataFrame:
@@ -336,5 +382,5 @@ def pseudo_likelihood(docs: DataFrame) -> DataFrame:
     rows = clean_columns(docs, "doc_id", "text")
     rows = rows.select(rows["doc_id"].cast("long").alias("doc_id"), "text")
     voc = make_vocabulary(rows.select("text"))
-    net = train(rows.select("text"), voc, Network())
+    net = train(rows, voc, Network())
     return score(rows, voc, net)

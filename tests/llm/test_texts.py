@@ -406,6 +406,79 @@ def test_gradient_step_lowers_the_loss_and_order_matters(spark, sf):
     assert total(net, docs) > total(scoring.Network(), docs)
 
 
+def test_training_does_not_depend_on_partitions(docs):
+    voc = scoring.make_vocabulary(docs)
+    a, b = (scoring.train(x, voc, scoring.Network()).blob() for x in (docs.repartition(2), docs.repartition(7, "text")))
+    assert np.array_equal(a, b) and not np.array_equal(a, scoring.Network().blob())
+
+
+def test_scores_by_an_own_forward_pass(spark):
+    """log_prob of small texts, token by token with plain loops over classes, tokens and the counts of all words."""
+    rng = np.random.default_rng(4)
+    texts = [" ".join(f"v{int(x)}" for x in rng.zipf(1.3, 30) % 9000) for _ in range(400)]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    voc = scoring.make_vocabulary(docs)
+    net = scoring.train(docs, voc, scoring.Network())
+    counts = Counter(w for t in texts for w in t.split())
+    hashed = {w: int(scoring._words(pa.array([w]))[0][0]) for w in counts}
+    known = dict(zip(voc.hashes.tolist(), voc.ids.tolist()))
+    token = lambda w: known.get(hashed[w], voc.known + (hashed[w] >> 56) % scoring.SHARED)
+    got = {r["doc_id"]: r["log_prob"] for r in scoring.score(docs.filter("doc_id < 12"), voc, net).collect()}
+    for k in range(12):
+        ids, total = [token(w) for w in texts[k].split()], 0.0
+        for i, t in enumerate(ids):
+            h = np.zeros(scoring.WIDTH)
+            for p, step in enumerate(scoring.AROUND):
+                h += net.embed[p][ids[i + step] if 0 <= i + step < len(ids) else -1].astype(float)
+            h = np.tanh(h)
+            z = np.array([h @ net.out[:, c] + net.bias[c] for c in range(scoring.CLASSES)])
+            total += z[voc.klass[t]] - np.log(np.exp(z).sum())
+            own = {j: h @ net.own[voc.place[j]] + voc.share[j] for j in np.flatnonzero(voc.klass == voc.klass[t])}
+            total += own[t] - np.log(sum(np.exp(v) for v in own.values()))
+            if t >= voc.known:
+                total += np.log(counts[texts[k].split()[i]]) + voc.within[t - voc.known]
+        assert got[k] == pytest.approx(total, rel=1e-3)
+
+
+def test_held_out_text_is_likelier_than_under_frequencies_or_one_side():
+    """A language in which a word depends on the words around it, of many words, trained and measured apart."""
+    rng = np.random.default_rng(6)
+
+    def make(n):
+        topic = rng.integers(0, 40, n)
+        return (topic[:, None] * 100 + np.minimum(rng.zipf(1.5, (n, 25)) - 1, 99)).astype(np.int32)
+
+    train, held = make(6000), make(600)
+    n = scoring.KNOWN + scoring.SHARED
+    counts = np.bincount(train.ravel(), minlength=n)[:n] + 1.0
+    by = np.argsort(-counts, kind="stable")
+    klass = np.zeros(n, np.int32)
+    klass[by] = np.minimum((np.cumsum(counts[by]) - counts[by]) / counts.sum() * scoring.CLASSES, scoring.CLASSES - 1)
+    mass = np.bincount(klass, counts, scoring.CLASSES)
+    voc = scoring.Vocabulary(np.zeros(0, np.uint64), np.zeros(0, np.int32), klass, np.log(counts / mass[klass]).astype(np.float32))
+
+    def mean(sides):
+        net, parts = scoring.Network(), []
+        for rows, learn in ((train, True), (held, False)):
+            tokens, first = rows.ravel(), np.arange(0, rows.size + 1, rows.shape[1])
+            around = scoring.windows(tokens, first)
+            for p, step in enumerate(scoring.AROUND):
+                if not sides(step):
+                    around[p] = -1
+            for k in range(0, len(tokens), 1024):
+                here, t = around[:, k : k + 1024], tokens[k : k + 1024]
+                if learn:
+                    net.step(here, klass[t], scoring.RATE, t, voc)
+                else:
+                    h = net.hidden(here)
+                    parts.append(net.log_classes(h)[np.arange(len(t)), klass[t]] + net.log_within(h, t, voc))
+        return np.concatenate(parts).mean()
+
+    both, left, neither = mean(lambda s: True), mean(lambda s: s < 0), mean(lambda s: False)
+    frequencies = np.log(counts[held.ravel()] / counts.sum()).mean()
+    assert both > left + 0.05 > frequencies + 0.3 and abs(neither - frequencies) < 0.1
+
+
 def test_a_network_learns_from_both_sides():
     rng = np.random.default_rng(0)
     left, right = rng.integers(0, 8, 20000), rng.integers(0, 8, 20000)
