@@ -31,7 +31,8 @@ TOKENS = KNOWN + SHARED
 #: Words with a token of their own grow as this times the root of the number of distinct words.
 GROWTH = 8
 AROUND = (-2, -1, 1, 2)
-BATCH = 8192
+#: Tokens in a step of training, and that are scored together.
+BATCH, SCORED = 8192, 16384
 RATE = 0.2
 #: Factor of the rate for a token's weights within its class.
 OWN_RATE = 0.2
@@ -44,6 +45,13 @@ _U = np.uint64
 _ONES = np.ones(CLASSES, np.float32)
 
 
+def _order(x: np.ndarray) -> np.ndarray:
+    """Stable order of values from -1 on, by radix."""
+    x = x + 1
+    order = np.argsort(x.astype(np.uint16), kind="stable")
+    return order if not len(x) or x.max() < 1 << 16 else order[np.argsort((x >> 16).astype(np.uint16)[order], kind="stable")]
+
+
 @dataclass
 class Vocabulary:
     """hashes: of known words, ascending; ids: their tokens; klass and share: class of each token and log of its share of it.
@@ -176,65 +184,84 @@ class Network:
         return z
 
     def within(self, hidden: np.ndarray, tokens: np.ndarray, voc: Vocabulary) -> Iterator[tuple]:
-        """For each class of a batch: its rows, their hidden values, run of places, ascending targets in it, and for each
-        row the unscaled probabilities of the run and their sum."""
-        order = np.argsort(place := voc.place[tokens], kind="stable")
+        """For each class of a batch: its rows, run of places, targets in it, and for each row the probabilities of the
+        run's tokens divided by their shares, unscaled, and the sum of those probabilities."""
+        order = _order(place := voc.place[tokens])
         place = place[order]
         cuts = np.searchsorted(place, voc.start)
         for k in np.flatnonzero(np.diff(cuts)).tolist():
             rows, run = order[cuts[k] : cuts[k + 1]], slice(int(voc.start[k]), int(voc.start[k + 1]))
-            h = hidden.take(rows, axis=0)
             # as with the classes; the shares of a class add up to 1
-            z = h @ self.own[run].T
-            z += voc.prior[run]
+            z = hidden.take(rows, axis=0) @ self.own[run].T
             np.exp(z, out=z)
-            yield rows, h, run, place[cuts[k] : cuts[k + 1]] - run.start, z, z @ np.ones(z.shape[1], np.float32)
+            yield rows, run, place[cuts[k] : cuts[k + 1]] - run.start, z, z @ voc.mass[run]
+
+    def drawn(self, hidden: np.ndarray, tokens: np.ndarray, voc: Vocabulary) -> Iterator[tuple]:
+        """For each class of a batch: its rows, their hidden values, the distinct places of its tokens, where each begins
+        among the rows and how often it is there, and each row's target among those.
+
+        A batch's tokens of a class are draws by their shares of it.  A sum over the whole class of shares times values is
+        thus estimated by one over the draws, in which a token's share becomes its count: training costs as much as the
+        batch has tokens, however large classes are.  Scores use the whole class.
+        """
+        order = _order(place := voc.place[tokens])
+        place = place[order]
+        new = np.concatenate(([True], place[1:] != place[:-1]))
+        index, first = np.cumsum(new) - 1, np.flatnonzero(new)
+        count = np.diff(np.append(first, len(place))).astype(np.float32)
+        cuts = np.searchsorted(place, voc.start)
+        for k in np.flatnonzero(np.diff(cuts)).tolist():
+            lo, hi = int(cuts[k]), int(cuts[k + 1])
+            here = slice(int(index[lo]), int(index[hi - 1]) + 1)
+            rows = order[lo:hi]
+            yield rows, hidden.take(rows, axis=0), place[first[here]], first[here] - lo, count[here], index[lo:hi] - here.start
 
     def log_within(self, hidden: np.ndarray, tokens: np.ndarray, voc: Vocabulary) -> np.ndarray:
         """Log-probability of each token among those of its class."""
         out = np.zeros(len(tokens), np.float32)
-        for rows, _, _, target, z, total in self.within(hidden, tokens, voc):
-            out[rows] = np.log(z[np.arange(len(rows)), target] / total)
+        for rows, run, target, z, total in self.within(hidden, tokens, voc):
+            out[rows] = np.log(z[np.arange(len(rows)), target] / total) + voc.prior[run][target]
         return out
 
-    def step(self, around: np.ndarray, classes: np.ndarray, rate: float, tokens: np.ndarray | None = None, voc: Vocabulary | None = None) -> float:
-        """One step of gradient descent on a batch; returns the mean loss before it.  Without tokens only classes are learned."""
+    def step(self, around: np.ndarray, classes: np.ndarray, rate: float, tokens: np.ndarray | None = None, voc: Vocabulary | None = None) -> None:
+        """One step of gradient descent on a batch.  Without tokens only classes are learned."""
         n = len(classes)
         h = self.hidden(around)
-        logs = self.log_classes(h)
-        at = np.arange(n)
-        loss = -float(logs[at, classes].mean())
-        d = np.exp(logs)
-        d[at, classes] -= 1
-        dh = (d @ self.out.T) * (1 - h * h)
+        d = h @ self.out
+        d += self.bias
+        np.exp(d, out=d)
+        d /= (d @ _ONES)[:, None]
+        d[np.arange(n), classes] -= 1
+        dh = d @ self.out.T
+        dh *= 1 - h * h
         if tokens is not None:
             slope = np.zeros_like(h)
-            for rows, mine, run, target, z, total in self.within(h, tokens, voc):
-                loss -= float(np.log(z[np.arange(len(rows)), target] / total).sum()) / n
-                own = self.own[run]
-                slope[rows] = (z @ own) / total[:, None] - own[target]
+            for rows, mine, places, begins, count, target in self.drawn(h, tokens, voc):
+                own = self.own.take(places, axis=0)
+                z = mine @ own.T
+                np.exp(z, out=z)
+                z *= count
+                total = z @ np.ones(len(places), np.float32)
+                slope[rows] = (z @ own) / total[:, None] - own.take(target, axis=0)
                 g = z.T @ (mine / total[:, None])
-                first = np.flatnonzero(np.concatenate(([True], target[1:] != target[:-1])))
-                g[target[first]] -= np.add.reduceat(mine, first, axis=0)
-                # per token too, and a batch that repeats one word takes no longer step than others
-                sizes = np.maximum(voc.mass[run] * np.float32(len(rows)), np.float32(1))
-                sizes[target[first]] = np.maximum(sizes[target[first]], np.diff(np.append(first, len(rows))))
-                g *= (rate * OWN_RATE / sizes)[:, None]
+                g -= np.add.reduceat(mine, begins, axis=0)
+                # a step per token, and a batch that repeats one word takes no longer step than others
+                g *= (np.float32(rate * OWN_RATE) / count)[:, None]
                 own -= g
                 np.clip(own, -LIMIT, LIMIT, out=own)
+                self.own[places] = own
             dh += slope * (1 - h * h)
         # rates are per token for the rows of an embedding and per batch for the rest
         self.out = np.clip(self.out - rate * 10 * (h.T @ d) / n, -LIMIT, LIMIT)
         self.bias = np.clip(self.bias - rate * 10 * d.sum(axis=0) / n, -LIMIT, LIMIT)
         dh *= rate
         for k in range(len(AROUND)):
-            order = np.argsort(around[k], kind="stable")
+            order = _order(around[k])
             rows = around[k][order]
             first = np.flatnonzero(np.concatenate(([True], rows[1:] != rows[:-1])))
             sums = np.add.reduceat(dh.take(order, axis=0), first, axis=0)
             sizes = np.diff(np.append(first, n)).astype(np.float32)
             self.embed[k][rows[first]] -= sums / np.sqrt(sizes)[:, None]
-        return loss
 
 
 def windows(tokens: np.ndarray, first: np.ndarray) -> np.ndarray:
@@ -349,11 +376,11 @@ def score(rows: DataFrame, voc: Vocabulary, net: Network) -> DataFrame:
                 tokens = vocabulary.tokens(words)
                 around, classes = windows(tokens, first), vocabulary.klass[tokens]
                 logs = np.zeros(len(tokens) + 1)
-                for k in range(0, len(tokens), BATCH):
-                    hidden = own.hidden(around[:, k : k + BATCH])
+                for k in range(0, len(tokens), SCORED):
+                    hidden = own.hidden(around[:, k : k + SCORED])
                     part = own.log_classes(hidden)
-                    logs[k + 1 : k + 1 + len(part)] = part[np.arange(len(part)), classes[k : k + BATCH]]
-                    logs[k + 1 : k + 1 + len(part)] += own.log_within(hidden, tokens[k : k + BATCH], vocabulary)
+                    logs[k + 1 : k + 1 + len(part)] = part[np.arange(len(part)), classes[k : k + SCORED]]
+                    logs[k + 1 : k + 1 + len(part)] += own.log_within(hidden, tokens[k : k + SCORED], vocabulary)
                 rare = np.flatnonzero(tokens >= vocabulary.known)
                 total = np.cumsum(logs)
                 sums = total[first[1:]] - total[first[:-1]]

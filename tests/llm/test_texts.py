@@ -544,5 +544,5 @@ def test_the_window_tells_words_of_one_class_apart():
     right = net.log_within(seen, tokens[1::2], voc)
     wrong = net.log_within(seen, 5 - tokens[1::2], voc)
     assert (right - wrong).mean() > 1
-    z = np.concatenate([(x[4] / x[5][:, None]).sum(axis=1) for x in net.within(seen[:100], tokens[1::2][:100], voc)])
+    z = np.concatenate([(x[3] * voc.mass[x[1]] / x[4][:, None]).sum(axis=1) for x in net.within(seen[:100], tokens[1::2][:100], voc)])
     assert np.allclose(z, 1, atol=5e-3)
