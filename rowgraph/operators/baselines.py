@@ -8,12 +8,13 @@ from pyspark.sql import functions as F
 from ..functions.columns import in_past
 
 
-def recent_features(task: DataFrame, facts: DataFrame, key: str, value: str, widths: tuple[int, ...] = (7, 30, 90, 365)) -> DataFrame:
+def recent_features(task: DataFrame, facts: DataFrame, key: str, value: str, widths: tuple[int, ...] = (7, 30, 90, 365), stamps: DataFrame | None = None) -> DataFrame:
     """Count and sum of an entity's facts over the last w days as of each seed time, for each w.
 
-    Facts meet the stamps (a few rows) first, then one aggregate per (stamp, entity) holds all widths.
+    Facts meet the stamps (a few rows) first, then one aggregate per (stamp, entity) holds all widths.  ``stamps`` (split,
+    seed_time) are those of the task's split; without them they are read from the task, which is then computed twice.
     """
-    stamps = F.broadcast(task.select("split", "seed_time").distinct())
+    stamps = task.select("split", "seed_time").distinct() if stamps is None else stamps
     hit = facts.join(stamps, in_past(F.col("ts"), F.col("seed_time"), max(widths)))
     cols: list[Column] = []
     for w in widths:
@@ -24,9 +25,9 @@ def recent_features(task: DataFrame, facts: DataFrame, key: str, value: str, wid
     return task.join(made, ["split", "seed_time", key], "left").select("split", "seed_time", key, *(F.coalesce(F.col(n), F.lit(0)).alias(n) for n in names))
 
 
-def weekday_features(task: DataFrame, facts: DataFrame, key: str, value: str, width: int = 365) -> DataFrame:
+def weekday_features(task: DataFrame, facts: DataFrame, key: str, value: str, width: int = 365, stamps: DataFrame | None = None) -> DataFrame:
     """Count and sum per weekday (1 is Sunday) over the last ``width`` days."""
-    stamps = F.broadcast(task.select("split", "seed_time").distinct())
+    stamps = task.select("split", "seed_time").distinct() if stamps is None else stamps
     hit = facts.join(stamps, in_past(F.col("ts"), F.col("seed_time"), width))
     cols: list[Column] = []
     for d in range(1, 8):
@@ -75,8 +76,8 @@ def constant(task: DataFrame, kind: str = "median") -> DataFrame:
     return task.crossJoin(F.broadcast(value))
 
 
-def persistence(task: DataFrame, facts: DataFrame, key: str, value: Column, width: int) -> DataFrame:
+def persistence(task: DataFrame, facts: DataFrame, key: str, value: Column, width: int, stamps: DataFrame | None = None) -> DataFrame:
     """y_hat is the same aggregate over the window before the seed time."""
-    stamps = F.broadcast(task.select("split", "seed_time").distinct())
+    stamps = task.select("split", "seed_time").distinct() if stamps is None else stamps
     past = facts.join(stamps, in_past(F.col("ts"), F.col("seed_time"), width)).groupBy("split", "seed_time", key).agg(F.sum(value.cast("decimal(18,2)")).cast("double").alias("y_hat"))
     return task.join(past, ["split", "seed_time", key], "left").withColumn("y_hat", F.coalesce("y_hat", F.lit(0.0)))

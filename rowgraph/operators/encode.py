@@ -33,6 +33,24 @@ class Numeric:
         return [F.coalesce((c - self.mean) / self.std, F.lit(0.0)), c.isNull().cast("double")]
 
 
+@dataclass
+class Bins:
+    """One-hot of quantile bins, and a place for null; a value on a cut is in the bin above."""
+
+    column: str
+    size: int = 8
+    cuts: list = field(default_factory=list)
+
+    def fit(self, df: DataFrame) -> Bins:
+        got = df.agg(F.percentile(F.col(self.column).cast("double"), [i / self.size for i in range(1, self.size)])).first()[0]
+        return Bins(self.column, self.size, list(got or []))
+
+    def columns(self) -> list[Column]:
+        c = F.col(self.column).cast("double")
+        place = sum(((c >= x).cast("int") for x in self.cuts), F.lit(0))
+        return [F.coalesce((place == i).cast("double"), F.lit(0.0)) for i in range(self.size)] + [c.isNull().cast("double")]
+
+
 @dataclass
 class Category:
     """One-hot of the known values with one place for the rest, or ``hashed`` places by md5."""
@@ -150,7 +168,7 @@ class TableEncoder:
                 out.append(e.fitted(got[:2]))
                 got = got[2:]
             else:
-                out.append(e.fit(df) if isinstance(e, Category) else e)
+                out.append(e.fit(df) if isinstance(e, (Category, Bins)) else e)
         return TableEncoder(out)
 
     def transform(self, df: DataFrame, keep: list[str], out: str = "x") -> DataFrame:

@@ -126,3 +126,22 @@ def receptive_bound(caps: list[int]) -> int:
         width *= m
         total += width
     return total
+
+
+def degree_percentiles(db: Database) -> DataFrame:
+    """link, p50, p90, mean, n_edges of the number of children that parents with a child have."""
+    out = []
+    for x in db.links:
+        d = db[x.child].filter(F.col(x.fk).isNotNull()).groupBy(x.fk).agg(F.count("*").cast("double").alias("n"))
+        out.append(d.agg(F.percentile("n", 0.5).alias("p50"), F.percentile("n", 0.9).alias("p90"), F.avg("n").alias("mean"), F.sum("n").cast("bigint").alias("n_edges")).select(F.lit(x.name).alias("link"), "p50", "p90", "mean", "n_edges"))
+    return reduce(DataFrame.unionByName, out)
+
+
+def row_links(db: Database) -> DataFrame:
+    """ntype, n_links, n_rows, n_edges, n_partite: references of a table's rows, and whether none is to its own table."""
+    out = []
+    for n in db.tables:
+        own = [x for x in db.links if x.child == n]
+        edges = reduce(lambda a, b: a + b, [F.count(F.col(x.fk)) for x in own], F.lit(0).cast("bigint"))
+        out.append(db[n].agg(F.count("*").alias("n_rows"), edges.alias("n_edges")).select(F.lit(n).alias("ntype"), F.lit(len(own)).cast("bigint").alias("n_links"), "n_rows", "n_edges", F.lit(all(x.parent != n for x in own)).alias("n_partite")))
+    return reduce(DataFrame.unionByName, out)

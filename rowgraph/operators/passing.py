@@ -8,6 +8,8 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from .sampling import Slice
+
 POOLS: dict[str, Callable[[Column], Column]] = {
     "sum": F.sum,
     "max": F.max,
@@ -70,9 +72,69 @@ def join_aggregate(parent: DataFrame, key: str, child: DataFrame, fk: str, aggs:
     return parent.select(key).join(child.withColumnRenamed(fk, key), key, "left").groupBy(key).agg(*aggs)
 
 
+def join_aggregate_path(rows: DataFrame, key: str, sums: list[str], path: list[tuple[DataFrame, str, str]]) -> DataFrame:
+    """Sums and the number of ``rows`` over several links: path has (table, its key, its reference to the next table).
+
+    Rows are added up by the reference before every join, so no join is larger than the tables.
+    """
+    at = rows.groupBy(key).agg(F.count("*").alias("n"), *(F.sum(c).alias(c) for c in sums))
+    for parent, pk, fk in path:
+        met = at.join(parent.select(F.col(pk).alias(key), F.col(fk).alias("next_")), key)
+        key = fk
+        at = met.withColumnRenamed("next_", key).groupBy(key).agg(*(F.sum(c).alias(c) for c in ("n", *sums)))
+    return at
+
+
+def run_passes(cut: Slice, states: dict[str, DataFrame], rounds: int | None = None, kind: str = "sum", whole: bool = False) -> DataFrame:
+    """seed_id, nid and the seeds' states after the rounds.  ``states`` has for each type (nid, h*).
+
+    Layered (as many rounds as hops, from the outermost in): a row at hop k hears from its rows at hop k + 1.  With
+    ``whole`` every row of the slice hears from all its edges in every of ``rounds`` rounds, which a row met at several
+    hops does once.  A row's new state is its own and what it hears.
+    """
+    cols = [c for c in next(iter(states.values())).columns if c != "nid"]
+    everyone = reduce(DataFrame.unionByName, [df.select(F.lit(t).alias("ntype"), "nid", *cols) for t, df in states.items()])
+    edges = cut.edges.select("seed_id", "hop", "link", "src_type", "src", "dst_type", "dst")
+    hops = rounds if whole else edges.agg(F.max("hop")).first()[0] or 0
+    keys = ["seed_id", "ntype", "nid"]
+
+    def heard(state: DataFrame, over: DataFrame) -> DataFrame:
+        sent = over.join(state.select("seed_id", F.col("ntype").alias("src_type"), F.col("nid").alias("src"), *cols), ["seed_id", "src_type", "src"])
+        by_link = pool(sent, ["seed_id", "dst_type", "dst", "link"], cols, [kind])
+        return by_link.groupBy("seed_id", F.col("dst_type").alias("ntype"), F.col("dst").alias("nid")).agg(*(F.sum(c).alias(f"in_{c}") for c in cols))
+
+    def updated(state: DataFrame, got: DataFrame) -> DataFrame:
+        return state.join(got, keys, "left").select(*keys, *((F.col(c) + F.coalesce(F.col(f"in_{c}"), F.lit(0))).alias(c) for c in cols))
+
+    seeds = cut.seeds.select(*keys)
+    if whole:
+        state = cut.nodes.select(*keys).join(everyone, ["ntype", "nid"]).select(*keys, *cols)
+        over = edges.drop("hop").distinct()
+        for _ in range(hops):
+            state = updated(state, heard(state, over))
+        return state.join(seeds, keys, "left_semi")
+    state = None
+    for hop in range(hops, -1, -1):
+        here = seeds if hop == 0 else edges.filter(F.col("hop") == hop).select("seed_id", F.col("src_type").alias("ntype"), F.col("src").alias("nid")).distinct()
+        own = here.join(everyone, ["ntype", "nid"]).select(*keys, *cols)
+        state = own if state is None else updated(own, heard(state, edges.filter(F.col("hop") == hop + 1)))
+    return state
+
+
 # pools that know the order of rows
 
 
+def pool_trend(rows: DataFrame, by: str, value: Column, at: Column) -> DataFrame:
+    """slope of the value over time, by least squares, and together, their correlation."""
+    return rows.groupBy(by).agg(F.regr_slope(value, at).alias("slope"), F.corr(value, at).alias("together"))
+
+
+def pool_position(rows: DataFrame, by: str, value: Column, order: list[Column], m: int) -> DataFrame:
+    """Sum of the first m values in order, the r-th divided by r.  The cap is part of the window, as in sampling."""
+    ranked = rows.withColumn("rank_", F.row_number().over(Window.partitionBy(by).orderBy(*order))).filter(F.col("rank_") <= m)
+    return ranked.groupBy(by).agg(F.sum(value / F.col("rank_")).alias("weighted"))
+
+
 def pool_decay(rows: DataFrame, by: str, value: Column, ts: Column, at: Column, half_life: float) -> DataFrame:
     """Sum of values that halve with each half_life days of age."""
     age = F.datediff(at, ts).cast("double")

@@ -106,6 +106,11 @@ class Slice:
         packed = self.edges.groupBy("seed_id").agg(F.array_sort(F.collect_list(edge)).alias("edges"))
         return self.seeds.select("seed_id", "seed_time", "ntype", "nid").join(packed, "seed_id", "left")
 
+    def cost(self) -> DataFrame:
+        """hop, n_rows, n_seeds: rows that each hop made and for how many seeds; hop 0 are the seeds."""
+        own = self.seeds.agg(F.lit(0).alias("hop"), F.count("*").alias("n_rows"), F.countDistinct("seed_id").alias("n_seeds"))
+        return own.unionByName(self.edges.groupBy("hop").agg(F.count("*").alias("n_rows"), F.countDistinct("seed_id").alias("n_seeds")))
+
     def sizes(self) -> DataFrame:
         return self.nodes.groupBy("seed_id").agg((F.count("*") - 1).alias("n_nodes"))
 

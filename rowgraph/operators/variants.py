@@ -64,14 +64,26 @@ def part_of(table: str, key: Column, parts: int) -> Column:
     return F.pmod(prefix_number(draw(F.lit(table), key)), F.lit(parts))
 
 
-def cut_edges(db: Database, child: str, fk: str, parent: str, parts: int = 16) -> DataFrame:
-    """layout, n_cut, n_edges: references whose rows lie in different parts, with rows dealt by their own keys and with
-    children placed by their parent's."""
-    rows = db[child].filter(F.col(fk).isNotNull())
-    own = part_of(child, F.col(db.tables[child].pk), parts) != part_of(parent, F.col(fk), parts)
-    by_key = rows.agg(F.count(F.when(own, 1)).alias("n_cut"), F.count("*").alias("n_edges")).select(F.lit("by key").alias("layout"), "n_cut", "n_edges")
-    placed = rows.agg(F.lit(0).cast("bigint").alias("n_cut"), F.count("*").alias("n_edges")).select(F.lit("by parent").alias("layout"), "n_cut", "n_edges")
-    return by_key.unionByName(placed)
+def cut_edges(db: Database, child: str, layouts: list[tuple[str, int] | None], parts: int = 16) -> DataFrame:
+    """layout, link, n_cut, n_edges: references of ``child`` whose two rows lie in different parts, for each link.
+
+    Parents are dealt by their own keys.  A layout deals children by their own key (None) or beside the parent that a
+    reference names, (column, n): with n > 1 each parent's children go to n parts, which a hot parent may need.  One scan.
+    """
+    spec, links = db.tables[child], [x for x in db.links if x.child == child]
+    out = []
+    for layout in layouts:
+        if layout is None:
+            name, at = "by key", part_of(child, F.col(spec.pk), parts)
+        else:
+            fk, n = layout
+            parent = next(x.parent for x in links if x.fk == fk)
+            key = F.col(fk) if n == 1 else F.concat_ws("|", F.col(fk), F.pmod(F.col(spec.pk), F.lit(n)))
+            name, at = f"by {fk}" + (f" in {n}" if n > 1 else ""), part_of(parent, key, parts)
+        for x in links:
+            there = F.col(x.fk).isNotNull()
+            out.append(F.struct(F.lit(name).alias("layout"), F.lit(x.fk).alias("link"), F.count(F.when(there & (at != part_of(x.parent, F.col(x.fk), parts)), 1)).alias("n_cut"), F.count(F.when(there, 1)).alias("n_edges")))
+    return spec.df.agg(F.array(*out).alias("rows")).select(F.inline("rows"))
 
 
 def write_clustered(db: Database, child: str, by: str, path: str, parts: int) -> None:

@@ -9,25 +9,37 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..catalog import Database
 from ..functions.columns import draw, in_future, in_past, prefix_number
-from .timeline import SplitSpec, stamp_list, stamps_frame
+from .timeline import SplitSpec, at_stamps, stamp_list, stamps_frame
+
+#: Stamps up to which every fact is held against every stamp.
+FEW_STAMPS = 8
 
 
 @dataclass(frozen=True)
 class Label:
-    """Aggregate of the facts in (t, t + delta]: sum, count, exists, absent, avg, max or set of ``value``; ``where`` filters facts."""
+    """Aggregate of the facts in (t, t + delta]: sum, count, exists, absent, avg, max, nth or set of ``value``.
+
+    "nth" is the value of the ``n``-th fact by time, equal times by value.  ``where`` filters facts; no fact gives 0.
+    """
 
     agg: str = "count"
     value: Column | None = None
     where: Column | None = None
+    n: int = 1
 
     def column(self, ahead: Column) -> Column:
         keep = ahead if self.where is None else ahead & self.where
         if self.agg == "sum":  # exact: money as decimals
             return F.coalesce(F.sum(F.when(keep, self.value.cast("decimal(18,2)"))), F.lit(0)).cast("double")
         if self.agg in ("avg", "max"):
-            value = F.when(keep, self.value)
-            return F.coalesce(F.avg(value) if self.agg == "avg" else F.max(value), F.lit(0)).cast("double")
+            value = F.when(keep, self.value.cast("decimal(18,2)"))
+            return F.coalesce(F.try_divide(F.sum(value).cast("double"), F.count(value)) if self.agg == "avg" else F.max(value), F.lit(0)).cast("double")
+        if self.agg == "nth":
+            # a window's facts of one entity; the smallest n would do, but arrays of them are short
+            found = F.array_sort(F.collect_list(F.when(keep, F.struct(F.col("ts"), self.value.alias("v")))))
+            return F.coalesce(F.get(found, F.lit(self.n - 1))["v"], F.lit(0)).cast("double")
         if self.agg == "set":
             return F.array_sort(F.collect_set(F.when(keep, self.value)))
         n = F.count(F.when(keep, 1))
@@ -38,8 +50,8 @@ class Label:
 class TaskSpec:
     """A temporal task on one entity.
 
-    ``eligible``: "active" (a fact in the last ``look_back`` days), "ever" (any fact so far) or "created" (its own time
-    in the last ``look_back`` days).
+    ``eligible``: "active" (a fact in the last ``look_back`` days), "ever" (any fact so far), "created" (its own time
+    in the last ``look_back`` days) or "where" (all entities of which ``where`` is true, at every stamp).
     """
 
     name: str
@@ -53,18 +65,19 @@ class TaskSpec:
     kind: str = "regression"
     only: Column | None = None
     extra: dict[str, Label] = field(default_factory=dict)
+    where: Column | None = None
 
 
-def build_task_table(spec: TaskSpec, facts: DataFrame, split: SplitSpec, entities: DataFrame | None = None, allow_overrun: bool = False) -> DataFrame:
+def build_task_table(spec: TaskSpec, facts: DataFrame, split: SplitSpec, entities: DataFrame | None = None, allow_overrun: bool = False, listed: list[tuple] | None = None) -> DataFrame:
     """split, seed_time, key and label(s).
 
-    ``facts`` has the key and ts.  Filter and label are read in one pass over the facts: each is joined with the few
-    stamps whose past or future window holds it (the stamps are tens of rows, bounded by the split), and flags are
-    added up by entity and stamp.  For "created", ``entities`` has the key and ts, and an entity without a fact in the
+    ``facts`` has the key and ts.  Filter and label are read in one pass over the facts: each meets the stamps whose past
+    or future window holds it, a few stamps by a range join, many of one stride by arithmetic, and flags are added up by
+    entity and stamp.  ``listed`` replaces the stamps that the split and the spec give.  For "created", ``entities`` has the key and ts, and an entity without a fact in the
     window gets label 0.
     """
     split.check(spec.delta, allow_overrun)
-    listed = stamp_list(split, spec.delta, spec.stride, spec.min_history)
+    listed = listed or stamp_list(split, spec.delta, spec.stride, spec.min_history)
     table = F.broadcast(stamps_frame(facts.sparkSession, listed))
     if spec.only is not None:
         facts = facts.filter(spec.only)
@@ -74,14 +87,18 @@ def build_task_table(spec: TaskSpec, facts: DataFrame, split: SplitSpec, entitie
     # a literal bound that reaches the scan, besides the bound by each stamp
     last = max(s for _, s in listed)
     near = facts.filter(ts <= F.lit(last).cast("timestamp_ntz") + F.make_dt_interval(days=F.lit(spec.delta)))
-    if spec.eligible == "created":
-        seeds = entities.join(table, in_past(ts, t, spec.look_back)).select("split", "seed_time", spec.key)
+    if spec.eligible in ("created", "where"):
+        met = entities.join(table, in_past(ts, t, spec.look_back)) if spec.eligible == "created" else entities.filter(spec.where).crossJoin(table)
+        seeds = met.select("split", "seed_time", spec.key)
         found = near.join(table, ahead).groupBy("split", "seed_time", spec.key).agg(*(v.column(F.lit(True)).alias(k) for k, v in labels.items()))
         joined = seeds.join(found, ["split", "seed_time", spec.key], "left")
         zero = {"absent": 1}
         return joined.select("split", "seed_time", spec.key, *(F.coalesce(F.col(k), F.lit(zero.get(v.agg, 0))).cast(dict(found.dtypes)[k]).alias(k) for k, v in labels.items()))
     past = in_past(ts, t, spec.look_back if spec.eligible == "active" else None)
-    rows = near.join(table, past | ahead)
+    if spec.eligible == "active" and len(listed) > FEW_STAMPS:
+        rows = at_stamps(near, listed, spec.stride or spec.delta, spec.look_back, spec.delta)
+    else:
+        rows = near.join(table, past | ahead)
     out = rows.groupBy("split", "seed_time", spec.key).agg(F.count(F.when(past, 1)).alias("past_"), *(v.column(ahead).alias(k) for k, v in labels.items()))
     return out.filter("past_ > 0").drop("past_")
 
@@ -154,3 +171,45 @@ def with_label(spec: TaskSpec, agg: str, kind: str) -> TaskSpec:
 
 
 Builder = Callable[[SparkSession, str], DataFrame]
+
+
+@dataclass(frozen=True)
+class Task:
+    """A task table with its database: what a model may read, the rows of each split, and one way to be scored."""
+
+    spec: TaskSpec
+    table: DataFrame
+    db: Database
+    split: SplitSpec
+
+    @property
+    def inputs(self) -> Database:
+        """The database without rows after the test time."""
+        return self.db.visible(self.split.t_test)
+
+    def rows(self, split: str) -> DataFrame:
+        return self.table.filter(F.col("split") == split)
+
+    @property
+    def train(self) -> DataFrame:
+        return self.rows("train")
+
+    @property
+    def val(self) -> DataFrame:
+        return self.rows("val")
+
+    @property
+    def test(self) -> DataFrame:
+        return self.rows("test")
+
+    def score(self, predictions: DataFrame, model: str, split: str = "test") -> DataFrame:
+        """task, model, metric, value of predictions (seed_time, key, and score or y_hat) for the rows of a split.
+
+        A row without a prediction is an error, which a model that leaves out hard rows would otherwise hide.
+        """
+        from ..operators.board import evaluate
+
+        said = "score" if self.spec.kind == "binary" else "y_hat"
+        joined = self.rows(split).join(predictions.select("seed_time", self.spec.key, said), ["seed_time", self.spec.key], "left")
+        missing = F.raise_error(F.lit("a row without a prediction")).cast("double")
+        return evaluate(joined.withColumn(said, F.when(F.col(said).isNull(), missing).otherwise(F.col(said))), self.spec.kind, self.spec.name, model)

@@ -61,3 +61,23 @@ def matching_stamps(facts: DataFrame, ts: str, first: datetime, stride: int, cou
     high = F.least(F.ceil((second + 86400 * back) / day) - 1, F.lit(count - 1)).cast("int")
     hit = facts.withColumn("k_", F.when(low <= high, F.sequence(low, high))).filter("k_ is not null")
     return hit.withColumn("k_", F.explode("k_")).withColumn("seed_time", F.lit(first).cast("timestamp_ntz") + F.make_dt_interval(days=F.col("k_") * stride)).drop("k_")
+
+
+def at_stamps(facts: DataFrame, listed: list[tuple[str, datetime]], stride: int, back: int, ahead: int) -> DataFrame:
+    """Facts (with ts) with split and seed_time of the stamps whose window (stamp - back, stamp + ahead] holds them.
+
+    Training stamps and those that lie on their grid go by arithmetic, so a fact costs as many rows as it has stamps; the
+    few others, at most the validation and test time, by a range join.
+    """
+    first = min(t for s, t in listed if s == "train")
+    on = [(s, t) for s, t in listed if (t - first) % timedelta(days=stride) == timedelta(0)]
+    off = [x for x in listed if x not in on]
+    count = max((t - first).days for _, t in on) // stride + 1
+    grid = matching_stamps(facts, "ts", first, stride, count, back, ahead)
+    out = grid.join(F.broadcast(stamps_frame(facts.sparkSession, on)), "seed_time")
+    if off:
+        few = F.broadcast(stamps_frame(facts.sparkSession, off))
+        t = F.col("seed_time")
+        inside = (F.col("ts") > t - F.make_dt_interval(days=F.lit(back))) & (F.col("ts") <= t + F.make_dt_interval(days=F.lit(ahead)))
+        out = out.unionByName(facts.join(few, inside))
+    return out

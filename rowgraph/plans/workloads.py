@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
 from datetime import datetime
 
 from pyspark.sql import DataFrame, SparkSession
@@ -42,12 +43,24 @@ def customer_churn_730(spark: SparkSession, sf_dir: str) -> DataFrame:
     return build_task_table(churn_spec(730, 0), purchases(spark, sf_dir), RETAIL_730)
 
 
+CHURN_DAYS = (30, 90, 180)
+
+
 def customer_churn_k(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """No purchase in the next k days, for three k, with dense strides of 30 days over the same past."""
-    facts, parts = purchases(spark, sf_dir), []
-    for k in (30, 90, 180):
-        parts.append(build_task_table(churn_spec(365, 365, delta=k, stride=30), facts, RETAIL).withColumn("k", F.lit(k)))
-    return parts[0].unionByName(parts[1]).unionByName(parts[2])
+    """No purchase in the next k days, for three k, with dense strides of 30 days over the same past.
+
+    One pass: the stamps of the larger k are among those of the smallest, all labels are read off one window, and a row
+    of the result belongs to the k whose windows end by the validation time.
+    """
+    narrow, *wider = CHURN_DAYS
+    extra = {f"label_{k}": Label("absent", where=in_future(F.col("ts"), F.col("seed_time"), k)) for k in CHURN_DAYS}
+    spec = replace(churn_spec(365, 365, delta=max(CHURN_DAYS), stride=30), extra=extra)
+    listed = stamp_list(RETAIL, narrow, 30, 365)
+    wide = build_task_table(spec, purchases(spark, sf_dir).select("c_custkey", "ts"), RETAIL, listed=listed)
+    each = F.inline(F.array(*(F.struct(F.lit(k).alias("k"), F.col(f"label_{k}").alias("label")) for k in CHURN_DAYS)))
+    ends = F.col("seed_time") + F.make_dt_interval(days=F.col("k"))
+    rows = wide.select("split", "seed_time", "c_custkey", each)
+    return rows.filter((F.col("split") != "train") | (ends <= F.lit(RETAIL.t_val).cast("timestamp_ntz"))).select("split", "seed_time", "c_custkey", "label", "k")
 
 
 def user_engagement(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -83,7 +96,12 @@ def static_toxic(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def multilabel_task(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return static_task(table(spark, sf_dir, "labels"), "doc_id", F.concat_ws(",", "quality", "toxic"))
+    """label: an array of 0 and 1, quality and toxic."""
+    return static_task(table(spark, sf_dir, "labels"), "doc_id", F.array(F.col("quality").cast("int"), F.col("toxic").cast("int")))
+
+
+def multiclass_embeddings(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return static_task(table(spark, sf_dir, "embeddings"), "vec_id", F.col("label"))
 
 
 def static_impute_priority(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import queries_features, queries_graph, queries_tasks
+from . import queries_features, queries_graph, queries_more, queries_tasks
 
-QUERIES = {**queries_tasks.QUERIES, **queries_graph.QUERIES, **queries_features.QUERIES}
-ORACLE = {**queries_tasks.ORACLE, **queries_graph.ORACLE, **queries_features.ORACLE}
+QUERIES = {**queries_tasks.QUERIES, **queries_graph.QUERIES, **queries_features.QUERIES, **queries_more.QUERIES}
+ORACLE = {**queries_tasks.ORACLE, **queries_graph.ORACLE, **queries_features.ORACLE, **queries_more.ORACLE}

@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import uuid
 from datetime import datetime
 
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -105,9 +104,13 @@ _PAST = f"WITH {_TASK}, {BOUGHT} "
 _FROM = " FROM t LEFT JOIN bought USING (c_custkey) WHERE ts <= seed_time AND ts > seed_time - INTERVAL 365 DAY GROUP BY split, seed_time, c_custkey"
 
 
+def _stamps(spark: S) -> DataFrame:
+    return timeline.stamps(spark, workloads.RETAIL, 365, min_history=365)
+
+
 @query("feat_recent", _PAST + f"SELECT split, seed_time, c_custkey, {_FEATS}" + _FROM)
 def feat_recent(spark: S, d: str) -> DataFrame:
-    return baselines.recent_features(workloads.customer_churn(spark, d), purchases(spark, d), "c_custkey", "p_retailprice", _W)
+    return baselines.recent_features(workloads.customer_churn(spark, d), purchases(spark, d), "c_custkey", "p_retailprice", _W, _stamps(spark))
 
 
 _WEEK = ", ".join(f"count(*) FILTER (dayofweek(ts) = {k - 1}) AS n_d{k}, CAST(coalesce(sum(CAST(p_retailprice AS DECIMAL(18,2))) FILTER (dayofweek(ts) = {k - 1}), 0) AS DOUBLE) AS sum_d{k}" for k in range(1, 8))
@@ -115,7 +118,7 @@ _WEEK = ", ".join(f"count(*) FILTER (dayofweek(ts) = {k - 1}) AS n_d{k}, CAST(co
 
 @query("feat_weekday", _PAST + f"SELECT split, seed_time, c_custkey, {_WEEK}" + _FROM)
 def feat_weekday(spark: S, d: str) -> DataFrame:
-    return baselines.weekday_features(workloads.customer_churn(spark, d), purchases(spark, d), "c_custkey", "p_retailprice")
+    return baselines.weekday_features(workloads.customer_churn(spark, d), purchases(spark, d), "c_custkey", "p_retailprice", stamps=_stamps(spark))
 
 
 @query(
@@ -145,7 +148,7 @@ def feat_rolling(spark: S, d: str) -> DataFrame:
 @query("flat_table", _PAST + f", f AS (SELECT split, seed_time, c_custkey, {_FEATS}" + _FROM + ") SELECT t.*, c_acctbal, c_mktsegment, n_7, sum_7, n_30, sum_30, n_90, sum_90, n_365, sum_365 FROM t JOIN customer USING (c_custkey) LEFT JOIN f USING (split, seed_time, c_custkey)")
 def flat_table(spark: S, d: str) -> DataFrame:
     task = workloads.customer_churn(spark, d)
-    recent = baselines.recent_features(task, purchases(spark, d), "c_custkey", "p_retailprice", _W)
+    recent = baselines.recent_features(task, purchases(spark, d), "c_custkey", "p_retailprice", _W, _stamps(spark))
     return baselines.flat_table(task, table(spark, d, "customer"), "c_custkey", ["c_acctbal", "c_mktsegment"], recent)
 
 
@@ -233,7 +236,13 @@ def session_islands(spark: S, d: str) -> DataFrame:
     return stream.batch_bursts(table(spark, d, "events"), "user_id", 86400)
 
 
-@query("reservoir_replace")
+@query(
+    "reservoir_replace",
+    f"""WITH e AS (SELECT o_custkey AS dst, o_orderkey AS child, exp(-0.6931471805599453::DOUBLE * date_diff('day', o_orderdate, {AT}) / 365.0::DOUBLE) AS w FROM orders WHERE o_orderdate <= {AT}),
+c AS (SELECT *, sum(w) OVER (PARTITION BY dst ORDER BY child ROWS UNBOUNDED PRECEDING) AS hi, sum(w) OVER (PARTITION BY dst) AS total FROM e),
+u AS (SELECT *, (('0x' || substr(md5('s1|' || dst || '|' || j), 1, 13))::BIGINT + 0.5::DOUBLE) / {float(16**13)!r}::DOUBLE * total AS mark FROM c, (SELECT unnest([1, 2, 3, 4]) AS j))
+SELECT dst, j, child FROM u WHERE mark >= hi - w AND mark < hi""",
+)
 def reservoir_replace(spark: S, d: str) -> DataFrame:
     """Four draws with replacement from each customer's visible orders, by recency."""
     rows = table(spark, d, "orders").filter(F.col("o_orderdate") <= _at()).select(F.col("o_custkey").alias("dst"), F.col("o_orderkey").alias("child"), F.col("o_orderdate").alias("ts"))
@@ -249,7 +258,7 @@ def _as_stream(spark: S, d: str, chunks: int = 4) -> DataFrame:
     path = fresh_path(spark, "stream")
     events = table(spark, d, "events").withColumn("ts", F.col("ts").cast("timestamp"))
     events.repartitionByRange(chunks, "ts").write.parquet(path)
-    return stream.read_facts(spark, path, events.schema, files=1000)
+    return stream.read_facts(spark, path, events.schema, files=1)
 
 
 @query("stream_labels", "SELECT time_bucket(INTERVAL 2 DAY, ts, TIMESTAMP '1970-01-01') AS seed_time, user_id, count(*) AS n FROM events WHERE event_type = 'purchase' AND ts < (SELECT time_bucket(INTERVAL 2 DAY, max(ts) - INTERVAL 1 HOUR, TIMESTAMP '1970-01-01') FROM events WHERE event_type = 'purchase') GROUP BY ALL")
@@ -257,16 +266,16 @@ def stream_labels(spark: S, d: str) -> DataFrame:
     """Mature two-day purchase counts: windows that end after the watermark aren't given out."""
     facts = _as_stream(spark, d).filter("event_type = 'purchase'")
     out = stream.mature_labels(facts, "user_id", "2 days", "1 hour", {"n": F.count("*")})
-    got = stream.drain(out, f"labels_{uuid.uuid4().hex}")
+    got = stream.to_files(out, fresh_path(spark, "stream-labels"))
     return got.select(F.col("seed_time").cast("timestamp_ntz").alias("seed_time"), "user_id", "n")
 
 
 @query("stream_latest", "SELECT user_id, string_agg(event_id, ',' ORDER BY ts DESC, event_id) AS items FROM (SELECT * FROM events QUALIFY row_number() OVER (PARTITION BY user_id ORDER BY ts DESC, event_id) <= 5) GROUP BY user_id")
 def stream_latest(spark: S, d: str) -> DataFrame:
-    """Each user's five latest events as state of a stream."""
+    """Each user's five latest events as state of a stream that comes in several batches."""
     out = stream.latest_neighbours(_as_stream(spark, d), "user_id", "event_id", 5, "30 days")
-    got = stream.drain(out, f"latest_{uuid.uuid4().hex}", mode="update")
-    return got.groupBy("user_id").agg(F.max("items").alias("items"))
+    got = stream.to_files(out, fresh_path(spark, "stream-latest"), mode="update")
+    return got.groupBy("user_id").agg(F.max_by("items", "version").alias("items"))
 
 
 # ------------------------------------------------------------------------------------ training

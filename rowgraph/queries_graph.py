@@ -64,13 +64,21 @@ def stale_folded(spark: S, d: str) -> DataFrame:
     return variants.fold_stale(edges, ["dst"], F.col("o_totalprice"), _at(), 730)
 
 
+_PART = "('0x' || substr(md5('{t}|' || {k}), 1, 13))::BIGINT % 16"
+
+
 @query(
     "cut_edges",
-    """SELECT 'by key' AS layout, count(*) FILTER (('0x' || substr(md5('orders|' || o_orderkey), 1, 13))::BIGINT % 16 <> ('0x' || substr(md5('customer|' || o_custkey), 1, 13))::BIGINT % 16) AS n_cut, count(*) AS n_edges FROM orders
-UNION ALL SELECT 'by parent', 0, count(*) FROM orders""",
+    f"""WITH {LINES}, p AS (SELECT l_id, l_orderkey, {_PART.format(t='lineitem', k='l_id')} AS own, {_PART.format(t='orders', k='l_orderkey')} AS o, {_PART.format(t='part', k='l_partkey')} AS p,
+  {_PART.format(t='supplier', k='l_suppkey')} AS s, {_PART.format(t='supplier', k="l_suppkey || '|' || (l_id % 4)")} AS salted FROM li),
+x AS (SELECT 'by key' AS layout, own AS here, * FROM p UNION ALL SELECT 'by l_orderkey', o, * FROM p UNION ALL SELECT 'by l_partkey', p, * FROM p UNION ALL SELECT 'by l_suppkey in 4', salted, * FROM p)
+SELECT layout, 'l_orderkey' AS link, count(*) FILTER (here <> o) AS n_cut, count(*) AS n_edges FROM x GROUP BY layout
+UNION ALL SELECT layout, 'l_partkey', count(*) FILTER (here <> p), count(*) FROM x GROUP BY layout
+UNION ALL SELECT layout, 'l_suppkey', count(*) FILTER (here <> s), count(*) FROM x GROUP BY layout""",
 )
 def cut_edges(spark: S, d: str) -> DataFrame:
-    return variants.cut_edges(open_retail(spark, d), "orders", "o_custkey", "customer")
+    """Lines dealt by their own key, beside a parent, and beside a hot parent in four parts: references of every link cut."""
+    return variants.cut_edges(open_retail(spark, d), "lineitem", [None, ("l_orderkey", 1), ("l_partkey", 1), ("l_suppkey", 4)])
 
 
 # ------------------------------------------------------------------------------------ sampling
@@ -135,7 +143,7 @@ h2 AS (SELECT h1.seed_id, l_id AS src, h1.src AS dst, l_shipdate AS ts FROM h1 J
 
 
 def two_hops(spark: S, d: str, strategy: sampling.Strategy | None = None, **more) -> sampling.Slice:
-    return sampling.cut_slice(open_retail(spark, d), seeds(spark, d), [8, 4], strategy or sampling.Strategy("latest"), _TWO, **more)
+    return sampling.cut_slice(open_retail(spark, d, T_TEST), seeds(spark, d), [8, 4], strategy or sampling.Strategy("latest"), _TWO, **more)
 
 
 @query("slice_2hop_edges", _HOPS + " SELECT seed_id, 1 AS hop, 'orders.o_custkey' AS link, src, dst FROM h1 UNION ALL SELECT seed_id, 2, 'lineitem.l_orderkey', src, dst FROM h2")
@@ -170,7 +178,7 @@ h2 AS (SELECT seed_id, 'lineitem.l_orderkey' AS link, l_id AS src, nid AS dst FR
 SELECT seed_id, 1 AS hop, link, src, dst FROM h1 UNION ALL SELECT seed_id, 2, link, src, dst FROM h2""",
 )
 def slice_linkcap(spark: S, d: str) -> DataFrame:
-    cut = sampling.cut_slice(open_retail(spark, d), seeds(spark, d), [3, 2], sampling.Strategy("latest"), cap_scope="link")
+    cut = sampling.cut_slice(open_retail(spark, d, T_TEST), seeds(spark, d), [3, 2], sampling.Strategy("latest"), cap_scope="link")
     return cut.edges.select("seed_id", "hop", "link", "src", "dst")
 
 
@@ -212,9 +220,17 @@ def leak_parent_unseen(spark: S, d: str) -> DataFrame:
     return seen.select(F.col(link.fk).alias("o_orderkey")).join(parents.select("o_orderkey"), "o_orderkey", "left_anti").agg(F.count("*").alias("n"))
 
 
-@query("pack_slices")
+@query(
+    "pack_slices",
+    _HOPS
+    + """, e AS (SELECT seed_id, 1 AS hop, dst, src, ts FROM h1 UNION ALL SELECT seed_id, 2, dst, src, ts FROM h2)
+SELECT seeds.seed_id, seeds.nid, count(src) AS n_edges, coalesce(string_agg(hop || ':' || dst || '<' || src || '@' || strftime(ts, '%Y-%m-%d'), ' ' ORDER BY hop, dst, src), '') AS edges FROM seeds LEFT JOIN e USING (seed_id) GROUP BY ALL""",
+)
 def pack_slices(spark: S, d: str) -> DataFrame:
-    return two_hops(spark, d).pack().select("seed_id", "nid", F.size("edges").alias("n_edges"))
+    """One row per seed with its edges in order, written out."""
+    packed = two_hops(spark, d).pack().withColumn("edges", F.coalesce("edges", F.array()))
+    said = F.transform("edges", lambda e: F.concat(e.hop.cast("string"), F.lit(":"), e.dst.cast("string"), F.lit("<"), e.src.cast("string"), F.lit("@"), F.date_format(e.ts, "yyyy-MM-dd")))
+    return packed.select("seed_id", "nid", F.size("edges").cast("bigint").alias("n_edges"), F.array_join(said, " ").alias("edges"))
 
 
 # ------------------------------------------------------------------------------------ passes

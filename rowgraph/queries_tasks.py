@@ -146,7 +146,13 @@ query("part_sales", _windowed(HALVES, "lineitem", "l_partkey", "l_shipdate", _SU
 _SPLIT = "CASE WHEN ('0x' || substr(md5('split|' || {k}), 1, 13))::BIGINT % 10 < 8 THEN 'train' WHEN ('0x' || substr(md5('split|' || {k}), 1, 13))::BIGINT % 10 = 8 THEN 'val' ELSE 'test' END AS split"
 query("static_quality", f"SELECT {_SPLIT.format(k='doc_id')}, doc_id, quality AS label FROM labels")(workloads.static_quality)
 query("static_toxic", f"SELECT {_SPLIT.format(k='doc_id')}, doc_id, toxic AS label FROM labels")(workloads.static_toxic)
-query("multilabel_task", f"SELECT {_SPLIT.format(k='doc_id')}, doc_id, quality || ',' || toxic AS label FROM labels")(workloads.multilabel_task)
+
+
+@query("multilabel_task", f"SELECT {_SPLIT.format(k='doc_id')}, doc_id, quality::INT AS label_0, toxic::INT AS label_1 FROM labels")
+def multilabel_task(spark: S, d: str) -> DataFrame:
+    return workloads.multilabel_task(spark, d).select("split", "doc_id", F.col("label")[0].alias("label_0"), F.col("label")[1].alias("label_1"))
+
+
 query("static_impute_priority", f"SELECT {_SPLIT.format(k='o_orderkey')}, o_orderkey, o_orderpriority AS label FROM orders")(workloads.static_impute_priority)
 query(
     "multiclass_task",

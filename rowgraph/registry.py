@@ -26,8 +26,7 @@ def registry() -> tuple[dict[str, Query], dict[str, str], Callable]:
 
 
 #: lineitem with its surrogate key.
-LINES = """li AS (SELECT *, l_orderkey * 10000 + row_number() OVER (PARTITION BY l_orderkey ORDER BY l_partkey, l_suppkey, l_linenumber, l_shipdate,
-  l_extendedprice, l_quantity, l_discount, l_tax, l_returnflag, l_linestatus) AS l_id FROM lineitem)"""
+LINES = """li AS (SELECT *, l_orderkey * 10000 + row_number() OVER (PARTITION BY l_orderkey ORDER BY l_shipdate, l_partkey, l_suppkey, l_linenumber) AS l_id FROM lineitem)"""
 #: One row per bought line.
 BOUGHT = """bought AS (SELECT o_custkey AS c_custkey, p_partkey, o_orderdate AS ts, p_retailprice, l_quantity
   FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN part ON l_partkey = p_partkey)"""

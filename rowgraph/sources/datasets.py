@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from datetime import datetime
+
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -12,13 +14,23 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-LINE_ORDER = ["l_partkey", "l_suppkey", "l_linenumber", "l_shipdate", "l_extendedprice", "l_quantity", "l_discount", "l_tax", "l_returnflag", "l_linestatus"]
+#: Time first, so that the lines up to a moment have the same places in their order whether later ones are there or not.
+LINE_ORDER = ["l_shipdate", "l_partkey", "l_suppkey", "l_linenumber"]
+LINES_PER_ORDER = 10000
+
 
+def keyed_lines(lineitem: DataFrame, upto: datetime | None = None) -> DataFrame:
+    """lineitem with its surrogate key ``l_id``: the order's key and the row's place in it, by time and the other keys.
 
-def keyed_lines(lineitem: DataFrame) -> DataFrame:
-    """lineitem with its surrogate key ``l_id``: the order's key and the row's place in it, sorted by all other columns."""
+    With ``upto`` only rows up to that time, by a filter that reaches the scan; their keys are those without it.  Attributes
+    that are not asked for are not read.  An order with ``LINES_PER_ORDER`` lines or more is an error, as keys would meet.
+    """
+    if upto is not None:
+        lineitem = lineitem.filter(F.col("l_shipdate") <= F.lit(upto).cast("timestamp_ntz"))
     seq = F.row_number().over(Window.partitionBy("l_orderkey").orderBy(*LINE_ORDER))
-    return lineitem.withColumn("l_id", F.col("l_orderkey") * 10000 + seq)
+    keyed = lineitem.withColumn("seq_", seq)
+    too_many = F.raise_error(F.concat(F.lit("too many lines in order "), F.col("l_orderkey").cast("string"))).cast("bigint")
+    return keyed.withColumn("l_id", F.when(F.col("seq_") < LINES_PER_ORDER, F.col("l_orderkey") * LINES_PER_ORDER + F.col("seq_")).otherwise(too_many)).drop("seq_")
 
 
 def purchases(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -33,8 +45,10 @@ def purchases(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
-def open_retail(spark: SparkSession, sf_dir: str) -> Database:
+def open_retail(spark: SparkSession, sf_dir: str, upto: datetime | None = None) -> Database:
+    """All seven tables; with ``upto`` fact rows up to that time only, by filters that reach the scans."""
     t = lambda n: table(spark, sf_dir, n)
+    orders = t("orders") if upto is None else t("orders").filter(F.col("o_orderdate") <= F.lit(upto).cast("timestamp_ntz"))
     return Database.of(
         [
             TableSpec("region", t("region"), "r_regionkey", None, "dimension"),
@@ -42,8 +56,8 @@ def open_retail(spark: SparkSession, sf_dir: str) -> Database:
             TableSpec("customer", t("customer"), "c_custkey", None, "dimension"),
             TableSpec("supplier", t("supplier"), "s_suppkey", None, "dimension"),
             TableSpec("part", t("part"), "p_partkey", None, "dimension"),
-            TableSpec("orders", t("orders"), "o_orderkey", "o_orderdate", "fact"),
-            TableSpec("lineitem", keyed_lines(t("lineitem")), "l_id", "l_shipdate", "fact"),
+            TableSpec("orders", orders, "o_orderkey", "o_orderdate", "fact"),
+            TableSpec("lineitem", keyed_lines(t("lineitem"), upto), "l_id", "l_shipdate", "fact"),
         ],
         [
             LinkSpec("nation", "n_regionkey", "region"),
@@ -81,7 +95,8 @@ def open_activity(spark: SparkSession, sf_dir: str) -> Database:
 def open_corpus(spark: SparkSession, sf_dir: str) -> Database:
     """labels -> documents -> lang and source, which are tables made of their values; turns -> conversations."""
     docs = table(spark, sf_dir, "documents")
-    turns = table(spark, sf_dir, "conversations").withColumn("turn_id", F.col("conv_id") * 10000 + F.col("turn"))
+    # turns are numbered within 32 bits, so the two numbers side by side can't meet those of another conversation
+    turns = table(spark, sf_dir, "conversations").withColumn("turn_id", F.shiftleft(F.col("conv_id"), 32) + F.col("turn"))
     return Database.of(
         [
             TableSpec("lang", docs.select("lang").distinct(), "lang"),

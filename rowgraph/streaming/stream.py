@@ -49,25 +49,30 @@ def batch_bursts(facts: DataFrame, key: str, gap_seconds: int) -> DataFrame:
 
 
 def latest_neighbours(facts: DataFrame, key: str, item: str, m: int, late: str) -> DataFrame:
-    """Each node's latest m neighbours as state: key, items (comma-separated, latest first), given out on every change.
+    """Each node's latest m neighbours as state: key, version, items (comma-separated, latest first), given out on every change.
 
     State of a node is at most m (time, item) pairs and times out when the watermark passes its newest by the lateness.
-    ``key`` and ``item`` are longs.
+    Of a node's rows that with the largest version, the number of facts seen so far, is the one that counts.  ``key`` and
+    ``item`` are longs.
     """
-    schema = f"{key} long, items string"
+    schema = f"{key} long, version long, items string"
+    wait = int(pd.Timedelta(late).total_seconds() * 1000)
 
     def update(k, batches: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
         if state.hasTimedOut:
             state.remove()
             return
-        held = list(zip(*state.get, strict=True)) if state.exists else []
+        times, items, version = state.get if state.exists else ([], [], 0)
+        held = list(zip(times, items, strict=True))
         for pdf in batches:
+            version += len(pdf)
             held += zip(pdf["ts"].astype("int64").tolist(), pdf[item].astype("int64").tolist(), strict=True)
             held = sorted(set(held), key=lambda x: (-x[0], x[1]))[:m]
-        state.update(([t for t, _ in held], [i for _, i in held]))
-        yield pd.DataFrame({key: [k[0]], "items": [",".join(str(i) for _, i in held)]})
+        state.update(([t for t, _ in held], [i for _, i in held], version))
+        state.setTimeoutTimestamp(max(held[0][0] // 1_000_000 + wait, state.getCurrentWatermarkMs() + 1))
+        yield pd.DataFrame({key: [k[0]], "version": [version], "items": [",".join(str(i) for _, i in held)]})
 
-    return facts.withWatermark("ts", late).groupBy(key).applyInPandasWithState(update, schema, "times array<long>, items array<long>", "update", "NoTimeout")
+    return facts.withWatermark("ts", late).groupBy(key).applyInPandasWithState(update, schema, "times array<long>, items array<long>, version long", "update", "EventTimeTimeout")
 
 
 def distinct_rows(facts: DataFrame, pk: str, late: str) -> DataFrame:
@@ -86,6 +91,20 @@ def interval_join(a: DataFrame, b: DataFrame, key: str, within: str, late: str)
     return left.join(right, F.expr(f"key_a = key_b and ts_b >= ts_a and ts_b <= ts_a + interval {within}"))
 
 
+def to_files(stream: DataFrame, path: str, mode: str = "append") -> DataFrame:
+    """Runs a stream over all that is there now into Parquet files and returns them as a table.
+
+    In update mode each batch's changed rows are files of their own, written over if the batch is run again.
+    """
+    writer = stream.writeStream.outputMode(mode).option("checkpointLocation", f"{path}/progress").trigger(availableNow=True)
+    if mode == "append":
+        q = writer.format("parquet").option("path", f"{path}/rows").start()
+    else:
+        q = writer.foreachBatch(lambda df, n: df.write.mode("overwrite").parquet(f"{path}/rows/batch_id={n}")).start()
+    q.awaitTermination()
+    return stream.sparkSession.read.schema(stream.schema).parquet(f"{path}/rows")
+
+
 def drain(stream: DataFrame, name: str, mode: str = "append", checkpoint: str | None = None) -> DataFrame:
     """Runs a stream over all that is there now into a memory table and returns it; for tests and small results."""
     writer = stream.writeStream.outputMode(mode).format("memory").queryName(name).trigger(availableNow=True)
