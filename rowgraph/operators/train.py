@@ -1,22 +1,30 @@
 """A typed message-passing network over packed slices, trained with numpy in the executors.
 
-Slices are layered: features of hop-2 rows are pooled into hop-1 rows, those into the seed.  Every type has a linear
-encoder, every link a linear message, pools are means (with sum as an option) and the head is linear over the seed.
+Slices are layered: features of hop-2 rows are pooled into hop-1 rows, those into the seed.  Columns of a row are fused by
+type, every link has a linear message, and heads are on one seed or on several seeds' vectors together.
 """
 
 from __future__ import annotations
 
+import pickle
 from collections.abc import Iterator
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, replace
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .sampling import Slice
 
 PACKED = "seed_id string, label double, x array<float>, hop array<int>, link array<string>, src_type array<string>, dst array<string>, src array<string>, feats array<array<float>>"
+_COLUMNS = ["x", "hop", "link", "src_type", "dst", "src", "feats"]
+#: Seeds in a batch of index arrays.
+BATCH = 2048
+
+
+def _label(seeds: DataFrame) -> Column:
+    return F.col("label").cast("array<double>" if dict(seeds.dtypes)["label"].startswith("array") else "double")
 
 
 def pack_features(cut: Slice, seeds: DataFrame, features: dict[str, DataFrame], age: bool = False) -> DataFrame:
@@ -24,7 +32,7 @@ def pack_features(cut: Slice, seeds: DataFrame, features: dict[str, DataFrame],
 
     With ``age`` each source row's features get one more: its age in years at the seed time (0 without a time).
 
-    ``seeds`` has seed_id, seed_time, ntype, nid and label; ``features`` has per type (nid, x).
+    ``seeds`` has seed_id, seed_time, ntype, nid and label, a number or (several labels) an array; ``features`` has per type (nid, x).
     """
     parts = []
     for name, f in features.items():
@@ -39,15 +47,29 @@ def pack_features(cut: Slice, seeds: DataFrame, features: dict[str, DataFrame],
     rows = F.array_sort(F.collect_list(F.struct("hop", "link", "dst", "src", "src_type", "x")))
     packed = edges.groupBy("seed_id").agg(rows.alias("e"))
     ntype = seeds.select("ntype").first()["ntype"]
-    own = seeds.join(features[ntype], "nid").select("seed_id", F.col("label").cast("double").alias("label"), "x")
+    own = seeds.join(features[ntype], "nid").select("seed_id", _label(seeds).alias("label"), "x")
     out = own.join(packed, "seed_id", "left")
     pull = lambda n: F.coalesce(F.transform("e", lambda s: s[n]), F.array().cast(dict(hop="array<int>", x="array<array<float>>").get(n, "array<string>")))
     return out.select("seed_id", "label", "x", *(pull(n).alias("feats" if n == "x" else n) for n in ("hop", "link", "src_type", "dst", "src", "x")))
 
 
+def relu(x: np.ndarray) -> np.ndarray:
+    return np.maximum(x, 0)
+
+
+def with_one(x: np.ndarray) -> np.ndarray:
+    return np.hstack([x, np.ones((len(x), 1))])
+
+
 @dataclass
 class Model:
-    """Parameters by name.  Types and links are known from their feature sizes and names."""
+    """Parameters by name.  Types and links are known from their feature sizes and names.
+
+    ``fuse`` makes a row's vector of its columns: "linear" (side by side, one linear map), "mean" (each column of ``spans``
+    through its own map and ReLU, then the mean) or "residual" (linear plus a second layer over its ReLU).  Types that
+    ``share`` maps to one name have one encoder.  ``hidden`` is the width of the head's hidden layer, 0 for a linear head.
+    Losses: logistic, softmax, squared, absolute, and multilabel (a logistic loss for each of ``classes`` labels).
+    """
 
     seed_type: str
     sizes: dict[str, int]
@@ -58,133 +80,320 @@ class Model:
     classes: int = 1
     frozen: tuple[str, ...] = ()
     params: dict[str, np.ndarray] = field(default_factory=dict)
+    fuse: str = "linear"
+    spans: dict[str, list[int]] = field(default_factory=dict)
+    share: dict[str, str] = field(default_factory=dict)
+    hidden: int = 0
 
     def init(self, seed: int = 0) -> Model:
         rng = np.random.default_rng(seed)
-        p = {}
+        p: dict[str, np.ndarray] = {}
         for t, n in sorted(self.sizes.items()):
-            p[f"enc:{t}"] = rng.standard_normal((n + 1, self.d)) / np.sqrt(n + 1)
+            name = self._encoder(t)
+            if name in p:
+                if len(p[name]) != self._rows(t):
+                    raise ValueError(f"{t} can't share the encoder of rows of another size")
+                continue
+            p[name] = rng.standard_normal((self._rows(t), self.d)) / np.sqrt(n + 1)
+            if self.fuse == "residual":
+                p[f"{name}:more"] = rng.standard_normal((self.d, self.d)) / np.sqrt(self.d)
         for name, _ in sorted(self.links):
             p[f"msg:{name}"] = rng.standard_normal((self.d, self.d)) / np.sqrt(self.d)
-        p["head"] = rng.standard_normal((self.d + 1, self.classes)) * 0.1
+        p.update(_mlp_init(rng, "head", self.d, self.hidden, self.classes))
         self.params = p
         return self
 
+    def _encoder(self, kind: str) -> str:
+        return f"enc:{self.share.get(kind, kind)}"
+
+    def _widths(self, kind: str) -> list[int]:
+        return self.spans.get(kind) or [1] * self.sizes[kind]
+
+    def _rows(self, kind: str) -> int:
+        return self.sizes[kind] + (len(self._widths(kind)) if self.fuse == "mean" else 1)
+
     # ---------------------------------------------------------------- batches
 
     def batch(self, pdf: pd.DataFrame) -> dict:
         """Index arrays of a batch of packed slices; a row met twice in a hop of one seed is one node."""
         n = len(pdf)
-        out = {"x0": np.array(pdf["x"].tolist(), float), "y": pdf["label"].to_numpy(float), "n": n, "hops": []}
-        places = {(i, None): i for i in range(n)}
-        top = max((max(h, default=0) for h in pdf["hop"]), default=0)
-        for hop in range(1, top + 1):
-            nodes, feats, types, edges = {}, [], [], []
-            for i, (hops, links, kinds, dsts, srcs, xs) in enumerate(zip(*(pdf[c] for c in ("hop", "link", "src_type", "dst", "src", "feats")), strict=True)):
-                for h, link, kind, dst, src, x in zip(hops, links, kinds, dsts, srcs, xs, strict=True):
-                    if h != hop:
-                        continue
-                    at = places.get((i, None) if hop == 1 else (i, self._parent_type(link, kind), dst))
-                    if at is None:
-                        continue
-                    key = (i, kind, src)
-                    if key not in nodes:
-                        nodes[key] = len(feats)
-                        feats.append(x)
-                        types.append(kind)
-                    edges.append((link, nodes[key], at))
-            out["hops"].append({"types": np.array(types), "feats": feats, "edges": edges, "n": len(feats)})
-            places = nodes
+        out = {"x0": np.array(pdf["x"].tolist(), float).reshape(n, -1), "y": np.array(pdf["label"].tolist(), float) if "label" in pdf else None, "n": n, "hops": []}
+        sizes = [len(h) for h in pdf["hop"]]
+        flat = {c: np.array([v for row in pdf[c] for v in row], object if c == "feats" else None) if sum(sizes) else np.zeros(0) for c in ("hop", "link", "src_type", "dst", "src")}
+        feats = [v for row in pdf["feats"] for v in row]
+        owner = np.repeat(np.arange(n), sizes)
+        parent_of = dict(self.links)
+        places = pd.Series(np.arange(n), index=pd.MultiIndex.from_arrays([np.arange(n), [""] * n, [""] * n]) if n else None)
+        for hop in range(1, int(flat["hop"].max(initial=0)) + 1):
+            at = np.flatnonzero(flat["hop"] == hop)
+            links, kinds, own = flat["link"][at], flat["src_type"][at], owner[at]
+            if hop == 1:
+                target = places.reindex(pd.MultiIndex.from_arrays([own, [""] * len(at), [""] * len(at)])).to_numpy()
+            else:
+                target = places.reindex(pd.MultiIndex.from_arrays([own, [parent_of[x] for x in links], flat["dst"][at]])).to_numpy()
+            met = ~np.isnan(target.astype(float))
+            at, links, kinds, own, target = at[met], links[met], kinds[met], own[met], target[met].astype(int)
+            key = pd.MultiIndex.from_arrays([own, kinds, flat["src"][at]])
+            node, distinct = pd.factorize(key)
+            first = np.unique(node, return_index=True)[1]
+            groups = [(k, rows := np.flatnonzero(kinds[first] == k), np.array([feats[at[first[r]]] for r in rows], float)) for k in sorted(set(kinds[first].tolist()))]
+            edges = {k: (node[links == k], target[links == k]) for k in sorted(set(links.tolist()))}
+            out["hops"].append({"groups": groups, "edges": edges, "n": len(distinct)})
+            places = pd.Series(np.arange(len(distinct)), index=distinct)
         return out
 
-    def _parent_type(self, link: str, kind: str) -> str:
-        return next(dst for name, dst in self.links if name == link)
-
     # ---------------------------------------------------------------- forward and backward
 
-    def _encode(self, kind: str, x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        full = np.hstack([x, np.ones((len(x), 1))])
-        return full, full @ self.params[f"enc:{kind}"]
-
-    def forward(self, b: dict) -> dict:
-        levels = [{"n": b["n"], "groups": [(self.seed_type, np.arange(b["n"]), b["x0"])]}]
-        for h in b["hops"]:
-            groups = []
-            for kind in sorted(set(h["types"].tolist())):
-                at = np.flatnonzero(h["types"] == kind)
-                groups.append((kind, at, np.array([h["feats"][k] for k in at], float)))
-            levels.append({"n": h["n"], "groups": groups})
-        for lv in levels:
-            lv["z"] = np.zeros((lv["n"], self.d))
-            lv["full"] = []
-            for kind, at, x in lv["groups"]:
-                full, z = self._encode(kind, x)
-                lv["z"][at] += z
-                lv["full"].append((kind, at, full))
+    def _encode(self, kind: str, x: np.ndarray) -> tuple:
+        """A row's vector, and what its gradient needs."""
+        w = self.params[self._encoder(kind)]
+        if self.fuse == "mean":
+            at, base, parts, z = 0, 0, [], 0.0
+            for k in self._widths(kind):
+                full = with_one(x[:, at : at + k])
+                pre = full @ w[base : base + k + 1]
+                parts.append((full, pre, slice(base, base + k + 1)))
+                z = z + relu(pre)
+                at, base = at + k, base + k + 1
+            return parts, z / len(parts)
+        full = with_one(x)
+        z = full @ w
+        if self.fuse == "residual":
+            return (full, z), z + relu(z) @ self.params[f"{self._encoder(kind)}:more"]
+        return full, z
+
+    def _encode_back(self, kind: str, kept, dz: np.ndarray, g: dict[str, np.ndarray]) -> None:
+        name = self._encoder(kind)
+        if self.fuse == "mean":
+            for full, pre, rows in kept:
+                g[name][rows] += full.T @ (dz * (pre > 0)) / len(kept)
+            return
+        if self.fuse == "residual":
+            full, z = kept
+            g[f"{name}:more"] += relu(z).T @ dz
+            dz = dz + (dz @ self.params[f"{name}:more"].T) * (z > 0)
+            kept = full
+        g[name] += kept.T @ dz
+
+    def _pooled(self, h: np.ndarray, s: np.ndarray, t: np.ndarray, n: int) -> tuple:
+        if self.pool == "max":
+            top = np.full((n, self.d), -np.inf)
+            np.maximum.at(top, t, h[s])
+            top[np.isinf(top)] = 0
+            hit = (h[s] == top[t]).astype(float)
+            ties = np.zeros((n, self.d))
+            np.add.at(ties, t, hit)
+            return top, hit / np.maximum(ties[t], 1)
+        pooled = np.zeros((n, self.d))
+        np.add.at(pooled, t, h[s])
+        count = np.ones(n) if self.pool == "sum" else np.maximum(np.bincount(t, minlength=n), 1)
+        return pooled / count[:, None], (1 / count[t])[:, None]
+
+    def embed(self, b: dict) -> dict:
+        """Vectors of the seeds (``h``) and all that their gradient needs."""
+        levels = [{"n": b["n"], "groups": [(self.seed_type, np.arange(b["n"]), b["x0"])], "edges": {}}]
+        levels += [{"n": h["n"], "groups": h["groups"], "edges": {}} for h in b["hops"]]
+        for lv, h in zip(levels, b["hops"]):
+            lv["edges"] = h["edges"]
         for k in range(len(levels) - 1, -1, -1):
             lv = levels[k]
-            lv["links"] = []
-            if k < len(levels) - 1:
-                below = levels[k + 1]
-                by: dict[str, list] = {}
-                for link, s, t in b["hops"][k]["edges"]:
-                    by.setdefault(link, []).append((s, t))
-                for link in sorted(by):
-                    s, t = np.array(by[link]).T
-                    count = np.ones(lv["n"]) if self.pool == "sum" else np.maximum(np.bincount(t, minlength=lv["n"]), 1)
-                    pooled = np.zeros((lv["n"], self.d))
-                    np.add.at(pooled, t, below["h"][s])
-                    pooled /= count[:, None]
-                    lv["z"] += pooled @ self.params[f"msg:{link}"]
-                    lv["links"].append((link, s, t, count, pooled))
-            lv["h"] = np.maximum(lv["z"], 0)
-        full = np.hstack([levels[0]["h"], np.ones((b["n"], 1))])
-        return {"levels": levels, "full": full, "out": full @ self.params["head"]}
-
-    def loss_and_grad(self, b: dict) -> tuple[float, dict[str, np.ndarray]]:
-        """Sum of losses over the batch and its gradient."""
-        f = self.forward(b)
-        y, out = b["y"], f["out"]
-        if self.loss == "logistic":
-            z = out[:, 0]
-            loss, d = float(np.logaddexp(0, z).sum() - (y * z).sum()), (1 / (1 + np.exp(-z)) - y)[:, None]
-        elif self.loss == "softmax":
-            z = out - out.max(axis=1, keepdims=True)
-            logs = z - np.log(np.exp(z).sum(axis=1, keepdims=True))
-            at = (np.arange(len(y)), y.astype(int))
-            loss, d = -float(logs[at].sum()), np.exp(logs)
-            d[at] -= 1
-        else:
-            e = out[:, 0] - y
-            loss, d = (float(np.abs(e).sum()), np.sign(e)[:, None]) if self.loss == "absolute" else (float((e * e).sum() / 2), e[:, None])
-        g = {k: np.zeros_like(v) for k, v in self.params.items()}
-        g["head"] += f["full"].T @ d
-        dh = d @ self.params["head"][:-1].T
+            lv["z"], lv["kept"], lv["links"] = np.zeros((lv["n"], self.d)), [], []
+            for kind, at, x in lv["groups"]:
+                kept, z = self._encode(kind, x)
+                lv["z"][at] += z
+                lv["kept"].append((kind, at, kept))
+            for link, (s, t) in lv["edges"].items():
+                pooled, share = self._pooled(levels[k + 1]["h"], s, t, lv["n"])
+                lv["z"] += pooled @ self.params[f"msg:{link}"]
+                lv["links"].append((link, s, t, pooled, share))
+            lv["h"] = relu(lv["z"])
+        return {"levels": levels, "h": levels[0]["h"]}
+
+    def back(self, f: dict, dh: np.ndarray, g: dict[str, np.ndarray]) -> None:
+        """Adds to ``g`` the gradient of a loss whose gradient by the seeds' vectors is ``dh``."""
         for k, lv in enumerate(f["levels"]):
             dz = dh * (lv["z"] > 0)
-            for kind, at, full in lv["full"]:
-                g[f"enc:{kind}"] += full.T @ dz[at]
+            for kind, at, kept in lv["kept"]:
+                self._encode_back(kind, kept, dz[at], g)
             if k < len(f["levels"]) - 1:
                 dh = np.zeros((f["levels"][k + 1]["n"], self.d))
-                for link, s, t, count, pooled in lv["links"]:
+                for link, s, t, pooled, share in lv["links"]:
                     g[f"msg:{link}"] += pooled.T @ dz
-                    dp = (dz @ self.params[f"msg:{link}"].T) / count[:, None]
-                    np.add.at(dh, s, dp[t])
-        for k in g:
-            if k.split(":")[0] in self.frozen:
-                g[k][:] = 0
-        return loss, g
+                    np.add.at(dh, s, (dz @ self.params[f"msg:{link}"].T)[t] * share)
+
+    def loss_and_grad(self, b: dict) -> tuple[float, dict[str, np.ndarray]]:
+        """Sum of losses over the batch and its gradient."""
+        f, g = self.embed(b), {k: np.zeros_like(v) for k, v in self.params.items()}
+        out, kept = _mlp(self.params, "head", f["h"])
+        loss, d = loss_of(self.loss, out, b["y"])
+        self.back(f, _mlp_back(self.params, "head", kept, d, g), g)
+        return loss, _freeze(g, self.frozen)
+
+    def outputs(self, pdf: pd.DataFrame) -> np.ndarray:
+        return _mlp(self.params, "head", self.embed(self.batch(pdf))["h"])[0]
 
     def score(self, pdf: pd.DataFrame) -> np.ndarray:
-        out = self.forward(self.batch(pdf))["out"]
+        out = self.outputs(pdf)
         return out.argmax(axis=1).astype(float) if self.loss == "softmax" else out[:, 0]
 
 
+def _freeze(g: dict[str, np.ndarray], frozen: tuple[str, ...]) -> dict[str, np.ndarray]:
+    for k in g:
+        if k.split(":")[0] in frozen:
+            g[k][:] = 0
+    return g
+
+
+def _mlp_init(rng, name: str, n_in: int, hidden: int, n_out: int) -> dict[str, np.ndarray]:
+    if not hidden:
+        return {name: rng.standard_normal((n_in + 1, n_out)) * 0.1}
+    return {f"{name}:first": rng.standard_normal((n_in + 1, hidden)) / np.sqrt(n_in + 1), name: rng.standard_normal((hidden + 1, n_out)) * 0.1}
+
+
+def _mlp(p: dict, name: str, x: np.ndarray) -> tuple[np.ndarray, tuple]:
+    full, pre = with_one(x), None
+    if f"{name}:first" in p:
+        pre = full @ p[f"{name}:first"]
+    top = full if pre is None else with_one(relu(pre))
+    return top @ p[name], (full, pre, top)
+
+
+def _mlp_back(p: dict, name: str, kept: tuple, d: np.ndarray, g: dict) -> np.ndarray:
+    """Adds the layers' gradients and returns that by the input."""
+    full, pre, top = kept
+    g[name] += top.T @ d
+    d = d @ p[name][:-1].T
+    if pre is None:
+        return d
+    d = d * (pre > 0)
+    g[f"{name}:first"] += full.T @ d
+    return d @ p[f"{name}:first"][:-1].T
+
+
+def loss_of(kind: str, out: np.ndarray, y: np.ndarray) -> tuple[float, np.ndarray]:
+    """Sum of losses and its gradient by the outputs."""
+    if kind == "logistic":
+        z = out[:, 0]
+        return float(np.logaddexp(0, z).sum() - (y * z).sum()), (1 / (1 + np.exp(-z)) - y)[:, None]
+    if kind == "multilabel":
+        return multilabel_loss(out, y)
+    if kind == "softmax":
+        z = out - out.max(axis=1, keepdims=True)
+        logs = z - np.log(np.exp(z).sum(axis=1, keepdims=True))
+        at = (np.arange(len(y)), y.astype(int))
+        d = np.exp(logs)
+        d[at] -= 1
+        return -float(logs[at].sum()), d
+    e = out[:, 0] - y
+    if kind == "absolute":
+        return float(np.abs(e).sum()), np.sign(e)[:, None]
+    if kind == "squared":
+        return float((e * e).sum() / 2), e[:, None]
+    raise ValueError(f"no loss {kind}")
+
+
+def multilabel_loss(z: np.ndarray, y: np.ndarray) -> tuple[float, np.ndarray]:
+    """Sum of logistic losses over labels, and its gradient."""
+    return float(np.logaddexp(0, z).sum() - (y * z).sum()), 1 / (1 + np.exp(-z)) - y
+
+
+# ------------------------------------------------------------------ heads on two or more vectors
+
+
+@dataclass
+class TupleModel:
+    """A head over the vectors of several seeds of one row: links (two) and tuples.
+
+    ``sides`` are models without use of their own heads, whose parameters are shared by name; packed rows have each side's
+    columns with its number in front (0_x, 1_hop, ...).  Kinds: "dot" and "bilinear" of two vectors, "mlp" over all side by
+    side, "pool" over their mean; the latter two with a hidden layer where ``hidden`` is set.
+    """
+
+    sides: list[Model]
+    kind: str = "dot"
+    hidden: int = 0
+    loss: str = "logistic"
+    frozen: tuple[str, ...] = ()
+    params: dict[str, np.ndarray] = field(default_factory=dict)
+
+    def init(self, seed: int = 0) -> TupleModel:
+        if self.kind in ("dot", "bilinear") and len(self.sides) != 2:
+            raise ValueError(f"{self.kind} is of two vectors")
+        p, d, rng = {}, self.sides[0].d, np.random.default_rng(seed)
+        for k, side in enumerate(self.sides):
+            for name, v in side.init(seed + k).params.items():
+                if not name.startswith("head"):
+                    p.setdefault(name, v)
+        if self.kind == "dot":
+            p["pair"] = np.zeros((1, 1))
+        elif self.kind == "bilinear":
+            p["pair"] = np.eye(d) + rng.standard_normal((d, d)) * 0.01
+        else:
+            p.update(_mlp_init(rng, "pair", d * (len(self.sides) if self.kind == "mlp" else 1), self.hidden, 1))
+        self.params = p
+        return self
+
+    def batch(self, pdf: pd.DataFrame) -> dict:
+        out = {"n": len(pdf), "y": np.array(pdf["label"].tolist(), float) if "label" in pdf else None}
+        out["sides"] = [side.batch(pdf[[f"{k}_{c}" for c in _COLUMNS]].set_axis(_COLUMNS, axis=1)) for k, side in enumerate(self.sides)]
+        return out
+
+    def _joined(self, b: dict) -> tuple[np.ndarray, list[dict], object]:
+        for side in self.sides:
+            side.params = self.params
+        f = [side.embed(x) for side, x in zip(self.sides, b["sides"], strict=True)]
+        h = [x["h"] for x in f]
+        if self.kind in ("dot", "bilinear"):
+            left = h[0] @ self.params["pair"] if self.kind == "bilinear" else h[0]
+            return (left * h[1]).sum(axis=1, keepdims=True) + (self.params["pair"] if self.kind == "dot" else 0), f, h
+        out, kept = _mlp(self.params, "pair", np.hstack(h) if self.kind == "mlp" else np.mean(h, axis=0))
+        return out, f, kept
+
+    def loss_and_grad(self, b: dict) -> tuple[float, dict[str, np.ndarray]]:
+        out, f, kept = self._joined(b)
+        g = {k: np.zeros_like(v) for k, v in self.params.items()}
+        loss, d = loss_of(self.loss, out, b["y"])
+        if self.kind == "dot":
+            g["pair"] += d.sum()
+            dh = [d * kept[1], d * kept[0]]
+        elif self.kind == "bilinear":
+            w = self.params["pair"]
+            g["pair"] += (kept[0] * d).T @ kept[1]
+            dh = [d * (kept[1] @ w.T), d * (kept[0] @ w)]
+        else:
+            dx = _mlp_back(self.params, "pair", kept, d, g)
+            dh = np.split(dx, len(f), axis=1) if self.kind == "mlp" else [dx / len(f)] * len(f)
+        for side, x, y in zip(self.sides, f, dh, strict=True):
+            side.back(x, y, g)
+        return loss, _freeze(g, self.frozen)
+
+    def score(self, pdf: pd.DataFrame) -> np.ndarray:
+        return self._joined(self.batch(pdf))[0][:, 0]
+
+
+def pack_tuples(rows: DataFrame, sides: list[DataFrame]) -> DataFrame:
+    """seed_id, label and each side's packed columns for ``rows`` (seed_id, label, side_0, side_1, ... seed ids of packed sides)."""
+    out = rows
+    for k, side in enumerate(sides):
+        out = out.join(side.select(F.col("seed_id").alias(f"side_{k}"), *(F.col(c).alias(f"{k}_{c}") for c in _COLUMNS)), f"side_{k}")
+    return out.select("seed_id", F.col("label").cast("double").alias("label"), *(f"{k}_{c}" for k in range(len(sides)) for c in _COLUMNS))
+
+
+def link_score(a: np.ndarray, b: np.ndarray, kind: str = "dot", w: np.ndarray | None = None) -> np.ndarray:
+    """Score of pairs of stored vectors: dot, or bilinear (w: d x d).  Heads that are learned are those of ``TupleModel``."""
+    if kind not in ("dot", "bilinear"):
+        raise ValueError(f"no score {kind}")
+    return ((a if kind == "dot" else a @ w) * b).sum(axis=1)
+
+
+# ------------------------------------------------------------------ training
+
+
 def _flat(p: dict[str, np.ndarray]) -> np.ndarray:
     return np.concatenate([p[k].ravel() for k in sorted(p)])
 
 
-def _unflat(model: Model, v: np.ndarray) -> dict[str, np.ndarray]:
+def _unflat(model, v: np.ndarray) -> dict[str, np.ndarray]:
     out, at = {}, 0
     for k in sorted(model.params):
         n = model.params[k].size
@@ -193,12 +402,23 @@ def _unflat(model: Model, v: np.ndarray) -> dict[str, np.ndarray]:
     return out
 
 
-def fit(models: list[Model], packed: list[DataFrame], steps: int = 40, rate: float = 0.05, sync: str = "grad", local_steps: int = 5) -> list[float]:
+def prepared(model, packed: DataFrame) -> DataFrame:
+    """Packed slices as batches of index arrays (blob), made once for all steps of a training."""
+
+    def work(batches: Iterator[pd.DataFrame]):
+        for pdf in batches:
+            for k in range(0, len(pdf), BATCH):
+                yield pd.DataFrame({"blob": [pickle.dumps(model.batch(pdf.iloc[k : k + BATCH].reset_index(drop=True)), protocol=5)]})
+
+    return packed.mapInPandas(work, "blob binary")
+
+
+def fit(models: list, packed: list[DataFrame], steps: int = 40, rate: float = 0.05, sync: str = "grad", local_steps: int = 5) -> list[float]:
     """Trains in place; several models that share parameter names train jointly on their own tasks.
 
     "grad": every step sums gradients over all partitions and takes one step of an adaptive method on the driver.
-    "average": every round each partition takes local steps and parameters are averaged.  What comes to the driver is
-    one row of parameters' size per partition; rows are added up in the executors first.
+    "average": every round each partition takes local steps on a copy of its own and the copies' last parameters are
+    averaged by rows.  What comes to the driver is one vector of the parameters' size; rows are added up in the executors.
     """
     history, m, v = [], None, None
     shared: dict[str, np.ndarray] = {}
@@ -206,52 +426,60 @@ def fit(models: list[Model], packed: list[DataFrame], steps: int = 40, rate: flo
         for k in x.params:
             shared.setdefault(k, x.params[k])
         x.params = {k: shared[k] for k in x.params}
-    for step in range(1, steps + 1):
+    ready = [prepared(model, df).cache() for model, df in zip(models, packed, strict=True)]
+    for _ in range(steps):
         total, count, loss = {k: np.zeros_like(p) for k, p in shared.items()}, 0, 0.0
-        for model, df in zip(models, packed, strict=True):
+        weight = dict.fromkeys(shared, 0)
+        for model, df in zip(models, ready, strict=True):
             got = _round(model, df, sync, rate, local_steps)
             if got is None:
                 continue
             n, part_loss, vec = got
             for k, g in _unflat(model, vec).items():
                 total[k] += g
+                weight[k] += n
             count += n
             loss += part_loss
         if not count:
-            return history
+            break
         history.append(loss / count)
         if sync == "average":
             for k in shared:
-                shared[k][...] = total[k] / max(1, len(models))
+                shared[k][...] = total[k] / weight[k] if weight[k] else shared[k]
             continue
         g = {k: x / count for k, x in total.items()}
         m = g if m is None else {k: 0.9 * m[k] + 0.1 * g[k] for k in g}
         v = {k: x * x for k, x in g.items()} if v is None else {k: 0.99 * v[k] + 0.01 * g[k] * g[k] for k in g}
         for k in shared:
             shared[k] -= rate * m[k] / (np.sqrt(v[k]) + 1e-8)
+    for df in ready:
+        df.unpersist()
     return history
 
 
-def _round(model: Model, df: DataFrame, sync: str, rate: float, local_steps: int):
+def _round(model, df: DataFrame, sync: str, rate: float, local_steps: int):
+    """(rows, loss, vector): the sum of gradients, or of parameters by rows; None without rows."""
     given = df.sparkSession.sparkContext.broadcast(model)
 
     def work(batches: Iterator[pd.DataFrame]):
-        own = given.value
+        # a broadcast value lives on in the worker, so parameters that change are this task's own
+        own = replace(given.value, params={k: p.copy() for k, p in given.value.params.items()})
         grad, n, loss = None, 0, 0.0
-        for pdf in batches:
-            if not len(pdf):
-                continue
-            b = own.batch(pdf)
-            if sync == "average":
-                for _ in range(local_steps):
-                    part, g = own.loss_and_grad(b)
+        ready = (pickle.loads(x) for pdf in batches for x in pdf["blob"])
+        if sync == "average":
+            ready = list(ready)  # a partition's index arrays are gone through local_steps times
+        for turn in range(local_steps if sync == "average" else 1):
+            for b in ready:
+                part, g = own.loss_and_grad(b)
+                if sync == "average":
                     for k in own.params:
                         own.params[k] = own.params[k] - rate * g[k] / b["n"]
-                vec = _flat(own.params) * b["n"]
-            else:
-                part, g = own.loss_and_grad(b)
-                vec = _flat(g)
-            grad, n, loss = (vec if grad is None else grad + vec), n + b["n"], loss + part
+                else:
+                    grad = _flat(g) if grad is None else grad + _flat(g)
+                if turn == 0:
+                    n, loss = n + b["n"], loss + part
+        if sync == "average" and n:
+            grad = _flat(own.params) * n
         if grad is not None:
             yield pd.DataFrame({"n": [n], "loss": [loss], "vec": [grad.tolist()]})
 
@@ -264,41 +492,22 @@ def _round(model: Model, df: DataFrame, sync: str, rate: float, local_steps: int
         return None
     vec = np.array([r["g"] for r in got["v"]])
     assert len(vec) == size
-    return got["n"], got["loss"], vec / got["n"] if sync == "average" else vec
+    return got["n"], got["loss"], vec
 
 
-def predict(model: Model, packed: DataFrame) -> DataFrame:
-    """seed_id, label, score."""
+def predict(model, packed: DataFrame) -> DataFrame:
+    """seed_id, label, score; with several labels the scores are an array."""
     given = packed.sparkSession.sparkContext.broadcast(model)
+    many = getattr(model, "loss", "") == "multilabel"
 
     def work(batches: Iterator[pd.DataFrame]):
         for pdf in batches:
             if len(pdf):
-                yield pd.DataFrame({"seed_id": pdf["seed_id"], "label": pdf["label"], "score": given.value.score(pdf)})
-
-    return packed.mapInPandas(work, "seed_id string, label double, score double")
-
+                score = list(given.value.outputs(pdf)) if many else given.value.score(pdf)
+                yield pd.DataFrame({"seed_id": pdf["seed_id"], "label": pdf["label"], "score": score})
 
-# ------------------------------------------------------------------ heads on two or more vectors
-
-
-def link_score(a: np.ndarray, b: np.ndarray, kind: str = "dot", w: np.ndarray | None = None) -> np.ndarray:
-    """Score of pairs of vectors: dot, bilinear (w: d x d) or a linear map of the concatenation (w: 2d)."""
-    if kind == "dot":
-        return (a * b).sum(axis=1)
-    if kind == "bilinear":
-        return ((a @ w) * b).sum(axis=1)
-    return np.hstack([a, b]) @ w
-
-
-def tuple_score(vectors: list[np.ndarray], w: np.ndarray, kind: str = "concat") -> np.ndarray:
-    """Score of more than two vectors, pooled by mean or put side by side."""
-    return (np.mean(vectors, axis=0) if kind == "pool" else np.hstack(vectors)) @ w
-
-
-def multilabel_loss(z: np.ndarray, y: np.ndarray) -> tuple[float, np.ndarray]:
-    """Sum of logistic losses over labels, and its gradient."""
-    return float(np.logaddexp(0, z).sum() - (y * z).sum()), 1 / (1 + np.exp(-z)) - y
+    kind = "array<double>" if many else "double"
+    return packed.mapInPandas(work, f"seed_id string, label {kind}, score {kind}")
 
 
 # ------------------------------------------------------------------ pre-training and transfer
@@ -321,7 +530,7 @@ def pretrain(model: Model, mined: list[DataFrame], steps: int, rate: float = 0.0
     """Trains encoders and messages on tasks mined from history, each with a head of its own."""
     models = []
     for i in range(len(mined)):
-        own = Model(model.seed_type, model.sizes, model.links, model.d, "squared", model.pool, 1).init(i)
+        own = replace(model, loss="squared", classes=1, hidden=0, frozen=(), params={}).init(i)
         own.params = {**model.params, "head": own.params["head"]}
         models.append(own)
     history: list[float] = []

@@ -310,51 +310,6 @@ def train_planted(spark: S, d: str) -> DataFrame:
     return spark.createDataFrame(planted_models(spark), "model string, ap double")
 
 
-def churn_model(spark: S, d: str, steps: int = 15, loss: str = "logistic") -> tuple[train.Model, DataFrame]:
-    """A two-hop model of the churn (or, with an absolute loss, value) task, and the packed rows with their split."""
-    db = open_retail(spark, d)
-    task = (workloads.customer_churn if loss == "logistic" else workloads.customer_value)(spark, d)
-    seeds = sampling.seeds_of(task, "c_custkey", "customer")
-    labels = task.select(F.col("c_custkey").alias("nid"), "seed_time", "split", F.col("label") if loss == "logistic" else (F.col("label") / 1000.0).alias("label"))
-    cut = sampling.cut_slice(db, seeds, [6, 3], sampling.Strategy("latest"), [("orders.o_custkey", True), ("lineitem.l_orderkey", True)])
-    upto = workloads.RETAIL.t_val
-    tables = {"customer": [encode.Numeric("c_acctbal"), encode.Category("c_mktsegment", 5)], "orders": [encode.Numeric("o_totalprice"), encode.Category("o_orderstatus", 3)], "lineitem": [encode.Numeric("l_quantity"), encode.Numeric("l_discount")]}
-    feats, sizes = {}, {}
-    for name, encoders in tables.items():
-        spec = db.tables[name]
-        fitted = encode.TableEncoder(encoders).fit(spec.df, spec.time, upto)
-        feats[name] = fitted.transform(spec.df.withColumnRenamed(spec.pk, "nid"), ["nid"])
-        sizes[name] = len([c for e in fitted.encoders for c in e.columns()]) + (name != "customer")
-    joined = seeds.join(labels, ["nid", "seed_time"])
-    packed = train.pack_features(cut, joined, feats, age=True).join(joined.select("seed_id", "split"), "seed_id").repartition(8, "seed_id").cache()
-    model = train.Model("customer", sizes, [("orders.o_custkey", "customer"), ("lineitem.l_orderkey", "orders")], d=8, loss=loss).init(5)
-    train.fit([model], [packed.filter("split = 'train'").drop("split")], steps=steps, rate=0.05)
-    return model, packed
-
-
-@query("train_churn")
-def train_churn(spark: S, d: str) -> DataFrame:
-    """Average precision of the trained model on the churn task, by split."""
-    model, packed = churn_model(spark, d)
-    out = []
-    for split in ("val", "test"):
-        rows = train.predict(model, packed.filter(F.col("split") == split).drop("split"))
-        out.append((split, metrics.average_precision(rows).first()["ap"]))
-    packed.unpersist()
-    return spark.createDataFrame(out, "split string, ap double")
-
-
-@query("train_value")
-def train_value(spark: S, d: str) -> DataFrame:
-    """Mean absolute error of the trained model and of the median on the value task, on the test split."""
-    model, packed = churn_model(spark, d, loss="absolute")
-    rows = train.predict(model, packed.filter("split = 'test'").drop("split"))
-    mae = metrics.mean_abs_error(rows.select(F.col("label") * 1000, F.col("score") * 1000).toDF("label", "y_hat")).first()["mae"]
-    packed.unpersist()
-    base = metrics.mean_abs_error(baselines.constant(workloads.customer_value(spark, d)).filter("split = 'test'")).first()["mae"]
-    return spark.createDataFrame([("two hops", mae), ("median", base)], "model string, mae double")
-
-
 @query("text_quality")
 def text_quality(spark: S, d: str) -> DataFrame:
     """Document quality from hashed words and size, boosted trees, with the base rate (static task)."""
@@ -371,20 +326,6 @@ def text_quality(spark: S, d: str) -> DataFrame:
     return spark.createDataFrame(out, "model string, ap double")
 
 
-@query("boosted_churn")
-def boosted_churn(spark: S, d: str) -> DataFrame:
-    """Hand features and boosted trees against the entity's own columns and the base rate, on the churn task."""
-    flat = flat_table(spark, d).cache()
-    names = [f"{p}_{w}" for w in _W for p in ("n", "sum")]
-    test, out = flat.filter("split = 'test'"), []
-    for name, inputs in (("hand features", ["c_acctbal", *names]), ("entity only", ["c_acctbal"])):
-        fitted = baselines.fit_boosted(flat, "label", "binary", inputs, ("c_mktsegment",), trees=5, depth=3)
-        out.append((name, metrics.average_precision(baselines.boosted_scores(fitted, test, "binary")).first()["ap"]))
-    out.append(("base rate", metrics.average_precision(test.withColumn("score", F.lit(0))).first()["ap"]))
-    flat.unpersist()
-    return spark.createDataFrame(out, "model string, ap double")
-
-
 @query("metric_f1_static", "WITH t AS (SELECT doc_id, quality AS a, (n_chars > 200)::INT AS b FROM labels JOIN documents USING (doc_id)), c AS (SELECT k, (SELECT count(*) FROM t WHERE a = k) AS ta, (SELECT count(*) FROM t WHERE b = k) AS tb, (SELECT count(*) FROM t WHERE a = k AND b = k) AS hit FROM (VALUES (0), (1)) v(k)) SELECT round(avg(2.0::DOUBLE * hit / (ta + tb)), 9) AS macro_f1 FROM c WHERE ta > 0")
 def metric_f1_static(spark: S, d: str) -> DataFrame:
     rows = table(spark, d, "labels").join(table(spark, d, "documents").select("doc_id", "n_chars"), "doc_id").select(F.col("quality").alias("label"), (F.col("n_chars") > 200).cast("int").alias("y_hat"))
