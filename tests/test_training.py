@@ -155,7 +155,7 @@ def test_heads():
 
 def test_every_model_of_a_task_is_scored_by_its_predictions(spark, sf, monkeypatch):
     """The board's numbers against plain loops over the predictions, which cover every test row under every model."""
-    from ref import average_precision
+    from tests.ref import average_precision
     from rowgraph import queries_models
     from rowgraph.operators import board
     from rowgraph.plans import workloads
