@@ -130,16 +130,18 @@ def cut_slice(
 
     ``links`` names the allowed steps as (link, downward); without it every step into a table of the frontier is taken.
     ``cap_scope`` caps a node's neighbours over all links or per link.  With ``share`` the choice depends on the node
-    and the stamp only, so it is made once per (node, stamp) for all seeds of the stamp.  ``staged`` is a folder to
-    which each hop is written, for large runs.  Nodes met again are expanded again; the unions keep them once.
+    and the stamp only, so it is made once per (node, stamp) for all seeds of the stamp.  "latest" doesn't depend on the
+    seed, so behind the first hop it is always made once: a hub's rows meet its stamps, not each seed that reached it.
+    ``staged`` is a folder to which each hop is written, for large runs.  Nodes met again are expanded again; the unions
+    keep them once.
     """
     types, frontier, out = {r["ntype"] for r in seeds.select("ntype").distinct().collect()}, seeds, []
     for hop, m in enumerate(caps, 1):
         steps = [(x, down) for x in db.links for down in (True, False) if (x.parent if down else x.child) in types and (links is None or (x.name, down) in links)]
         if not steps:
             break
-        base = frontier
-        if share:
+        base, once = frontier, share or (strategy.kind == "latest" and hop > 1 and m is not None)
+        if once:
             base = frontier.select("seed_time", "ntype", "nid").distinct().withColumn("seed_id", F.date_format("seed_time", "yyyy-MM-dd"))
         found = []
         for link, down in steps:
@@ -150,10 +152,10 @@ def cut_slice(
             found.append(near.select("seed_id", "seed_time", F.lit(hop).alias("hop"), F.lit(name).alias("link"), F.lit(to).alias("src_type"), F.col("child").alias("src"), F.lit(at).alias("dst_type"), F.col("nid").alias("dst"), "ts"))
         rows = reduce(DataFrame.unionByName, found)
         if strategy.kind != "all" and m is not None:
-            key = F.col("dst") if share else F.split_part(F.col("seed_id"), F.lit("|"), F.lit(1))
+            key = F.col("dst") if once else F.split_part(F.col("seed_id"), F.lit("|"), F.lit(1))
             order = strategy.order(key, F.col("seed_time"), F.col("src"), F.col("ts"))
             rows = pick(rows, ["seed_id", "dst_type", "dst", *(["link"] if cap_scope == "link" else [])], m, [*order, F.col("link")])
-        if share:
+        if once:
             who = frontier.select("seed_id", "seed_time", F.col("ntype").alias("dst_type"), F.col("nid").alias("dst")).distinct()
             rows = rows.drop("seed_id").join(who, ["seed_time", "dst_type", "dst"]).select("seed_id", "seed_time", "hop", "link", "src_type", "src", "dst_type", "dst", "ts")
         if edge_hook:

@@ -285,28 +285,39 @@ def stream_latest(spark: S, d: str) -> DataFrame:
 # ------------------------------------------------------------------------------------ training
 
 
-def planted_models(spark: S, n: int = 400, steps: int = 60) -> list[tuple[str, float]]:
-    """(model, average precision on unseen entities) where the label is decided two hops away."""
+def _planted(spark: S, n: int, label: str, loss: str, steps: int) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """Scores of a trained two-hop model on unseen entities, the flat table of the entity's own columns, and its unseen part."""
     from .plans.tasks import static_split
     from .sources.io import open_planted
 
     db, task = open_planted(spark, n)
-    task = task.withColumn("split", static_split(F.col("id"))).cache()
+    task = task.select("id", "seed_time", F.col(label).alias("label"), static_split(F.col("id")).alias("split")).cache()
     seeds = sampling.seeds_of(task, "id", "entity").join(task.select(F.col("id").alias("nid"), "label", "split"), "nid")
     cut = sampling.cut_slice(db, seeds.select("seed_id", "seed_time", "ntype", "nid"), [4, 4], sampling.Strategy("latest"), [("fact.entity", True), ("fact.item", False)])
     arr = lambda *c: F.array(*(F.col(x).cast("float") for x in c)).alias("x")
     feats = {"entity": db["entity"].select(F.col("id").alias("nid"), arr("x")), "fact": db["fact"].select(F.col("id").alias("nid"), F.array(F.lit(1.0).cast("float")).alias("x")), "item": db["item"].select(F.col("id").alias("nid"), arr("good", "y"))}
     packed = train.pack_features(cut, seeds, feats).join(seeds.select("seed_id", "split"), "seed_id").repartition(4, "seed_id").cache()
-    model = train.Model("entity", {"entity": 1, "fact": 1, "item": 2}, [("fact.entity", "entity"), ("fact.item^", "fact")], d=8).init(3)
+    model = train.Model("entity", {"entity": 1, "fact": 1, "item": 2}, [("fact.entity", "entity"), ("fact.item^", "fact")], d=8, loss=loss).init(3)
     train.fit([model], [packed.filter("split = 'train'").drop("split")], steps=steps, rate=0.05)
-    rest = packed.filter("split <> 'train'").drop("split")
-    out = [("two hops", metrics.average_precision(train.predict(model, rest)).first()["ap"])]
     flat = task.join(db["entity"], "id")
-    boosted = baselines.fit_boosted(flat, "label", "binary", ["x"], trees=5, depth=2)
-    scored = baselines.boosted_scores(boosted, flat.filter("split <> 'train'"), "binary")
-    out.append(("entity only", metrics.average_precision(scored).first()["ap"]))
-    out.append(("base rate", metrics.average_precision(task.filter("split <> 'train'").withColumn("score", F.lit(0))).first()["ap"]))
-    return out
+    return train.predict(model, packed.filter("split <> 'train'").drop("split")), flat, flat.filter("split <> 'train'")
+
+
+def planted_models(spark: S, n: int = 400, steps: int = 60) -> list[tuple[str, float]]:
+    """(model, average precision on unseen entities) where the label is decided two hops away."""
+    scored, flat, rest = _planted(spark, n, "label", "logistic", steps)
+    boosted = baselines.boosted_scores(baselines.fit_boosted(flat, "label", "binary", ["x"], trees=5, depth=2), rest, "binary")
+    found = {"two hops": scored, "entity only": boosted, "base rate": rest.withColumn("score", F.lit(0))}
+    return [(name, metrics.average_precision(rows).first()["ap"]) for name, rows in found.items()]
+
+
+def planted_values(spark: S, n: int = 400, steps: int = 50) -> list[tuple[str, float]]:
+    """(model, mean absolute error on unseen entities) where the value is decided two hops away."""
+    scored, flat, rest = _planted(spark, n, "amount", "squared", steps)
+    boosted = baselines.boosted_scores(baselines.fit_boosted(flat, "label", "regression", ["x"], trees=5, depth=2), rest, "regression")
+    middle = baselines.constant(flat).filter("split <> 'train'").withColumn("score", F.col("y_hat"))
+    found = {"two hops": scored, "entity only": boosted, "median": middle}
+    return [(name, metrics.mean_abs_error(rows.drop("y_hat").withColumnRenamed("score", "y_hat")).first()["mae"]) for name, rows in found.items()]
 
 
 @query("train_planted")
@@ -314,6 +325,11 @@ def train_planted(spark: S, d: str) -> DataFrame:
     return spark.createDataFrame(planted_models(spark), "model string, ap double")
 
 
+@query("train_planted_value")
+def train_planted_value(spark: S, d: str) -> DataFrame:
+    return spark.createDataFrame(planted_values(spark), "model string, mae double")
+
+
 @query("text_quality")
 def text_quality(spark: S, d: str) -> DataFrame:
     """Document quality from hashed words and size, boosted trees, with the base rate (static task)."""

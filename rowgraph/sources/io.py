@@ -78,9 +78,10 @@ def is_good(item: int) -> bool:
 
 
 def planted_rows(table: str, i: int) -> Iterator[tuple]:
-    """entity: (id, x); fact: (id, entity, item, ts); item: (id, good, y); task: (id, seed_time, label).
+    """entity: (id, x); fact: (id, entity, item, ts); item: (id, good, y); task: (id, seed_time, label, amount).
 
-    The label is 1 where most of an entity's facts refer to good items, which only the items say.
+    The amount is the number of an entity's facts that refer to good items, which only the items say; the label is 1
+    where those are most of them.
     """
     picks = [int(_noise(1, i, k) * ITEMS) for k in range(FACTS)]
     if table == "entity":
@@ -93,10 +94,11 @@ def planted_rows(table: str, i: int) -> Iterator[tuple]:
     elif table == "item" and i < ITEMS:
         yield i, float(is_good(i)), _noise(4, i)
     elif table == "task":
-        yield i, SEED_TIME, int(sum(map(is_good, picks)) * 2 > FACTS)
+        good = sum(map(is_good, picks))
+        yield i, SEED_TIME, int(good * 2 > FACTS), float(good)
 
 
-_SCHEMAS = {"entity": "id long, x double", "fact": "id long, entity long, item long, ts timestamp_ntz", "item": "id long, good double, y double", "task": "id long, seed_time timestamp_ntz, label int"}
+_SCHEMAS = {"entity": "id long, x double", "fact": "id long, entity long, item long, ts timestamp_ntz", "item": "id long, good double, y double", "task": "id long, seed_time timestamp_ntz, label int, amount double"}
 
 
 class PlantedSource(DataSource):

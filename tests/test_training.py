@@ -5,7 +5,7 @@ from pyspark.sql import functions as F
 
 from rowgraph.operators import metrics as train_metrics
 from rowgraph.operators import train
-from rowgraph.queries_features import planted_models
+from rowgraph.queries_features import planted_models, planted_values
 
 
 def toy(loss="logistic", pool="mean", classes=1, **more):
@@ -74,6 +74,11 @@ def test_a_signal_two_hops_away_is_learnt_and_entity_columns_cannot_see_it(spark
     assert got["two hops"] > 0.9 > 0.75 > got["entity only"] and got["two hops"] > got["base rate"] + 0.2
 
 
+def test_a_value_two_hops_away_is_learnt_and_entity_columns_cannot_see_it(spark):
+    got = dict(planted_values(spark, 300, 50))
+    assert got["two hops"] < 0.4 < 0.7 < min(got["entity only"], got["median"])
+
+
 def pairs(n=3, kind="dot", hidden=0):
     """Rows of two or three sides of one kind, as a model over tuples takes them."""
     sides = [toy(loss="squared") for _ in range(n)]
