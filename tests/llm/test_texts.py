@@ -546,3 +546,38 @@ def test_the_window_tells_words_of_one_class_apart():
     assert (right - wrong).mean() > 1
     z = np.concatenate([(x[3] * voc.mass[x[1]] / x[4][:, None]).sum(axis=1) for x in net.within(seen[:100], tokens[1::2][:100], voc)])
     assert np.allclose(z, 1, atol=5e-3)
+
+
+def brute_licences(text):
+    """(licence, coefficient) of the best window of every template, over all windows that could reach 0.8."""
+    words, best = licences.normal_words(text.encode()), {}
+    digits = {b"%d" % k for k in range(10)}
+    for name, body in ((n, t) for n, ts in licences.TEMPLATES.items() for t in ts):
+        w = licences.normal_words(body.encode())
+        theirs, size = Counter(zip(w, w[1:])), len(w) - 1
+        guard = licences.CLAUSES | (digits if name.startswith(licences.VERSIONED) else set())
+        if not any(x in theirs for x in zip(words, words[1:])):
+            continue
+        for a in range(len(words) - 1):
+            seen, both = Counter(), 0
+            # a window of over 1.5 times the template's bigrams is below 0.8 even if it has them all
+            for b in range(a + 1, min(len(words), a + 1 + size * 3 // 2)):
+                x = (words[b - 1], words[b])
+                seen[x] += 1
+                both += seen[x] <= theirs[x]
+                if 200 * both >= 80 * (b - a + size) and set(words[a : b + 1]) & guard == set(w) & guard:
+                    best[name] = max(best.get(name, 0.0), 2.0 * both / (b - a + size))
+    return best
+
+
+def test_licence_scan_equals_a_brute_force_scan(spark, sf):
+    # a fixture that a plain loop gets through: texts that speak of licences, and a few that don't
+    docs = spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text").filter("length(text) < 3000 and (text ilike '%licens%' or doc_id % 40 = 0)")
+    gnu = licences.TEMPLATES["LGPL-3.0"][0]
+    more = [gnu, gnu.replace("version 3", "version 2"), gnu.replace("Lesser ", ""), f"words before it {gnu} Released under the\nMIT License. words after it", "Licensed under CC BY-SA 4.0. Licensed under CC BY 4.0", "Licensed under CC BY 3.0", licences.TEMPLATES["BSD-3-Clause"][0], None, ""]
+    docs = docs.unionByName(spark.createDataFrame([(-1 - i, t) for i, t in enumerate(more)], "doc_id long, text string"))
+    got = {r["doc_id"]: (r["licence"], r["dice"], r["licences"]) for r in licences.scan_licences(docs).collect()}
+    for doc_id, text in docs.collect():
+        found = brute_licences(text or "")
+        name = min(found, key=lambda n: (-found[n], n), default=None)
+        assert got[doc_id] == (name, found.get(name, 0.0), ",".join(sorted(found)))
