@@ -38,3 +38,8 @@ def test_daily_features_on_odd_times(spark, odd, zone):
     finally:
         spark.conf.set("spark.sql.session.timeZone", "UTC")
     assert got == want
+
+
+def test_rolling_features_on_odd_times(spark, odd):
+    got, want = both(spark, odd, "feat_rolling")
+    assert got == want
