@@ -9,6 +9,8 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from ..functions.columns import micros
+
 
 def read_facts(spark: SparkSession, path: str, schema: T.StructType, files: int = 1) -> DataFrame:
     """A folder to which files of facts are added."""
@@ -38,13 +40,22 @@ def bursts(facts: DataFrame, key: str, gap: str, late: str) -> DataFrame:
     return out.select(key, F.col("session_window.start").alias("started"), F.col("session_window.end").alias("ended"), "n")
 
 
-def batch_bursts(facts: DataFrame, key: str, gap_seconds: int) -> DataFrame:
-    """The same over a table: a burst begins where the gap to the row before is too long."""
+def batch_bursts(facts: DataFrame, key: str, gap_seconds: int, clock: Column | None = None) -> DataFrame:
+    """The same over a table: a burst begins where the gap to the row before is too long.
+
+    ``clock`` gives a row's second; without it times count to the microsecond, as in a stream.  Rows without time come
+    last, each a burst of its own.
+    """
     from pyspark.sql import Window
 
-    w = Window.partitionBy(key).orderBy("ts", "event_id")
-    gap = F.unix_timestamp(F.col("ts").cast("timestamp")) - F.unix_timestamp(F.lag("ts").over(w).cast("timestamp"))
-    marked = facts.withColumn("new_", (F.coalesce(gap, F.lit(gap_seconds)) >= gap_seconds).cast("int")).withColumn("burst", F.sum("new_").over(w))
+    w = Window.partitionBy(key).orderBy(F.col("ts").asc_nulls_last(), F.col("event_id").asc_nulls_last())
+    if clock is None:
+        clock, gap = F.unix_micros("ts") if dict(facts.dtypes)["ts"] == "timestamp" else micros(F.col("ts")), gap_seconds * 1000000
+    else:
+        gap = gap_seconds
+    rows = facts.withColumn("clock_", clock)
+    since = F.col("clock_") - F.lag("clock_").over(w)
+    marked = rows.withColumn("new_", (F.coalesce(since, F.lit(gap)) >= gap).cast("int")).withColumn("burst", F.sum("new_").over(w))
     return marked.groupBy(key, "burst").agg(F.min("ts").alias("started"), F.max("ts").alias("ended"), F.count("*").alias("n"))
 
 

@@ -4,8 +4,10 @@ from datetime import datetime as D
 
 import duckdb
 import pytest
+from pyspark.sql import functions as F
 
 from rowgraph.queries import ORACLE, QUERIES
+from rowgraph.streaming import stream
 
 TIMES = [
     D(2024, 1, 8), D(2024, 1, 8, 0, 0, 0, 1), D(2024, 1, 8, 0, 0, 0, 400000), D(2024, 1, 1, 0, 0, 0, 600000), D(2024, 1, 14, 23, 59, 59, 999999), D(2024, 1, 15), D(2024, 1, 15, 0, 0, 0, 1),
@@ -43,3 +45,15 @@ def test_daily_features_on_odd_times(spark, odd, zone):
 def test_rolling_features_on_odd_times(spark, odd):
     got, want = both(spark, odd, "feat_rolling")
     assert got == want
+
+
+def test_bursts_on_odd_times(spark, odd):
+    got, want = both(spark, odd, "session_islands")
+    assert got == want
+
+
+def test_bursts_without_a_clock_count_to_the_microsecond(spark):
+    rows = [(k, D(2024, 1, 1 + k, 0, 0, 0, us), 1) for k, us in enumerate((5, 4, 4))]
+    facts = spark.createDataFrame(rows, "event_id long, ts timestamp_ntz, user_id long")
+    for table in (facts, facts.withColumn("ts", F.col("ts").cast("timestamp"))):
+        assert sorted(r["n"] for r in stream.batch_bursts(table, "user_id", 86400).collect()) == [1, 2]
