@@ -4,6 +4,7 @@ Windows are all runs of words, so lines, paragraphs and whole texts are among th
 windows of t / (2 - t) * s to (2 - t) / t * s bigrams can reach the threshold t, and the best begin and end with one of
 its bigrams; so only a text that has enough of a template's bigrams near each other is looked at.
 A window that has other version or clause words than a template is of another licence, however alike the rest is.
+The plainer scan by units (lines, paragraphs, whole text) goes by the coefficient alone, so it names near relatives too.
 """
 
 from __future__ import annotations
@@ -102,6 +103,7 @@ VERSIONED = ("AGPL", "Apache", "CC-", "GPL", "LGPL", "MPL")
 _DIGITS = frozenset(b"%d" % k for k in range(10))
 
 _TOKEN = re.compile(rb"[a-z0-9]+")
+_BLANK = re.compile(rb"\n[ \t\r]*\n")
 
 
 def normal_words(text: bytes) -> list[bytes]:
@@ -147,6 +149,18 @@ class Matcher:
                 out.append((name, 2.0 * both / (b + size)))
         return out
 
+    def units(self, text: bytes) -> list[tuple[str, float]]:
+        """(licence, coefficient) of every match of a line, of a paragraph of several lines (cut at blank lines) or of the whole text."""
+        lines = [normal_words(x) for x in text.split(b"\n")]
+        found = [m for w in lines for m in self.match(w)]
+        if len(lines) > 1:
+            for part in _BLANK.split(text):
+                found += self.match(normal_words(part)) if b"\n" in part else []
+            # only a whole text that a template's size can reach
+            if self.made and sum(map(len, lines)) - 1 <= (200 - self.percent) * self.sizes[-1] // self.percent:
+                found += self.match([w for line in lines for w in line])
+        return found
+
     def scan(self, text: bytes) -> list[tuple[str, float]]:
         """(licence, coefficient) of the best window of each template that has one at or above the threshold."""
         words = normal_words(text)
@@ -196,12 +210,13 @@ class Matcher:
         return best
 
 
-def scan_licences(docs: DataFrame, min_percent: int = MIN_PERCENT) -> DataFrame:
+def scan_licences(docs: DataFrame, min_percent: int = MIN_PERCENT, units: bool = False) -> DataFrame:
     """doc_id, licence, dice, licences of every row.
 
     ``licence`` is that of the best match (ties: first by name) and ``dice`` its coefficient, null and 0 without one;
     ``licences`` lists all that match, by name, joined by commas.  Null and empty texts match nothing.  Each row stands
-    for itself, so repeated rows give equal rows.  Other columns are ignored.
+    for itself, so repeated rows give equal rows.  Other columns are ignored.  All windows are compared; with ``units``
+    lines, paragraphs and whole texts, by the coefficient alone.
     """
     rows = clean_columns(docs, "doc_id", "text")
     rows = rows.select(rows["doc_id"].cast("long").alias("doc_id"), "text")
@@ -209,10 +224,11 @@ def scan_licences(docs: DataFrame, min_percent: int = MIN_PERCENT) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]):
         matcher = Matcher(min_percent=min_percent)
+        look = matcher.units if units else matcher.scan
         for batch in batches:
             best, score, names = [], [], []
             for text in batch.column(1):
-                found = matcher.scan((text.as_py() or "").encode())
+                found = look((text.as_py() or "").encode())
                 top = min(found, key=lambda m: (-m[1], m[0]), default=(None, 0.0))
                 best.append(top[0])
                 score.append(top[1])
