@@ -20,3 +20,10 @@ def test_stamps_go_back_to_the_first_fact(spark):
     for stride in (None, 91):
         split = timeline.SplitSpec(workloads.RETAIL.t_val, workloads.RETAIL.t_test, D(1990, 3, 5), workloads.RETAIL.max_time)
         assert got(older, stride=stride, min_history=365) == sorted(timeline.stamp_list(split, 365, stride, 365))
+
+
+def test_the_table_graph_counts_references(spark):
+    t = {n: spark.createDataFrame(rows, f"{n} long, f long, g long") for n, rows in (("a", [(1, None, None)]), ("b", [(1, 1, None), (2, None, None), (3, 1, None)]), ("c", [(1, 1, None)]))}
+    db = Database.of([TableSpec(n, df, n) for n, df in t.items()], [LinkSpec("b", "f", "a"), LinkSpec("c", "f", "b"), LinkSpec("c", "g", "a")])
+    rows = {(r["src_table"], r["dst_table"], r["link"], r["inverse"]): r["n_edges"] for r in graph.table_graph(db).collect()}
+    assert rows == {("b", "a", "b.f", False): 2, ("a", "b", "b.f", True): 2, ("c", "b", "c.f", False): 1, ("b", "c", "c.f", True): 1, ("c", "a", "c.g", False): 0, ("a", "c", "c.g", True): 0}
