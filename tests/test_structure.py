@@ -27,3 +27,10 @@ def test_the_table_graph_counts_references(spark):
     db = Database.of([TableSpec(n, df, n) for n, df in t.items()], [LinkSpec("b", "f", "a"), LinkSpec("c", "f", "b"), LinkSpec("c", "g", "a")])
     rows = {(r["src_table"], r["dst_table"], r["link"], r["inverse"]): r["n_edges"] for r in graph.table_graph(db).collect()}
     assert rows == {("b", "a", "b.f", False): 2, ("a", "b", "b.f", True): 2, ("c", "b", "c.f", False): 1, ("b", "c", "c.f", True): 1, ("c", "a", "c.g", False): 0, ("a", "c", "c.g", True): 0}
+
+
+def test_hops_go_over_links_with_references(spark):
+    t = {n: spark.createDataFrame([(1, v, w)], f"{n} long, f long, g long") for n, v, w in (("a", None, None), ("b", 1, None), ("c", 1, None), ("d", None, None))}
+    db = Database.of([TableSpec(n, df, n) for n, df in t.items()], [LinkSpec("b", "f", "a"), LinkSpec("c", "f", "b"), LinkSpec("c", "g", "a"), LinkSpec("d", "f", "a")])
+    got = {(r["src"], r["dst"]): r["hops"] for r in graph.table_hops(db).collect()}
+    assert got["c", "a"] == got["a", "c"] == 2 and got["b", "c"] == 1 and got["d", "d"] == 0 and ("d", "a") not in got and len(got) == 10
