@@ -1,60 +1,57 @@
 """Connected components of a table of links, by rounds of joins and aggregates.
 
-Each round points every node's larger neighbours at the smallest node around it, then every node and its smaller
+Half-rounds by turns point every node's larger neighbours at the smallest node around it, and every node and its smaller
 neighbours at the smallest of those.  The links turn into one star per component in a number of rounds that grows with
-the logarithm of the longest chain.  Rounds are written to the shared folder; the driver sees counts only.
+the logarithm of the longest chain.  The aggregate each half-round needs also tells whether the links are stars already,
+so links that are cost one pass.  It is written to the shared folder; the driver sees counts only.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Observation
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import discard, stage
+from .shared import counted, discard, kept_at, stage
 
 MAX_ROUNDS = 60
 
 
-def _around(pairs: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """pairs (kind, u, v) with the smallest v of each u, and the table of the latter; both sides of the join are stored,
-    so a hot u can be split."""
-    least = stage(pairs.groupBy("kind", "u").agg(F.min("v").alias("m")), "stars-least")
-    return pairs.join(least, ["kind", "u"]), least
+def _around(edges: DataFrame) -> tuple[DataFrame, int]:
+    """kind, u, m: the smallest node linked with each node, and the number of nodes that keep the links from being stars.
 
-
-def _observed(edges: DataFrame) -> tuple[DataFrame, tuple]:
-    """Writes the links and gives a digest of them, counted on the way."""
-    seen = Observation()
-    h = F.xxhash64("kind", "u", "v")
-    out = stage(edges.observe(seen, F.count(F.lit(1)).alias("n"), F.coalesce(F.bit_xor(h), F.lit(0)).alias("x"), F.sum(h.cast("decimal(38,0)")).alias("s")), "stars")
-    got = seen.get
-    return out, (got["n"], got["x"], got["s"])
+    In a star the centre is smaller than all around it and the others have one neighbour.
+    """
+    both = edges.unionByName(edges.select("kind", F.col("v").alias("u"), F.col("u").alias("v")))
+    least = both.groupBy("kind", "u").agg(F.min("v").alias("m"), F.max("v").alias("most"))
+    return counted(least, "stars-least", (F.col("m") < F.col("u")) & (F.col("m") < F.col("most")))
 
 
 def components(links: DataFrame) -> DataFrame:
     """node, component for every node of ``links`` (a, b longs); the component is its smallest node."""
-    return components_by_kind(links.select(F.lit(0).alias("kind"), "a", "b")).drop("kind")
+    every = components_by_kind(links.select(F.lit(0).alias("kind"), "a", "b"))
+    return kept_at(every.drop("kind"), every)
 
 
 def components_by_kind(links: DataFrame) -> DataFrame:
-    """kind, node, component of several sets of links (kind, a, b) in the same rounds."""
-    edges = stage(links.select("kind", F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).filter("u > v").distinct(), "stars")
-    before = None
-    for _ in range(MAX_ROUNDS):
-        both = edges.unionByName(edges.select("kind", F.col("v").alias("u"), F.col("u").alias("v")))
-        far, least = _around(both)
-        far = far.withColumn("m", F.least("m", "u")).filter("v > u")
-        far = stage(far.select("kind", F.col("v").alias("u"), F.col("m").alias("v")).filter("u > v"), "stars-far")
-        discard(edges, least)
-        near, least = _around(far)
-        points = near.select("kind", "u", F.col("m").alias("v")).unionByName(near.select("kind", F.col("v").alias("u"), F.col("m").alias("v")))
-        edges, seen = _observed(points.filter("u > v").distinct())
-        discard(far, least)
-        if seen == before:
-            break
-        before = seen
-    else:
-        raise RuntimeError("components did not settle")
-    stars = edges.groupBy("kind", "u").agg(F.min("v").alias("component"))
-    centres = edges.select("kind", F.col("v").alias("node"), F.col("v").alias("component")).distinct()
-    return stars.withColumnRenamed("u", "node").unionByName(centres)
+    """kind, node, component of several sets of links (kind, a, b) in the same rounds.
+
+    Links are read twice, so what is dear to make should be written before.  Each one stays one row, which may repeat others.
+    Both sides of the joins are stored, so a node with very many links can be split.
+    """
+    edges, mine = links.select("kind", F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).filter("u > v"), []
+    for half in range(2 * MAX_ROUNDS):
+        least, unsettled = _around(edges)
+        if not unsettled:
+            discard(*mine)
+            return kept_at(least.select("kind", F.col("u").alias("node"), F.least("u", "m").alias("component")), least)
+        least = least.select("kind", "u", "m")
+        if half % 2:
+            to = edges.join(least, ["kind", "u"])
+            to = to.select("kind", F.when(F.col("v") > F.col("m"), F.col("v")).otherwise(F.col("u")).alias("u"), F.col("m").alias("v"))
+        else:
+            to = edges.select("kind", F.col("v").alias("u"), F.col("u").alias("far")).join(least, ["kind", "u"])
+            to = to.select("kind", F.col("far").alias("u"), F.least("u", "m").alias("v"))
+        to = stage(to, "stars")
+        discard(least, *mine)
+        edges, mine = to, [to]
+    raise RuntimeError("components did not settle")

@@ -42,9 +42,10 @@ def _pages(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield done()
 
 
-def key_table(keys: DataFrame) -> bytearray:
-    """The table of all values of the only column of ``keys``."""
-    slots = keys.select(_slot(F.col(keys.columns[0])).alias("slot")).distinct()
+def key_table(keys: DataFrame, unique: bool = False) -> bytearray:
+    """The table of all values of the only column of ``keys``; ``unique``: no value occurs twice, so none has to be dropped."""
+    slots = keys.select(_slot(F.col(keys.columns[0])).alias("slot"))
+    slots = slots if unique else slots.distinct()
     slots = slots.repartition(F.shiftright("slot", _PAGE_BITS)).sortWithinPartitions("slot")
     table, size = bytearray(1 << (KEY_BITS - 3)), 1 << (_PAGE_BITS - 3)
     for page, bits in slots.mapInArrow(_pages, "page int, bits binary").collect():

@@ -9,24 +9,28 @@
    of one component don't meet.  Signatures alone travel there, and a task names the fewest pairs that would join all
    its components.  Where one of those turns out not to be a link, the two blocks meet again with their texts.
    Small buckets give candidate pairs.
+   Both kinds of pairs are checked together.
 4. Components of all links.
 
+On a cluster each table that is written costs a task per shuffle partition, however few its rows, so a node's buckets are
+kept in one row, from which pairs, keys and clusters are read where it lies.
 A bucket or cluster is never expanded into its pairs.
 """
 
 from __future__ import annotations
 
+import functools
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import sketch
 from .components import components, components_by_kind
 from .keyset import in_table, key_table, without_keys
-from .shared import clean_columns, discard, stage
+from .shared import clean_columns, counted, discard, kept_at, stage
 from .words import release, slices
 
 #: Links: 100 * intersection >= MIN_PERCENT * union.
@@ -78,9 +82,14 @@ def check_pairs(pairs: DataFrame, texts: DataFrame, min_percent: int = MIN_PERCE
 
     The rows of a pair meet by two plain joins, which split a text that very many pairs share.
     """
-    left = texts.select(F.col("doc_id").alias("a"), F.col("text").alias("text_a"))
     right = texts.select(F.col("doc_id").alias("b"), F.col("text").alias("text_b"))
-    rows = pairs.join(right, "b").join(left, "a").select("a", "b", "text_a", "text_b")
+    return check_texts(pairs.join(right, "b"), texts, min_percent)
+
+
+def check_texts(pairs: DataFrame, texts: DataFrame, min_percent: int = MIN_PERCENT) -> DataFrame:
+    """``check_pairs`` for pairs (a, b, text_b) that bring one of their texts."""
+    left = texts.select(F.col("doc_id").alias("a"), F.col("text").alias("text_a"))
+    rows = pairs.join(left, "a").select("a", "b", "text_a", "text_b")
     schema = pa.schema([("a", pa.int64()), ("b", pa.int64())])
 
     def run(batches: Iterator[pa.RecordBatch]):
@@ -121,6 +130,12 @@ def _groups(batches: Iterator[pa.RecordBatch], keys: list[int]) -> Iterator[pa.T
         yield pa.Table.from_batches(held)
 
 
+def _tried(table: pa.Table):
+    """Whether two members (positions) have been checked already, one being the smallest node of a bucket of the other's."""
+    node, leads = table["node"].to_pylist(), [set(x) for x in table["leads"].to_pylist()]
+    return lambda x, y: node[x] in leads[y] or node[y] in leads[x]
+
+
 def _marks(table: pa.Table) -> np.ndarray:
     return np.frombuffer(b"".join(table["signature"].to_pylist()), np.uint8).reshape(table.num_rows, -1)
 
@@ -136,48 +151,71 @@ _PAIR = pa.schema([("a", pa.int64()), ("b", pa.int64())])
 
 
 def pairs_across(members: DataFrame, min_percent: int = MIN_PERCENT) -> DataFrame:
-    """Distinct candidate pairs (a, b) from the small buckets (band, node, component, cluster, n_shingles, signature).
+    """Candidate pairs (a, b), which may repeat, from the small buckets (band, node, component, cluster, n_shingles, signature, leads).
 
-    Pairs within a component or a cluster are left out.
+    Pairs within a component or a cluster and those checked before are left out.
     """
-    rows = members.select("band", "node", "component", F.coalesce("cluster", F.lit(-1) - F.col("node")).alias("cluster"), "n_shingles", "signature")
+    rows = members.select("band", "node", "component", F.coalesce("cluster", F.lit(-1) - F.col("node")).alias("cluster"), "n_shingles", "signature", "leads")
     rows = rows.repartition("band").sortWithinPartitions("band", "node")
 
     def run(batches: Iterator[pa.RecordBatch]):
         for g in _groups(batches, [0]):
             node, comp, cluster, size = (g[n].to_numpy() for n in ("node", "component", "cluster", "n_shingles"))
-            mark, found = _marks(g), []
+            mark, tried, found = _marks(g), _tried(g), []
             for x in range(len(node) - 1):
                 others = np.arange(x + 1, len(node))
                 others = may_link(x, others[(comp[others] != comp[x]) & (cluster[others] != cluster[x])], size, mark, min_percent)
-                found += [(int(node[x]), int(node[y])) for y in others]
+                found += [(int(node[x]), int(node[y])) for y in others if not tried(x, y)]
             if found:
                 yield pa.RecordBatch.from_arrays([pa.array([min(f) for f in found]), pa.array([max(f) for f in found])], schema=_PAIR)
 
-    return rows.mapInArrow(run, "a long, b long").distinct()
+    return rows.mapInArrow(run, "a long, b long")
 
 
-def blocks_of(grouped: DataFrame, block: int) -> DataFrame:
-    """Rows (cluster, i, j, block, node, component) of the pairs of blocks (i <= j) in which members must meet.
+def block_counts(grouped: DataFrame, block: int) -> tuple[DataFrame, DataFrame, int]:
+    """Blocks of each cluster that has several components, its large components with the blocks before theirs, and how many
+    such clusters there are.
 
     ``grouped`` has (cluster, node, component).  A component of a block's size or more has blocks of its own, which don't
-    meet each other; the members of small components are dealt out by component.  What is ordered is one row per large
-    component.
+    meet each other; the members of small components are dealt out by component.  What comes together in one place is one
+    entry per large component of a cluster.
     """
     per = grouped.groupBy("cluster", "component").agg(F.count("*").alias("n"))
     per = per.withColumn("own", F.when(F.col("n") >= block, F.ceil(F.col("n") / F.lit(block))).cast("int"))
-    per = stage(per, "near-per-component")
-    spread = per.groupBy("cluster").agg(F.ceil(F.coalesce(F.sum(F.when(F.col("own").isNull(), F.col("n"))), F.lit(0)) / F.lit(block)).cast("int").alias("small"), F.coalesce(F.sum("own"), F.lit(0)).cast("int").alias("large"))
-    before = F.sum("own").over(Window.partitionBy("cluster").orderBy("component")) - F.col("own")
-    large = per.filter("own is not null").select("cluster", "component", "own", before.cast("int").alias("before"))
-    rows = grouped.join(stage(spread, "near-spread"), "cluster").join(stage(large, "near-large"), ["cluster", "component"], "left")
+    few = F.ceil(F.coalesce(F.sum(F.when(F.col("own").isNull(), F.col("n"))), F.lit(0)) / F.lit(block)).cast("int")
+    owners = F.collect_list(F.when(F.col("own").isNotNull(), F.struct("component", "own")))
+    spread = per.groupBy("cluster").agg(few.alias("small"), F.coalesce(F.sum("own"), F.lit(0)).cast("int").alias("large"), owners.alias("owners"), F.count("*").alias("n"))
+    spread, n = counted(spread.filter("n > 1").drop("n"), "near-spread")
+    schema = pa.schema([("cluster", pa.int64()), ("component", pa.int64()), ("own", pa.int32()), ("before", pa.int32())])
+
+    def run(batches: Iterator[pa.RecordBatch]):
+        for batch in batches:
+            for cluster, owned in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
+                own = owned.values.field("own")
+                before = np.cumsum(own.to_numpy()) - own.to_numpy()
+                yield pa.RecordBatch.from_arrays([pa.array([cluster] * len(own), pa.int64()), owned.values.field("component"), own, pa.array(before, pa.int32())], schema=schema)
+
+    large = spread.filter(F.size("owners") > 0).select("cluster", "owners").mapInArrow(run, "cluster long, component long, own int, before int")
+    return kept_at(spread.drop("owners"), spread), stage(large, "near-large"), n
+
+
+def dealt(grouped: DataFrame, spread: DataFrame, large: DataFrame) -> DataFrame:
+    """``blocks_of`` by given counts; other columns are carried along."""
+    carried = [c for c in grouped.columns if c not in ("cluster", "node", "component")]
+    rows = grouped.join(spread, "cluster").join(large, ["cluster", "component"], "left")
     first = F.col("small") + F.col("before")
     alone = F.pmod(F.xxhash64("component"), F.greatest(F.col("small"), F.lit(1)))
     rows = rows.withColumn("block", F.when(F.col("own").isNull(), alone).otherwise(first + F.pmod(F.xxhash64("node"), F.col("own"))).cast("int"))
     every = F.sequence(F.lit(0), F.col("small") + F.col("large") - 1)
     others = F.when(F.col("own").isNull(), every).otherwise(F.filter(every, lambda x: (x < first) | (x >= first + F.col("own"))))
     rows = rows.withColumn("other", F.explode(others))
-    return rows.select("cluster", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "block", "node", "component")
+    return rows.select("cluster", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "block", "node", "component", *carried)
+
+
+def blocks_of(grouped: DataFrame, block: int) -> DataFrame:
+    """Rows (cluster, i, j, block, node, component) of the pairs of blocks (i <= j) in which members must meet."""
+    spread, large, _ = block_counts(grouped, block)
+    return dealt(grouped, spread, large)
 
 
 _BLOCK_KEY = ["cluster", "i", "j"]
@@ -185,11 +223,11 @@ _GUESS = pa.schema([("cluster", pa.int64()), ("i", pa.int32()), ("j", pa.int32()
 
 
 def _met(batches: Iterator[pa.RecordBatch], min_percent: int, check) -> Iterator[tuple]:
-    """(cluster, i, j, pairs) of each pair of blocks: pairs between components that its own pairs don't join yet, where
-    sizes, signatures and ``check(table)(x, y)`` allow them."""
+    """(cluster, i, j, pairs) of each pair of blocks: pairs not checked before between components that its own pairs don't
+    join yet, where sizes, signatures and ``check(table)(x, y)`` allow them."""
     for g in _groups(batches, [0, 1, 2]):
         node, comp, size, block = (g[n].to_numpy() for n in ("node", "component", "n_shingles", "block"))
-        comp, mark, found = comp.copy(), _marks(g), []
+        comp, mark, tried, found = comp.copy(), _marks(g), _tried(g), []
         i, j = g["i"][0].as_py(), g["j"][0].as_py()
         linked = check(g)
         for x in np.flatnonzero(block == i).tolist():
@@ -197,7 +235,7 @@ def _met(batches: Iterator[pa.RecordBatch], min_percent: int, check) -> Iterator
             if i == j:
                 others = others[others > x]
             for y in may_link(x, others[comp[others] != comp[x]], size, mark, min_percent).tolist():
-                if comp[x] != comp[y] and linked(x, y):
+                if comp[x] != comp[y] and not tried(x, y) and linked(x, y):
                     found.append((min(int(node[x]), int(node[y])), max(int(node[x]), int(node[y]))))
                     comp[comp == comp[y]] = comp[x]
         if found:
@@ -207,9 +245,9 @@ def _met(batches: Iterator[pa.RecordBatch], min_percent: int, check) -> Iterator
 def likely_links(members: DataFrame, min_percent: int = MIN_PERCENT) -> DataFrame:
     """(cluster, i, j, a, b): the fewest pairs by signature that would join the components in each pair of blocks.
 
-    ``members`` has the rows of ``blocks_of`` with n_shingles and signature; no text travels.
+    ``members`` has the rows of ``blocks_of`` with n_shingles, signature and leads; no text travels.
     """
-    rows = members.select(*_BLOCK_KEY, "block", "node", "component", "n_shingles", "signature").repartition(*_BLOCK_KEY).sortWithinPartitions(*_BLOCK_KEY, "node")
+    rows = members.select(*_BLOCK_KEY, "block", "node", "component", "n_shingles", "signature", "leads").repartition(*_BLOCK_KEY).sortWithinPartitions(*_BLOCK_KEY, "node")
 
     def run(batches: Iterator[pa.RecordBatch]):
         for cluster, i, j, found in _met(batches, min_percent, lambda g: lambda x, y: True):
@@ -222,9 +260,9 @@ def likely_links(members: DataFrame, min_percent: int = MIN_PERCENT) -> DataFram
 def links_in_blocks(members: DataFrame, min_percent: int = MIN_PERCENT) -> DataFrame:
     """Links (a, b) between components of each pair of blocks, checked on full sets in place.
 
-    ``members`` has the rows of ``blocks_of`` with n_shingles, signature and text.
+    ``members`` has the rows of ``blocks_of`` with n_shingles, signature, leads and text.
     """
-    rows = members.select(*_BLOCK_KEY, "block", "node", "component", "n_shingles", "signature", "text").repartition(*_BLOCK_KEY).sortWithinPartitions(*_BLOCK_KEY, "node")
+    rows = members.select(*_BLOCK_KEY, "block", "node", "component", "n_shingles", "signature", "leads", "text").repartition(*_BLOCK_KEY).sortWithinPartitions(*_BLOCK_KEY, "node")
 
     def check(g: pa.Table):
         sets = sketch.shingle_sets(g["text"])
@@ -243,21 +281,35 @@ def links_in_blocks(members: DataFrame, min_percent: int = MIN_PERCENT) -> DataF
     return rows.mapInArrow(run, "a long, b long")
 
 
-def links_in_clusters(grouped: DataFrame, marks: DataFrame, texts: DataFrame, min_percent: int = MIN_PERCENT) -> DataFrame:
-    """Links (a, b) that join the components (cluster, node, component) of each cluster as all its links would.
+def links_across(placed: DataFrame, texts: DataFrame, min_percent: int = MIN_PERCENT) -> tuple[DataFrame, ...]:
+    """Tables of links (a, b) that join the components of each cluster and small bucket as all their links would.
 
-    ``marks`` has (node, n_shingles, signature), ``texts`` (doc_id, text).  Likely links are checked first; a pair of
-    blocks whose likely links all are links needs no more, the others are gone through with their texts.
+    ``placed`` has (node, component, cluster, bands, n_shingles, signature, leads), ``texts`` (doc_id, text).  The likely
+    links of clusters and the candidates of small buckets are checked first; a pair of blocks whose likely links all are
+    links needs no more, the others are gone through with their texts.
     """
-    met = stage(blocks_of(grouped, BLOCK), "near-blocks")
-    likely = stage(likely_links(met.join(marks, "node"), min_percent), "near-likely")
-    pairs = likely.select("a", "b").distinct()
-    sure = stage(check_pairs(pairs, texts, min_percent), "near-sure")
-    again = stage(likely.join(sure, ["a", "b"], "left_anti").select(*_BLOCK_KEY).distinct(), "near-again")
-    rest = met.join(again, _BLOCK_KEY, "left_semi").join(marks, "node").join(texts.withColumnRenamed("doc_id", "node"), "node")
+    marks = placed.select("node", "n_shingles", "signature", "leads")
+    grouped = placed.filter("cluster is not null").drop("bands")
+    spread, large, n_clusters = block_counts(grouped, BLOCK)
+    # a small bucket has HOT_BUCKET members at most
+    buckets = placed.select(F.explode("bands").alias("band"), "node", "component", "cluster").repartition("band").groupBy("band")
+    mixed = buckets.agg(F.collect_list(F.struct("node", "component", "cluster")).alias("m"), F.min("component").alias("lo"), F.max("component").alias("hi"))
+    mixed = mixed.filter("lo < hi").select("band", F.explode("m").alias("m")).select("band", "m.*")
+    pairs = pairs_across(mixed.join(marks, "node"), min_percent)
+    if n_clusters:
+        likely = stage(likely_links(dealt(grouped, spread, large), min_percent), "near-likely")
+        pairs = pairs.unionByName(likely.select("a", "b"))
+    sure = stage(check_pairs(pairs.distinct(), texts, min_percent), "near-sure")
+    if not n_clusters:
+        return (sure,)
+    again, n_again = counted(likely.join(sure, ["a", "b"], "left_anti").select(*_BLOCK_KEY).distinct(), "near-again")
+    discard(likely)
+    if not n_again:
+        return (sure,)
+    rest = dealt(grouped, spread, large).join(again, _BLOCK_KEY, "left_semi").join(texts.select(F.col("doc_id").alias("node"), "text"), "node")
     found = stage(links_in_blocks(rest, min_percent), "near-found")
-    discard(met, likely, again)
-    return sure.unionByName(found)
+    discard(again, spread, large)
+    return sure, found
 
 
 def near_duplicates(docs: DataFrame, min_percent: int = MIN_PERCENT) -> DataFrame:
@@ -276,43 +328,41 @@ def near_duplicates(docs: DataFrame, min_percent: int = MIN_PERCENT) -> DataFram
 
     banded = nodes.select("node", F.explode("bands").alias("band"))
     buckets = stage(banded.groupBy("band").agg(F.min("node").alias("lead"), F.count("*").alias("n_members")).filter("n_members > 1"), "near-buckets")
-    members = stage(banded.join(buckets, "band"), "near-members")
+    # a row for each node that shares a bucket with another: its smaller leads, those of large buckets, and its small buckets
+    shared = banded.join(buckets, "band").repartition("node")
+    shared = shared.groupBy("node").agg(F.collect_list(F.struct("band", "lead", "n_members")).alias("p"))
+    behind = F.filter("p", lambda x: x["lead"] < F.col("node"))
+    hot = F.filter(behind, lambda x: x["n_members"] > HOT_BUCKET)
+    small = F.filter("p", lambda x: x["n_members"] <= HOT_BUCKET)
+    places = shared.select("node", F.array_distinct(behind["lead"]).alias("leads"), F.array_distinct(hot["lead"]).alias("hot_leads"), small["band"].alias("bands"))
+    places = stage(places, "near-places")
     discard(buckets, shuffles=True)
 
     # only texts of nodes that share a bucket with another are fetched
-    involved = stage(members.select(F.col("node").alias("doc_id")).distinct(), "near-involved")
-    given = in_table(key_table(involved), clean_columns(docs, "doc_id", "text"), F.col("doc_id"), "has_").filter("has_").drop("has_")
-    texts = stage(given.join(involved, "doc_id", "left_semi").groupBy("doc_id").agg(F.min("text").alias("text")), "near-texts")
-    discard(involved, shuffles=True)
-
-    stars = members.filter("node > lead").select(F.col("lead").alias("a"), F.col("node").alias("b")).distinct()
-    stars = stage(stars, "near-stars")
-    links = stage(check_pairs(stars, texts, min_percent), "near-links")
+    given = clean_columns(docs, "doc_id", "text").withColumn("doc_id", F.col("doc_id").cast("long"))
+    given = in_table(key_table(places.select("node"), unique=True), given, F.col("doc_id"), "has_").filter("has_").drop("has_")
+    given = given.groupBy("doc_id").agg(F.min("text").alias("text"))
+    texts = stage(given.join(places.select(F.col("node").alias("doc_id"), "leads"), "doc_id"), "near-texts")
+
+    stars = texts.select(F.explode("leads").alias("a"), F.col("doc_id").alias("b"), F.col("text").alias("text_b"))
+    links = stage(check_texts(stars, texts, min_percent), "near-links")
     # clusters of the large buckets are found in the same rounds as the components of the links so far
-    large = members.filter((F.col("n_members") > HOT_BUCKET) & (F.col("node") > F.col("lead")))
-    tied = links.select(F.lit(0).alias("kind"), "a", "b").unionByName(large.select(F.lit(1).alias("kind"), F.col("lead").alias("a"), F.col("node").alias("b")))
-    both = stage(components_by_kind(tied), "near-first")
-    first = both.filter("kind = 0").drop("kind")
-    clusters = both.filter("kind = 1").select("node", F.col("component").alias("cluster"))
-    marks = nodes.select("node", "n_shingles", "signature")
-
-    grouped = stage(clusters.join(first, "node", "left").withColumn("component", F.coalesce("component", "node")), "near-grouped")
-    open_ = grouped.groupBy("cluster").agg(F.min("component").alias("lo"), F.max("component").alias("hi"))
-    open_ = stage(open_.filter("lo < hi").select("cluster"), "near-open")
-    inside = links_in_clusters(grouped.join(open_, "cluster", "left_semi"), marks, texts, min_percent)
-
-    placed = members.filter(F.col("n_members") <= HOT_BUCKET).join(grouped.select("node", "cluster"), "node", "left").join(first, "node", "left")
-    placed = stage(placed.select("band", "node", "cluster", F.coalesce("component", "node").alias("component")), "near-placed")
-    mixed = stage(placed.groupBy("band").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).filter("lo < hi").select("band"), "near-mixed")
-    across = pairs_across(placed.join(mixed, "band").join(marks, "node"), min_percent)
-    across = stage(across.join(stars, ["a", "b"], "left_anti"), "near-across")
-    links = stage(links.unionByName(inside).unionByName(check_pairs(across, texts, min_percent)), "near-links")
-
-    discard(members, texts, both, grouped, open_, placed, mixed, across, stars, shuffles=True)
-    final = stage(components(links), "near-components")
+    large = places.select(F.lit(1).alias("kind"), F.explode("hot_leads").alias("a"), F.col("node").alias("b"))
+    both = components_by_kind(links.select(F.lit(0).alias("kind"), "a", "b").unionByName(large))
+    of_kind = [F.min(F.when(F.col("kind") == k, F.col("component"))) for k in (0, 1)]
+    named = both.groupBy("node").agg(of_kind[0].alias("component"), of_kind[1].alias("cluster"))
+    placed = places.drop("hot_leads").join(named, "node", "left").join(nodes.select("node", "n_shingles", "signature"), "node")
+    placed = stage(placed.withColumn("component", F.coalesce("component", "node")), "near-placed")
+    discard(places, links, shuffles=True)
+
+    rest = links_across(placed, texts, min_percent)
+    discard(placed, texts, shuffles=True)
+    ties = both.filter("kind = 0 and component < node").select(F.col("component").alias("a"), F.col("node").alias("b"))
+    final = components(functools.reduce(DataFrame.unionByName, rest, ties))
+    discard(both, *rest)
     named = nodes.select("digest", "node").join(final, "node", "left").select("digest", F.coalesce("component", "node").alias("component"))
     named = stage(named, "near-named")
-    discard(nodes, final, links, shuffles=True)
+    discard(nodes, final, shuffles=True)
     out = listed.select("doc_id", "n_shingles", "digest").join(named, "digest", "left")
     component = F.coalesce("component", "doc_id")
     return out.select("doc_id", "n_shingles", component.alias("component_id"), F.col("doc_id").eqNullSafe(component).alias("kept"))

@@ -8,12 +8,12 @@ from __future__ import annotations
 
 import gc
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame, Observation
 from pyspark.sql import functions as F
 
 from ..sources.scratch import fresh_path, shared_dir
 
-__all__ = ["clean_columns", "discard", "fresh_path", "shared_dir", "stage"]
+__all__ = ["clean_columns", "counted", "discard", "fresh_path", "kept_at", "shared_dir", "stage"]
 
 
 def stage(df: DataFrame, tag: str) -> DataFrame:
@@ -26,6 +26,19 @@ def stage(df: DataFrame, tag: str) -> DataFrame:
     return out
 
 
+def counted(df: DataFrame, tag: str, which: Column | None = None) -> tuple[DataFrame, int]:
+    """``stage``, and how many rows (those of ``which``) were written, counted on the way."""
+    seen = Observation()
+    out = stage(df.observe(seen, F.count(F.lit(1) if which is None else F.when(which, 1)).alias("n")), tag)
+    return out, seen.get["n"]
+
+
+def kept_at(df: DataFrame, staged: DataFrame) -> DataFrame:
+    """``df``, which reads ``staged`` alone, to be discarded in its place."""
+    df._staged_path = staged._staged_path
+    return df
+
+
 def clean_columns(docs: DataFrame, *names: str) -> DataFrame:
     """Only the named columns; one that is missing becomes a null string, and extra columns are dropped."""
     have = set(docs.columns)
