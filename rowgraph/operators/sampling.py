@@ -88,10 +88,16 @@ def seeds_of(task: DataFrame, key: str, ntype: str) -> DataFrame:
 
 @dataclass(frozen=True)
 class Slice:
-    """edges: seed_id, seed_time, hop, link, src_type, src, dst_type, dst, ts; messages run from src to dst."""
+    """edges: seed_id, seed_time, hop, link, src_type, src, dst_type, dst, ts; messages run from src to dst.
+
+    A slice whose rows carry their features has ``kids`` too: nid and an array of the rows below it that some stamp picks, in
+    the order of picking, each with its features and its own array (ts, back, x, kids); ``caps`` then are its hops' caps.
+    """
 
     seeds: DataFrame
     edges: DataFrame
+    kids: DataFrame | None = None
+    caps: tuple[int, ...] = ()
 
     @property
     def nodes(self) -> DataFrame:
@@ -125,6 +131,7 @@ def cut_slice(
     share: bool = False,
     staged: str | None = None,
     edge_hook=None,
+    carry: str | None = None,
 ) -> Slice:
     """A slice of ``len(caps)`` hops around each seed.
 
@@ -134,7 +141,14 @@ def cut_slice(
     seed, so behind the first hop it is always made once: a hub's rows meet its stamps, not each seed that reached it.
     ``staged`` is a folder to which each hop is written, for large runs.  Nodes met again are expanded again; the unions
     keep them once.
+
+    ``carry`` names a column of features that the tables of a chain of downward links have (latest picks only).  Rows then
+    are picked once per node for all stamps of the seeds, so that neither rows nor features are joined seed by seed.
     """
+    if carry:
+        if share or staged or edge_hook:
+            raise ValueError("features are carried without sharing, stages and hooks")
+        return _cut_carried(db, seeds, caps, strategy, links, carry)
     types, frontier, out = {r["ntype"] for r in seeds.select("ntype").distinct().collect()}, seeds, []
     for hop, m in enumerate(caps, 1):
         steps = [(x, down) for x in db.links for down in (True, False) if (x.parent if down else x.child) in types and (links is None or (x.name, down) in links)]
@@ -169,6 +183,47 @@ def cut_slice(
     return Slice(seeds, reduce(DataFrame.unionByName, out))
 
 
+def picked_at(kids: Column, t: Column, m: int) -> Column:
+    """The first m of an array of rows that are visible at t."""
+    return F.slice(F.filter(kids, lambda k: visible_at(k["ts"], t)), 1, m)
+
+
+def _cut_carried(db: Database, seeds: DataFrame, caps: list[int | None], strategy: Strategy, links: list[tuple[str, bool]] | None, carry: str) -> Slice:
+    """Picks from the last hop up, once per node.
+
+    What a stamp sees of a node's children are the m latest of some of the intervals between stamps, so m rows of each
+    interval are kept: an array is bounded by m and the number of stamps, however many children a node has.
+    """
+    chain = [next(x for x in db.links if x.name == name) for name, down in links or [] if down]
+    types = [chain[0].parent, *(x.child for x in chain)] if chain else []
+    broken = any(a.child != b.parent for a, b in zip(chain, chain[1:])) or len(set(types)) < len(types)
+    if not chain or len(chain) != len(links) or len(chain) != len(caps) or broken or strategy.kind != "latest" or None in caps:
+        raise ValueError("features are carried by latest picks down a chain of links, a hop for each")
+    times = sorted(r["seed_time"] for r in seeds.select("seed_time").distinct().collect())
+    stamps_ = F.array(*(F.lit(t.isoformat(" ")).cast("timestamp_ntz") for t in times)).cast("array<timestamp_ntz>")
+    kids = None
+    for link, m in reversed(list(zip(chain, caps, strict=True))):
+        child = db.tables[link.child]
+        ts = F.col(child.time).cast("timestamp_ntz") if child.time else F.lit(None).cast("timestamp_ntz")
+        rows = child.df.select(F.col(link.fk).cast("bigint").alias("up"), F.col(child.pk).cast("bigint").alias("child"), ts.alias("ts"), F.col(carry).alias("x"))
+        # stamps before the row; a row that is later than all of them is never seen
+        turn = F.coalesce(F.size(F.filter(stamps_, lambda t: t < F.col("ts"))), F.lit(0))
+        rows = rows.filter("up is not null").withColumn("turn", turn).filter(F.col("turn") < len(times))
+        if kids is not None:
+            rows = rows.join(kids.withColumnRenamed("nid", "child"), "child", "left").repartition("up")
+        rows = pick(rows, ["up", "turn"], m, strategy.order(F.col("up"), F.col("ts"), F.col("child"), F.col("ts")))
+        # in descending order these are by time, latest first, those without one last, and equal times by key
+        one = F.struct("ts", (-F.col("child")).alias("back"), "x", *([] if kids is None else ["kids"]))
+        kids = rows.groupBy(F.col("up").alias("nid")).agg(F.sort_array(F.collect_list(one), asc=False).alias("kids"))
+    edges, level = [], seeds.select("seed_id", "seed_time", "nid").join(kids, "nid")
+    for hop, (link, m) in enumerate(zip(chain, caps, strict=True), 1):
+        level = level.select("seed_id", "seed_time", "nid", F.explode(picked_at(F.col("kids"), F.col("seed_time"), m)).alias("k"))
+        edges.append(level.select("seed_id", "seed_time", F.lit(hop).alias("hop"), F.lit(link.name).alias("link"), F.lit(link.child).alias("src_type"), (-F.col("k.back")).alias("src"), F.lit(link.parent).alias("dst_type"), F.col("nid").alias("dst"), F.col("k.ts").alias("ts")))
+        if hop < len(caps):
+            level = level.select("seed_id", "seed_time", (-F.col("k.back")).alias("nid"), F.col("k.kids").alias("kids"))
+    return Slice(seeds, reduce(DataFrame.unionByName, edges), kids, tuple(caps))
+
+
 def printed_filter_leaks(db: Database, link: LinkSpec, frontier: DataFrame) -> DataFrame:
     """Neighbours under the filter that tests the node being expanded; kept to show what it lets through."""
     child = db.tables[link.child]

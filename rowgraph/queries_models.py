@@ -7,6 +7,7 @@ from collections.abc import Callable
 from dataclasses import dataclass, field, replace
 from functools import reduce
 
+from pyspark import StorageLevel
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -72,19 +73,30 @@ SETUPS = {
 }
 
 
-def packed_task(spark: S, d: str, s: Setup) -> tuple[DataFrame, dict[str, int], list[tuple[str, str]]]:
-    """Packed slices with split, seed_time and key, sizes of the types' features, and the model's links."""
-    db, task = s.open_(spark, d), s.build(spark, d)
+def _labelled(task: DataFrame, s: Setup) -> tuple[DataFrame, DataFrame]:
+    """Seeds, and the same with split and label."""
     seeds = sampling.seeds_of(task, s.key, s.ntype)
     labels = task.select(F.col(s.key).cast("bigint").alias("nid"), "seed_time", "split", (F.col("label") / s.scale).alias("label"))
-    cut = sampling.cut_slice(db, seeds, s.caps, sampling.Strategy("latest"), s.links)
-    feats, sizes = {}, {}
+    return seeds, seeds.join(labels, ["nid", "seed_time"])
+
+
+def _encoders(db: Database, s: Setup) -> tuple[dict[str, encode.TableEncoder], dict[str, int]]:
+    """Fitted encoders and sizes of the types' features; rows that aren't seeds have their age besides."""
+    fitted, sizes = {}, {}
     for name, encoders in s.encoders.items():
         spec = db.tables[name]
-        fitted = encode.TableEncoder(encoders).fit(spec.df, spec.time, s.split.t_val)
-        feats[name] = fitted.transform(spec.df.withColumnRenamed(spec.pk, "nid"), ["nid"])
-        sizes[name] = len([c for e in fitted.encoders for c in e.columns()]) + (name != s.ntype)
-    joined = seeds.join(labels, ["nid", "seed_time"])
+        fitted[name] = encode.TableEncoder(encoders).fit(spec.df, spec.time, s.split.t_val)
+        sizes[name] = len([c for e in fitted[name].encoders for c in e.columns()]) + (name != s.ntype)
+    return fitted, sizes
+
+
+def packed_task(spark: S, d: str, s: Setup) -> tuple[DataFrame, dict[str, int], list[tuple[str, str]]]:
+    """Packed slices with split, seed_time and key, sizes of the types' features, and the model's links."""
+    db, task = s.open_(spark, d), s.build(spark, d)
+    seeds, joined = _labelled(task, s)
+    cut = sampling.cut_slice(db, seeds, s.caps, sampling.Strategy("latest"), s.links)
+    fitted, sizes = _encoders(db, s)
+    feats = {name: f.transform(db[name].withColumnRenamed(db.tables[name].pk, "nid"), ["nid"]) for name, f in fitted.items()}
     packed = train.pack_features(cut, joined, feats, age=True).join(joined.select("seed_id", "split", "seed_time", F.col("nid").alias(s.key)), "seed_id")
     links = []
     for name, down in s.links:
@@ -93,6 +105,20 @@ def packed_task(spark: S, d: str, s: Setup) -> tuple[DataFrame, dict[str, int],
     return packed, sizes, links
 
 
+def laid_task(spark: S, d: str, s: Setup, splits: tuple[str, ...]) -> tuple[DataFrame, dict[str, int], list[tuple[str, str]]]:
+    """The same for a chain of downward links and some splits: slices laid out as plain numbers, with split.
+
+    The task table is kept, as seeds, stamps and labels are read from it; rows of the slices bring their features along.
+    """
+    db, task = s.open_(spark, d), s.build(spark, d).filter(F.col("split").isin(*splits)).cache()
+    seeds, joined = _labelled(task, s)
+    fitted, sizes = _encoders(db, s)
+    tables = {n: replace(t, df=fitted[n].transform(t.df, t.df.columns, "x")) if n in fitted and n != s.ntype else t for n, t in db.tables.items()}
+    cut = sampling.cut_slice(replace(db, tables=tables), seeds, s.caps, sampling.Strategy("latest"), s.links, carry="x")
+    own = fitted[s.ntype].transform(db[s.ntype].withColumnRenamed(db.tables[s.ntype].pk, "nid"), ["nid"])
+    return train.pack_features(cut, joined, {s.ntype: own}, age=True), sizes, [(x.name, x.parent) for n, _ in s.links for x in db.links if x.name == n]
+
+
 def predictions(spark: S, d: str, name: str, steps: int = 10, trees: int = 3) -> DataFrame:
     """model, split, seed_time, key, label, score of the validation and test rows under each model of a task."""
     s, out = SETUPS[name], []
@@ -221,14 +247,18 @@ def train_labels(spark: S, d: str) -> DataFrame:
 
 @query("train_together")
 def train_together(spark: S, d: str) -> DataFrame:
-    """Customer value and part sales learnt with one encoder of lines, and each by itself: mean absolute error on the test rows."""
+    """Customer value and part sales learnt with one encoder of lines, and each by itself: mean absolute error on the test rows.
+
+    Slices are laid out and made into batches once, for all trainings and the test rows.
+    """
     lines = [("lineitem.l_partkey", True)]
     parts = replace(SETUPS["value"], build=workloads.part_sales, key="p_partkey", ntype="part", links=lines, caps=[6], encoders={"part": [encode.Numeric("p_retailprice"), encode.Numeric("p_size")], "lineitem": _LINE}, scale=10.0, delta=182)
     setups = {"customer value": SETUPS["value"], "part sales": parts}
     ready = {}
     for name, s in setups.items():
-        packed, sizes, links = packed_task(spark, d, s)
-        ready[name] = (packed.drop("seed_time", s.key).repartition(8, "seed_id").cache(), train.Model(s.ntype, sizes, links, d=8, loss="absolute"))
+        packed, sizes, links = laid_task(spark, d, s, ("train", "test"))
+        model = train.Model(s.ntype, sizes, links, d=8, loss="absolute")
+        ready[name] = (train.prepared(model, packed).persist(StorageLevel.DISK_ONLY), model)
     out = []
     for mode in ("together", "alone"):
         models = {n: replace(m, params={}).init(7) for n, (_, m) in ready.items()}
@@ -238,10 +268,10 @@ def train_together(spark: S, d: str) -> DataFrame:
         groups = [list(models)] if mode == "together" else [[n] for n in models]
         for g in groups:
             named = [_Own(models[n], f"head:{n}") for n in g]
-            train.fit(named, [ready[n][0].filter("split = 'train'").drop("split") for n in g], steps=10, rate=0.05)
+            train.fit(named, [ready[n][0].filter("split = 'train'") for n in g], steps=10, rate=0.05)
             for n, m in zip(g, named, strict=True):
                 scale = setups[n].scale
-                got = train.predict(m, ready[n][0].filter("split = 'test'").drop("split")).select((F.col("label") * scale).alias("label"), (F.col("score") * scale).alias("y_hat"))
+                got = train.predict(m, ready[n][0].filter("split = 'test'")).select((F.col("label") * scale).alias("label"), (F.col("score") * scale).alias("y_hat"))
                 out.append(board.evaluate(got, "regression", n, mode))
     return reduce(DataFrame.unionByName, out)
 
