@@ -82,8 +82,12 @@ def neighbours(db: Database, link: LinkSpec, frontier: DataFrame, downward: bool
 
 def seeds_of(task: DataFrame, key: str, ntype: str) -> DataFrame:
     """seed_id, seed_time, ntype, nid: ids are made of the keys, so no counter is needed."""
+    return task.select(*seed_columns(key, ntype)).distinct()
+
+
+def seed_columns(key: str, ntype: str) -> list[Column]:
     seed_id = F.concat_ws("|", F.col(key), F.date_format("seed_time", "yyyy-MM-dd"))
-    return task.select(seed_id.alias("seed_id"), F.col("seed_time"), F.lit(ntype).alias("ntype"), F.col(key).cast("bigint").alias("nid")).distinct()
+    return [seed_id.alias("seed_id"), F.col("seed_time"), F.lit(ntype).alias("ntype"), F.col(key).cast("bigint").alias("nid")]
 
 
 @dataclass(frozen=True)

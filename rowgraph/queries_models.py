@@ -73,13 +73,6 @@ SETUPS = {
 }
 
 
-def _labelled(task: DataFrame, s: Setup) -> tuple[DataFrame, DataFrame]:
-    """Seeds, and the same with split and label."""
-    seeds = sampling.seeds_of(task, s.key, s.ntype)
-    labels = task.select(F.col(s.key).cast("bigint").alias("nid"), "seed_time", "split", (F.col("label") / s.scale).alias("label"))
-    return seeds, seeds.join(labels, ["nid", "seed_time"])
-
-
 def _encoders(db: Database, s: Setup) -> tuple[dict[str, encode.TableEncoder], dict[str, int]]:
     """Fitted encoders and sizes of the types' features; rows that aren't seeds have their age besides."""
     fitted, sizes = {}, {}
@@ -93,8 +86,10 @@ def _encoders(db: Database, s: Setup) -> tuple[dict[str, encode.TableEncoder], d
 def packed_task(spark: S, d: str, s: Setup) -> tuple[DataFrame, dict[str, int], list[tuple[str, str]]]:
     """Packed slices with split, seed_time and key, sizes of the types' features, and the model's links."""
     db, task = s.open_(spark, d), s.build(spark, d)
-    seeds, joined = _labelled(task, s)
+    seeds = sampling.seeds_of(task, s.key, s.ntype)
+    labels = task.select(F.col(s.key).cast("bigint").alias("nid"), "seed_time", "split", (F.col("label") / s.scale).alias("label"))
     cut = sampling.cut_slice(db, seeds, s.caps, sampling.Strategy("latest"), s.links)
+    joined = seeds.join(labels, ["nid", "seed_time"])
     fitted, sizes = _encoders(db, s)
     feats = {name: f.transform(db[name].withColumnRenamed(db.tables[name].pk, "nid"), ["nid"]) for name, f in fitted.items()}
     packed = train.pack_features(cut, joined, feats, age=True).join(joined.select("seed_id", "split", "seed_time", F.col("nid").alias(s.key)), "seed_id")
@@ -108,15 +103,17 @@ def packed_task(spark: S, d: str, s: Setup) -> tuple[DataFrame, dict[str, int],
 def laid_task(spark: S, d: str, s: Setup, splits: tuple[str, ...]) -> tuple[DataFrame, dict[str, int], list[tuple[str, str]]]:
     """The same for a chain of downward links and some splits: slices laid out as plain numbers, with split.
 
-    The task table is kept, as seeds, stamps and labels are read from it; rows of the slices bring their features along.
+    The task table is kept, as stamps and labelled seeds are read from it, one of each row; rows of the slices bring their
+    features along.
     """
     db, task = s.open_(spark, d), s.build(spark, d).filter(F.col("split").isin(*splits)).cache()
-    seeds, joined = _labelled(task, s)
+    seeds = sampling.seeds_of(task, s.key, s.ntype)
+    labelled = task.select(*sampling.seed_columns(s.key, s.ntype), "split", (F.col("label") / s.scale).alias("label"))
     fitted, sizes = _encoders(db, s)
     tables = {n: replace(t, df=fitted[n].transform(t.df, t.df.columns, "x")) if n in fitted and n != s.ntype else t for n, t in db.tables.items()}
     cut = sampling.cut_slice(replace(db, tables=tables), seeds, s.caps, sampling.Strategy("latest"), s.links, carry="x")
     own = fitted[s.ntype].transform(db[s.ntype].withColumnRenamed(db.tables[s.ntype].pk, "nid"), ["nid"])
-    return train.pack_features(cut, joined, {s.ntype: own}, age=True), sizes, [(x.name, x.parent) for n, _ in s.links for x in db.links if x.name == n]
+    return train.pack_features(cut, labelled, {s.ntype: own}, age=True), sizes, [(x.name, x.parent) for n, _ in s.links for x in db.links if x.name == n]
 
 
 def predictions(spark: S, d: str, name: str, steps: int = 10, trees: int = 3) -> DataFrame:
